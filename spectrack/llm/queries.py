@@ -8,6 +8,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
 from spectrack.llm.exact_dedup import exact_dedup
+from spectrack.llm.mixing import mix
 from spectrack.llm.packing import pack
 from spectrack.llm.sharding import even_tree, grown, shard
 from spectrack.llm.simhash import near_duplicates
@@ -35,6 +36,10 @@ def op2_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("doc_id", "keep_id", "group_size", "kept", "text_sha256")
 
 
+def op5_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return mix(table(spark, sf_dir, "documents")).select("doc_id", "size", "source_size", "target", "taken")
+
+
 def op7_shard(spark: SparkSession, sf_dir: str) -> DataFrame:
     tree = even_tree(40)
     return shard(table(spark, sf_dir, "documents"), tree, grown(tree))
@@ -51,6 +56,7 @@ def op10_pack(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_simhash": op1_simhash,
     "op2_exact_dedup": op2_exact_dedup,
+    "op5_mix": op5_mix,
     "op7_shard": op7_shard,
     "op9_url_filter": op9_url_filter,
     "op10_pack": op10_pack,
