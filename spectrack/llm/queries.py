@@ -7,8 +7,11 @@ from collections.abc import Callable
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
+from spectrack.llm import language
+from spectrack.llm import toxicity as toxic
 from spectrack.llm.exact_dedup import exact_dedup
 from spectrack.llm.mixing import mix
+from spectrack.llm.neighbours import nearest
 from spectrack.llm.packing import pack
 from spectrack.llm.sharding import even_tree, grown, shard
 from spectrack.llm.simhash import near_duplicates
@@ -36,15 +39,33 @@ def op2_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("doc_id", "keep_id", "group_size", "kept", "text_sha256")
 
 
+def op3_nearest(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return nearest(table(spark, sf_dir, "embeddings"), every=20, k=20)
+
+
 def op5_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mix(table(spark, sf_dir, "documents")).select("doc_id", "size", "source_size", "target", "taken")
 
 
+def op6_language(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    out = language.held_out("doc_id", 5, 0)
+    model = language.fit(docs.filter(~out))
+    return language.identify(docs, model).select("doc_id", out.alias("held_out"), "lang_pred", "score", "rejected")
+
+
 def op7_shard(spark: SparkSession, sf_dir: str) -> DataFrame:
     tree = even_tree(40)
     return shard(table(spark, sf_dir, "documents"), tree, grown(tree))
 
 
+def op8_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    out = language.held_out("doc_id", 5, 0)
+    model = toxic.fit(docs, table(spark, sf_dir, "labels").filter(~out))
+    return toxic.toxicity(docs, model).select("doc_id", out.alias("held_out"), "score", "predicted")
+
+
 def op9_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     return url_filter(table(spark, sf_dir, "pages"), URL_RULES)
 
@@ -56,8 +77,11 @@ def op10_pack(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_simhash": op1_simhash,
     "op2_exact_dedup": op2_exact_dedup,
+    "op3_nearest": op3_nearest,
     "op5_mix": op5_mix,
+    "op6_language": op6_language,
     "op7_shard": op7_shard,
+    "op8_toxicity": op8_toxicity,
     "op9_url_filter": op9_url_filter,
     "op10_pack": op10_pack,
 }
