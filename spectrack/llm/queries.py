@@ -7,7 +7,7 @@ from collections.abc import Callable
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from spectrack.llm import language
+from spectrack.llm import language, scoring
 from spectrack.llm import toxicity as toxic
 from spectrack.llm.exact_dedup import exact_dedup
 from spectrack.llm.mixing import mix
@@ -43,6 +43,14 @@ def op3_nearest(spark: SparkSession, sf_dir: str) -> DataFrame:
     return nearest(table(spark, sf_dir, "embeddings"), every=20, k=20)
 
 
+def op4_lm_score(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    out = language.held_out("doc_id", 7, 2)
+    model, vocabulary = scoring.fit(docs.filter(~out))
+    scored = scoring.score(docs, model, vocabulary)
+    return scored.select("doc_id", out.alias("held_out"), "n_tokens", "n_known", "train_tokens", "base_score", "score")
+
+
 def op5_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mix(table(spark, sf_dir, "documents")).select("doc_id", "size", "source_size", "target", "taken")
 
@@ -78,6 +86,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_simhash": op1_simhash,
     "op2_exact_dedup": op2_exact_dedup,
     "op3_nearest": op3_nearest,
+    "op4_lm_score": op4_lm_score,
     "op5_mix": op5_mix,
     "op6_language": op6_language,
     "op7_shard": op7_shard,
