@@ -158,11 +158,11 @@ def fit(
         tf, letters = counts(pdf["text"].tolist(), dims)
         v = weighted(tf, idf)[letters > 0]
         if not len(v):
-            return pd.DataFrame({"lang": [], "least": [], "v": []})
+            return pd.DataFrame({"lang": [None], "least": [None], "v": [None]})
         c, sims = _cluster(v, centroids)
         return pd.DataFrame({"lang": pdf["lang"].iloc[0], "least": slack * float(np.quantile(sims, 0.01)), "v": list(c.astype(np.float32))})
 
-    found = some.groupBy("lang").applyInPandas(centre, "lang string, least double, v array<float>").collect()
+    found = some.groupBy("lang").applyInPandas(centre, "lang string, least double, v array<float>").filter("v IS NOT NULL").collect()
     found.sort(key=lambda r: (r["lang"], r["v"]))
     if found:
         model.langs = [r["lang"] for r in found]

@@ -240,7 +240,10 @@ def fit(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lexicon
     first = staged(tallies.filter("kind = 0").select((F.floor(F.col("key") / CLASSES)).alias("at"), (F.col("key") % CLASSES).alias("c"), "n").repartition(8, "at"), "contexts")
     second = staged(tallies.filter("kind = 1").select((F.floor(F.col("key") / size)).alias("at"), (F.col("key") % size).alias("w"), "n").repartition(8, "at"), "pairs")
 
-    model.bias = np.zeros(CLASSES)
+    mass = np.bincount(model.classes[:size], model.counts, CLASSES)
+    mass[-SHAPES:] = max(1.0, (tokens - mass.sum()) / SHAPES)
+    # a class without words gets no probability
+    model.bias = np.where(mass > 0, np.log(np.maximum(mass, 1e-9)), -1e4)
     model.one, model.two, model.both = np.zeros((BUCKETS, CLASSES)), np.zeros((BUCKETS, CLASSES)), np.zeros((PAIRS, CLASSES))
     model.slots = np.zeros(SLOTS, np.float32)
     _rounds_of_classes(model, first, rounds)

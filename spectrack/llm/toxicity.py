@@ -84,7 +84,7 @@ class Model:
 
     terms: dict[str, float] = field(default_factory=dict)
     clean: frozenset[str] = frozenset()
-    coef: tuple[float, float, float, float] = (-4.0, 6.0, 3.0, 1.0)
+    coef: tuple[float, float, float, float] = (-4.0, 6.0, 4.5, 1.0)
     seen: dict = field(default_factory=dict, repr=False)
     trie: Trie | None = field(default=None, repr=False)
 
