@@ -12,7 +12,6 @@ from spectrack.functions import track as K
 from spectrack.functions.spectral import dct, idct
 
 
-@F.pandas_udf("long")
 def varint_bits(u: pd.Series, l: pd.Series) -> pd.Series:  # noqa: E741
     """Bits of non-negative integers with chunks of l bits."""
     length = N.bit_length(u.to_numpy(np.int64))
@@ -20,17 +19,14 @@ def varint_bits(u: pd.Series, l: pd.Series) -> pd.Series:  # noqa: E741
     return pd.Series(-(-length // chunk) * (chunk + 1))
 
 
-@F.pandas_udf("long")
 def zz1(n: pd.Series) -> pd.Series:
     return pd.Series(N.zigzag1(n.to_numpy(np.int64)))
 
 
-@F.pandas_udf("array<double>")
 def dct_block(v: pd.Series) -> pd.Series:
     return v.map(lambda x: None if x is None or not len(x) else dct(np.asarray(x, float))[0])
 
 
-@F.pandas_udf("array<double>")
 def idct_block(c: pd.Series) -> pd.Series:
     return c.map(lambda x: None if x is None or not len(x) else idct(np.asarray(x, float), len(x))[0])
 
@@ -47,10 +43,7 @@ class DecodeTrack:
             yield when, x
 
 
-decode_track = F.udtf(DecodeTrack, returnType="t long, pos array<double>")
-
-
 def register(spark: SparkSession) -> None:
-    for name, f in (("varint_bits", varint_bits), ("zz1", zz1), ("dct_block", dct_block), ("idct_block", idct_block)):
-        spark.udf.register(name, f)
-    spark.udtf.register("decode_track", decode_track)
+    for f, kind in ((varint_bits, "long"), (zz1, "long"), (dct_block, "array<double>"), (idct_block, "array<double>")):
+        spark.udf.register(f.__name__, F.pandas_udf(f, kind))
+    spark.udtf.register("decode_track", F.udtf(DecodeTrack, returnType="t long, pos array<double>"))

@@ -15,7 +15,6 @@ from spectrack.functions import numbers as N
 
 AXIS = ["track_id", "frag_id", "axis"]
 BLOCK = [*AXIS, "block_id"]
-LINE = W.partitionBy(*AXIS).orderBy("j")
 
 
 def axes(uniform: DataFrame) -> DataFrame:
@@ -30,7 +29,7 @@ def from_clock(points: DataFrame, dt: int) -> DataFrame:
 
 def velocities(signal: DataFrame, b_s: int) -> DataFrame:
     """Velocity j belongs to block j / b_s, so neighbouring blocks share a sample and no row is doubled."""
-    v = signal.withColumn("v", F.lead("s").over(LINE) - F.col("s")).filter("v IS NOT NULL")
+    v = signal.withColumn("v", F.lead("s").over(W.partitionBy(*AXIS).orderBy("j")) - F.col("s")).filter("v IS NOT NULL")
     v = v.withColumn("block_id", F.floor(F.col("j") / b_s)).withColumn("i", (F.col("j") % b_s).cast("int"))
     whole = W.partitionBy(*BLOCK)
     return v.withColumn("len", F.count(F.lit(1)).over(whole).cast("int")).withColumn("centred", F.col("v") - F.avg("v").over(whole))

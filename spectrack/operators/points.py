@@ -8,15 +8,19 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window as W
 
-TRACK = W.partitionBy("track_id").orderBy("t")
-FRAGMENT = W.partitionBy("track_id", "frag_id")
-IN_FRAGMENT = FRAGMENT.orderBy("t")
-
 # WGS84 (fixed values)
 MAJOR, FLAT = 6378137.0, 1 / 298.257223563
 DEFAULT_ALTITUDE_FT, FOOT = -777.0, 0.3048
 
 
+def _track():
+    return W.partitionBy("track_id").orderBy("t")
+
+
+def _fragment():
+    return W.partitionBy("track_id", "frag_id")
+
+
 def distance(a: Column, b: Column) -> Column:
     return F.sqrt(F.aggregate(F.zip_with(a, b, lambda x, y: (x - y) * (x - y)), F.lit(0.0), lambda s, x: s + x))
 
@@ -60,16 +64,16 @@ def to_utm(lon: Column, lat: Column, zone: int) -> Column:
 def steps(points: DataFrame) -> DataFrame:
     """Add idx (from 0), gap (microseconds) and dist to the sample before."""
     return (
-        points.withColumn("idx", F.row_number().over(TRACK) - 1)
-        .withColumn("gap", F.col("t") - F.lag("t").over(TRACK))
-        .withColumn("dist", distance(F.col("pos"), F.lag("pos").over(TRACK)))
+        points.withColumn("idx", F.row_number().over(_track()) - 1)
+        .withColumn("gap", F.col("t") - F.lag("t").over(_track()))
+        .withColumn("dist", distance(F.col("pos"), F.lag("pos").over(_track())))
     )
 
 
 def speed_breaks(points: DataFrame, v_max: float) -> DataFrame:
     """Add frag_id: a new fragment after each step faster than v_max a second."""
     fast = F.coalesce(F.col("dist") > F.col("gap") / 1e6 * v_max, F.lit(False)).cast("int")
-    return steps(points).withColumn("frag_id", F.sum(fast).over(TRACK.rowsBetween(W.unboundedPreceding, 0)).cast("int"))
+    return steps(points).withColumn("frag_id", F.sum(fast).over(_track().rowsBetween(W.unboundedPreceding, 0)).cast("int"))
 
 
 def fragments(points: DataFrame, b_s: int, default_dt: int, v_max: float | None = None, gap_mean: str = "inclusive") -> DataFrame:
@@ -80,7 +84,7 @@ def fragments(points: DataFrame, b_s: int, default_dt: int, v_max: float | None
     window: the fold's breaks come back as an array beside the rows of their own track."""
     fast = F.lit(False) if v_max is None else F.coalesce(F.col("dist") > F.col("gap") / 1e6 * v_max, F.lit(False))
     whole = W.partitionBy("track_id")
-    rows = steps(points).withColumn("fast", fast).withColumn("before", F.lag("t").over(TRACK))
+    rows = steps(points).withColumn("fast", fast).withColumn("before", F.lag("t").over(_track()))
     least = F.least(F.min("gap").over(whole), F.lit(default_dt))
     suspect = F.when((F.col("gap") > b_s * F.col("least")) | F.col("fast"), F.struct("idx", "t", "before", "fast"))
     rows = rows.withColumn("least", least).withColumn("t0", F.min("t").over(whole))
@@ -101,15 +105,15 @@ def fragments(points: DataFrame, b_s: int, default_dt: int, v_max: float | None
     start = F.struct(F.lit(0).alias("at"), F.col("t0").alias("t"), F.array().cast("array<int>").alias("found"))
     breaks = F.aggregate("suspects", start, step, lambda a: a["found"])
     rows = rows.withColumn("breaks", F.when(F.col("idx") == 0, breaks))
-    rows = rows.withColumn("breaks", F.first("breaks", ignorenulls=True).over(TRACK.rowsBetween(W.unboundedPreceding, 0)))
-    return rows.withColumn("frag_id", F.sum(F.array_contains("breaks", F.col("idx")).cast("int")).over(TRACK.rowsBetween(W.unboundedPreceding, 0)).cast("int")).drop(
+    rows = rows.withColumn("breaks", F.first("breaks", ignorenulls=True).over(_track().rowsBetween(W.unboundedPreceding, 0)))
+    return rows.withColumn("frag_id", F.sum(F.array_contains("breaks", F.col("idx")).cast("int")).over(_track().rowsBetween(W.unboundedPreceding, 0)).cast("int")).drop(
         "suspects", "breaks", "least", "t0", "before", "fast"
     )
 
 
 def split_outliers(frags: DataFrame, max_len: int = 2) -> DataFrame:
     """Add outlier: whether the fragment is too short to be coded as one."""
-    return frags.withColumn("outlier", F.count(F.lit(1)).over(FRAGMENT) <= max_len)
+    return frags.withColumn("outlier", F.count(F.lit(1)).over(_fragment()) <= max_len)
 
 
 def interval(frags: DataFrame, eps_t: int, scope: str = "track", max_len: int = 2) -> DataFrame:
@@ -122,8 +126,8 @@ def interval(frags: DataFrame, eps_t: int, scope: str = "track", max_len: int =
 def to_uniform(frags: DataFrame, dt: Column) -> DataFrame:
     """track_id, frag_id, j, pos: samples every dt from each fragment's start, each made by the pair of
     samples around it (no join); the sample beyond the end holds the last position."""
-    w = IN_FRAGMENT
-    t0 = F.min("t").over(FRAGMENT)
+    w = _fragment().orderBy("t")
+    t0 = F.min("t").over(_fragment())
     rows = frags.select("track_id", "frag_id", "t", "pos", dt.alias("dt"), t0.alias("t0"), F.lead("t").over(w).alias("t2"), F.lead("pos").over(w).alias("pos2"))
     first = F.when(F.col("t") == F.col("t0"), 0).otherwise(F.floor((F.col("t") - F.col("t0")) / F.col("dt")) + 1)
     last_t = F.when(F.lead("t2").over(w).isNull(), F.ceil((F.col("t2") - F.col("t0")) / F.col("dt"))).otherwise(F.floor((F.col("t2") - F.col("t0")) / F.col("dt")))

@@ -64,7 +64,7 @@ def compress(points: DataFrame, p: CodecParams, chunk_points: int | None = 1_000
     else:
         rows = with_chunks(rows, chunk_points)
 
-    def run(key, table: pa.Table) -> pa.Table:
+    def run(key: tuple[pa.Scalar, ...], table: pa.Table) -> pa.Table:
         t, pos = columns_of(table)
         return to_arrow([_container(key[0].as_py(), key[1].as_py(), t, pos, p)], CONTAINER)
 
@@ -126,7 +126,7 @@ def decompress_regular(container: DataFrame, p: CodecParams | None = None, t_fro
 def simplify(points: DataFrame, method: str, p: CodecParams, encoded: bool = True, m: int = 16) -> DataFrame:
     """Kept counts, bytes and errors of a baseline, a row a track."""
 
-    def run(key, table: pa.Table) -> pa.Table:
+    def run(key: tuple[pa.Scalar, ...], table: pa.Table) -> pa.Table:
         t, pos = columns_of(table)
         r = S.simplified(method, t, pos, p, encoded, m)
         return to_arrow([{"track_id": key[0].as_py(), "n": len(t), "raw_bytes": K.raw_bytes(*pos.shape), **r}], "track_id string, n long, raw_bytes long, kept long, bytes long, max_sed double, sum_sed double")
@@ -137,7 +137,7 @@ def simplify(points: DataFrame, method: str, p: CodecParams, encoded: bool = Tru
 def kept_points(points: DataFrame, method: str, eps: float, m: int = 16, ratio: float | None = None) -> DataFrame:
     """KEPT: track_id, t, pos, generated."""
 
-    def run(key, table: pa.Table) -> pa.Table:
+    def run(key: tuple[pa.Scalar, ...], table: pa.Table) -> pa.Table:
         t, pos = columns_of(table)
         s = (t - t[0]) / 1e6
         if method == "cone_weak" and len(t) > 1:
@@ -155,7 +155,7 @@ def sweep(points: DataFrame, runs: Sequence[tuple[dict, Callable]], ddl: str) ->
     """Each run's row for each track. The grid goes to the data: points are shuffled once, and a task does all runs
     of its track; a run is (labels, function of (t, pos) giving the rest of the row)."""
 
-    def run(key, table: pa.Table) -> pa.Table:
+    def run(key: tuple[pa.Scalar, ...], table: pa.Table) -> pa.Table:
         t, pos = columns_of(table)
         return to_arrow([{"track_id": key[0].as_py(), "n": len(t), "raw_bytes": K.raw_bytes(*pos.shape), **labels, **f(t, pos)} for labels, f in runs], ddl)
 
