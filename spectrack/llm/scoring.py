@@ -27,7 +27,8 @@ SHAPES = 8
 BUCKETS, OWN = 256, 180  # buckets of a word as context; this many words have one alone
 CLASSES = 64
 PAIRS = 2048  # hashed features of both words before
-SLOTS = 1 << 20  # hashed features of (class before, word)
+SLOTS = 1 << 19  # hashed features of (class before, word)
+PULL = 0.5  # weight of the prior
 _LOG10 = float(np.log(10.0))
 
 
@@ -69,6 +70,7 @@ class Model:
     two: np.ndarray | None = None
     both: np.ndarray | None = None
     slots: np.ndarray | None = None
+    featured: int = 0
     made: dict = field(default_factory=dict, repr=False)
 
     def __getstate__(self):
@@ -114,7 +116,7 @@ class Model:
                 z = z - z.max(axis=1, keepdims=True)
                 first[a * BUCKETS : (a + 1) * BUCKETS] = (z - np.log(np.exp(z).sum(axis=1, keepdims=True))) / _LOG10
             u, own, ids = self.unigram(), self.classes[: len(self.lexicon)], np.arange(len(self.lexicon))
-            sums = np.stack([np.bincount(own, u * np.exp(self.slots[_slot(np.full(len(ids), c), ids)]), CLASSES) for c in range(CLASSES)])
+            sums = np.stack([np.bincount(own, u * np.exp(self.slots[_slot(np.full(len(ids), c), ids, self.featured)]), CLASSES) for c in range(CLASSES)])
             self.made["tables"] = first, np.log10(u), np.log10(np.maximum(sums, 1e-300))
         return self.made["tables"]
 
@@ -123,8 +125,9 @@ def _pair(one: np.ndarray, two: np.ndarray) -> np.ndarray:
     return (one * 40503 + two * 2654435761 >> 7) % PAIRS
 
 
-def _slot(before: np.ndarray, ids: np.ndarray) -> np.ndarray:
-    return ((before * 0x9E3779B1 + ids * 0x85EBCA77) ^ (ids >> 3)) % SLOTS
+def _slot(before: np.ndarray, ids: np.ndarray, featured: int) -> np.ndarray:
+    """Slot of each (class before, word); rarer words than the featured ones share slot 0, which stays zero."""
+    return np.where(ids < featured, 1 + ((before * 0x9E3779B1 + ids * 0x85EBCA77) ^ (ids >> 3)) % (SLOTS - 1), 0)
 
 
 def vocabulary(docs: DataFrame, id_col: str, text_col: str, flush: int = 300_000) -> DataFrame:
@@ -184,15 +187,20 @@ def _induce(model: Model, cells: pa.Table, contexts: int) -> np.ndarray:
     size = len(model.lexicon)
     x = np.zeros((size, contexts), np.float32)
     x[key // contexts, key % contexts] = n
-    x = np.sqrt((x + 0.02 * x.sum(axis=0) / max(1, x.sum())) / (x.sum(axis=1, keepdims=True) + 0.02))
+    total = x.sum(axis=1, keepdims=True) + np.float32(0.02)
+    x += (0.02 * x.sum(axis=0) / max(1, x.sum())).astype(np.float32)
+    x /= total
+    np.sqrt(x, out=x)
     x /= np.maximum(np.linalg.norm(x, axis=1, keepdims=True), 1e-9)
     k = CLASSES - SHAPES - 1
     seeds = np.unique(np.linspace(1, max(1, size - 1), k).astype(int) ** 2 // max(1, size - 1)) % size
     c = x[np.unique(np.concatenate((seeds, np.arange(1, min(size, k)))))[:k]] if size > 1 else x
+    weight = np.sqrt(model.counts).astype(np.float32)
     for _ in range(10):
         own = (x @ c.T).argmax(axis=1)
         sums = np.zeros_like(c)
-        np.add.at(sums, own, x * np.sqrt(model.counts)[:, None])
+        for j in range(len(c)):
+            sums[j] = weight[own == j] @ x[own == j]
         norm = np.linalg.norm(sums, axis=1, keepdims=True)
         c = np.where(norm > 0, sums / np.maximum(norm, 1e-9), c)
     classes = np.concatenate(((x @ c.T).argmax(axis=1) + 1, CLASSES - SHAPES + np.arange(SHAPES)))
@@ -203,7 +211,7 @@ def _induce(model: Model, cells: pa.Table, contexts: int) -> np.ndarray:
 def _sum_rows(rows: list, n: int) -> np.ndarray:
     total = np.zeros(n)
     for r in sorted(rows, key=lambda r: r["part"]):
-        total += np.frombuffer(r["v"], np.float64)
+        total += np.frombuffer(r["v"], np.float32)
     return total
 
 
@@ -216,6 +224,7 @@ def fit(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lexicon
     ends = vocab.filter(F.octet_length("word") == 0).collect()
     model = Model([END, *top["word"].to_pylist()], np.array([ends[0]["c"] if ends else 1, *top["c"].to_pylist()], float), tokens, types)
     size, contexts = len(model.lexicon), 64
+    model.featured = min(32_768, int((model.counts >= 4).sum()))
 
     shared = spark.sparkContext.broadcast(model)
 
@@ -226,7 +235,8 @@ def fit(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lexicon
 
     cells = _tallied(docs, text_col, [size * contexts], beside).select("key", F.col("n").cast("double").alias("n")).toArrow()
     model.classes = _induce(model, cells, contexts)
-    shared.unpersist()
+    del cells
+    shared.destroy()
 
     grown = spark.sparkContext.broadcast(model)
 
@@ -237,6 +247,7 @@ def fit(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lexicon
         return [(one * BUCKETS + two) * CLASSES + m.classes[ids], m.classes[before[known]] * size + ids[known]]
 
     tallies = staged(_tallied(docs, text_col, [BUCKETS * BUCKETS * CLASSES, CLASSES * size], contexts_of), "tallies")
+    grown.destroy()
     first = staged(tallies.filter("kind = 0").select((F.floor(F.col("key") / CLASSES)).alias("at"), (F.col("key") % CLASSES).alias("c"), "n").repartition(8, "at"), "contexts")
     second = staged(tallies.filter("kind = 1").select((F.floor(F.col("key") / size)).alias("at"), (F.col("key") % size).alias("w"), "n").repartition(8, "at"), "pairs")
 
@@ -279,22 +290,23 @@ def _rounds_of_classes(model: Model, first: DataFrame, rounds: int) -> None:
                     sums = np.zeros((n_rows, CLASSES))
                     np.add.at(sums, f, values)
                     out.append(sums.ravel())
-            yield pa.RecordBatch.from_pydict({"part": pa.array([int(ctx[0])], pa.int64()), "v": pa.array([np.concatenate(out).tobytes()], pa.binary())})
+            yield pa.RecordBatch.from_pydict({"part": pa.array([int(ctx[0])], pa.int64()), "v": pa.array([np.concatenate(out).astype(np.float32).tobytes()], pa.binary())})
 
         size = sum(rows) * CLASSES
         total = _sum_rows(first.mapInArrow(moments, "part long, v binary").collect(), 2 * size)
         seen, expected = total[:size], total[size:]
         # the gradient, scaled feature by feature so that a step stays below one
-        step = np.split((seen - expected) / (np.maximum(seen, expected) + 3.0), np.cumsum([r * CLASSES for r in rows])[:-1])
+        at = np.concatenate([np.zeros(CLASSES), *(w.ravel() for w in (model.one, model.two, model.both))])
+        step = np.split((seen - expected - PULL * at) / (np.maximum(seen, expected) + 3.0 + PULL), np.cumsum([r * CLASSES for r in rows])[:-1])
         model.bias = model.bias + 0.5 * step[0]
         model.one, model.two, model.both = (w + 0.5 * s.reshape(w.shape) for w, s in zip((model.one, model.two, model.both), step[1:], strict=True))
-        shared.unpersist()
+        shared.destroy()
 
 
 def _rounds_of_words(model: Model, second: DataFrame, rounds: int) -> None:
     """Gradient rounds of the second factor; a task holds whole classes before."""
     spark = second.sparkSession
-    u, own, ids = model.unigram(), model.classes[: len(model.lexicon)], np.arange(len(model.lexicon))
+    u, own, ids, featured = model.unigram(), model.classes[: len(model.lexicon)], np.arange(len(model.lexicon)), model.featured
     fixed = spark.sparkContext.broadcast((u, own, ids))
     for _ in range(rounds):
         shared = spark.sparkContext.broadcast(model.slots)
@@ -308,17 +320,19 @@ def _rounds_of_words(model: Model, second: DataFrame, rounds: int) -> None:
             seen, expected = np.zeros(SLOTS), np.zeros(SLOTS)
             for c in np.unique(at).tolist():
                 mine = at == c
-                slot = _slot(np.full(len(ids), c), ids)
+                slot = _slot(np.full(len(ids), c), ids, featured)
                 e = u * np.exp(slots[slot])
                 per_class = np.bincount(own[w[mine]], n[mine], CLASSES)
                 e *= (per_class / np.maximum(np.bincount(own, e, CLASSES), 1e-300))[own]
                 expected += np.bincount(slot, e, SLOTS)
                 seen += np.bincount(slot[w[mine]], n[mine], SLOTS)
-            yield pa.RecordBatch.from_pydict({"part": pa.array([int(at[0])], pa.int64()), "v": pa.array([((seen - expected) / 1.0).tobytes() + np.maximum(seen, expected).tobytes()], pa.binary())})
+            yield pa.RecordBatch.from_pydict({"part": pa.array([int(at[0])], pa.int64()), "v": pa.array([np.concatenate((seen - expected, np.maximum(seen, expected))).astype(np.float32).tobytes()], pa.binary())})
 
         total = _sum_rows(second.mapInArrow(moments, "part long, v binary").collect(), 2 * SLOTS)
-        model.slots = (model.slots + 0.8 * total[:SLOTS] / (total[SLOTS:] + 2.0)).astype(np.float32)
-        shared.unpersist()
+        # a Gaussian prior keeps features that were hardly seen near zero
+        total[0] = 0.0
+        model.slots = (model.slots + 0.8 * (total[:SLOTS] - PULL * model.slots) / (total[SLOTS:] + 2.0 + PULL)).astype(np.float32)
+        shared.destroy()
 
 
 def score(docs: DataFrame, model: Model, vocab: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -352,7 +366,7 @@ def score(docs: DataFrame, model: Model, vocab: DataFrame, id_col: str = "doc_id
                 own = m.classes[ids]
                 known = ids < size
                 value = first[one * BUCKETS + two, own] + inside[ids]
-                value[known] += m.slots[_slot(m.classes[before[known]], ids[known])] / _LOG10 - sums[m.classes[before[known]], own[known]]
+                value[known] += m.slots[_slot(m.classes[before[known]], ids[known], m.featured)] / _LOG10 - sums[m.classes[before[known]], own[known]]
                 length = np.array([len(t) for t in part])
                 row = np.repeat(np.arange(len(part)), length)
                 rare, edges = np.flatnonzero(~known), np.concatenate(([0], np.cumsum(length)))

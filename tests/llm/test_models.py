@@ -172,7 +172,7 @@ def test_language_model_is_a_distribution(spark):
     def log_end(text):  # log10 of the end after the text
         ids, before, one, two = model.encode([scoring.words(text)])
         c = model.classes[ids[-1]]
-        return first[one[-1] * 256 + two[-1], c] + uni[ids[-1]] + model.slots[scoring._slot(model.classes[before[-1:]], ids[-1:])][0] / math.log(10) - sums[model.classes[before[-1]], c]
+        return first[one[-1] * 256 + two[-1], c] + uni[ids[-1]] + model.slots[scoring._slot(model.classes[before[-1:]], ids[-1:], model.featured)][0] / math.log(10) - sums[model.classes[before[-1]], c]
 
     start = got[-1].score - log_end("a b")
     total = 10 ** log_end("a b") + sum(10 ** (got[i].score - log_end("a b " + w.decode()) - start) for i, w in enumerate(words))
