@@ -13,12 +13,12 @@ class Constants:
 
     a: float = 0.6
     b: float = 0.0
-    c: float = 32.0
+    c: float = 16.0
     d: float = 10.0
 
 
 #: by number, as a container's header names them
-CONSTANTS: dict[int, Constants] = {0: Constants(), 1: Constants(c=64.0), 2: Constants(a=0.5, c=32.0)}
+CONSTANTS: dict[int, Constants] = {0: Constants(), 1: Constants(c=32.0), 2: Constants(a=0.5)}
 
 
 @dataclass(frozen=True)

@@ -134,5 +134,5 @@ def test_simplifiers_keep_the_bound(eps):
 
 def test_derived_parameters():
     p = derive(100.0)
-    assert (p.eps_f, p.b_s, p.r_ret, p.eps_p) == (100 / CONSTANTS[0].a, 32, 1.0, 50.0) and derive(400.0).r_ret == 0.5
+    assert (p.eps_f, p.b_s, p.r_ret, p.eps_p) == (100 / CONSTANTS[0].a, 16, 1.0, 50.0) and derive(400.0).r_ret == 0.5
     assert p.kept(31) == 31 and derive(100.0, r_ret=2**-7).kept(32) == 1
