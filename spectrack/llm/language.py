@@ -12,6 +12,8 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from spectrack.llm.common import lean
+
 UNKNOWN = "und"
 _BLOCK = 500_000  # characters handled at once
 
@@ -134,11 +136,9 @@ def fit(
 
     def frequencies(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total, n = np.zeros(dims, np.int64), 0
-        for b in batches:
-            texts = b.column("text").to_pylist()
-            for i in range(0, len(texts), 256):
-                total += (counts(texts[i : i + 256], dims)[0] > 0).sum(axis=0)
-            n += len(texts)
+        for b in lean(batches, 256):
+            total += (counts(b.column("text").to_pylist(), dims)[0] > 0).sum(axis=0)
+            n += b.num_rows
         yield pa.RecordBatch.from_pydict({"dim": np.arange(-1, dims), "n": np.concatenate(([n], total))})
 
     df = dict(rows.select("text").mapInArrow(frequencies, "dim long, n long").groupBy("dim").agg(F.sum("n")).collect())
@@ -178,14 +178,12 @@ def identify(docs: DataFrame, model: Model, keep: bool = False, id_col: str = "d
     text is looked at. The model is a few hundred centroids at most and goes along with the function."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            for at in range(0, b.num_rows, 256):
-                part = b.slice(at, 256)
-                lang, score, rejected = model.predict(part.column(text_col).to_pylist())
-                if keep:
-                    yield part.filter(pa.array(~rejected))
-                else:
-                    yield pa.RecordBatch.from_arrays([part.column(id_col), pa.array(lang, pa.string()), pa.array(score), pa.array(rejected)], ["doc_id", "lang_pred", "score", "rejected"])
+        for part in lean(batches, 256):
+            lang, score, rejected = model.predict(part.column(text_col).to_pylist())
+            if keep:
+                yield part.filter(pa.array(~rejected))
+            else:
+                yield pa.RecordBatch.from_arrays([part.column(id_col), pa.array(lang, pa.string()), pa.array(score), pa.array(rejected)], ["doc_id", "lang_pred", "score", "rejected"])
 
     if keep:
         return docs.mapInArrow(run, docs.schema)

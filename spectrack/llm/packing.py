@@ -16,7 +16,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from tokenizers import Tokenizer
 
-from spectrack.llm.common import ranked, staged, text_or_empty
+from spectrack.llm.common import lean, ranked, staged, text_or_empty
 
 # how byte-level BPE splits a text before merging (fixed by the vocabulary)
 SPLIT = r"""'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"""
@@ -53,10 +53,10 @@ class Ids:
     A single space between two other characters always starts a new pre-token, so a text falls apart
     there and the parts, which repeat a lot, are looked up. Texts with added tokens in them go to the library."""
 
-    def __init__(self, path: str, most: int = 400_000):
+    def __init__(self, path: str, most: int = 250_000):
         with open(path, encoding="utf-8") as f:
             spec = json.load(f)
-        self.whole = Tokenizer.from_file(path)
+        self.path, self.whole = path, None  # the library's own tokenizer is loaded when a text needs it
         self.added = [x["content"] for x in spec["added_tokens"]]
         ranks = _bytes_of({k: v for k, v in spec["model"]["vocab"].items() if k not in set(self.added)})
         encode = tiktoken.Encoding("file", pat_str=SPLIT, mergeable_ranks=ranks, special_tokens={}).encode_ordinary
@@ -65,6 +65,7 @@ class Ids:
     def __call__(self, text: str) -> bytes:
         for token in self.added:
             if token in text:
+                self.whole = self.whole or Tokenizer.from_file(self.path)
                 return np.array(self.whole.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
         parts = _CUT.split(text) if _ODD_SPACE.search(text) else text.split(" ")
         return self.head[parts[0]] + b"".join(map(self.tail.__getitem__, parts[1:]))
@@ -82,7 +83,7 @@ def pieces(docs: DataFrame, tokenizer: str, capacity: int = 1024, end: int = 2,
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         ids_of = _loaded.get(tokenizer) or _loaded.setdefault(tokenizer, Ids(tokenizer))
         stop = np.array([end], "<u4").tobytes()
-        for b in batches:
+        for b in lean(batches):
             row, piece, start, length, crc = [], [], [], [], []
             for i, text in enumerate(b.column("text")):
                 data = memoryview(ids_of(text.as_py()) + stop)

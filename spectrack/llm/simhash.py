@@ -12,7 +12,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from spectrack.llm.common import row_key, staged
+from spectrack.llm.common import lean, row_key, staged
 from spectrack.llm.components import components, skew_join
 
 SEED = 42
@@ -59,7 +59,7 @@ def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     """doc_id, row_key and fp (the fingerprint as a signed long) for every row, written once."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in lean(batches):
             fp = np.array([fingerprint(t.as_py(), width) for t in b.column("text")], np.uint64).view(np.int64)
             yield pa.RecordBatch.from_arrays([b.column("doc_id"), b.column("row_key"), pa.array(fp)], ["doc_id", "row_key", "fp"])
 
