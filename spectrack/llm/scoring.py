@@ -29,6 +29,7 @@ CLASSES = 64
 PAIRS = 2048  # hashed features of both words before
 SLOTS = 1 << 19  # hashed features of (class before, word)
 PULL = 0.5  # weight of the prior
+TASKS = 8  # of a gradient round: the counts have a fixed size, and each task sends back arrays of a fixed size
 _LOG10 = float(np.log(10.0))
 
 
@@ -248,8 +249,8 @@ def fit(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lexicon
 
     tallies = staged(_tallied(docs, text_col, [BUCKETS * BUCKETS * CLASSES, CLASSES * size], contexts_of), "tallies")
     grown.destroy()
-    first = staged(tallies.filter("kind = 0").select((F.floor(F.col("key") / CLASSES)).alias("at"), (F.col("key") % CLASSES).alias("c"), "n").repartition(8, "at"), "contexts")
-    second = staged(tallies.filter("kind = 1").select((F.floor(F.col("key") / size)).alias("at"), (F.col("key") % size).alias("w"), "n").repartition(8, "at"), "pairs")
+    first = staged(tallies.filter("kind = 0").select((F.floor(F.col("key") / CLASSES)).alias("at"), (F.col("key") % CLASSES).alias("c"), "n"), "contexts")
+    second = staged(tallies.filter("kind = 1").select((F.floor(F.col("key") / size)).alias("at"), (F.col("key") % size).alias("w"), "n"), "pairs")
 
     mass = np.bincount(model.classes[:size], model.counts, CLASSES)
     mass[-SHAPES:] = max(1.0, (tokens - mass.sum()) / SHAPES)
@@ -293,7 +294,7 @@ def _rounds_of_classes(model: Model, first: DataFrame, rounds: int) -> None:
             yield pa.RecordBatch.from_pydict({"part": pa.array([int(ctx[0])], pa.int64()), "v": pa.array([np.concatenate(out).astype(np.float32).tobytes()], pa.binary())})
 
         size = sum(rows) * CLASSES
-        total = _sum_rows(first.mapInArrow(moments, "part long, v binary").collect(), 2 * size)
+        total = _sum_rows(first.coalesce(TASKS).mapInArrow(moments, "part long, v binary").collect(), 2 * size)
         seen, expected = total[:size], total[size:]
         # the gradient, scaled feature by feature so that a step stays below one
         at = np.concatenate([np.zeros(CLASSES), *(w.ravel() for w in (model.one, model.two, model.both))])
@@ -304,7 +305,7 @@ def _rounds_of_classes(model: Model, first: DataFrame, rounds: int) -> None:
 
 
 def _rounds_of_words(model: Model, second: DataFrame, rounds: int) -> None:
-    """Gradient rounds of the second factor; a task holds whole classes before."""
+    """Gradient rounds of the second factor. What a task expects is linear in its counts, so any split of them will do."""
     spark = second.sparkSession
     u, own, ids, featured = model.unigram(), model.classes[: len(model.lexicon)], np.arange(len(model.lexicon)), model.featured
     fixed = spark.sparkContext.broadcast((u, own, ids))
@@ -328,7 +329,7 @@ def _rounds_of_words(model: Model, second: DataFrame, rounds: int) -> None:
                 seen += np.bincount(slot[w[mine]], n[mine], SLOTS)
             yield pa.RecordBatch.from_pydict({"part": pa.array([int(at[0])], pa.int64()), "v": pa.array([np.concatenate((seen - expected, np.maximum(seen, expected))).astype(np.float32).tobytes()], pa.binary())})
 
-        total = _sum_rows(second.mapInArrow(moments, "part long, v binary").collect(), 2 * SLOTS)
+        total = _sum_rows(second.coalesce(TASKS).mapInArrow(moments, "part long, v binary").collect(), 2 * SLOTS)
         # a Gaussian prior keeps features that were hardly seen near zero
         total[0] = 0.0
         model.slots = (model.slots + 0.8 * (total[:SLOTS] - PULL * model.slots) / (total[SLOTS:] + 2.0 + PULL)).astype(np.float32)
