@@ -29,7 +29,7 @@ CLASSES = 64
 PAIRS = 2048  # hashed features of both words before
 SLOTS = 1 << 19  # hashed features of (class before, word)
 PULL = 0.5  # weight of the prior
-TASKS = 8  # of a gradient round: the counts have a fixed size, and each task sends back arrays of a fixed size
+TASKS = 8  # of a gradient round: the counts have a fixed size, and each task makes arrays of a fixed size
 _LOG10 = float(np.log(10.0))
 
 
@@ -184,10 +184,10 @@ def _tallied(docs: DataFrame, text_col: str, sizes: list[int], keys) -> DataFram
 
 def _induce(model: Model, cells: pa.Table, contexts: int) -> np.ndarray:
     """Classes of the lexicon's words by what stands before them: spherical k-means on square roots of shares."""
-    key, n = np.asarray(cells["key"]), np.asarray(cells["n"])
     size = len(model.lexicon)
     x = np.zeros((size, contexts), np.float32)
-    x[key // contexts, key % contexts] = n
+    for b in cells.to_batches(max_chunksize=100_000):
+        x.ravel()[np.asarray(b.column("key"))] = np.asarray(b.column("n"))
     total = x.sum(axis=1, keepdims=True) + np.float32(0.02)
     x += (0.02 * x.sum(axis=0) / max(1, x.sum())).astype(np.float32)
     x /= total
@@ -197,23 +197,32 @@ def _induce(model: Model, cells: pa.Table, contexts: int) -> np.ndarray:
     seeds = np.unique(np.linspace(1, max(1, size - 1), k).astype(int) ** 2 // max(1, size - 1)) % size
     c = x[np.unique(np.concatenate((seeds, np.arange(1, min(size, k)))))[:k]] if size > 1 else x
     weight = np.sqrt(model.counts).astype(np.float32)
+    nearest = lambda: np.concatenate([(x[at : at + 16_384] @ c.T).argmax(axis=1) for at in range(0, size, 16_384)])
     for _ in range(10):
-        own = (x @ c.T).argmax(axis=1)
+        own = nearest()
         sums = np.zeros_like(c)
         for j in range(len(c)):
             sums[j] = weight[own == j] @ x[own == j]
         norm = np.linalg.norm(sums, axis=1, keepdims=True)
         c = np.where(norm > 0, sums / np.maximum(norm, 1e-9), c)
-    classes = np.concatenate(((x @ c.T).argmax(axis=1) + 1, CLASSES - SHAPES + np.arange(SHAPES)))
+    classes = np.concatenate((nearest() + 1, CLASSES - SHAPES + np.arange(SHAPES)))
     classes[0] = 0  # the end is a class of its own
     return classes
 
 
-def _sum_rows(rows: list, n: int) -> np.ndarray:
-    total = np.zeros(n)
-    for r in sorted(rows, key=lambda r: r["part"]):
-        total += np.frombuffer(r["v"], np.float32)
-    return total
+def _summed(parts: DataFrame, n: int) -> np.ndarray:
+    """The sum of the arrays in parts(part, v), a row a task. An executor adds them up, since together they are
+    TASKS times what the driver needs; their number and size are fixed."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        rows = sorted(((b.column("part")[i].as_py(), b.column("v")[i].as_buffer()) for b in batches for i in range(b.num_rows)), key=lambda r: r[0])
+        total = np.zeros(n)
+        for _, v in rows:
+            total += np.frombuffer(v, np.float32)
+        yield pa.RecordBatch.from_pydict({"v": pa.array([total.astype(np.float32).tobytes()], pa.binary())})
+
+    got = parts.repartition(1).mapInArrow(run, "v binary").toArrow()
+    return np.frombuffer(got["v"][0].as_buffer(), np.float32).astype(float) if got.num_rows else np.zeros(n)
 
 
 def fit(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lexicon: int = 131_072, rounds: int = 12) -> tuple[Model, DataFrame]:
@@ -237,6 +246,7 @@ def fit(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lexicon
     cells = _tallied(docs, text_col, [size * contexts], beside).select("key", F.col("n").cast("double").alias("n")).toArrow()
     model.classes = _induce(model, cells, contexts)
     del cells
+    pa.default_memory_pool().release_unused()
     shared.destroy()
 
     grown = spark.sparkContext.broadcast(model)
@@ -294,7 +304,7 @@ def _rounds_of_classes(model: Model, first: DataFrame, rounds: int) -> None:
             yield pa.RecordBatch.from_pydict({"part": pa.array([int(ctx[0])], pa.int64()), "v": pa.array([np.concatenate(out).astype(np.float32).tobytes()], pa.binary())})
 
         size = sum(rows) * CLASSES
-        total = _sum_rows(first.coalesce(TASKS).mapInArrow(moments, "part long, v binary").collect(), 2 * size)
+        total = _summed(first.coalesce(TASKS).mapInArrow(moments, "part long, v binary"), 2 * size)
         seen, expected = total[:size], total[size:]
         # the gradient, scaled feature by feature so that a step stays below one
         at = np.concatenate([np.zeros(CLASSES), *(w.ravel() for w in (model.one, model.two, model.both))])
@@ -329,11 +339,12 @@ def _rounds_of_words(model: Model, second: DataFrame, rounds: int) -> None:
                 seen += np.bincount(slot[w[mine]], n[mine], SLOTS)
             yield pa.RecordBatch.from_pydict({"part": pa.array([int(at[0])], pa.int64()), "v": pa.array([np.concatenate((seen - expected, np.maximum(seen, expected))).astype(np.float32).tobytes()], pa.binary())})
 
-        total = _sum_rows(second.coalesce(TASKS).mapInArrow(moments, "part long, v binary").collect(), 2 * SLOTS)
+        total = _summed(second.coalesce(TASKS).mapInArrow(moments, "part long, v binary"), 2 * SLOTS)
         # a Gaussian prior keeps features that were hardly seen near zero
         total[0] = 0.0
         model.slots = (model.slots + 0.8 * (total[:SLOTS] - PULL * model.slots) / (total[SLOTS:] + 2.0 + PULL)).astype(np.float32)
         shared.destroy()
+    fixed.destroy()
 
 
 def score(docs: DataFrame, model: Model, vocab: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
