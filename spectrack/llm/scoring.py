@@ -6,7 +6,7 @@ The first factor sums hashed features of the word before (n-gram), of the one be
 both together. The second one reweights a class's unigram by a hashed feature of the word and the class of the word
 before. Words outside the lexicon belong to classes of word shapes, in which they have an add-one
 unigram over the whole vocabulary. All sums over the corpus are exact counts of all training texts;
-the gradient rounds run over those counts, which are spread over the executors."""
+the gradient rounds run over those counts, spread over the executors."""
 
 from __future__ import annotations
 
@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from spectrack.llm.common import staged
+from spectrack.llm.common import lean, staged
 
 END = b""  # no word is empty
 SHAPES = 8
@@ -164,11 +164,11 @@ def _tallied(docs: DataFrame, text_col: str, sizes: list[int], keys) -> DataFram
                 t[u] += n
 
         held, size = [], 0
-        for b in batches:
+        for b in lean(batches):
             for t in b.column("text"):
                 held.append(words(t.as_py()))
                 size += len(held[-1])
-                if size > 500_000:
+                if size > 300_000:
                     add(held)
                     held, size = [], 0
         if held:
@@ -218,11 +218,11 @@ def _summed(parts: DataFrame, n: int) -> np.ndarray:
         rows = sorted(((b.column("part")[i].as_py(), b.column("v")[i].as_buffer()) for b in batches for i in range(b.num_rows)), key=lambda r: r[0])
         total = np.zeros(n)
         for _, v in rows:
-            total += np.frombuffer(v, np.float32)
-        yield pa.RecordBatch.from_pydict({"v": pa.array([total.astype(np.float32).tobytes()], pa.binary())})
+            total += np.frombuffer(v, np.float64)
+        yield pa.RecordBatch.from_pydict({"v": pa.array([total.tobytes()], pa.binary())})
 
     got = parts.repartition(1).mapInArrow(run, "v binary").toArrow()
-    return np.frombuffer(got["v"][0].as_buffer(), np.float32).astype(float) if got.num_rows else np.zeros(n)
+    return np.frombuffer(got["v"][0].as_buffer(), np.float64) if got.num_rows else np.zeros(n)
 
 
 def fit(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lexicon: int = 131_072, rounds: int = 12) -> tuple[Model, DataFrame]:
@@ -259,8 +259,8 @@ def fit(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lexicon
 
     tallies = staged(_tallied(docs, text_col, [BUCKETS * BUCKETS * CLASSES, CLASSES * size], contexts_of), "tallies")
     grown.destroy()
-    first = staged(tallies.filter("kind = 0").select((F.floor(F.col("key") / CLASSES)).alias("at"), (F.col("key") % CLASSES).alias("c"), "n"), "contexts")
-    second = staged(tallies.filter("kind = 1").select((F.floor(F.col("key") / size)).alias("at"), (F.col("key") % size).alias("w"), "n"), "pairs")
+    first = tallies.filter("kind = 0").select(F.floor(F.col("key") / CLASSES).alias("at"), (F.col("key") % CLASSES).alias("c"), "n")
+    second = tallies.filter("kind = 1").select(F.floor(F.col("key") / size).alias("at"), (F.col("key") % size).alias("w"), "n")
 
     mass = np.bincount(model.classes[:size], model.counts, CLASSES)
     mass[-SHAPES:] = max(1.0, (tokens - mass.sum()) / SHAPES)
@@ -273,78 +273,109 @@ def fit(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lexicon
     return model, vocab
 
 
+def _columns(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[np.ndarray, ...]]:
+    for b in batches:
+        if b.num_rows:
+            yield tuple(np.asarray(b.column(i)) for i in range(b.num_columns))
+
+
+def _part(at: int, v: np.ndarray) -> pa.RecordBatch:
+    return pa.RecordBatch.from_pydict({"part": pa.array([at], pa.int64()), "v": pa.array([v.astype(np.float64).tobytes()], pa.binary())})
+
+
+def _features(ctx: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Rows of the four feature arrays that fire in each context; their lengths are FEATURES."""
+    one, two = ctx // BUCKETS, ctx % BUCKETS
+    return np.zeros(len(ctx), np.int64), one, two, _pair(one, two)
+
+
+FEATURES = (1, BUCKETS, BUCKETS, PAIRS)
+
+
 def _rounds_of_classes(model: Model, first: DataFrame, rounds: int) -> None:
-    """Gradient rounds of the first factor. A task returns observed and expected counts of all features for
-    its contexts: arrays of a fixed size."""
-    rows = [1, BUCKETS, BUCKETS, PAIRS]
-    spark = first.sparkSession
+    """Gradient rounds of the first factor over first(at, c, n). Observed counts do not change and are gathered once;
+    a round needs the totals of the contexts only, and a task returns what it expects of all features."""
+    spark, ends = first.sparkSession, np.cumsum([r * CLASSES for r in FEATURES])
+
+    def observe(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        sums, start = np.zeros(ends[-1]), 0
+        for at, c, n in _columns(batches):
+            start = start or int(at[0]) + 1
+            for begin, f in zip(ends - np.array(FEATURES) * CLASSES, _features(at), strict=True):
+                np.add.at(sums, begin + f * CLASSES + c, n)
+        yield _part(start, sums)
+
+    seen = _summed(first.coalesce(TASKS).mapInArrow(observe, "part long, v binary"), int(ends[-1]))
+    totals = staged(first.groupBy("at").agg(F.sum("n").alias("n")).repartition(TASKS), "contexts")
 
     for _ in range(rounds):
         shared = spark.sparkContext.broadcast((model.bias, model.one, model.two, model.both))
 
-        def moments(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        def expect(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             bias, w1, w2, w3 = shared.value
-            got = [np.concatenate([np.asarray(b.column(i)) for b in parts]) for parts in [list(batches)] if parts for i in range(3)]
-            if not got:
-                return
-            at, c, n = got
-            ctx, where = np.unique(at, return_inverse=True)
-            seen = np.bincount(where * CLASSES + c, n, len(ctx) * CLASSES).reshape(-1, CLASSES)
-            one, two = ctx // BUCKETS, ctx % BUCKETS
-            pair = _pair(one, two)
-            z = bias + w1[one] + w2[two] + w3[pair]
-            p = np.exp(z - z.max(axis=1, keepdims=True))
-            p *= seen.sum(axis=1, keepdims=True) / p.sum(axis=1, keepdims=True)
-            out = []
-            for values in (seen, p):
-                for n_rows, f in zip(rows, (np.zeros(len(ctx), int), one, two, pair), strict=True):
-                    sums = np.zeros((n_rows, CLASSES))
-                    np.add.at(sums, f, values)
-                    out.append(sums.ravel())
-            yield pa.RecordBatch.from_pydict({"part": pa.array([int(ctx[0])], pa.int64()), "v": pa.array([np.concatenate(out).astype(np.float32).tobytes()], pa.binary())})
-
-        size = sum(rows) * CLASSES
-        total = _summed(first.coalesce(TASKS).mapInArrow(moments, "part long, v binary"), 2 * size)
-        seen, expected = total[:size], total[size:]
+            sums, start = [np.zeros((r, CLASSES)) for r in FEATURES], 0
+            for at, n in _columns(batches):
+                start = start or int(at[0]) + 1
+                fired = _features(at)
+                z = bias + w1[fired[1]] + w2[fired[2]] + w3[fired[3]]
+                p = np.exp(z - z.max(axis=1, keepdims=True))
+                p *= (n / p.sum(axis=1))[:, None]
+                for s, f in zip(sums, fired, strict=True):
+                    np.add.at(s, f, p)
+            yield _part(start, np.concatenate([s.ravel() for s in sums]))
+
+        expected = _summed(totals.coalesce(TASKS).mapInArrow(expect, "part long, v binary"), int(ends[-1]))
         # the gradient, scaled feature by feature so that a step stays below one
-        at = np.concatenate([np.zeros(CLASSES), *(w.ravel() for w in (model.one, model.two, model.both))])
-        step = np.split((seen - expected - PULL * at) / (np.maximum(seen, expected) + 3.0 + PULL), np.cumsum([r * CLASSES for r in rows])[:-1])
+        now = np.concatenate([np.zeros(CLASSES), *(w.ravel() for w in (model.one, model.two, model.both))])
+        step = np.split((seen - expected - PULL * now) / (np.maximum(seen, expected) + 3.0 + PULL), ends[:-1])
         model.bias = model.bias + 0.5 * step[0]
         model.one, model.two, model.both = (w + 0.5 * s.reshape(w.shape) for w, s in zip((model.one, model.two, model.both), step[1:], strict=True))
         shared.destroy()
 
 
 def _rounds_of_words(model: Model, second: DataFrame, rounds: int) -> None:
-    """Gradient rounds of the second factor. What a task expects is linear in its counts, so any split of them will do."""
+    """Gradient rounds of the second factor over second(at, w, n). The slots' observed counts and those of
+    (class before, class) are gathered once; a round computes what is expected, the classes before being spread over tasks."""
     spark = second.sparkSession
     u, own, ids, featured = model.unigram(), model.classes[: len(model.lexicon)], np.arange(len(model.lexicon)), model.featured
-    fixed = spark.sparkContext.broadcast((u, own, ids))
+    words_of = spark.sparkContext.broadcast((u, own, ids))
+
+    def observe(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        _, own, _ = words_of.value
+        sums, start = np.zeros(SLOTS + CLASSES * CLASSES), 0
+        for at, w, n in _columns(batches):
+            start = start or int(at[0]) * len(own) + int(w[0]) + 1
+            np.add.at(sums, _slot(at, w, featured), n)
+            np.add.at(sums, SLOTS + at * CLASSES + own[w], n)
+        yield _part(start, sums)
+
+    got = _summed(second.coalesce(TASKS).mapInArrow(observe, "part long, v binary"), SLOTS + CLASSES * CLASSES)
+    seen, follows = got[:SLOTS], got[SLOTS:].reshape(CLASSES, CLASSES)
+    before = spark.range(0, CLASSES, 1, TASKS)
     for _ in range(rounds):
-        shared = spark.sparkContext.broadcast(model.slots)
-
-        def moments(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            slots, (u, own, ids) = shared.value, fixed.value
-            got = [np.concatenate([np.asarray(b.column(i)) for b in parts]) for parts in [list(batches)] if parts for i in range(3)]
-            if not got:
-                return
-            at, w, n = got
-            seen, expected = np.zeros(SLOTS), np.zeros(SLOTS)
-            for c in np.unique(at).tolist():
-                mine = at == c
-                slot = _slot(np.full(len(ids), c), ids, featured)
-                e = u * np.exp(slots[slot])
-                per_class = np.bincount(own[w[mine]], n[mine], CLASSES)
-                e *= (per_class / np.maximum(np.bincount(own, e, CLASSES), 1e-300))[own]
-                expected += np.bincount(slot, e, SLOTS)
-                seen += np.bincount(slot[w[mine]], n[mine], SLOTS)
-            yield pa.RecordBatch.from_pydict({"part": pa.array([int(at[0])], pa.int64()), "v": pa.array([np.concatenate((seen - expected, np.maximum(seen, expected))).astype(np.float32).tobytes()], pa.binary())})
-
-        total = _summed(second.coalesce(TASKS).mapInArrow(moments, "part long, v binary"), 2 * SLOTS)
+        shared = spark.sparkContext.broadcast((model.slots, follows))
+
+        def expect(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            (slots, follows), (u, own, ids) = shared.value, words_of.value
+            sums, start = np.zeros(SLOTS), 0
+            for (at,) in _columns(batches):
+                start = start or int(at[0]) + 1
+                for c in at.tolist():
+                    if not follows[c].any():
+                        continue
+                    slot = _slot(np.full(len(ids), c), ids, featured)
+                    e = u * np.exp(slots[slot])
+                    e *= (follows[c] / np.maximum(np.bincount(own, e, CLASSES), 1e-300))[own]
+                    sums += np.bincount(slot, e, SLOTS)
+            yield _part(start, sums)
+
+        expected = _summed(before.mapInArrow(expect, "part long, v binary"), SLOTS)
         # a Gaussian prior keeps features that were hardly seen near zero
-        total[0] = 0.0
-        model.slots = (model.slots + 0.8 * (total[:SLOTS] - PULL * model.slots) / (total[SLOTS:] + 2.0 + PULL)).astype(np.float32)
+        step = (seen - expected - PULL * model.slots) / (np.maximum(seen, expected) + 2.0 + PULL)
+        step[0] = 0.0
+        model.slots = (model.slots + 0.8 * step).astype(np.float32)
         shared.destroy()
-    fixed.destroy()
+    words_of.destroy()
 
 
 def score(docs: DataFrame, model: Model, vocab: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
