@@ -396,15 +396,14 @@ def score(docs: DataFrame, model: Model, vocab: DataFrame, id_col: str = "doc_id
         if not m.tokens:
             base[0] = -floor
         inside = np.concatenate((unigram, np.zeros(SHAPES)))
-        for b in batches:
-            texts = [words(t.as_py()) for t in b.column("text")]
+        for b in lean(batches):
             at = 0
-            while at < len(texts):
-                upto, n = at, 0
-                while upto < len(texts) and (n == 0 or n + len(texts[upto]) < 300_000):
-                    n += len(texts[upto])
-                    upto += 1
-                part = texts[at:upto]
+            while at < b.num_rows:
+                # words of a bounded part at a time: this many and one text
+                part, n = [], 0
+                while at + len(part) < b.num_rows and n < 300_000:
+                    part.append(words(b.column("text")[at + len(part)].as_py()))
+                    n += len(part[-1])
                 ids, before, one, two = m.encode(part)
                 own = m.classes[ids]
                 known = ids < size
@@ -429,7 +428,7 @@ def score(docs: DataFrame, model: Model, vocab: DataFrame, id_col: str = "doc_id
                     ],
                     ["rid", "doc_id", "n_tokens", "known", "base", "model", "tails"],
                 )
-                at = upto
+                at += len(part)
 
     rows = docs.select(F.monotonically_increasing_id().alias("rid"), F.col(id_col).alias("doc_id"), F.col(text_col).alias("text"))
     kind = rows.schema["doc_id"].dataType.simpleString()
