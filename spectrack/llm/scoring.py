@@ -14,6 +14,7 @@ import zlib
 from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass, field
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
@@ -87,7 +88,7 @@ class Model:
         """Ids, the ids before, and the buckets of the one and the two before. Every text starts after ends."""
         n = sum(map(len, texts))
         get = self.codes.__getitem__
-        code = np.fromiter((c for t in texts for c in map(get, t)), np.int64, n)
+        code = np.fromiter(map(get, chain.from_iterable(texts)), np.int64, n)
         ids, bucket = code >> 8, code & 255
         first = np.zeros(n, bool)
         at = np.cumsum([0, *map(len, texts[:-1])]) if texts else np.zeros(0, int)
@@ -159,9 +160,7 @@ def _tallied(docs: DataFrame, text_col: str, sizes: list[int], keys) -> DataFram
 
         def add(texts: list[list[bytes]]) -> None:
             for t, k in zip(total, keys(texts), strict=True):
-                # sorted runs: cheaper than a counter of full size for every part
-                u, n = np.unique(k, return_counts=True)
-                t[u] += n
+                np.add.at(t, k, 1)
 
         held, size = [], 0
         for b in lean(batches):
