@@ -2,11 +2,12 @@
 
 P(word | two words before) = P(class | before) * P(word | class, before).
 
-The first factor sums hashed features of the word before (n-gram), of the one before that (skip) and of
-both together. The second one reweights a class's unigram by a hashed feature of the word and the class of the word
+The first factor sums features of the word before (n-gram), of the one before that (skip), both by bucket, and of
+the pair of buckets. The second one reweights a class's unigram by a feature of each word and class of the word
 before. Words outside the lexicon belong to classes of word shapes, in which they have an add-one
-unigram over the whole vocabulary. All sums over the corpus are exact counts of all training texts;
-the gradient rounds run over those counts, spread over the executors."""
+unigram over the whole vocabulary; their features of the second factor are a distributed table that grows
+with the types. All sums over the corpus are exact counts of all training texts; the gradient rounds run over
+those counts, spread over the executors."""
 
 from __future__ import annotations
 
@@ -14,7 +15,7 @@ import zlib
 from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass, field
-from itertools import chain
+from itertools import chain, compress
 
 import numpy as np
 import pyarrow as pa
@@ -27,10 +28,9 @@ END = b""  # no word is empty
 SHAPES = 8
 BUCKETS, OWN = 256, 180  # buckets of a word as context; this many words have one alone
 CLASSES = 64
-PAIRS = 2048  # hashed features of both words before
-SLOTS = 1 << 19  # hashed features of (class before, word)
+PAIRS = BUCKETS * BUCKETS  # features of both words before
 PULL = 0.5  # weight of the prior
-TASKS = 8  # of a gradient round: the counts have a fixed size, and each task makes arrays of a fixed size
+TASKS = 8  # of a gradient round of the first factor, whose counts have a fixed size
 _LOG10 = float(np.log(10.0))
 
 
@@ -72,11 +72,13 @@ class Model:
     two: np.ndarray | None = None
     both: np.ndarray | None = None
     slots: np.ndarray | None = None
-    featured: int = 0
+    featured: int = 0  # words of a row of slots: all of the lexicon
+    tails: np.ndarray | None = None  # class before x shape: log10 of what divides count + 1 of a word outside the lexicon
+    rest: DataFrame | None = field(default=None, repr=False)  # word, c, slots by class before: the words outside the lexicon
     made: dict = field(default_factory=dict, repr=False)
 
     def __getstate__(self):
-        return {**self.__dict__, "made": {}}
+        return {**self.__dict__, "made": {}, "rest": None}
 
     @property
     def codes(self) -> _Codes:
@@ -124,12 +126,12 @@ class Model:
 
 
 def _pair(one: np.ndarray, two: np.ndarray) -> np.ndarray:
-    return (one * 40503 + two * 2654435761 >> 7) % PAIRS
+    return one * BUCKETS + two
 
 
 def _slot(before: np.ndarray, ids: np.ndarray, featured: int) -> np.ndarray:
-    """Slot of each (class before, word); rarer words than the featured ones share slot 0, which stays zero."""
-    return np.where(ids < featured, 1 + ((before * 0x9E3779B1 + ids * 0x85EBCA77) ^ (ids >> 3)) % (SLOTS - 1), 0)
+    """Slot of each (class before, word of the lexicon)."""
+    return before * featured + ids
 
 
 def vocabulary(docs: DataFrame, id_col: str, text_col: str, flush: int = 300_000) -> DataFrame:
@@ -151,16 +153,28 @@ def vocabulary(docs: DataFrame, id_col: str, text_col: str, flush: int = 300_000
     return staged(docs.select(F.col(text_col).alias("text")).mapInArrow(run, "word binary, n long").groupBy("word").agg(F.sum("n").alias("c")), "vocabulary")
 
 
-def _tallied(docs: DataFrame, text_col: str, sizes: list[int], keys) -> DataFrame:
-    """(kind, key, n): how often each key occurs; keys(list of word lists) gives an array of keys a kind,
-    each below its bound in sizes. Dense counters of that size in each worker, summed by one shuffle."""
+def _tallied(docs: DataFrame, text_col: str, sizes: list[int], keys, flush: int = 100_000) -> DataFrame:
+    """(kind, key, word, n): how often each key occurs; keys(list of word lists) gives an array of keys a kind,
+    each below its bound in sizes, and (word, key) pairs of a last kind. Dense counters of those sizes and partial
+    counts of the pairs in each worker, summed by one shuffle."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total = [np.zeros(n, np.int64) for n in sizes]
+        pairs: Counter[tuple[bytes, int]] = Counter()
 
         def add(texts: list[list[bytes]]) -> None:
-            for t, k in zip(total, keys(texts), strict=True):
+            *dense, more = keys(texts)
+            for t, k in zip(total, dense, strict=True):
                 np.add.at(t, k, 1)
+            pairs.update(more)
+
+        def row(kind: int, key: np.ndarray | list, word: pa.Array, n: np.ndarray | list) -> pa.RecordBatch:
+            return pa.RecordBatch.from_arrays([pa.array(np.full(len(key), kind, np.int32)), pa.array(key, pa.int64()), word, pa.array(n, pa.int64())], ["kind", "key", "word", "n"])
+
+        def spill() -> pa.RecordBatch:
+            out = row(len(sizes), [k for _, k in pairs], pa.array([w for w, _ in pairs], pa.binary()), list(pairs.values()))
+            pairs.clear()
+            return out
 
         held, size = [], 0
         for b in lean(batches):
@@ -170,15 +184,18 @@ def _tallied(docs: DataFrame, text_col: str, sizes: list[int], keys) -> DataFram
                 if size > 300_000:
                     add(held)
                     held, size = [], 0
+                    if len(pairs) > flush:
+                        yield spill()
         if held:
             add(held)
+        yield spill()
         for kind, t in enumerate(total):
             key = np.flatnonzero(t)
             for at in range(0, len(key), 500_000):
                 part = key[at : at + 500_000]
-                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(part), kind, np.int32)), pa.array(part), pa.array(t[part])], ["kind", "key", "n"])
+                yield row(kind, part, pa.nulls(len(part), pa.binary()), t[part])
 
-    return docs.select(F.col(text_col).alias("text")).mapInArrow(run, "kind int, key long, n long").groupBy("kind", "key").agg(F.sum("n").alias("n"))
+    return docs.select(F.col(text_col).alias("text")).mapInArrow(run, "kind int, key long, word binary, n long").groupBy("kind", "key", "word").agg(F.sum("n").alias("n"))
 
 
 def _induce(model: Model, cells: pa.Table, contexts: int) -> np.ndarray:
@@ -233,14 +250,14 @@ def fit(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lexicon
     ends = vocab.filter(F.octet_length("word") == 0).collect()
     model = Model([END, *top["word"].to_pylist()], np.array([ends[0]["c"] if ends else 1, *top["c"].to_pylist()], float), tokens, types)
     size, contexts = len(model.lexicon), 64
-    model.featured = min(32_768, int((model.counts >= 4).sum()))
+    model.featured = size
 
     shared = spark.sparkContext.broadcast(model)
 
     def beside(texts: list[list[bytes]]) -> list[np.ndarray]:
         ids, before, _, _ = shared.value.encode(texts)
         known = ids < size
-        return [ids[known] * contexts + np.minimum(before[known], contexts - 1)]
+        return [ids[known] * contexts + np.minimum(before[known], contexts - 1), ()]
 
     cells = _tallied(docs, text_col, [size * contexts], beside).select("key", F.col("n").cast("double").alias("n")).toArrow()
     model.classes = _induce(model, cells, contexts)
@@ -254,7 +271,9 @@ def fit(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lexicon
         m = grown.value
         ids, before, one, two = m.encode(texts)
         known = ids < size
-        return [(one * BUCKETS + two) * CLASSES + m.classes[ids], m.classes[before[known]] * size + ids[known]]
+        behind = m.classes[before]
+        rare = zip(compress(chain.from_iterable(texts), (~known).tolist()), behind[~known].tolist(), strict=True)
+        return [(one * BUCKETS + two) * CLASSES + m.classes[ids], behind[known] * size + ids[known], rare]
 
     tallies = staged(_tallied(docs, text_col, [BUCKETS * BUCKETS * CLASSES, CLASSES * size], contexts_of), "tallies")
     grown.destroy()
@@ -265,10 +284,10 @@ def fit(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lexicon
     mass[-SHAPES:] = max(1.0, (tokens - mass.sum()) / SHAPES)
     # a class without words gets no probability
     model.bias = np.where(mass > 0, np.log(np.maximum(mass, 1e-9)), -1e4)
-    model.one, model.two, model.both = np.zeros((BUCKETS, CLASSES)), np.zeros((BUCKETS, CLASSES)), np.zeros((PAIRS, CLASSES))
-    model.slots = np.zeros(SLOTS, np.float32)
+    model.one, model.two, model.both = np.zeros((BUCKETS, CLASSES)), np.zeros((BUCKETS, CLASSES)), np.zeros((PAIRS, CLASSES), np.float32)
     _rounds_of_classes(model, first, rounds)
     _rounds_of_words(model, second, rounds)
+    _rounds_of_rest(model, vocab, tallies.filter("kind = 2").select("word", F.col("key").alias("before"), "n"), rounds)
     return model, vocab
 
 
@@ -282,107 +301,167 @@ def _part(at: int, v: np.ndarray) -> pa.RecordBatch:
     return pa.RecordBatch.from_pydict({"part": pa.array([at], pa.int64()), "v": pa.array([v.astype(np.float64).tobytes()], pa.binary())})
 
 
-def _features(ctx: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """Rows of the four feature arrays that fire in each context; their lengths are FEATURES."""
-    one, two = ctx // BUCKETS, ctx % BUCKETS
-    return np.zeros(len(ctx), np.int64), one, two, _pair(one, two)
+def _in_rounds(at: np.ndarray, seen: np.ndarray, past: list[tuple[np.ndarray, ...]]) -> tuple[np.ndarray, np.ndarray]:
+    """Of contexts and their counts a class: the pair features after a step for each (bias, one, two) in past,
+    and what the last step expected. A pair belongs to one context, so no other context's counts are needed."""
+    one, two, both = at // BUCKETS, at % BUCKETS, np.zeros(seen.shape)
+    total, p = seen.sum(axis=1), both
+    for bias, w1, w2 in past:
+        z = bias + w1[one] + w2[two] + both
+        p = np.exp(z - z.max(axis=1, keepdims=True))
+        p *= (total / p.sum(axis=1))[:, None]
+        both = both + 0.5 * _pull(both, seen, p)
+    return both, p
 
 
-FEATURES = (1, BUCKETS, BUCKETS, PAIRS)
+def _pull(now: np.ndarray, seen: np.ndarray, expected: np.ndarray) -> np.ndarray:
+    """The gradient, scaled feature by feature so that a step stays below one."""
+    return (seen - expected - PULL * now) / (np.maximum(seen, expected) + 3.0 + PULL)
 
 
 def _rounds_of_classes(model: Model, first: DataFrame, rounds: int) -> None:
-    """Gradient rounds of the first factor over first(at, c, n). Observed counts do not change and are gathered once;
-    a round needs the totals of the contexts only, and a task returns what it expects of all features."""
-    spark, ends = first.sparkSession, np.cumsum([r * CLASSES for r in FEATURES])
-
-    def observe(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        sums, start = np.zeros(ends[-1]), 0
-        for at, c, n in _columns(batches):
-            start = start or int(at[0]) + 1
-            for begin, f in zip(ends - np.array(FEATURES) * CLASSES, _features(at), strict=True):
-                np.add.at(sums, begin + f * CLASSES + c, n)
-        yield _part(start, sums)
-
-    seen = _summed(first.coalesce(TASKS).mapInArrow(observe, "part long, v binary"), int(ends[-1]))
-    totals = staged(first.groupBy("at").agg(F.sum("n").alias("n")).repartition(TASKS), "contexts")
+    """Gradient rounds of the first factor over first(at, c, n). A task returns what it expects of the bias and of both
+    words alone; the pair features follow from those of the rounds before and are gathered once, at the end."""
+    spark, rows, small = first.sparkSession, BUCKETS * CLASSES, (1 + 2 * BUCKETS) * CLASSES
+
+    def gather(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        parts = list(_columns(batches))
+        if parts:
+            at, c, n = (np.concatenate(x) for x in zip(*parts, strict=True))
+            own, to = np.unique(at, return_inverse=True)
+            seen = np.zeros((len(own), CLASSES))
+            np.add.at(seen, (to, c), n)
+            for i in range(0, len(own), 5_000):
+                yield pa.RecordBatch.from_arrays([pa.array(own[i : i + 5_000]), pa.array([v.tobytes() for v in seen[i : i + 5_000]], pa.binary())], ["at", "v"])
+
+    contexts = staged(first.repartition(TASKS, "at").mapInArrow(gather, "at long, v binary"), "contexts").coalesce(TASKS)
+
+    def read(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+        for b in batches:
+            if b.num_rows:
+                yield np.asarray(b.column("at")), np.frombuffer(b"".join(b.column("v").to_pylist()), np.float64).reshape(-1, CLASSES)
 
-    for _ in range(rounds):
-        shared = spark.sparkContext.broadcast((model.bias, model.one, model.two, model.both))
+    def summed(past: list[tuple[np.ndarray, ...]] | None) -> np.ndarray:
+        """Observed counts of the features (None), or those expected after these rounds."""
+        shared = spark.sparkContext.broadcast(past)
 
-        def expect(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            bias, w1, w2, w3 = shared.value
-            sums, start = [np.zeros((r, CLASSES)) for r in FEATURES], 0
-            for at, n in _columns(batches):
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            sums, start = [np.zeros((r, CLASSES)) for r in (1, BUCKETS, BUCKETS)], 0
+            for at, seen in read(batches):
                 start = start or int(at[0]) + 1
-                fired = _features(at)
-                z = bias + w1[fired[1]] + w2[fired[2]] + w3[fired[3]]
-                p = np.exp(z - z.max(axis=1, keepdims=True))
-                p *= (n / p.sum(axis=1))[:, None]
-                for s, f in zip(sums, fired, strict=True):
+                p = seen if shared.value is None else _in_rounds(at, seen, shared.value)[1]
+                for s, f in zip(sums, (np.zeros(len(at), np.int64), at // BUCKETS, at % BUCKETS), strict=True):
                     np.add.at(s, f, p)
             yield _part(start, np.concatenate([s.ravel() for s in sums]))
 
-        expected = _summed(totals.coalesce(TASKS).mapInArrow(expect, "part long, v binary"), int(ends[-1]))
-        # the gradient, scaled feature by feature so that a step stays below one
-        now = np.concatenate([np.zeros(CLASSES), *(w.ravel() for w in (model.one, model.two, model.both))])
-        step = np.split((seen - expected - PULL * now) / (np.maximum(seen, expected) + 3.0 + PULL), ends[:-1])
-        model.bias = model.bias + 0.5 * step[0]
-        model.one, model.two, model.both = (w + 0.5 * s.reshape(w.shape) for w, s in zip((model.one, model.two, model.both), step[1:], strict=True))
+        out = _summed(contexts.mapInArrow(run, "part long, v binary"), small)
         shared.destroy()
+        return out
+
+    seen, past = summed(None), []
+    for _ in range(rounds):
+        past.append((model.bias, model.one, model.two))
+        now = np.concatenate([np.zeros(CLASSES), model.one.ravel(), model.two.ravel()])
+        step = 0.5 * _pull(now, seen, summed(past))
+        model.bias = model.bias + step[:CLASSES]
+        model.one = model.one + step[CLASSES : CLASSES + rows].reshape(model.one.shape)
+        model.two = model.two + step[CLASSES + rows :].reshape(model.two.shape)
+
+    def pairs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for at, counts in read(batches):
+            both = _in_rounds(at, counts, past)[0].astype(np.float32)
+            yield pa.RecordBatch.from_arrays([pa.array(at), pa.array([v.tobytes() for v in both], pa.binary())], ["at", "v"])
+
+    got = contexts.mapInArrow(pairs, "at long, v binary").toArrow()
+    for b in got.to_batches():
+        if b.num_rows:
+            model.both[np.asarray(b.column("at"))] = np.frombuffer(b"".join(b.column("v").to_pylist()), np.float32).reshape(-1, CLASSES)
+
+
+def _step(slots: np.ndarray, seen: np.ndarray, expected: np.ndarray) -> np.ndarray:
+    """The next values; a Gaussian prior keeps features that were hardly seen near zero."""
+    return slots + 0.8 * (seen - expected - PULL * slots) / (np.maximum(seen, expected) + 2.0 + PULL)
 
 
 def _rounds_of_words(model: Model, second: DataFrame, rounds: int) -> None:
-    """Gradient rounds of the second factor over second(at, w, n). The slots' observed counts and those of
-    (class before, class) are gathered once; a round computes what is expected, the classes before being spread over tasks."""
-    spark = second.sparkSession
-    u, own, ids, featured = model.unigram(), model.classes[: len(model.lexicon)], np.arange(len(model.lexicon)), model.featured
-    words_of = spark.sparkContext.broadcast((u, own, ids))
-
-    def observe(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        _, own, _ = words_of.value
-        sums, start = np.zeros(SLOTS + CLASSES * CLASSES), 0
-        for at, w, n in _columns(batches):
-            start = start or int(at[0]) * len(own) + int(w[0]) + 1
-            np.add.at(sums, _slot(at, w, featured), n)
-            np.add.at(sums, SLOTS + at * CLASSES + own[w], n)
-        yield _part(start, sums)
-
-    got = _summed(second.coalesce(TASKS).mapInArrow(observe, "part long, v binary"), SLOTS + CLASSES * CLASSES)
-    seen, follows = got[:SLOTS], got[SLOTS:].reshape(CLASSES, CLASSES)
-    before = spark.range(0, CLASSES, 1, TASKS)
+    """Gradient rounds of the second factor for the lexicon over second(at, w, n). No two classes before share a slot,
+    so each goes through all its rounds in one task."""
+    size = len(model.lexicon)
+    shared = second.sparkSession.sparkContext.broadcast((model.unigram(), model.classes[:size]))
+
+    def solve(key: tuple[pa.Scalar, ...], rows: pa.Table) -> pa.Table:
+        u, own = shared.value
+        seen, slots = np.zeros(size), np.zeros(size)
+        seen[np.asarray(rows["w"])] = np.asarray(rows["n"])
+        total = np.bincount(own, seen, CLASSES)
+        for _ in range(rounds):
+            e = u * np.exp(slots)
+            e *= (total / np.maximum(np.bincount(own, e, CLASSES), 1e-300))[own]
+            slots = _step(slots, seen, e)
+        return pa.table({"at": pa.array([key[0].as_py()], pa.int64()), "v": pa.array([slots.astype(np.float32).tobytes()], pa.binary())})
+
+    model.slots = np.zeros(CLASSES * size, np.float32)
+    got = second.groupBy("at").applyInArrow(solve, "at long, v binary").toArrow()
+    for at, v in zip(got["at"].to_pylist(), got["v"], strict=True):
+        model.slots[at * size : (at + 1) * size] = np.frombuffer(v.as_buffer(), np.float32)
+    shared.destroy()
+
+
+def _rest_slots(before: np.ndarray, shapes: np.ndarray, u: np.ndarray, n: np.ndarray, follows: np.ndarray, past: list[np.ndarray]) -> np.ndarray:
+    """Slots of seen (class before, word) after a round for each array of sums in past."""
+    slots, expected = np.zeros(len(n)), follows[before, shapes] * u
+    for z in past:
+        slots = _step(slots, n, expected * np.exp(slots) / z[before, shapes])
+    return slots
+
+
+def _rounds_of_rest(model: Model, vocab: DataFrame, tail: DataFrame, rounds: int) -> None:
+    """Gradient rounds of the second factor for the words outside the lexicon over tail(word, before, n). Each pair
+    that was seen is a feature; the table stays distributed. A slot follows from its own counts and the sums of the rounds
+    before, which are all that the driver holds: one number a class before and shape."""
+    in_lexicon = vocab.sparkSession.createDataFrame(pa.table({"word": pa.array(model.lexicon, pa.binary())}))
+    rest = staged(vocab.join(F.broadcast(in_lexicon), "word", "left_anti").withColumn("shape", _shape(F.col("word"))), "rest")
+    whole = np.ones(SHAPES)  # of each shape: tokens, types and one for all unseen words
+    for r in rest.groupBy("shape").agg(F.sum("c").alias("n"), F.count(F.lit(1)).alias("v")).collect():
+        whole[r["shape"]] += r["n"] + r["v"]
+    u = (F.col("c") + 1) / F.array(*[F.lit(float(x)) for x in whole])[F.col("shape")]
+    pairs = staged(tail.join(rest, "word").select("word", "before", F.col("shape").cast("long").alias("shape"), u.alias("u"), F.col("n").cast("double").alias("n")), "pairs")
+
+    def cells(df: DataFrame) -> np.ndarray:
+        out = np.zeros((CLASSES, SHAPES))
+        for r in df.groupBy("before", "shape").agg(F.sum("n").alias("n")).collect():
+            out[r["before"], r["shape"]] = r["n"]
+        return out
+
+    follows, past = cells(pairs), [np.ones((CLASSES, SHAPES))]
     for _ in range(rounds):
-        shared = spark.sparkContext.broadcast((model.slots, follows))
 
-        def expect(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            (slots, follows), (u, own, ids) = shared.value, words_of.value
-            sums, start = np.zeros(SLOTS), 0
-            for (at,) in _columns(batches):
-                start = start or int(at[0]) + 1
-                for c in at.tolist():
-                    if not follows[c].any():
-                        continue
-                    slot = _slot(np.full(len(ids), c), ids, featured)
-                    e = u * np.exp(slots[slot])
-                    e *= (follows[c] / np.maximum(np.bincount(own, e, CLASSES), 1e-300))[own]
-                    sums += np.bincount(slot, e, SLOTS)
-            yield _part(start, sums)
-
-        expected = _summed(before.mapInArrow(expect, "part long, v binary"), SLOTS)
-        # a Gaussian prior keeps features that were hardly seen near zero
-        step = (seen - expected - PULL * model.slots) / (np.maximum(seen, expected) + 2.0 + PULL)
-        step[0] = 0.0
-        model.slots = (model.slots + 0.8 * step).astype(np.float32)
-        shared.destroy()
-    words_of.destroy()
+        def grown(batches: Iterator[pa.RecordBatch], past=tuple(past)) -> Iterator[pa.RecordBatch]:
+            more = np.zeros(CLASSES * SHAPES)
+            for before, shapes, u, n in _columns(batches):
+                more += np.bincount(before * SHAPES + shapes, u * np.expm1(_rest_slots(before, shapes, u, n, follows, past)), len(more))
+            at = np.flatnonzero(more)
+            yield pa.RecordBatch.from_arrays([pa.array(at // SHAPES), pa.array(at % SHAPES), pa.array(more[at])], ["before", "shape", "n"])
+
+        past.append(1 + cells(pairs.drop("word").mapInArrow(grown, "before long, shape long, n double")))
+    done, last = past[:-1], past[-1]
+    model.tails = np.log10(whole * last)
+
+    def slots(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            v = _rest_slots(*(np.asarray(b.column(i)) for i in range(1, 5)), follows, done)
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(v / _LOG10)], ["word", "before", "slot"])
+
+    of_word = pairs.mapInArrow(slots, "word binary, before long, slot double").groupBy("word").agg(F.map_from_entries(F.collect_list(F.struct("before", "slot"))).alias("slots"))
+    model.rest = staged(rest.drop("shape").join(of_word, "word", "left"), "features")
 
 
 def score(docs: DataFrame, model: Model, vocab: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, n_tokens, n_known, train_tokens, base_score, score for every row (null text: empty).
 
     Words of the lexicon, which hold all frequent ones, are scored in the workers. The others, each far
-    below a thousandth of the tokens, are joined with the vocabulary, one row a text and word, and their
-    logarithms summed by text; an unseen word has count 0. Rows are told apart by a row number, so repeated ids
+    below a thousandth of the tokens, are joined with the table of their counts and features, one row a text, word and
+    class before, and their logarithms summed by text; an unseen word has count 0. Rows are told apart by a row number, so repeated ids
     and rows are kept. Further columns are ignored."""
     size = len(model.lexicon)
     shared = docs.sparkSession.sparkContext.broadcast(model)
@@ -407,14 +486,17 @@ def score(docs: DataFrame, model: Model, vocab: DataFrame, id_col: str = "doc_id
                 own = m.classes[ids]
                 known = ids < size
                 value = first[one * BUCKETS + two, own] + inside[ids]
-                value[known] += m.slots[_slot(m.classes[before[known]], ids[known], m.featured)] / _LOG10 - sums[m.classes[before[known]], own[known]]
+                behind = m.classes[before]
+                value[known] += m.slots[_slot(behind[known], ids[known], m.featured)] / _LOG10 - sums[behind[known], own[known]]
+                value[~known] -= m.tails[behind[~known], ids[~known] - size]
                 length = np.array([len(t) for t in part])
                 row = np.repeat(np.arange(len(part)), length)
                 rare, edges = np.flatnonzero(~known), np.concatenate(([0], np.cumsum(length)))
-                cut = np.searchsorted(rare, edges)
+                cut, behind = np.searchsorted(rare, edges), behind[rare].tolist()
                 tails = []
                 for i, t in enumerate(part):
-                    tails.append([{"word": w, "n": k} for w, k in Counter(t[j - edges[i]] for j in rare[cut[i] : cut[i + 1]].tolist()).items()])
+                    met = zip(rare[cut[i] : cut[i + 1]].tolist(), behind[cut[i] : cut[i + 1]], strict=True)
+                    tails.append([{"word": w, "before": c, "n": k} for (w, c), k in Counter((t[j - edges[i]], c) for j, c in met).items()])
                 yield pa.RecordBatch.from_arrays(
                     [
                         b.column("rid").slice(at, len(part)),
@@ -423,7 +505,7 @@ def score(docs: DataFrame, model: Model, vocab: DataFrame, id_col: str = "doc_id
                         pa.array(np.bincount(row[known], minlength=len(part)) - (0 if m.tokens else 1)),
                         pa.array(np.bincount(row, base[ids], len(part))),
                         pa.array(np.bincount(row, value, len(part))),
-                        pa.array(tails, pa.list_(pa.struct([("word", pa.binary()), ("n", pa.int64())]))),
+                        pa.array(tails, pa.list_(pa.struct([("word", pa.binary()), ("before", pa.int64()), ("n", pa.int64())]))),
                     ],
                     ["rid", "doc_id", "n_tokens", "known", "base", "model", "tails"],
                 )
@@ -431,19 +513,14 @@ def score(docs: DataFrame, model: Model, vocab: DataFrame, id_col: str = "doc_id
 
     rows = docs.select(F.monotonically_increasing_id().alias("rid"), F.col(id_col).alias("doc_id"), F.col(text_col).alias("text"))
     kind = rows.schema["doc_id"].dataType.simpleString()
-    scored = staged(rows.mapInArrow(run, f"rid long, doc_id {kind}, n_tokens long, known long, base double, model double, tails array<struct<word: binary, n: bigint>>"), "scored")
-
-    in_lexicon = docs.sparkSession.createDataFrame(pa.table({"word": pa.array(model.lexicon, pa.binary())}))
-    rest = staged(vocab.join(F.broadcast(in_lexicon), "word", "left_anti").withColumn("shape", _shape(F.col("word"))), "rest")
-    per_shape = {r["shape"]: (r["n"], r["v"]) for r in rest.groupBy("shape").agg(F.sum("c").alias("n"), F.count(F.lit(1)).alias("v")).collect()}
-    whole = F.array(*[F.lit(float(sum(per_shape.get(s, (0, 0))) + 1)) for s in range(SHAPES)])
+    scored = staged(rows.mapInArrow(run, f"rid long, doc_id {kind}, n_tokens long, known long, base double, model double, tails array<struct<word: binary, before: bigint, n: bigint>>"), "scored")
 
-    each = scored.select("rid", F.explode("tails").alias("t")).select("rid", "t.word", "t.n")
-    met = each.join(rest.select("word", "c"), "word", "left")
+    each = scored.select("rid", F.explode("tails").alias("t")).select("rid", "t.word", "t.before", "t.n")
+    met = each.join(model.rest, "word", "left")
     log = F.log10(F.coalesce("c", F.lit(0)) + 1)
     tails = met.groupBy("rid").agg(
         F.sum(F.col("n") * (log - floor)).alias("tail_base"),
-        F.sum(F.col("n") * (log - F.log10(whole[_shape(F.col("word"))]))).alias("tail_model"),
+        F.sum(F.col("n") * (log + F.coalesce(F.try_element_at("slots", F.col("before")), F.lit(0.0)))).alias("tail_model"),
         F.sum(F.when(F.col("c") > 0, F.col("n")).otherwise(0)).alias("tail_known"),
     )
     both = scored.drop("tails").join(tails, "rid", "left")

@@ -182,6 +182,25 @@ def test_language_model_is_a_distribution(spark):
     assert {(x.n_known, x.train_tokens, round(x.base_score, 9)) for x in scoring.score(ask.limit(1), empty, none).collect()} == {(0, 0, 0.0)}
 
 
+def test_rare_words_have_features_of_their_own(spark):
+    """Outside the lexicon too, a word is likelier after the class it was seen after; no two features share a slot."""
+    fill = " ".join(f"f{i}" for i in range(40))
+    docs = [(i, f"{fill} aa rareone") for i in range(30)] + [(100 + i, f"{fill} bb raretwo") for i in range(30)] + [(200, "aa bb " * 200)]
+    df = spark.createDataFrame(docs, "doc_id long, text string")
+    model, vocab = scoring.fit(df, lexicon=42)
+    assert b"rareone" not in model.lexicon and b"aa" in model.lexicon
+    size = len(model.lexicon)
+    a, b = (int(model.classes[model.lexicon.index(w)]) for w in (b"aa", b"bb"))
+    assert a != b and len(model.slots) == scoring.CLASSES * size and model.featured == size
+    rest = {bytes(r.word): r.slots for r in model.rest.collect()}
+    assert set(rest[b"rareone"]) == {a} and rest[b"rareone"][a] > 0 and set(rest[b"raretwo"]) == {b}
+    ask = spark.createDataFrame([(0, "aa rareone"), (1, "aa raretwo")], "doc_id long, text string")
+    got = {r.doc_id: r for r in scoring.score(ask, model, vocab).collect()}
+    assert got[0].base_score == pytest.approx(got[1].base_score) and got[0].score > got[1].score + 0.1
+    one, two = np.divmod(np.arange(scoring.BUCKETS**2), scoring.BUCKETS)
+    assert len(np.unique(scoring._pair(one, two))) == scoring.BUCKETS**2
+
+
 def test_shapes_agree_in_sql(spark):
     words = ["a", "a!", "ab1", "É", "aé", "é.", "abcdefghi", "abcdefghi?", "слово", "x_", "{", "9", "A"]
     df = spark.createDataFrame([(bytearray(w.encode()),) for w in words], "word binary")
