@@ -138,7 +138,6 @@ def to_uniform(frags: DataFrame, dt: Column) -> DataFrame:
     return each.withColumn("share", share).select("track_id", "frag_id", "j", F.zip_with("pos", "pos2", lambda p, n: p + (n - p) * F.col("share")).alias("pos"))
 
 
-def search_interval(frags: DataFrame, grid: list[int], cost) -> DataFrame:
-    """The interval of least cost for each track: cost(uniform samples, frags with dt) gives (track_id, dt, bytes)."""
-    offers = frags.sparkSession.createDataFrame([(int(g),) for g in grid], "dt long")
-    return cost(frags.crossJoin(F.broadcast(offers))).groupBy("track_id").agg(F.min_by("dt", "bytes").alias("dt"), F.min("bytes").alias("bytes"))
+def search_interval(costs: DataFrame) -> DataFrame:
+    """The interval of least cost for each track of costs(track_id, dt, bytes); of equal costs the smallest interval."""
+    return costs.groupBy("track_id").agg(F.min_by("dt", F.struct("bytes", "dt")).alias("dt"), F.min("bytes").alias("bytes"))

@@ -12,6 +12,7 @@ from pyspark.sql.window import Window as W
 
 from spectrack.functions import numbers as N
 from spectrack.functions import sqlfuncs
+from spectrack.functions import track as K
 from spectrack.functions.params import derive
 from spectrack.operators import blocks as B
 from spectrack.operators import points as P
@@ -278,15 +279,18 @@ def q_section_rollup(spark, d):
 
 
 def q_interval_search(spark, d):
-    """Target interval by grid: mean squared alignment error stands for the bytes of corrections."""
+    """Target interval by grid: the one whose container, corrections included, takes the fewest bytes."""
+    p = derive(50.0, v_max=V_MAX)
 
-    def cost(offered):
-        u = P.to_uniform(offered.withColumn("track_id", F.concat_ws("|", "track_id", "dt")), F.col("dt"))
-        named = F.split("track_id", r"\|")
-        n = u.groupBy("track_id").agg(F.count(F.lit(1)).alias("bytes"))
-        return n.select(named[0].alias("track_id"), named[1].cast("long").alias("dt"), "bytes")
+    def offered(dt: int):
+        def measure(t, pos):
+            e = K.encode(t, pos, p.with_(dt_scale=dt / K.common_interval(t, K.fragment_starts(t, pos, p), p.eps_t)))
+            return {"bytes": len(K.pack(e, p))}
 
-    return P.search_interval(_user_fragments(spark, d).filter("NOT outlier"), [10 * HOUR, 20 * HOUR, 30 * HOUR], cost)
+        return {"dt": dt}, measure
+
+    runs = [offered(h * HOUR) for h in (10, 20, 30)]
+    return P.search_interval(codec.sweep(D.ev_user(spark, d), runs, "track_id string, n long, raw_bytes long, dt long, bytes long"))
 
 
 # ---- operators around the methods
