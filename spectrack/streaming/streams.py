@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import json
+import tempfile
 import uuid
 from collections.abc import Iterator
 
@@ -45,43 +46,83 @@ def late_rows(events: DataFrame, delay: int) -> DataFrame:
 
 
 BLOCK = "track_id string, frag long, n long, t0 long, payload binary, max_sed double, error_points long"
-STATE = "frag long, rows string"
+STATE = "frag long, rows string, held string"
+
+
+def _close(track: str, frag: int, rows: list, p: CodecParams) -> pd.DataFrame:
+    t = np.array([r[0] for r in rows], np.int64)
+    pos = np.array([r[1] for r in rows], float)
+    e = K.encode(t, pos, p.with_(v_max=None))
+    return pd.DataFrame({"track_id": [track], "frag": [frag], "n": [len(t)], "t0": [int(t[0])], "payload": [K.pack(e, p)], "max_sed": [e.stats["max_sed"]], "error_points": [e.stats["error_points"]]})
+
+
+def _breaks(rows: list, t: int, pos: list, p: CodecParams) -> bool:
+    """Whether (t, pos) starts a fragment after these rows: the rule of track.fragment_starts, in order."""
+    k, gap = len(rows), t - rows[-1][0]
+    if p.v_max is not None and float(np.linalg.norm(np.subtract(pos, rows[-1][1]))) > gap / 1e6 * p.v_max:
+        return True
+    if k == 1:
+        mean = p.default_dt
+    elif p.gap_mean == "inclusive":
+        mean = (t - rows[0][0]) / k
+    else:
+        mean = (rows[-1][0] - rows[0][0]) / (k - 1)
+    return gap > p.b_s * mean
+
+
+def _idle(rows: list, p: CodecParams) -> int | None:
+    """The time after which any further point starts a fragment; None if a pause of any length is within the mean."""
+    k, first, last = len(rows), rows[0][0], rows[-1][0]
+    if k == 1:
+        return last + p.b_s * p.default_dt
+    if p.gap_mean != "inclusive":
+        return last + p.b_s * -(-(last - first) // (k - 1))
+    return -(-(k * last - p.b_s * first) // (k - p.b_s)) if k > p.b_s else None
+
+
+def _advance(track: str, frag: int, rows: list, due: list, p: CodecParams) -> tuple[int, list, list[pd.DataFrame]]:
+    """Add due (t, pos), in time order, to the open fragment: (number, rows of the open one, those closed)."""
+    closed = []
+    for t, pos in due:
+        if rows and t == rows[-1][0]:
+            continue  # of repeated times the first
+        if rows and _breaks(rows, t, pos, p):
+            closed.append(_close(track, frag, rows, p))
+            frag, rows = frag + 1, []
+        rows.append((t, pos))
+    return frag, rows, closed
 
 
 def fragmenter(p: CodecParams):
     """State function: holds the open fragment of a track and puts out a container for each closed one.
 
-    A step too fast, or a pause over b_s times the given interval, closes it; so does a timeout. The interval
-    must be given, since the rule for it needs all of a track."""
-
-    def close(track: str, frag: int, rows: list) -> pd.DataFrame:
-        t = np.array([r[0] for r in rows], np.int64)
-        pos = np.array([r[1] for r in rows], float)
-        e = K.encode(t, pos, p.with_(v_max=None))
-        return pd.DataFrame({"track_id": [track], "frag": [frag], "n": [len(t)], "t0": [int(t[0])], "payload": [K.pack(e, p)], "max_sed": [e.stats["max_sed"]], "error_points": [e.stats["error_points"]]})
+    Rows wait until the watermark has passed them, so disorder within its delay does not matter. A step too fast,
+    or a pause too long for the fragment so far, closes it; so does the watermark, once any later point would. The
+    interval of a fragment of one point must be given, since the rule for it needs all of a track."""
+    if p.default_dt is None:
+        raise ValueError("a stream needs default_dt")
 
     def run(key: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
-        frag, rows = state.get if state.exists else (0, "[]")
-        rows = json.loads(rows)
-        if state.hasTimedOut:
-            state.remove()
-            if rows:
-                yield close(key[0], frag, rows)
-            return
-        new = pd.concat(list(batches)).sort_values("t")
-        for t, pos in zip(new["t"].tolist(), new["pos"].tolist(), strict=True):
-            pos = [float(x) for x in pos]
-            if rows:
-                gap = t - rows[-1][0]
-                if gap <= 0:  # repeated or late behind what is already in the fragment
-                    continue
-                dist = float(np.linalg.norm(np.subtract(pos, rows[-1][1])))
-                if (p.v_max is not None and dist > gap / 1e6 * p.v_max) or gap > p.b_s * (p.default_dt or gap):
-                    yield close(key[0], frag, rows)
-                    frag, rows = frag + 1, []
-            rows.append((t, pos))
-        state.update((frag, json.dumps(rows)))
-        state.setTimeoutDuration(3_600_000)
+        frag, rows, held = state.get if state.exists else (0, "[]", "[]")
+        rows, held = json.loads(rows), json.loads(held)
+        if not state.hasTimedOut:
+            for b in batches:
+                held += [[t, [float(x) for x in pos]] for t, pos in zip(b["t"].tolist(), b["pos"].tolist(), strict=True)]
+        held.sort()
+        mark = state.getCurrentWatermarkMs()
+        due = [r for r in held if r[0] <= mark * 1000]
+        held = held[len(due) :]
+        frag, rows, closed = _advance(key[0], frag, rows, due, p)
+        yield from closed
+        if rows and (idle := _idle(rows, p)) is not None and idle <= mark * 1000:
+            yield _close(key[0], frag, rows, p)
+            frag, rows = frag + 1, []
+        state.update((frag, json.dumps(rows), json.dumps(held)))
+        wait = [held[0][0]] if held else []
+        if rows and (idle := _idle(rows, p)) is not None:
+            wait.append(idle)
+        if wait:
+            state.setTimeoutTimestamp(max(mark, min(wait) // 1000) + 1)
 
     return run
 
@@ -89,7 +130,23 @@ def fragmenter(p: CodecParams):
 def compress_stream(points: DataFrame, p: CodecParams, delay: str = "1 hour") -> DataFrame:
     """Containers of closed fragments of a stream (track_id, ts, t, pos). Repeated times within the delay go once."""
     once = points.withWatermark("ts", delay).dropDuplicatesWithinWatermark(["track_id", "t"])
-    return once.groupBy("track_id").applyInPandasWithState(fragmenter(p), BLOCK, STATE, "append", GroupStateTimeout.ProcessingTimeTimeout)
+    return once.groupBy("track_id").applyInPandasWithState(fragmenter(p), BLOCK, STATE, "append", GroupStateTimeout.EventTimeTimeout)
+
+
+def leftover(spark: SparkSession, checkpoint: str, p: CodecParams) -> DataFrame:
+    """Containers of what an ended stream of compress_stream still holds: waiting rows and open fragments."""
+    kept = spark.read.format("statestore").option("operatorId", 0).load(checkpoint)
+    rows = kept.select(F.col("key").getField(kept.schema["key"].dataType[0].name).alias("track_id"), "value.groupState.*")
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for b in batches:
+            for track, frag, rows, held in zip(b["track_id"], b["frag"].tolist(), b["rows"], b["held"], strict=True):
+                frag, rows, closed = _advance(track, frag, json.loads(rows), sorted(json.loads(held)), p)
+                yield from closed
+                if rows:
+                    yield _close(track, frag, rows, p)
+
+    return rows.select("track_id", "frag", "rows", "held").mapInPandas(run, BLOCK)
 
 
 def replay(spark: SparkSession, sf_dir: str, what: str) -> DataFrame:
@@ -107,9 +164,18 @@ def replay(spark: SparkSession, sf_dir: str, what: str) -> DataFrame:
         out, mode = events.withWatermark("ts", "1 hour").dropDuplicatesWithinWatermark(["user_id", "event_type", "ts"]).select("user_id", "event_type", F.unix_micros("ts").alias("t")), "append"
     else:
         pts = events.select(F.col("user_id").cast("string").alias("track_id"), "ts", F.unix_micros("ts").alias("t"), F.array("value").alias("pos"))
-        p = CodecParams(eps=10.0, eps_f=10 / 0.6, b_s=4, r_ret=1.0, eps_p=5.0, default_dt=3_600_000_000)
-        out, mode = compress_stream(pts, p).select("track_id", "frag", "n", "t0", "max_sed", "error_points"), "append"
+        return fragments_of(pts, CodecParams(eps=10.0, eps_f=10 / 0.6, b_s=4, r_ret=1.0, eps_p=5.0, default_dt=3_600_000_000))
     name = f"replay_{uuid.uuid4().hex}"
     query = out.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True).start()
     query.awaitTermination()
     return spark.table(name)
+
+
+def fragments_of(points: DataFrame, p: CodecParams) -> DataFrame:
+    """All fragments of a stream that ends: those put out on the way, then what it held at its end."""
+    spark, name = points.sparkSession, f"replay_{uuid.uuid4().hex}"
+    folder = spark.conf.get("spark.checkpoint.dir", None) or "file://" + tempfile.mkdtemp(prefix="spectrack-stream-")
+    checkpoint = f"{folder}/spectrack/{name}"
+    query = compress_stream(points, p).writeStream.format("memory").queryName(name).outputMode("append").option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
+    query.awaitTermination()
+    return spark.table(name).unionByName(leftover(spark, checkpoint, p)).select("track_id", "frag", "n", "t0", "max_sed", "error_points")
