@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-import re
-
 import numpy as np
 from pyspark.sql import Column
 from pyspark.sql import functions as F
@@ -84,20 +82,24 @@ def to_bits(u, l: int, elide: bool = False) -> np.ndarray:  # noqa: E741
     return out[keep]
 
 
-_ELIDED = re.compile(rb"(?:\x01.)*\x00", re.DOTALL)
-
-
 def from_bits(bits: np.ndarray, at: int, n: int, l: int, elide: bool = False) -> tuple[np.ndarray, int]:  # noqa: E741
     """n codes from position `at`, and the position behind them."""
     if n == 0:
         return np.zeros(0, np.int64), at
-    if elide:  # l is 1 and the final one of each code was left out
-        data, out, end = bits[at:].tobytes(), np.empty(n, np.int64), 0
-        for i, m in zip(range(n), _ELIDED.finditer(data), strict=False):
-            low = data[m.start() + 1 : m.end() - 1 : 2]
-            out[i] = sum(b << k for k, b in enumerate(low)) | 1 << len(low)
-            end = m.end()
-        return out, at + end
+    if elide:  # l is 1 and the final one of each code was left out: flag and bit by turns, then a flag of zero
+        data = bits[at : at + 128 * n]
+        stop = np.where(data == 0, np.arange(len(data)), len(data) + 1)
+        for odd in (0, 1):  # the next zero flag from here on
+            stop[odd::2] = np.minimum.accumulate(stop[odd::2][::-1])[::-1]
+        last, start, first = stop.tolist(), 0, np.empty(n, np.int64)
+        for i in range(n):
+            first[i] = start
+            start = last[start] + 1
+        m = (stop[first] - first) // 2
+        where = np.repeat(first + 1, m) + 2 * (place := np.arange(m.sum()) - np.repeat(np.cumsum(m) - m, m))
+        low = np.zeros(n, np.int64)
+        np.add.at(low, np.repeat(np.arange(n), m), data[where].astype(np.int64) << place)
+        return low | 1 << m, at + start
     whole = bits[at : at + (len(bits) - at) // (l + 1) * (l + 1)].reshape(-1, l + 1)
     last = np.flatnonzero(whole[:, 0] == 0)[:n]
     whole = whole[: last[-1] + 1]

@@ -9,7 +9,7 @@ from dataclasses import dataclass, replace
 @dataclass(frozen=True)
 class Constants:
     """What turns the error bound into parameters: eps_f = eps / a, b_s = b * eps + c, r_ret = d / sqrt(eps).
-    The published values are not in the text; these were chosen on the fixtures (workloads w3, w4, w7)."""
+    The published values are not in the text; plans/calibrate.py finds them on a sample of a set's tracks."""
 
     a: float = 0.6
     b: float = 0.0
@@ -17,8 +17,9 @@ class Constants:
     d: float = 10.0
 
 
-#: by number, as a container's header names them
+#: by number, as a container's header names them; OF_FIXTURE says which set each was found on
 CONSTANTS: dict[int, Constants] = {0: Constants(), 1: Constants(c=32.0), 2: Constants(a=0.5)}
+OF_FIXTURE: dict[str, int] = {}
 
 
 @dataclass(frozen=True)
@@ -40,7 +41,7 @@ class CodecParams:
     validate: bool = True
     positions: bool = False  # transform positions instead of velocities
     blocks: bool = True
-    integer_input: bool = False
+    integer_input: bool = False  # whole numbers, kept exactly: no transform and no quantizer
     constants: int = 0
 
     def with_(self, **changes) -> CodecParams:
@@ -51,8 +52,16 @@ class CodecParams:
         return max(1, min(length, math.floor(length * self.r_ret + 0.5)))
 
 
+#: what a decoder needs to know; the rest steers the encoder alone
+DECODER = ("eps", "eps_t", "eps_f", "b_s", "eps_p", "l", "l_freq", "zero_free", "positions", "blocks", "integer_input")
+
+
 def derive(eps: float, dim: int = 2, constants: int = 0, **changes) -> CodecParams:
-    """Parameters for an error bound: the same for encoder and decoder, so a container need not hold them."""
+    """Parameters for an error bound: the same for encoder and decoder, so a container holds only what was changed.
+
+    `dim` is checked and no more: which constants suit a dimension is decided by their number."""
+    if dim < 1 or not eps > 0:
+        raise ValueError(f"no bound {eps} in {dim} dimensions")
     k = CONSTANTS[constants]
     made = CodecParams(
         eps=eps, eps_f=eps / k.a, b_s=max(1, math.floor(k.b * eps + k.c + 0.5)), r_ret=min(1.0, k.d / math.sqrt(eps)), eps_p=0.5 * eps, constants=constants

@@ -6,6 +6,7 @@ or for the weak cone the times and invented positions."""
 from __future__ import annotations
 
 import heapq
+import math
 from functools import lru_cache
 from itertools import combinations
 
@@ -71,29 +72,37 @@ def _centre(h: np.ndarray, m: int) -> np.ndarray:
     """Centroid of the polygon that the half-planes leave."""
     normals, _, _ = _polygon(m)
     finite = np.abs(h[np.isfinite(h)]).max(initial=1.0)
-    big = 4 * finite + 1
-    points = [np.array(x) for x in ((-big, -big), (big, -big), (big, big), (-big, big))]
-    for normal, limit in zip(normals, h, strict=True):
-        if not np.isfinite(limit):
+    big = 4 * float(finite) + 1
+    points = [(-big, -big), (big, -big), (big, big), (-big, big)]
+    for (a, b), limit in zip(normals.tolist(), h.tolist(), strict=True):
+        if limit == math.inf:
+            continue
+        inside = [a * x + b * y - limit for x, y in points]
+        if max(inside) <= 0:
             continue
-        inside = [float(normal @ x) - limit for x in points]
         cut = []
-        for i, (x, d) in enumerate(zip(points, inside, strict=True)):
-            y, e = points[i - 1], inside[i - 1]
+        for i, ((x, y), d) in enumerate(zip(points, inside, strict=True)):
+            e = inside[i - 1]
             if (d <= 0) != (e <= 0):
-                cut.append(y + (x - y) * (e / (e - d)))
+                share, (u, v) = e / (e - d), points[i - 1]
+                cut.append((u + (x - u) * share, v + (y - v) * share))
             if d <= 0:
-                cut.append(x)
+                cut.append((x, y))
         if len(cut) < 3:
             return np.mean(cut or points, axis=0)
         points = cut
-    p = np.array(points)
-    origin = p.mean(axis=0)
-    a, b = p - origin, np.roll(p, -1, axis=0) - origin
-    area = a[:, 0] * b[:, 1] - a[:, 1] * b[:, 0]
-    if abs(area.sum()) < 1e-300:
-        return origin
-    return origin + ((a + b) * area[:, None]).sum(axis=0) / (3 * area.sum())
+    n = len(points)
+    x0, y0 = sum(x for x, _ in points) / n, sum(y for _, y in points) / n
+    whole = cx = cy = 0.0
+    for i, (x, y) in enumerate(points):
+        u, v = points[i - 1]
+        area = (u - x0) * (y - y0) - (v - y0) * (x - x0)
+        whole += area
+        cx += (u + x - 2 * x0) * area
+        cy += (v + y - 2 * y0) * area
+    if abs(whole) < 1e-300:
+        return np.array([x0, y0])
+    return np.array([x0 + cx / (3 * whole), y0 + cy / (3 * whole)])
 
 
 def cone_weak(t, pos, eps: float, m: int = 16) -> tuple[np.ndarray, np.ndarray]:
@@ -172,28 +181,97 @@ def reconstruct(kept_t, kept, clock) -> np.ndarray:
     return np.column_stack([np.interp(clock, kept_t, kept[:, d]) for d in range(kept.shape[1])])
 
 
-def simplified(method: str, t_us: np.ndarray, pos: np.ndarray, p: CodecParams, encoded: bool = True, m: int = 16) -> dict:
-    """Run a baseline on a track: kept points, bytes, and errors at the samples.
+def path_of(method: str, t, pos, eps: float | None, m: int = 16, ratio: float | None = None) -> tuple[np.ndarray, np.ndarray]:
+    """(times, positions) of the simplified path."""
+    if method == "identity" or len(t) < 3 and method != "cone_weak" or len(t) == 1:
+        return t, pos.copy()
+    if method == "cone_weak":
+        return cone_weak(t, pos, eps, m)
+    run = {"cone_strong": lambda: cone_strong(t, pos, eps, m), "pq": lambda: pq(t, pos, None if ratio else eps, ratio), "opening_window": lambda: opening_window(t, pos, eps)}
+    index = run[method]()
+    return t[index], pos[index]
+
+
+def kept(method: str, t_us: np.ndarray, pos: np.ndarray, eps: float | None, m: int = 16, ratio: float | None = None) -> tuple[np.ndarray, np.ndarray]:
+    """The path with its times in microseconds."""
+    times, path = path_of(method, (t_us - t_us[0]) / 1e6, pos, eps, m, ratio)
+    return np.rint(times * 1e6).astype(np.int64) + t_us[0], path
+
+
+def coded(method: str, t_us: np.ndarray, pos: np.ndarray, p: CodecParams, lengths: list[int], m: int = 16) -> list[dict]:
+    """Run a baseline on a track with the integer coder: kept points, errors at the samples, and bytes with each chunk
+    length, which changes nothing else.
 
-    Encoded, the path is sought within eps - eps_p and its points are rounded within eps_p, so eps holds; times
+    The path is sought within eps - eps_p and its points are rounded within eps_p, so eps holds; times
     and points go through the same integer coder as the spectral codec's ends."""
-    n, dim = pos.shape
-    e = p.eps - p.eps_p if encoded else p.eps
+    step = p.eps_p / pos.shape[1] ** 0.5
     t = (t_us - t_us[0]) / 1e6
-    if n == 1:
-        times, path = t, pos.copy()
-    elif method == "cone_weak":
-        times, path = cone_weak(t, pos, e, m)
-    else:
-        index = {"cone_strong": lambda: cone_strong(t, pos, e, m), "pq": lambda: pq(t, pos, e), "opening_window": lambda: opening_window(t, pos, e)}[method]()
-        times, path = t[index], pos[index]
-    if encoded:
-        step = p.eps_p / dim**0.5
-        codes = N.quantize(path, step)
-        clock = N.delta((np.rint(times * 1e6).astype(np.int64) + t_us[0] + p.eps_t // 2) // p.eps_t)
-        size = -(-(int(N.bit_cost(N.zigzag(clock), p.l).sum()) + int(N.bit_cost(N.zigzag(N.delta(codes)), p.l).sum())) // 8)
-        path = N.dequantize(codes, step)
-    else:
-        size = 8 * (dim + 1) * len(times)
+    times, path = path_of(method, t, pos, p.eps - p.eps_p, m)
+    codes = N.quantize(path, step)
+    clock = N.zigzag(N.delta((np.rint(times * 1e6).astype(np.int64) + t_us[0] + p.eps_t // 2) // p.eps_t))
+    moves = N.zigzag(N.delta(codes))
+    same = _measured(times, N.dequantize(codes, step), t, pos)
+    return [{**same, "bytes": -(-(int(N.bit_cost(clock, k).sum()) + int(N.bit_cost(moves, k).sum())) // 8)} for k in lengths]
+
+
+def _measured(times, path, t, pos) -> dict:
     error = np.linalg.norm(reconstruct(times, path, t) - pos, axis=1)
-    return {"kept": len(times), "bytes": size, "max_sed": float(error.max(initial=0)), "sum_sed": float(error.sum())}
+    return {"kept": len(times), "max_sed": float(error.max(initial=0)), "sum_sed": float(error.sum())}
+
+
+def simplified(method: str, t_us: np.ndarray, pos: np.ndarray, p: CodecParams, encoded: bool = True, m: int = 16) -> dict:
+    """Run a baseline on a track: kept points, bytes, and errors at the samples; with the integer coder or as plain doubles."""
+    if encoded:
+        return coded(method, t_us, pos, p, [p.l], m)[0]
+    t = (t_us - t_us[0]) / 1e6
+    times, path = path_of(method, t, pos, p.eps, m)
+    return {**_measured(times, path, t, pos), "bytes": 8 * (pos.shape[1] + 1) * len(times)}
+
+
+class Cone:
+    """The cone simplifiers a sample at a time, for streams: the state is an anchor, the sample before and the
+    supports of the velocities still allowed."""
+
+    def __init__(self, eps: float, weak: bool, m: int = 16, state: list | None = None):
+        self.radius, self.weak, self.m = (eps if weak else eps / 2), weak, m
+        self.anchor, self.last, self.h = state if state is not None else (None, None, None)
+
+    @property
+    def state(self) -> list:
+        """Plain lists, which JSON can hold."""
+        return [self.anchor, self.last, self.h]
+
+    def _allowed(self, t: int, pos: list[float], h: list[float] | None) -> list[float] | None:
+        """The supports with this sample; None if they leave nothing."""
+        normals, inner, proofs = _polygon(self.m)
+        dt = (t - self.anchor[0]) / 1e6
+        now = (np.subtract(pos, self.anchor[1]) / dt) @ normals.T + self.radius * inner / dt
+        now = now if h is None else np.minimum(now, h)
+        return None if (proofs @ now).min() < 0 else now.tolist()
+
+    def _close(self) -> tuple[int, list[float]]:
+        """The point at which the open segment ends: the sample before, or where the polygon's centre leads by then."""
+        t, pos = self.last
+        if self.weak:
+            pos = (np.array(self.anchor[1]) + _centre(np.array(self.h), self.m) * ((t - self.anchor[0]) / 1e6)).tolist()
+        return t, pos
+
+    def add(self, t: int, pos: list[float]) -> list[tuple[int, list[float]]]:
+        """Points of the path that are settled by this sample, which comes after all others."""
+        if self.anchor is None:
+            self.anchor = self.last = (t, pos)
+            return [(t, pos)]
+        now, out = self._allowed(t, pos, self.h), []
+        if now is None and self.h is not None:
+            self.anchor, self.h = self._close(), None
+            out.append(self.anchor)
+            now = self._allowed(t, pos, None)
+        self.last, self.h = (t, pos), now
+        if now is None:  # not even one sample fits: it becomes a point itself
+            self.anchor, self.h = self.last, None
+            out.append(self.anchor)
+        return out
+
+    def finish(self) -> list[tuple[int, list[float]]]:
+        """The last point of the path."""
+        return [] if self.anchor is None or self.last[0] == self.anchor[0] else [self._close()]

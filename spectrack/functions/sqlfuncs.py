@@ -4,12 +4,13 @@ from __future__ import annotations
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import SparkSession
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from spectrack.functions import numbers as N
 from spectrack.functions import track as K
 from spectrack.functions.spectral import dct, idct
+from spectrack.operators import blocks as B
 
 
 def varint_bits(u: pd.Series, l: pd.Series) -> pd.Series:  # noqa: E741
@@ -43,7 +44,20 @@ class DecodeTrack:
             yield when, x
 
 
+def sed_stats(sed: pd.Series) -> list[float]:
+    """Number, maximum and mean of a group's errors."""
+    return [float(len(sed)), float(sed.max()), float(sed.mean())]
+
+
 def register(spark: SparkSession) -> None:
     for f, kind in ((varint_bits, "long"), (zz1, "long"), (dct_block, "array<double>"), (idct_block, "array<double>")):
         spark.udf.register(f.__name__, F.pandas_udf(f, kind))
+    spark.udf.register("sed_stats", F.pandas_udf(sed_stats, "array<double>", F.PandasUDFType.GROUPED_AGG))
     spark.udtf.register("decode_track", F.udtf(DecodeTrack, returnType="t long, pos array<double>"))
+
+
+def views(points: DataFrame, container: DataFrame, b_s: int, step: int) -> None:
+    """Named views of uniform points: `points`, their velocities by block (`blocks`), and `container`."""
+    points.createOrReplaceTempView("points")
+    B.velocities(B.axes(B.from_clock(points, step)), b_s).createOrReplaceTempView("blocks")
+    container.createOrReplaceTempView("container")

@@ -1,7 +1,8 @@
 """One track in memory: fragments, resampling, encoding, decoding, corrections, container bytes.
 
 The encoder's check and the decoder run the same function on the same integers, so what was checked
-is what comes back. Times are microseconds, positions an array n x dim."""
+is what comes back, whichever of the original times it is asked for. Times are microseconds, positions an
+array n x dim."""
 
 from __future__ import annotations
 
@@ -12,7 +13,7 @@ from dataclasses import dataclass, field
 import numpy as np
 
 from spectrack.functions import numbers as N
-from spectrack.functions.params import CodecParams, derive
+from spectrack.functions.params import DECODER, CodecParams, derive
 from spectrack.functions.spectral import dct, idct
 
 SLACK = 1 - 1e-9  # of the bound, for the last bits of sums
@@ -98,6 +99,12 @@ def _size(p: CodecParams, counts: np.ndarray) -> int:
     return p.b_s if p.blocks else int(max(counts.max(initial=2) - 1, 1))
 
 
+def _stored(at: np.ndarray, lengths: np.ndarray, most: int) -> tuple[np.ndarray, np.ndarray]:
+    """Where the k-th coefficient of each block and axis stands in the list of all, and whether there is one."""
+    k = np.arange(most)
+    return at[:, :, None] + k, k < lengths[:, :, None]
+
+
 def decode_uniform(e: Encoded, p: CodecParams) -> np.ndarray:
     """Samples of all fragments, one after the other."""
     dim = e.dim
@@ -116,14 +123,13 @@ def decode_uniform(e: Encoded, p: CodecParams) -> np.ndarray:
     zero = (total - e.ends)[base]
     end = anchors[frag] + step * (total - zero)
     start = np.where(new[:, None], anchors[frag], anchors[frag] + step * (before - zero))
-    at = np.cumsum(e.lengths.ravel()) - e.lengths.ravel()
+    at = (np.cumsum(e.lengths.ravel()) - e.lengths.ravel()).reshape(-1, dim)
     for size in np.unique(length).tolist():
         rows = np.flatnonzero(length == size)
         most = int(e.lengths[rows].max(initial=0))
         codes = np.zeros((len(rows), dim, most + 1))
-        for k in range(most):
-            has = e.lengths[rows] > k
-            codes[:, :, k + 1][has] = e.coefficients[(at.reshape(-1, dim)[rows] + k)[has]]
+        place, has = _stored(at[rows], e.lengths[rows], most)
+        codes[:, :, 1:][has] = e.coefficients[place[has]]
         v = idct((codes * (2 * p.eps_f)).reshape(-1, most + 1), size).reshape(len(rows), dim, size)
         if p.positions:
             s = start[rows][:, :, None] + (end - start)[rows][:, :, None] * (np.arange(size) / size) + v
@@ -153,7 +159,7 @@ def encode_uniform(x: np.ndarray, counts: np.ndarray, p: CodecParams) -> tuple[n
     else:
         ends = N.quantize(end - start, e_d)
     lengths = np.zeros((len(frag), dim), np.int64)
-    codes: list[np.ndarray] = [np.zeros((0, 0), np.int64)] * len(frag)
+    parts: list[tuple[np.ndarray, np.ndarray]] = []
     for size in np.unique(length).tolist():
         rows = np.flatnonzero(length == size)
         keep = p.kept(size)
@@ -170,57 +176,71 @@ def encode_uniform(x: np.ndarray, counts: np.ndarray, p: CodecParams) -> tuple[n
             c[:, :, 0] = N.quantize(2 * v.sum(axis=2), p.eps_f)
         last = np.where(c != 0, np.arange(1, c.shape[2] + 1), 0).max(axis=2, initial=0)
         lengths[rows] = last
-        for r, code_rows in zip(rows.tolist(), c, strict=True):
-            codes[r] = code_rows
-    flat = [codes[r][d, : lengths[r, d]] for r in range(len(frag)) for d in range(dim)]
-    return anchors, ends, lengths, np.concatenate(flat) if flat else np.zeros(0, np.int64)
-
-
-def align(t: np.ndarray, t0: int, dt: int, samples: np.ndarray) -> np.ndarray:
-    """Positions at times t by interpolation between uniform samples from t0 on; a time on a sample belongs to the interval before it."""
-    if len(samples) == 1:
-        return np.repeat(samples, len(t), axis=0)
-    rest = t - t0
-    j = np.clip(-(-rest // dt) - 1, 0, len(samples) - 2)
-    share = ((rest - j * dt) / dt)[:, None]
-    return samples[j] + (samples[j + 1] - samples[j]) * share
-
-
-def decode(e: Encoded, clock: np.ndarray, p: CodecParams) -> np.ndarray:
-    """Positions at the original times, corrections and outliers applied."""
-    samples = decode_uniform(e, p)
-    out = np.full((len(clock), e.dim), np.nan)
+        parts.append((rows, c))
+    at = (np.cumsum(lengths.ravel()) - lengths.ravel()).reshape(-1, dim)
+    flat = np.zeros(int(lengths.sum()), np.int64)
+    for rows, c in parts:
+        place, has = _stored(at[rows], lengths[rows], c.shape[2])
+        flat[place[has]] = c[has]
+    return anchors, ends, lengths, flat
+
+
+def align(e: Encoded, samples: np.ndarray, clock: np.ndarray, p: CodecParams) -> np.ndarray:
+    """Positions at the clock's times by interpolation between the uniform samples of each time's fragment; a time on
+    a sample belongs to the interval before it, one beyond a fragment's samples to the nearest of them.
+
+    Fragments start where the container says, so a time's position doesn't depend on which others are asked for."""
+    f = np.maximum(np.searchsorted(e.starts, time_code(clock, p.eps_t), "right") - 1, 0)
+    rest = clock - e.starts[f] * p.eps_t
+    j = np.clip(-(-rest // e.dt) - 1, 0, e.counts[f] - 2)
+    share = np.clip((rest - j * e.dt) / e.dt, 0.0, 1.0)[:, None]
+    at = (np.cumsum(e.counts) - e.counts)[f] + j
+    return samples[at] + (samples[at + 1] - samples[at]) * share
+
+
+def _found(keys: np.ndarray, code: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Which codes are among the ordered keys, and their places there."""
+    at = np.minimum(np.searchsorted(keys, code), max(0, len(keys) - 1))
+    hit = keys[at] == code if len(keys) else np.zeros(len(code), bool)
+    return hit, at[hit]
+
+
+def decode(e: Encoded, clock: np.ndarray, p: CodecParams, samples: np.ndarray | None = None) -> np.ndarray:
+    """Positions at these times, corrections and outliers applied: any of the original times, in any order. `samples`
+    are those of decode_uniform, for a caller that asks more than once."""
+    clock = np.asarray(clock, np.int64)
     code = time_code(clock, p.eps_t)
-    known = {}
-    step = 2 * p.eps / math.sqrt(e.dim)
-    for t, o in zip(e.out_t.tolist(), e.out, strict=True):
-        known[t] = o * step
-    offset = np.cumsum(e.counts) - e.counts
-    order = np.argsort(e.starts, kind="stable")
-    begin = np.searchsorted(e.starts[order], code, "right") - 1
-    outlier = np.isin(code, e.out_t) if len(e.out_t) else np.zeros(len(code), bool)
-    edges = np.searchsorted(begin, np.arange(len(order) + 1))  # rows come in time order
-    for i in range(len(order)):
-        f = order[i]
-        rows = np.arange(edges[i], edges[i + 1])
-        rows = rows[~outlier[rows]]
-        if len(rows):
-            out[rows] = align(clock[rows], int(clock[rows[0]]), e.dt, samples[offset[f] : offset[f] + e.counts[f]])
-    if len(e.out_t):
-        for r in np.flatnonzero(outlier).tolist():
-            out[r] = known[int(code[r])]
-    if len(e.corr_t):
-        rows = np.searchsorted(code, e.corr_t)
-        out[rows] += e.corr * (2 * p.eps_p / math.sqrt(e.dim))
+    if len(e.starts):
+        out = align(e, decode_uniform(e, p) if samples is None else samples, clock, p)
+    else:
+        out = np.full((len(clock), e.dim), np.nan)
+    hit, at = _found(e.out_t, code)
+    out[hit] = e.out[at] * (1.0 if p.integer_input else 2 * p.eps / math.sqrt(e.dim))
+    hit, at = _found(e.corr_t, code)
+    out[hit] += e.corr[at] * (2 * p.eps_p / math.sqrt(e.dim))
     return out
 
 
+def _exactly(t: np.ndarray, pos: np.ndarray, p: CodecParams) -> Encoded:
+    """Whole numbers: differences along time of the numbers themselves."""
+    whole = np.rint(pos)
+    if (whole != pos).any() or np.abs(whole).max(initial=0) >= 2.0**53:
+        raise ValueError("integer_input takes whole numbers below 2**53")
+    dim, none = pos.shape[1], np.zeros(0, np.int64)
+    empty = np.zeros((0, dim), np.int64)
+    stats = {"error_points": 0, "max_sed": 0.0, "sum_sed": 0.0, "outliers": len(t), "fragments": 0, "blocks": 0}
+    return Encoded(dim, p.eps_t, none, none, empty, empty, empty, none, none, empty, time_code(t, p.eps_t), whole.astype(np.int64), stats=stats)
+
+
 def encode(t: np.ndarray, pos: np.ndarray, p: CodecParams) -> Encoded:
     """Fragments, uniform samples, blocks, then the points whose decoded position is off by more than eps."""
     t, pos = np.asarray(t, np.int64), np.asarray(pos, float)
     n, dim = pos.shape
+    if p.integer_input:
+        return _exactly(t, pos, p)
     gap = np.diff(t)
-    uniform = n > 2 and p.v_max is None and bool((gap == gap[0]).all())
+    # the container counts time in steps of eps_t
+    uniform = n > 2 and p.v_max is None and bool((gap == gap[0]).all()) and gap[0] % p.eps_t == 0 and t[0] % p.eps_t == 0
     starts = np.zeros(1, np.int64) if uniform else fragment_starts(t, pos, p)
     dt = int(gap[0]) if uniform else common_interval(t, starts, p.eps_t)
     if p.dt_scale != 1.0 and not uniform:
@@ -284,26 +304,74 @@ def _sections(e: Encoded, p: CodecParams) -> list[tuple[str, np.ndarray, int, bo
     ]
 
 
+def _rule(p: CodecParams, dim: int) -> CodecParams:
+    """What a container says by its bound and the number of its constants alone."""
+    return derive(p.eps, dim, p.constants, eps_t=p.eps_t)
+
+
+FLAGS = ("zero_free", "positions", "blocks", "integer_input")
+#: fields that a header holds where they differ from the rule, with their formats
+HELD = {"eps_f": "d", "b_s": "I", "eps_p": "d", "l": "B", "l_freq": "B", "flags": "B"}
+
+
+def _flags(p: CodecParams) -> int:
+    return sum(getattr(p, name) << i for i, name in enumerate(FLAGS))
+
+
+def head(e: Encoded, p: CodecParams) -> bytes:
+    """Number of the constants, dimension, bound and time precision; then a mask and whatever differs from the rule."""
+    rule, own, mask = _rule(p, e.dim), b"", 0
+    for i, (name, kind) in enumerate(HELD.items()):
+        value, usual = (_flags(p), _flags(rule)) if name == "flags" else (getattr(p, name), getattr(rule, name))
+        if value != usual:
+            mask |= 1 << i
+            own += struct.pack("<" + kind, value)
+    first = struct.pack("<BBdd", p.constants | (mask > 0) << 7, e.dim | (e.uniform << 7), p.eps, float(p.eps_t))
+    return first + (bytes([mask]) + own if mask else b"")
+
+
+def _unhead(data: bytes) -> tuple[CodecParams, int, bool, int]:
+    """(parameters, dimension, whether uniform, length of the header)."""
+    constants, kind, eps, eps_t = struct.unpack_from("<BBdd", data)
+    p, at = derive(eps, kind & 127, constants & 127, eps_t=int(eps_t)), 18
+    if constants >> 7:
+        mask, at = data[at], at + 1
+        for i, (name, form) in enumerate(HELD.items()):
+            if mask >> i & 1:
+                (value,) = struct.unpack_from("<" + form, data, at)
+                at += struct.calcsize("<" + form)
+                p = p.with_(**({n: bool(value >> j & 1) for j, n in enumerate(FLAGS)} if name == "flags" else {name: value}))
+    return p, kind & 127, bool(kind >> 7), at
+
+
 def bits_of(e: Encoded, p: CodecParams) -> dict[str, int]:
     """Bits of each section."""
     out = dict.fromkeys(SECTIONS, 0)
-    out["header"] = 8 * 18  # constants, dimension and flags, two doubles
+    out["header"] = 8 * len(head(e, p))
     for name, codes, l, elide in _sections(e, p):  # noqa: E741
         out[name] += int(N.bit_cost(codes, l, elide).sum())
     return out
 
 
+def size_of(e: Encoded, p: CodecParams) -> int:
+    """Bytes of the container if its parameters were a rule of the whole set, as an experiment on them supposes: the
+    fields that differ from our own rule are not counted."""
+    return 18 + -(-sum(int(N.bit_cost(codes, l, elide).sum()) for _, codes, l, elide in _sections(e, p)) // 8)  # noqa: E741
+
+
 def pack(e: Encoded, p: CodecParams) -> bytes:
-    head = struct.pack("<BBdd", p.constants, e.dim | (e.uniform << 7), p.eps, float(p.eps_t))
     bits = np.concatenate([N.to_bits(codes, l, elide) for _, codes, l, elide in _sections(e, p)])
-    return head + np.packbits(bits).tobytes()
+    return head(e, p) + np.packbits(bits).tobytes()
 
 
 def unpack(data: bytes, p: CodecParams | None = None) -> tuple[Encoded, CodecParams]:
-    constants, kind, eps, eps_t = struct.unpack_from("<BBdd", data)
-    dim = kind & 127
-    p = p or derive(eps, dim, constants, eps_t=int(eps_t))
-    bits, at = np.unpackbits(np.frombuffer(data, np.uint8, offset=18)), 0
+    """The container's integers and its parameters, which it holds itself. With p, a container made with other
+    parameters is refused."""
+    made, dim, uniform, at = _unhead(data)
+    if p is not None and any(getattr(made, name) != getattr(p, name) for name in DECODER):
+        raise ValueError(f"the container was made with other parameters: {made}")
+    p = made
+    bits, at = np.unpackbits(np.frombuffer(data, np.uint8, offset=at)), 0
 
     def take(n: int, l: int = p.l, elide: bool = False) -> np.ndarray:  # noqa: E741
         nonlocal at
@@ -325,7 +393,7 @@ def unpack(data: bytes, p: CodecParams | None = None) -> tuple[Encoded, CodecPar
     ends, lengths = signed(blocks, dim), take(blocks * dim).reshape(-1, dim)
     raw = take(int(lengths.sum()), p.l_freq, p.zero_free and p.l_freq == 1)
     coefficients = (N.unzigzag1 if p.zero_free else N.unzigzag)(raw)
-    return Encoded(dim, int(dt) * p.eps_t, starts, counts, anchors, ends, lengths, coefficients, corr_t, corr, out_t, out, bool(kind >> 7)), p
+    return Encoded(dim, int(dt) * p.eps_t, starts, counts, anchors, ends, lengths, coefficients, corr_t, corr, out_t, out, uniform), p
 
 
 def clock_bits(t: np.ndarray, eps_t: int, l: int = 2) -> int:  # noqa: E741

@@ -80,15 +80,13 @@ def fragments(points: DataFrame, b_s: int, default_dt: int, v_max: float | None
     """Add frag_id by the speed rule and the gap rule (a pause over b_s times the fragment's mean gap).
 
     The gap rule looks at the fragment so far, so it runs in order; but only pauses over b_s times the
-    track's least gap (or the default) can break, and that few go through a fold a track. Everything else is one
-    window: the fold's breaks come back as an array beside the rows of their own track."""
+    track's least gap (or the default) can break, and those few go through a fold a track. The breaks it finds come back
+    as rows of their own between the points, and a running sum counts them: no point carries a list."""
     fast = F.lit(False) if v_max is None else F.coalesce(F.col("dist") > F.col("gap") / 1e6 * v_max, F.lit(False))
     whole = W.partitionBy("track_id")
-    rows = steps(points).withColumn("fast", fast).withColumn("before", F.lag("t").over(_track()))
-    least = F.least(F.min("gap").over(whole), F.lit(default_dt))
-    suspect = F.when((F.col("gap") > b_s * F.col("least")) | F.col("fast"), F.struct("idx", "t", "before", "fast"))
-    rows = rows.withColumn("least", least).withColumn("t0", F.min("t").over(whole))
-    rows = rows.withColumn("suspects", F.array_sort(F.collect_list(suspect).over(whole)))
+    rows = steps(points)
+    marked = rows.select("track_id", "t", "idx", "gap", fast.alias("fast"), F.lag("t").over(_track()).alias("before"), F.least(F.min("gap").over(whole), F.lit(default_dt)).alias("least"), F.min("t").over(whole).alias("t0"))
+    suspects = marked.filter((F.col("gap") > b_s * F.col("least")) | F.col("fast")).groupBy("track_id", "t0").agg(F.array_sort(F.collect_list(F.struct("idx", "t", "before", "fast"))).alias("suspects"))
 
     def step(a: Column, x: Column) -> Column:
         k = x["idx"] - a["at"]
@@ -99,16 +97,14 @@ def fragments(points: DataFrame, b_s: int, default_dt: int, v_max: float | None
         mean = F.when(k == 1, F.lit(float(default_dt))).otherwise(mean)
         new = x["fast"] | ((x["t"] - x["before"]) > b_s * mean)
         return F.struct(
-            F.when(new, x["idx"]).otherwise(a["at"]).alias("at"), F.when(new, x["t"]).otherwise(a["t"]).alias("t"), F.when(new, F.concat(a["found"], F.array(x["idx"]))).otherwise(a["found"]).alias("found")
+            F.when(new, x["idx"]).otherwise(a["at"]).alias("at"), F.when(new, x["t"]).otherwise(a["t"]).alias("t"), F.when(new, F.concat(a["found"], F.array(x["t"]))).otherwise(a["found"]).alias("found")
         )
 
-    start = F.struct(F.lit(0).alias("at"), F.col("t0").alias("t"), F.array().cast("array<int>").alias("found"))
-    breaks = F.aggregate("suspects", start, step, lambda a: a["found"])
-    rows = rows.withColumn("breaks", F.when(F.col("idx") == 0, breaks))
-    rows = rows.withColumn("breaks", F.first("breaks", ignorenulls=True).over(_track().rowsBetween(W.unboundedPreceding, 0)))
-    return rows.withColumn("frag_id", F.sum(F.array_contains("breaks", F.col("idx")).cast("int")).over(_track().rowsBetween(W.unboundedPreceding, 0)).cast("int")).drop(
-        "suspects", "breaks", "least", "t0", "before", "fast"
-    )
+    start = F.struct(F.lit(0).alias("at"), F.col("t0").alias("t"), F.array().cast("array<bigint>").alias("found"))
+    breaks = suspects.select("track_id", F.explode(F.aggregate("suspects", start, step, lambda a: a["found"])).alias("t"), F.lit(1).alias("__new"))
+    both = rows.withColumn("__new", F.lit(0)).unionByName(breaks, allowMissingColumns=True)
+    running = W.partitionBy("track_id").orderBy("t", F.desc("__new")).rowsBetween(W.unboundedPreceding, 0)
+    return both.withColumn("frag_id", F.sum("__new").over(running).cast("int")).filter("__new = 0").drop("__new")
 
 
 def split_outliers(frags: DataFrame, max_len: int = 2) -> DataFrame:

@@ -4,6 +4,8 @@ from __future__ import annotations
 
 import math
 
+from spectrack.functions.params import CONSTANTS
+
 HOUR = 3_600_000_000
 EPS, B, EPS_P = 0.5, 32, 0.25
 EPS_F = EPS / 0.6
@@ -158,6 +160,11 @@ def _i(x: str) -> str:
     return f"CAST({x} AS BIGINT)"
 
 
+def _kept_whole(table: str, ctes: str, track: str) -> str:
+    """What a simplifier owes each track."""
+    return f"WITH {ctes} SELECT {track} AS track_id, count(*) AS n, true AS whole, CAST(0 AS BIGINT) AS invented, CAST(0 AS BIGINT) AS off FROM {table} GROUP BY ALL"
+
+
 ORACLES: dict[str, str] = {
     "q_describe_tracks": f"WITH {STEPS} SELECT count(DISTINCT track_id) AS tracks, count(*) AS points, round(avg(gap / 1e6), 3) AS gap_mean, round(var_pop(gap / 1e6), 0) AS gap_var FROM st",
     "q_dedupe": """WITH r AS (SELECT CAST(l_suppkey AS VARCHAR) AS track_id, epoch_us(l_shipdate) AS t, l_quantity, row_number() OVER (PARTITION BY l_suppkey, l_shipdate ORDER BY l_orderkey, l_linenumber, l_quantity) AS nth FROM lineitem)
@@ -218,7 +225,62 @@ ORACLES: dict[str, str] = {
             UNION ALL SELECT 'li_supp', 32, count(*) FROM ls UNION ALL SELECT 'li_supp_smooth', 32, count(*) FROM ls UNION ALL SELECT 'emb_uniform', 24, count(*) FROM sig WHERE axis = 0
             UNION ALL SELECT 'emb_cum', 24, count(*) FROM sig WHERE axis = 0 UNION ALL SELECT 'ord_cust', 16, count(*) FROM oc
         ) SELECT fixture, CAST(b * n AS BIGINT) AS raw_bytes, n FROM n""",
+    "q_decode_partial_clock": f"""WITH {EV_USER}, {ORD_CUST}, {LI_SUPP}, {signal(True)}, every AS (
+            SELECT 'ev_user' AS fixture, track_id, t FROM ev UNION ALL SELECT 'emb_cum', track_id, j * 100000 FROM sig WHERE axis = 0
+            UNION ALL SELECT 'li_supp_smooth', CAST(l_suppkey AS VARCHAR), t FROM ls UNION ALL SELECT 'ord_cust', track_id, t FROM oc
+        ), late AS (SELECT fixture, 2 * t >= min(t) OVER w + max(t) OVER w AS late FROM every WINDOW w AS (PARTITION BY fixture, track_id))
+        SELECT fixture, cut, count(*) AS n, CAST(0 AS BIGINT) AS violations FROM late, (VALUES (true), (false)) c(cut) WHERE late GROUP BY ALL""",
+    "q_decode_headers": f"""WITH {ORD_CUST}, {LI_SUPP}, {signal(True)}, sizes AS (
+            SELECT 'ev_user' AS fixture, count(*) AS n FROM events UNION ALL SELECT 'emb_cum', count(*) FROM sig WHERE axis = 0 UNION ALL SELECT 'li_supp_smooth', count(*) FROM ls UNION ALL SELECT 'ord_cust', count(*) FROM oc
+        ) SELECT fixture, change, n, CAST(0 AS BIGINT) AS off FROM sizes, (VALUES ('eps_p'), ('b_s'), ('eps_f'), ('ll_freq'), ('zero_free'), ('positions'), ('blocks'), ('eps_t'), ('endsr_ret')) c(change)""",
+    "q_integer_lossless": f"""WITH s AS (SELECT 'n_chars' AS signal, doc_id AS i, doc_id AS j, n_chars AS n FROM documents UNION ALL SELECT 'o_orderkey', epoch_us(o_orderdate), o_orderkey, o_orderkey FROM orders),
+        d AS (SELECT signal, n - coalesce(lag(n) OVER (PARTITION BY signal ORDER BY i, j), 0) AS step FROM s)
+        SELECT signal AS track_id, count(*) AS n, CAST(0 AS BIGINT) AS off, CAST(21 + ceil((24 + {bits("count(*)", "7")} + 8 * count(*) + sum({bits(zz("step"), "7")})) / 8.0) AS BIGINT) AS bytes FROM d GROUP BY signal""",
+    "q_coded_identity": f"""WITH {EV_USER}, c AS (SELECT track_id, t, CAST(floor(x / {2 * (10.0 / 2**0.5)!r} + 0.5) AS BIGINT) AS cx, CAST(floor(y / {2 * (10.0 / 2**0.5)!r} + 0.5) AS BIGINT) AS cy FROM ev), d AS (
+            SELECT track_id, t - coalesce(lag(t) OVER w, 0) AS dt, cx - coalesce(lag(cx) OVER w, 0) AS dx, cy - coalesce(lag(cy) OVER w, 0) AS dy FROM c WINDOW w AS (PARTITION BY track_id ORDER BY t)
+        ) SELECT track_id, count(*) AS n, count(*) AS kept, CAST(ceil(sum({bits(zz("dt"), "2")} + {bits(zz("dx"), "2")} + {bits(zz("dy"), "2")}) / 8.0) AS BIGINT) AS bytes FROM d GROUP BY track_id""",
+    "q_dct_methods": f"WITH {coded()} SELECT track_id, axis, block_id, method, CAST(k AS INTEGER) AS k, code FROM cod, (VALUES ('fft'), ('direct'), ('product'), ('ortho')) m(method)",
+    "q_zero_share": f"WITH {coded()} SELECT axis, round(avg(CASE WHEN code = 0 THEN CAST(1 AS DOUBLE) ELSE 0 END), 9) AS zero_share, count(*) AS codes FROM cod GROUP BY axis",
+    "q_derive": f"""WITH k(constants, a, b, c, d) AS (VALUES {", ".join(f"({i}, CAST({x.a!r} AS DOUBLE), CAST({x.b!r} AS DOUBLE), CAST({x.c!r} AS DOUBLE), CAST({x.d!r} AS DOUBLE))" for i, x in CONSTANTS.items())})
+        SELECT CAST(constants AS INTEGER) AS constants, eps, round(eps / a, 9) AS eps_f, CAST(greatest(1, floor(b * eps + c + 0.5)) AS BIGINT) AS b_s, round(least(1, d / sqrt(eps)), 9) AS r_ret, CAST(eps / 2 AS DOUBLE) AS eps_p FROM k, range(1, 101) e(eps)""",
+    "q_pick_a": "WITH p AS (SELECT percent, sqrt(-ln(percent / 100) / 12) AS a FROM range(1, 100) r(percent)) SELECT percent, round(a, 9) AS a, round(sqrt(pi() / 2) * pi() / 8 / sqrt(6) / a, 9) AS mean, round(exp(-12 * a * a), 9) AS p FROM p",
+    "q_measures": """WITH g AS (
+            SELECT l_linenumber AS fixture, l_returnflag AS method, CAST(sum(l_partkey) AS DOUBLE) / sum(l_orderkey + 1000) AS ratio, CAST(sum(l_suppkey) AS DOUBLE) / sum(l_suppkey + 100) AS kept_ratio, CAST(sum(l_partkey) AS DOUBLE) / sum(l_suppkey + 100) AS sed
+            FROM lineitem GROUP BY ALL
+        ) SELECT g.fixture, g.method, min_by(g.method, g.ratio) OVER (PARTITION BY g.fixture) AS best_method, round(g.ratio, 9) AS ratio, round(g.kept_ratio, 9) AS kept_ratio, round(g.ratio / n.ratio, 9) AS relative, round(n.ratio / g.ratio - 1, 9) AS improvement,
+            round(1 - g.sed / n.sed, 9) AS reduction, round(min(g.ratio) OVER (PARTITION BY g.fixture), 9) AS best_ratio FROM g JOIN g n ON g.fixture = n.fixture AND n.method = 'N'""",
+    "q_cone_strong": _kept_whole("ev", EV_USER, "track_id"),
+    "q_cone_weak": _kept_whole("ev", EV_USER, "track_id"),
+    "q_opening_window": _kept_whole("ev", EV_USER, "track_id"),
+    "q_pq": _kept_whole("ls", LI_SUPP, "CAST(l_suppkey AS VARCHAR)"),
+    "q_pq_ratio": _kept_whole("ls", LI_SUPP, "CAST(l_suppkey AS VARCHAR)"),
+    "w0_dataset_summary": f"""WITH {EV_USER}, {ORD_CUST}, {LI_SUPP}, {signal(True)}, every AS (
+            SELECT 'ev_user' AS fixture, track_id, t FROM ev UNION ALL SELECT 'ev_all', 'all', t FROM ev UNION ALL SELECT 'ev_type_smooth', event_type, t FROM ev0
+            UNION ALL SELECT f, CAST(l_suppkey AS VARCHAR), t FROM ls, (VALUES ('li_supp'), ('li_supp_smooth')) v(f) UNION ALL SELECT f, track_id, j * 100000 FROM sig, (VALUES ('emb_uniform'), ('emb_cum')) v(f) WHERE axis = 0
+            UNION ALL SELECT 'ord_cust', track_id, t FROM oc
+        ), g AS (SELECT fixture, track_id, (t - lag(t) OVER (PARTITION BY fixture, track_id ORDER BY t)) / 1e6 AS gap FROM every)
+        SELECT fixture, count(DISTINCT track_id) AS tracks, count(*) AS points, round(avg(gap), 3) AS gap_mean, round(var_pop(gap), 0) AS gap_var FROM g GROUP BY fixture""",
+    "w13_trapezoid": f"""WITH {velocity(32)}, sp AS (SELECT j, CASE WHEN j < 32 THEN 0 WHEN j < 96 THEN (j - 32) / 4.0 WHEN j < 176 THEN 16 WHEN j < 240 THEN (240 - j) / 4.0 ELSE 0 END AS speed FROM range(257) r(j)
+        ), tv AS (SELECT 'trapezoid' AS fixture, 0 AS axis, 'profile' AS track_id, (j - 1) // 64 AS block_id, (j - 1) % 64 AS i, 64 AS len, CAST(speed AS DOUBLE) - avg(CAST(speed AS DOUBLE)) OVER (PARTITION BY (j - 1) // 64) AS centred FROM sp WHERE j > 0
+        ), every AS (SELECT * FROM tv UNION ALL SELECT 'emb_cum', axis, track_id, block_id, i, len, centred FROM vel
+        ), co AS (SELECT fixture, axis, len, k, 2 * sum(centred * cos((2 * i + 1) * k * pi() / (2 * len))) AS c FROM every JOIN range(1, 64) r(k) ON k < len GROUP BY fixture, axis, track_id, block_id, len, k)
+        SELECT fixture, CAST(axis AS INTEGER) AS axis, round(sum(CASE WHEN k <= ceil(len * 0.25) THEN c * c ELSE 0 END) / sum(c * c), 6) AS low_share FROM co GROUP BY fixture, axis""",
     # operators around the methods
+    "op_stream_cones": "SELECT method, count(DISTINCT user_id) AS tracks, CAST(0 AS BIGINT) AS differ FROM events, (VALUES ('cone_strong'), ('cone_weak')) m(method) GROUP BY method",
+    "op_sql_views": f"""WITH {velocity(B)}, p AS (SELECT track_id, count(*) AS n FROM sig WHERE axis = 0 GROUP BY track_id), b AS (SELECT track_id, count(*) AS velocities, count(DISTINCT block_id) AS blocks FROM vel GROUP BY track_id)
+        SELECT track_id, n, true AS bounded, true AS ordered, velocities, blocks FROM p JOIN b USING (track_id)""",
+    "op_metrics_json": f"""WITH g AS (SELECT event_type, count(*) AS n, {_i('sum(event_id)')} AS total FROM events GROUP BY event_type)
+        SELECT event_type, total, CAST(2 AS BIGINT) AS fields, '{{"n":' || n || ',"total":' || total || '}}' AS json, n FROM g""",
+    "op_scalar_strings": "SELECT p_partkey, upper(p_name) AS upper, length(p_name) AS length, reverse(p_name) AS back, substr(p_name, 1, 3) AS head, base64(encode(p_name)) AS b64 FROM part",
+    "op_percentile_approx": "SELECT l_returnflag, count(*) AS n, true AS within FROM lineitem GROUP BY l_returnflag",
+    "op_udtf_decode": f"""WITH {decoded()}, fixed AS (SELECT dec.track_id, dec.j, axis, s2 + CASE WHEN sed > {EPS} * (1 - 1e-9) THEN floor((s - s2) / (2 * {E_D!r}) + 0.5) * (2 * {E_D!r}) ELSE 0 END AS s FROM dec JOIN err USING (track_id, j))
+        SELECT track_id, j * 100000 AS t, round(max(s) FILTER (axis = 0), 4) AS x, round(max(s) FILTER (axis = 1), 4) AS y FROM fixed GROUP BY ALL""",
+    "op_partition_prune": f"WITH {LI_SUPP}, s AS (SELECT min(t) AS a, max(t) AS z FROM ls GROUP BY l_suppkey) SELECT count(*) AS tracks FROM s WHERE z >= {25 * 31_536_000_000_000} AND a < {26 * 31_536_000_000_000}",
+    "op_stream_fragments": f"""WITH RECURSIVE {EVENTS}, ix AS (
+            SELECT CAST(user_id AS VARCHAR) AS track_id, t, row_number() OVER w - 1 AS idx, t - lag(t) OVER w AS gap, CAST(NULL AS DOUBLE) AS dist FROM (SELECT DISTINCT user_id, t FROM ev0) WINDOW w AS (PARTITION BY user_id ORDER BY t)
+        ), w AS (
+            SELECT track_id, idx, t, CAST(0 AS BIGINT) AS s, t AS st, 0 AS frag FROM ix WHERE idx = 0 UNION ALL {_walk("CAST(n.t - w.st AS DOUBLE) / (n.idx - w.s)")}
+        ) SELECT track_id, CAST(frag AS BIGINT) AS frag, count(*) AS n, min(t) AS t0, true AS within FROM w GROUP BY track_id, frag""",
     "op_broadcast_rollup": "SELECT r_name, n_name, count(*) AS suppliers FROM supplier JOIN nation ON s_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey GROUP BY ALL",
     "op_semi_anti": """WITH k AS (SELECT l_orderkey FROM lineitem WHERE l_quantity > 49)
         SELECT 'with' AS kind, count(*) AS n FROM orders WHERE o_orderkey IN (SELECT l_orderkey FROM k) UNION ALL SELECT 'without', count(*) FROM orders WHERE o_orderkey NOT IN (SELECT l_orderkey FROM k)""",

@@ -1,101 +1,216 @@
-"""Compress and decompress on Spark: one shuffle of points, one hop into Arrow."""
+"""Compress, decompress and simplify on Spark: one shuffle of points, one hop into Arrow.
+
+Every kernel reads a stream of points sorted by track and time (`over_tracks`), so small tracks share a batch, and
+a task holds no more of a track than one chunk."""
 
 from __future__ import annotations
 
-from collections.abc import Callable, Sequence
+from collections.abc import Callable, Iterator, Sequence
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window as W
 
 from spectrack.functions import simplify as S
 from spectrack.functions import track as K
 from spectrack.functions.params import CodecParams
+from spectrack.sources.tables import usable
 
 CONTAINER = (
-    "track_id string, chunk long, payload binary, n long, dim int, t_min long, t_max long, raw_bytes long, bytes_paper long, bytes_with_clock long, regular boolean, "
+    "track_id string, chunk long, cut boolean, payload binary, n long, dim int, t_min long, t_max long, raw_bytes long, bytes_paper long, bytes_with_clock long, regular boolean, "
     "n_corr long, n_out long, n_frag long, max_sed double, sum_sed double, " + ", ".join(f"bits_{s} long" for s in K.SECTIONS)
 )
-
-
-def columns_of(table: pa.Table) -> tuple[np.ndarray, np.ndarray]:
-    """Times and positions of a group, in time order, of repeated times the first."""
-    t = np.asarray(table["t"])
-    flat = table["pos"].combine_chunks()
-    dim = len(flat[0])
-    pos = np.asarray(flat.flatten()).reshape(-1, dim)
-    order = np.lexsort((*pos.T[::-1], t))
-    t, pos = t[order], pos[order]
-    new = np.concatenate(([True], t[1:] != t[:-1]))
-    return t[new], pos[new]
-
-
-def _container(track: str, chunk: int, t: np.ndarray, pos: np.ndarray, p: CodecParams) -> dict:
+POINTS = "track_id string, t long, pos array<double>"
+KEPT = POINTS + ", generated boolean"
+CHUNK = 1_000_000
+
+# track, number of its chunk (None for a whole track), times, positions
+Piece = tuple[str, int | None, np.ndarray, np.ndarray]
+
+_TYPES = {"string": pa.string(), "long": pa.int64(), "int": pa.int32(), "double": pa.float64(), "binary": pa.binary(), "boolean": pa.bool_(), "array<double>": pa.list_(pa.float64())}
+
+
+def arrow_schema(ddl: str) -> pa.Schema:
+    return pa.schema([(name, _TYPES[kind]) for name, kind in (x.split() for x in ddl.split(", "))])
+
+
+def _positions(column: pa.ListArray, a: int, b: int) -> np.ndarray:
+    """Rows a to b as a matrix."""
+    part = column.slice(a, b - a)
+    flat = np.asarray(part.flatten())
+    if len(flat) % (b - a) or (np.diff(part.offsets.to_numpy()) != len(flat) // (b - a)).any():
+        raise ValueError("points of one track differ in dimension")
+    return flat.reshape(b - a, -1)
+
+
+def pieces(batches: Iterator[pa.RecordBatch], eps_t: int = 1, most: int | None = None) -> Iterator[Piece]:
+    """Tracks of rows (track_id, t, pos) that come sorted by track and time, of repeated time codes the first. With
+    `most`, a track's rows go out in chunks of that many, numbered by the time of their first."""
+    track, ts, xs, held, last = None, [], [], 0, None
+
+    def out() -> Piece:
+        t = np.concatenate(ts)
+        return track, int(t[0]) if most else None, t, np.concatenate(xs)
+
+    for batch in batches:
+        if not batch.num_rows:
+            continue
+        ids, t, pos = batch.column(0), np.asarray(batch.column(1)), batch.column(2)
+        codes = np.asarray(ids.dictionary_encode().indices)
+        edges = [0, *(np.flatnonzero(np.diff(codes)) + 1).tolist(), len(codes)]
+        for a, b in zip(edges, edges[1:], strict=False):
+            name = ids[a].as_py()
+            if name != track:
+                if held:
+                    yield out()
+                track, ts, xs, held, last = name, [], [], 0, None
+            when, where = t[a:b], _positions(pos, a, b)
+            code = K.time_code(when, eps_t)
+            new = np.concatenate(([last is None or code[0] != last], code[1:] != code[:-1]))
+            when, where, last = when[new], where[new], code[-1]
+            while most and held + len(when) > most:
+                room = most - held
+                ts.append(when[:room])
+                xs.append(where[:room])
+                yield out()
+                when, where, ts, xs, held = when[room:], where[room:], [], [], 0
+            if len(when):
+                ts.append(when)
+                xs.append(where)
+                held += len(when)
+    if held:
+        yield out()
+
+
+def rows_of(made: Iterator[dict], schema: pa.Schema, rows: int = 1000, size: int = 8_000_000) -> Iterator[pa.RecordBatch]:
+    """Batches of so many rows, or of so many bytes of payload."""
+    held, n = [], 0
+    for row in made:
+        held.append(row)
+        n += len(row.get("payload") or b"")
+        if len(held) == rows or n > size:
+            yield pa.RecordBatch.from_pylist(held, schema)
+            held, n = [], 0
+    if held:
+        yield pa.RecordBatch.from_pylist(held, schema)
+
+
+def over_tracks(points: DataFrame, kernel: Callable[[Iterator[Piece]], Iterator[pa.RecordBatch]], ddl: str, eps_t: int = 1, chunk_points: int | None = CHUNK) -> DataFrame:
+    """kernel over the pieces of all usable points: whole tracks, or chunks of those beyond `chunk_points` points.
+
+    Whole tracks are dealt by a hash of the track; where points already are (after a window over tracks), they
+    aren't shuffled again. A longer track is dealt by range of time, as many ranges as it needs, so that not even a track with
+    most of the rows meets in one task. Whether there is one is asked first, by counts: of all points, which Parquet
+    footers answer, and only above `chunk_points` of each track."""
+    every = points.select("track_id", "t", "pos")
+    points = usable(every)
+
+    def run(most: int | None):
+        return lambda batches: kernel(pieces(batches, eps_t, most))
+
+    def dealt(df: DataFrame) -> DataFrame:
+        return df.withColumn("__n", F.row_number().over(W.partitionBy("track_id").orderBy("t", "pos"))).select("track_id", "t", "pos", "__n").mapInArrow(run(None), ddl)
+
+    if chunk_points is None or every.count() <= chunk_points:
+        return dealt(points)
+    long = every.groupBy("track_id").agg(F.count(F.lit(1)).alias("__m")).filter(F.col("__m") > chunk_points)
+    tracks, rows = long.agg(F.count(F.lit(1)), F.sum("__m")).first()
+    if not tracks:
+        return dealt(points)
+    long = long.select("track_id")
+    parts = max(int(points.sparkSession.conf.get("spark.sql.shuffle.partitions")), -(-rows // (16 * chunk_points)))
+    code = F.floor((F.col("t") * 2 + eps_t) / (2 * eps_t))
+    ranges = points.join(long, "track_id", "left_semi").withColumn("__c", code).repartitionByRange(parts, "track_id", "__c").sortWithinPartitions("track_id", "t", "pos")
+    return dealt(points.join(long, "track_id", "left_anti")).unionByName(ranges.select("track_id", "t", "pos").mapInArrow(run(chunk_points), ddl))
+
+
+def _container(piece: Piece, p: CodecParams) -> dict:
+    track, chunk, t, pos = piece
     e = K.encode(t, pos, p)
     payload, bits = K.pack(e, p), K.bits_of(e, p)
     n, dim = pos.shape
     size = len(payload)
     return {
-        "track_id": track, "chunk": chunk, "payload": payload, "n": n, "dim": dim, "t_min": int(t[0]), "t_max": int(t[-1]), "raw_bytes": K.raw_bytes(n, dim),
+        "track_id": track, "chunk": chunk or 0, "cut": chunk is not None, "payload": payload, "n": n, "dim": dim, "t_min": int(t[0]), "t_max": int(t[-1]), "raw_bytes": K.raw_bytes(n, dim),
         "bytes_paper": size, "bytes_with_clock": size if e.uniform else size + -(-K.clock_bits(t, p.eps_t, p.l) // 8), "regular": e.uniform,
         "n_corr": e.stats["error_points"], "n_out": e.stats["outliers"], "n_frag": e.stats["fragments"], "max_sed": e.stats["max_sed"], "sum_sed": e.stats["sum_sed"],
         **{f"bits_{s}": bits[s] for s in K.SECTIONS},
     }
 
 
-_TYPES = {"string": pa.string(), "long": pa.int64(), "int": pa.int32(), "double": pa.float64(), "binary": pa.binary(), "boolean": pa.bool_()}
-
-
-def to_arrow(rows: list[dict], ddl: str) -> pa.Table:
-    kinds = [x.split() for x in ddl.split(", ")]
-    return pa.table({name: pa.array([r[name] for r in rows], _TYPES[kind]) for name, kind in kinds})
-
-
-def compress(points: DataFrame, p: CodecParams, chunk_points: int | None = 1_000_000) -> DataFrame:
-    """One container row a track, or a track and chunk of about `chunk_points` samples.
-
-    A long track is cut by row number, so that no task holds more than a chunk; chunks are containers of
-    their own, and the cut costs a fragment's start each. The window and the grouping use the same hash
-    of the track only for tracks within a chunk; with chunk_points=None there is no window at all."""
-    rows = points.select("track_id", "t", "pos")
-    if chunk_points is None:
-        rows = rows.withColumn("chunk", F.lit(0).cast("long"))
-    else:
-        rows = with_chunks(rows, chunk_points)
-
-    def run(key: tuple[pa.Scalar, ...], table: pa.Table) -> pa.Table:
-        t, pos = columns_of(table)
-        return to_arrow([_container(key[0].as_py(), key[1].as_py(), t, pos, p)], CONTAINER)
-
-    return rows.groupBy("track_id", "chunk").applyInArrow(run, CONTAINER)
-
-
-def with_chunks(points: DataFrame, size: int) -> DataFrame:
-    """Add chunk: equal spans of time, as many as the track's count needs. Two-level: counts and spans a track are
-    aggregated map-side and joined back, so not even a track with most of the rows meets in one task."""
-    spans = points.groupBy("track_id").agg(F.min("t").alias("__a"), (F.max("t") + 1).alias("__z"), F.ceil(F.count(F.lit(1)) / size).alias("__k"))
-    long = spans.filter("__k > 1")
-    chunk = F.floor((F.col("t") - F.col("__a")) * F.col("__k") / (F.col("__z") - F.col("__a")))
-    # few tracks are long: at most a chunk's worth of rows each, so Spark may broadcast them by its own threshold
-    return points.join(long, "track_id", "left").select(*points.columns, F.coalesce(chunk, F.lit(0)).cast("long").alias("chunk"))
-
-
-def decompress(container: DataFrame, clock: DataFrame, p: CodecParams | None = None, chunk_points: int | None = 1_000_000) -> DataFrame:
-    """track_id, t, pos at the clock's times (track_id, t). Without p the parameters come from the headers."""
-    times = clock.select("track_id", "t").distinct()
-    times = times.withColumn("chunk", F.lit(0).cast("long")) if chunk_points is None else with_chunks(times, chunk_points)
-
-    def run(left: pa.Table, right: pa.Table) -> pa.Table:
-        if not left.num_rows or not right.num_rows:
-            return pa.table({"track_id": pa.array([], pa.string()), "t": pa.array([], pa.int64()), "pos": pa.array([], pa.list_(pa.float64()))})
-        e, made = K.unpack(left["payload"][0].as_py(), p)
-        t = np.sort(np.asarray(right["t"]))
-        pos = K.decode(e, t, made)
-        return pa.table({"track_id": pa.array([left["track_id"][0].as_py()] * len(t), pa.string()), "t": t, "pos": pa.array(list(pos), pa.list_(pa.float64()))})
-
-    by = ["track_id", "chunk"]
-    return container.select(*by, "payload").groupBy(*by).cogroup(times.groupBy(*by)).applyInArrow(run, "track_id string, t long, pos array<double>")
+def compress(points: DataFrame, p: CodecParams, chunk_points: int | None = CHUNK) -> DataFrame:
+    """One container row a track, or a track and chunk of about `chunk_points` points where a track has more.
+
+    Chunks are containers of their own (`cut`), and the cut costs a fragment's start each."""
+    schema = arrow_schema(CONTAINER)
+    return over_tracks(points, lambda made: rows_of((_container(x, p) for x in made), schema), CONTAINER, p.eps_t, chunk_points)
+
+
+def _chunk_of(starts: Column, t: Column) -> Column:
+    """The last of the ordered starts at or before t, looked for among every w-th and then among the w after it."""
+    n = F.size(starts)
+    w = F.ceil(F.sqrt(n)).cast("int")
+    heads = F.transform(F.sequence(F.lit(1), n, w), lambda i: F.element_at(starts, i))
+    before = F.size(F.filter(heads, lambda x: x <= t)) - 1
+    inside = F.slice(starts, before * w + 1, w)
+    return F.when(before >= 0, F.element_at(inside, F.size(F.filter(inside, lambda x: x <= t))))
+
+
+def decompress(container: DataFrame, clock: DataFrame, p: CodecParams | None = None) -> DataFrame:
+    """track_id, t, pos at the clock's times (track_id, t): any part of the original times, repeated ones once.
+
+    Each time goes to the container whose own time span holds it, and parameters come from the headers (with p, a container
+    made with others is refused). Times outside all of a track's containers, and tracks without one, give no row; times that
+    were not in the track give interpolated positions without a bound. The container table is read twice: once
+    for the starts of tracks that are cut, so it should be stored and not computed here."""
+    times = clock.select("track_id", "t")
+    cut = container.filter("cut").groupBy("track_id").agg(F.array_sort(F.collect_list("t_min")).alias("__starts"))
+    times = times.join(cut, "track_id", "left").select("track_id", F.coalesce(_chunk_of(F.col("__starts"), F.col("t")), F.lit(0)).alias("chunk"), F.lit(1).alias("kind"), "t")
+    times = times.withColumns({"t_max": F.lit(None).cast("long"), "payload": F.lit(None).cast("binary")})
+    boxes = container.select("track_id", "chunk", F.lit(0).alias("kind"), F.col("t_min").alias("t"), "t_max", "payload")
+    both = boxes.unionByName(times).repartition("track_id", "chunk").sortWithinPartitions("track_id", "chunk", "kind", "t")
+    schema = arrow_schema(POINTS)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        key = box = last = None
+        for batch in batches:
+            ids, chunk, kind, t = (batch.column(i) for i in range(4))
+            names, made, at = [], [], []
+            codes, chunk, kind, t = np.asarray(ids.dictionary_encode().indices), np.asarray(chunk), np.asarray(kind), np.asarray(t)
+            edges = np.flatnonzero((np.diff(codes) != 0) | (np.diff(chunk) != 0) | (np.diff(kind) != 0)) + 1
+            edges = [0, *edges.tolist(), len(codes)]
+            for a, b in zip(edges, edges[1:], strict=False):
+                if a == b:
+                    continue
+                own = (ids[a].as_py(), int(chunk[a]))
+                if own != key:
+                    key, box, last = own, None, None
+                if kind[a] == 0:
+                    e, found = K.unpack(batch.column(5)[a].as_py(), p)
+                    box = e, found, K.decode_uniform(e, found), int(t[a]), batch.column(4)[a].as_py()
+                elif box is not None:
+                    e, found, samples, first, end = box
+                    when = t[a:b]
+                    when = when[(when >= first) & (when <= end) & np.concatenate(([when[0] != last], when[1:] != when[:-1]))]
+                    last = t[b - 1]
+                    if len(when):
+                        names += [own[0]] * len(when)
+                        at.append(when)
+                        made.append(K.decode(e, when, found, samples))
+            if at:
+                yield points_batch(names, np.concatenate(at), made, schema)
+
+    return both.mapInArrow(run, POINTS)
+
+
+def points_batch(names: list[str], t: np.ndarray, made: Sequence[np.ndarray], schema: pa.Schema, *more: pa.Array) -> pa.RecordBatch:
+    """Rows (track_id, t, pos) of matrices one after the other."""
+    size = np.concatenate([np.full(len(x), x.shape[1], np.int32) for x in made])
+    flat = np.concatenate([x.ravel() for x in made])
+    pos = pa.ListArray.from_arrays(pa.array(np.concatenate(([0], np.cumsum(size))).astype(np.int32)), pa.array(flat))
+    return pa.RecordBatch.from_arrays([pa.array(names, pa.string()), pa.array(t, pa.int64()), pos, *more], schema=schema)
 
 
 def decompress_regular(container: DataFrame, p: CodecParams | None = None, t_from: int | None = None, t_to: int | None = None) -> DataFrame:
@@ -106,57 +221,64 @@ def decompress_regular(container: DataFrame, p: CodecParams | None = None, t_fro
         rows = rows.filter(F.col("t_max") >= t_from)
     if t_to is not None:
         rows = rows.filter(F.col("t_min") <= t_to)
+    schema = arrow_schema(POINTS)
 
-    def run(batches):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            ids, ts, out = [], [], []
-            for track, payload, first in zip(b.column("track_id").to_pylist(), b.column("payload").to_pylist(), b.column("t_min").to_pylist(), strict=True):
-                e, made = K.unpack(payload, p)
+            for track, payload, first in zip(b.column(0).to_pylist(), b.column(1), b.column(2).to_pylist(), strict=True):
+                e, made = K.unpack(payload.as_py(), p)
                 t = first + e.dt * np.arange(int(e.counts[0]))
-                pos = K.decode(e, t, made)
-                keep = (t >= (t_from if t_from is not None else t[0])) & (t <= (t_to if t_to is not None else t[-1]))
-                ids += [track] * int(keep.sum())
-                ts.append(t[keep])
-                out += list(pos[keep])
-            yield pa.RecordBatch.from_pydict({"track_id": pa.array(ids, pa.string()), "t": pa.array(np.concatenate(ts) if ts else [], pa.int64()), "pos": pa.array(out, pa.list_(pa.float64()))})
+                t = t[(t >= (t_from if t_from is not None else t[0])) & (t <= (t_to if t_to is not None else t[-1]))]
+                if len(t):
+                    yield points_batch([track] * len(t), t, [K.decode(e, t, made)], schema)
 
-    return rows.select("track_id", "payload", "t_min").mapInArrow(run, "track_id string, t long, pos array<double>")
+    return rows.select("track_id", "payload", "t_min").mapInArrow(run, POINTS)
 
 
-def simplify(points: DataFrame, method: str, p: CodecParams, encoded: bool = True, m: int = 16) -> DataFrame:
-    """Kept counts, bytes and errors of a baseline, a row a track."""
+def simplify(points: DataFrame, method: str, p: CodecParams, encoded: bool = True, m: int = 16, chunk_points: int | None = CHUNK) -> DataFrame:
+    """Kept counts, bytes and errors of a baseline, a row a track (and chunk of a long one)."""
+    ddl = "track_id string, n long, raw_bytes long, kept long, bytes long, max_sed double, sum_sed double"
+    return sweep(points, [({}, lambda t, pos: S.simplified(method, t, pos, p, encoded, m))], ddl, p.eps_t, chunk_points)
 
-    def run(key: tuple[pa.Scalar, ...], table: pa.Table) -> pa.Table:
-        t, pos = columns_of(table)
-        r = S.simplified(method, t, pos, p, encoded, m)
-        return to_arrow([{"track_id": key[0].as_py(), "n": len(t), "raw_bytes": K.raw_bytes(*pos.shape), **r}], "track_id string, n long, raw_bytes long, kept long, bytes long, max_sed double, sum_sed double")
 
-    return points.select("track_id", "t", "pos").groupBy("track_id").applyInArrow(run, "track_id string, n long, raw_bytes long, kept long, bytes long, max_sed double, sum_sed double")
+def kept_points(points: DataFrame, method: str, eps: float, m: int = 16, ratio: float | None = None, chunk_points: int | None = CHUNK) -> DataFrame:
+    """KEPT: track_id, t, pos, generated."""
+    schema = arrow_schema(KEPT)
 
+    def run(made: Iterator[Piece]) -> Iterator[pa.RecordBatch]:
+        held, n = [], 0
 
-def kept_points(points: DataFrame, method: str, eps: float, m: int = 16, ratio: float | None = None) -> DataFrame:
-    """KEPT: track_id, t, pos, generated."""
+        def out() -> pa.RecordBatch:
+            names, ts, paths = zip(*held, strict=True)
+            size = [len(x) for x in ts]
+            return points_batch(np.repeat(np.array(names, object), size).tolist(), np.concatenate(ts), paths, schema, pa.array(np.full(sum(size), method == "cone_weak")))
+
+        for track, _, t, pos in made:
+            held.append((track, *S.kept(method, t, pos, eps, m, ratio)))
+            n += len(held[-1][1])
+            if n > 50_000:
+                yield out()
+                held, n = [], 0
+        if held:
+            yield out()
 
-    def run(key: tuple[pa.Scalar, ...], table: pa.Table) -> pa.Table:
-        t, pos = columns_of(table)
-        s = (t - t[0]) / 1e6
-        if method == "cone_weak" and len(t) > 1:
-            times, path = S.cone_weak(s, pos, eps, m)
-            times = np.rint(times * 1e6).astype(np.int64) + t[0]
-        else:
-            index = np.arange(len(t)) if len(t) < 3 else {"cone_strong": lambda: S.cone_strong(s, pos, eps, m), "pq": lambda: S.pq(s, pos, None if ratio else eps, ratio), "opening_window": lambda: S.opening_window(s, pos, eps)}[method]()
-            times, path = t[index], pos[index]
-        return pa.table({"track_id": pa.array([key[0].as_py()] * len(times), pa.string()), "t": times, "pos": pa.array(list(path), pa.list_(pa.float64())), "generated": pa.array([method == "cone_weak"] * len(times))})
+    return over_tracks(points, run, KEPT, 1, chunk_points)
 
-    return points.select("track_id", "t", "pos").groupBy("track_id").applyInArrow(run, "track_id string, t long, pos array<double>, generated boolean")
 
+def sweep(points: DataFrame, runs: Sequence[tuple[dict | list[dict], Callable]], ddl: str, eps_t: int = 1, chunk_points: int | None = CHUNK) -> DataFrame:
+    """Each run's rows for each track (and chunk of a long one, whose rows add up to the track's).
 
-def sweep(points: DataFrame, runs: Sequence[tuple[dict, Callable]], ddl: str) -> DataFrame:
-    """Each run's row for each track. The grid goes to the data: points are shuffled once, and a task does all runs
-    of its track; a run is (labels, function of (t, pos) giving the rest of the row)."""
+    The grid goes to the data: points are shuffled once, and a task does all runs of its tracks. A run is (labels, function
+    of (t, pos) giving the rest of the row), or (list of labels, function giving as many), where one encoding
+    serves several rows."""
+    schema = arrow_schema(ddl)
 
-    def run(key: tuple[pa.Scalar, ...], table: pa.Table) -> pa.Table:
-        t, pos = columns_of(table)
-        return to_arrow([{"track_id": key[0].as_py(), "n": len(t), "raw_bytes": K.raw_bytes(*pos.shape), **labels, **f(t, pos)} for labels, f in runs], ddl)
+    def rows(made: Iterator[Piece]) -> Iterator[dict]:
+        for track, _, t, pos in made:
+            same = {"track_id": track, "n": len(t), "raw_bytes": K.raw_bytes(*pos.shape)}
+            for labels, f in runs:
+                got = f(t, pos)
+                for tag, x in [(labels, got)] if isinstance(labels, dict) else zip(labels, got, strict=True):
+                    yield {**same, **tag, **x}
 
-    return points.select("track_id", "t", "pos").groupBy("track_id").applyInArrow(run, ddl)
+    return over_tracks(points, lambda made: rows_of(rows(made), schema), ddl, eps_t, chunk_points)

@@ -51,7 +51,8 @@ def relative(rows: DataFrame, value: str, base: str, keys: list[str], method: st
 
 
 def best(rows: DataFrame, keys: list[str], param: str, value: str) -> DataFrame:
-    return rows.groupBy(*keys).agg(F.min_by(param, value).alias(f"best_{param}"), F.min(value).alias(f"best_{value}"))
+    """The parameter of least value for equal keys; of equal values the least parameter."""
+    return rows.groupBy(*keys).agg(F.min_by(param, F.struct(value, param)).alias(f"best_{param}"), F.min(value).alias(f"best_{value}"))
 
 
 def describe(points: DataFrame) -> DataFrame:
@@ -62,6 +63,11 @@ def describe(points: DataFrame) -> DataFrame:
     )
 
 
+def zero_share(coded: DataFrame) -> DataFrame:
+    """Share of zeros among the coefficients' codes, on each axis."""
+    return coded.groupBy("axis").agg(F.avg(F.when(F.col("code") == 0, 1.0).otherwise(0.0)).alias("zero_share"), F.count(F.lit(1)).alias("codes"))
+
+
 def energy(coefficients: DataFrame, share: float = 0.25) -> DataFrame:
     """Share of the energy in the lowest part of each block's spectrum, over all blocks."""
     e = F.col("c") * F.col("c")

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
 from functools import partial, reduce
 
 import numpy as np
@@ -12,7 +13,7 @@ from spectrack.functions import numbers as N
 from spectrack.functions import simplify as S
 from spectrack.functions import theory
 from spectrack.functions import track as K
-from spectrack.functions.params import CodecParams, derive
+from spectrack.functions.params import CONSTANTS, OF_FIXTURE, CodecParams, derive
 from spectrack.operators import blocks
 from spectrack.plans import codec
 from spectrack.plans import measures as M
@@ -24,27 +25,53 @@ PLANAR = {"ev_user": 1.0, "ev_type_smooth": 1.0, "emb_cum": 0.01}
 EPS = [10.0 * i for i in range(1, 11)]
 ROW = "track_id string, n long, raw_bytes long, fixture string, method string, param string, value double, eps double, bytes long, kept long, n_corr long, max_sed double, sum_sed double"
 
+# (method, param, value, eps, what to run), or with lists of params and values where one encoding serves several rows
+Run = tuple[str, str | list[str], float | list[float], float, Callable]
+
+
+def params(fixture: str, dim: int, eps: float, method: str = "spectral", **changes) -> CodecParams:
+    """The fixture's own constants; a point precision of half the bound, or of a fifth for simplifiers."""
+    return derive(eps, dim, OF_FIXTURE.get(f"{fixture}:{dim}", 0), **{"eps_p": (0.5 if method == "spectral" else 0.2) * eps, **changes})
+
+
+def _sized(e: K.Encoded, p: CodecParams) -> dict:
+    return {"bytes": K.size_of(e, p), "kept": 0, "n_corr": e.stats["error_points"], "max_sed": e.stats["max_sed"], "sum_sed": e.stats["sum_sed"]}
+
 
 def _spectral(p: CodecParams, t: np.ndarray, pos: np.ndarray) -> dict:
+    return _sized(K.encode(t, pos, p), p)
+
+
+def _recoded(p: CodecParams, coders: list[dict], t: np.ndarray, pos: np.ndarray) -> list[dict]:
+    """One encoding, its integers written with each coder."""
     e = K.encode(t, pos, p)
-    return {"bytes": 18 + -(-(sum(K.bits_of(e, p).values()) - 144) // 8), "kept": 0, "n_corr": e.stats["error_points"], "max_sed": e.stats["max_sed"], "sum_sed": e.stats["sum_sed"]}
+    return [_sized(e, p.with_(**c)) for c in coders]
 
 
 def _other(method: str, p: CodecParams, encoded: bool, m: int, t: np.ndarray, pos: np.ndarray) -> dict:
     return {"n_corr": 0, **S.simplified(method, t, pos, p, encoded, m)}
 
 
-def _run(method: str, eps: float, dim: int, encoded: bool = True, m: int = 16, **changes):
+def _lengths(method: str, p: CodecParams, lengths: list[int], t: np.ndarray, pos: np.ndarray) -> list[dict]:
+    """One path or encoding, its integers written with each chunk length."""
     if method == "spectral":
-        return partial(_spectral, derive(eps, dim, **{"eps_p": 0.5 * eps, **changes}))
-    return partial(_other, method, derive(eps, dim, **{"eps_p": 0.2 * eps, **changes}), encoded, m)
+        return _recoded(p, [{"l": k, "l_freq": k} for k in lengths], t, pos)
+    return [{"n_corr": 0, **x} for x in S.coded(method, t, pos, p, lengths)]
+
 
+def _run(fixture: str, method: str, eps: float, dim: int, encoded: bool = True, m: int = 16, **changes) -> Callable:
+    p = params(fixture, dim, eps, method, **changes)
+    return partial(_spectral, p) if method == "spectral" else partial(_other, method, p, encoded, m)
 
-def _sweep(spark: SparkSession, sf_dir: str, fixtures: dict[str, float], runs, dim: int = 2) -> DataFrame:
-    """runs(factor) -> [(method, param, value, eps, function)] for each fixture."""
+
+def _sweep(spark: SparkSession, sf_dir: str, fixtures: dict[str, float], runs: Callable[[str, float], list[Run]], dim: int = 2) -> DataFrame:
+    """runs(fixture, factor) for each fixture, one job a fixture."""
     made = []
     for name, factor in fixtures.items():
-        grid = [({"fixture": name, "method": m, "param": p, "value": float(v), "eps": e}, f) for m, p, v, e, f in runs(factor)]
+        grid = []
+        for m, param, value, e, f in runs(name, factor):
+            tags = [{"fixture": name, "method": m, "param": x, "value": float(v), "eps": e} for x, v in zip(param, value, strict=True)] if isinstance(param, list) else {"fixture": name, "method": m, "param": param, "value": float(value), "eps": e}
+            grid.append((tags, f))
         points = D.FIXTURES[name](spark, sf_dir)
         if dim == 2 and name.startswith("li_"):
             points = points.withColumn("pos", F.slice("pos", 1, 2))
@@ -60,12 +87,13 @@ def summary(rows: DataFrame) -> DataFrame:
 
 
 def w0_dataset_summary(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return reduce(DataFrame.unionByName, [M.describe(f(spark, sf_dir)).withColumn("fixture", F.lit(name)) for name, f in D.FIXTURES.items()])
+    rows = [M.describe(f(spark, sf_dir)).withColumn("fixture", F.lit(name)) for name, f in D.FIXTURES.items()]
+    return reduce(DataFrame.unionByName, rows).withColumns({"gap_mean": F.round("gap_mean", 3), "gap_var": F.round("gap_var", 0)})
 
 
 def w1_encode_ablation(spark: SparkSession, sf_dir: str, grid=EPS) -> DataFrame:
     """Baselines with and without the integer coder."""
-    runs = lambda f: [(m, "encoded", on, e * f, _run(m, e * f, 2, bool(on))) for m in METHODS[1:] for on in (0, 1) for e in grid]
+    runs = lambda n, f: [(m, "encoded", on, e * f, _run(n, m, e * f, 2, bool(on))) for m in METHODS[1:] for on in (0, 1) for e in grid]
     s = summary(_sweep(spark, sf_dir, PLANAR, runs))
     both = s.groupBy("fixture", "method", "eps").pivot("value", [0.0, 1.0]).agg(F.first("ratio"))
     both = both.withColumnRenamed("0.0", "plain_ratio").withColumnRenamed("1.0", "encoded_ratio")
@@ -73,69 +101,83 @@ def w1_encode_ablation(spark: SparkSession, sf_dir: str, grid=EPS) -> DataFrame:
 
 
 def w2_zigzag_ablation(spark: SparkSession, sf_dir: str, grid=EPS) -> DataFrame:
-    """Classic against zero-free codes of the coefficients, at chunk lengths 1 and 2."""
-    runs = lambda f: [("spectral", f"{'zero_free' if z else 'classic'}_l{k}", k, e * f, _run("spectral", e * f, 2, zero_free=z, l_freq=k)) for z in (False, True) for k in (1, 2) for e in grid]
+    """Classic against zero-free codes of the coefficients, at chunk lengths 1 and 2: the same integers, coded four times."""
+    coders = [{"zero_free": z, "l_freq": k} for z in (False, True) for k in (1, 2)]
+    names = [f"{'zero_free' if c['zero_free'] else 'classic'}_l{c['l_freq']}" for c in coders]
+    runs = lambda n, f: [("spectral", names, [c["l_freq"] for c in coders], e * f, partial(_recoded, params(n, 2, e * f), coders)) for e in grid]
     s = summary(_sweep(spark, sf_dir, PLANAR, runs))
-    both = s.groupBy("fixture", "eps").pivot("param", ["classic_l1", "classic_l2", "zero_free_l1", "zero_free_l2"]).agg(F.first("ratio"))
+    both = s.groupBy("fixture", "eps").pivot("param", sorted(names)).agg(F.first("ratio"))
     return both.withColumn("improvement_l1", M.improvement(F.col("zero_free_l1") / F.col("classic_l1"))).withColumn("improvement_l2", M.improvement(F.col("zero_free_l2") / F.col("classic_l2")))
 
 
 def w3_block_size(spark: SparkSession, sf_dir: str, grid=(4, 8, 16, 32, 64, 128, 256, 512), eps=(20.0, 50.0, 80.0)) -> DataFrame:
-    runs = lambda f: [("spectral", "b_s", b, e * f, _run("spectral", e * f, 2, b_s=b)) for b in grid for e in eps]
+    runs = lambda n, f: [("spectral", "b_s", b, e * f, _run(n, "spectral", e * f, 2, b_s=b)) for b in grid for e in eps]
     return summary(_sweep(spark, sf_dir, PLANAR, runs))
 
 
 def w4_retention(spark: SparkSession, sf_dir: str, grid=tuple(2.0**-i for i in range(8)), eps: float = 50.0) -> DataFrame:
-    runs = lambda f: [("spectral", "r_ret", r, eps * f, _run("spectral", eps * f, 2, r_ret=r, b_s=128)) for r in grid]
+    runs = lambda n, f: [("spectral", "r_ret", r, eps * f, _run(n, "spectral", eps * f, 2, r_ret=r, b_s=128)) for r in grid]
     return summary(_sweep(spark, sf_dir, PLANAR, runs))
 
 
 def w5_ratio_vs_eps(spark: SparkSession, sf_dir: str, grid=EPS) -> DataFrame:
     """All methods over the bounds; `relative` is the spectral codec's ratio over the method's."""
-    runs = lambda f: [(m, "eps", e, e * f, _run(m, e * f, 2)) for m in METHODS for e in grid]
+    runs = lambda n, f: [(m, "eps", e, e * f, _run(n, m, e * f, 2)) for m in METHODS for e in grid]
     s = summary(_sweep(spark, sf_dir, PLANAR, runs))
     return M.relative(s, "ratio", "spectral", ["fixture", "eps"]).withColumn("relative", 1 / F.col("relative")).withColumn("improvement", M.improvement(F.col("relative")))
 
 
 def w6_chunk_length(spark: SparkSession, sf_dir: str, grid=tuple(range(1, 8)), eps: float = 50.0) -> DataFrame:
-    runs = lambda f: [(m, "l", k, eps * f, _run(m, eps * f, 2, l=k, **({"l_freq": k} if m == "spectral" else {}))) for m in METHODS for k in grid]
+    """Chunk lengths of all methods; a track is encoded, or simplified, once a method."""
+    k = list(grid)
+    runs = lambda n, f: [(m, ["l"] * len(k), k, eps * f, partial(_lengths, m, params(n, 2, eps * f, m), k)) for m in METHODS]
     return summary(_sweep(spark, sf_dir, PLANAR, runs))
 
 
 def w7_freq_precision(spark: SparkSession, sf_dir: str, grid=(0.2, 0.3, 0.4, 0.5, 0.6, 0.8, 1.0, 1.2), eps: float = 50.0) -> DataFrame:
-    planar = _sweep(spark, sf_dir, PLANAR, lambda f: [("spectral", "a", a, eps * f, _run("spectral", eps * f, 2, eps_f=eps * f / a)) for a in grid])
-    solid = _sweep(spark, sf_dir, {"li_supp_smooth": 1.0}, lambda f: [("spectral", "a", a, eps * f, _run("spectral", eps * f, 3, eps_f=eps * f / a)) for a in grid], 3)
+    planar = _sweep(spark, sf_dir, PLANAR, lambda n, f: [("spectral", "a", a, eps * f, _run(n, "spectral", eps * f, 2, eps_f=eps * f / a)) for a in grid])
+    solid = _sweep(spark, sf_dir, {"li_supp_smooth": 1.0}, lambda n, f: [("spectral", "a", a, eps * f, _run(n, "spectral", eps * f, 3, eps_f=eps * f / a)) for a in grid], 3)
     return summary(planar.unionByName(solid))
 
 
 def w8_point_precision(spark: SparkSession, sf_dir: str, grid=(0.05, 0.1, 0.2, 0.3, 0.4, 0.5, 0.6), eps: float = 50.0) -> DataFrame:
-    runs = lambda f: [(m, "eps_p", x, eps * f, _run(m, eps * f, 2, eps_p=x * eps * f)) for m in METHODS for x in grid]
+    runs = lambda n, f: [(m, "eps_p", x, eps * f, _run(n, m, eps * f, 2, eps_p=x * eps * f)) for m in METHODS for x in grid]
     return summary(_sweep(spark, sf_dir, PLANAR, runs))
 
 
 def w9_mean_error(spark: SparkSession, sf_dir: str, grid=EPS) -> DataFrame:
-    s = w5_ratio_vs_eps(spark, sf_dir, grid)
+    """Mean errors over the bounds, and what the theory expects of the spectral codec at its frequency precision."""
+    runs = lambda n, f: [(m, "eps", e, e * f, _run(n, m, e * f, 2)) for m in METHODS for e in grid]
+    s = summary(_sweep(spark, sf_dir, PLANAR, runs))
     wide = s.groupBy("fixture", "eps").pivot("method", list(METHODS)).agg(F.first("mean_sed"))
-    wide = wide.withColumn("theory", F.lit(theory.mean_track_error(0.6, 2)) * F.col("eps"))
+    share = F.create_map(*[F.lit(x) for n in PLANAR for x in (n, theory.mean_track_error(CONSTANTS[OF_FIXTURE.get(f"{n}:2", 0)].a, 2))])
+    wide = wide.withColumn("theory", share[F.col("fixture")] * F.col("eps"))
     return wide.withColumn("reduction", M.error_reduction(F.col("spectral"), F.col("cone_weak")))
 
 
 def w10_three_d(spark: SparkSession, sf_dir: str, grid=EPS) -> DataFrame:
-    runs = lambda f: [(m, "eps", e, e * f, _run(m, e * f, 3)) for m in ("spectral", "pq") for e in grid]
+    runs = lambda n, f: [(m, "eps", e, e * f, _run(n, m, e * f, 3)) for m in ("spectral", "pq") for e in grid]
     s = summary(_sweep(spark, sf_dir, {"li_supp_smooth": 1.0, "li_supp": 1.0}, runs, 3))
     return M.relative(s, "ratio", "pq", ["fixture", "eps"])
 
 
-def w11_formula_vs_search(spark: SparkSession, sf_dir: str, grid=(4, 8, 16, 32, 64, 128), eps=(10.0, 30.0, 50.0, 70.0, 90.0)) -> DataFrame:
-    """How far the formula's block size is from the best of the grid, at each bound."""
-    searched = summary(_sweep(spark, sf_dir, PLANAR, lambda f: [("spectral", "b_s", b, e * f, _run("spectral", e * f, 2, b_s=b)) for b in grid for e in eps]))
-    formula = summary(_sweep(spark, sf_dir, PLANAR, lambda f: [("spectral", "formula", 0, e * f, _run("spectral", e * f, 2)) for e in eps]))
-    found = M.best(searched, ["fixture", "eps"], "value", "ratio")
-    return found.join(formula.select("fixture", "eps", F.col("ratio").alias("formula_ratio")), ["fixture", "eps"]).withColumn("gap", F.col("formula_ratio") / F.col("best_ratio") - 1)
+def w11_formula_vs_search(spark: SparkSession, sf_dir: str, grid=(4, 8, 16, 32, 64, 128), retained=(1.0, 0.5, 0.25, 0.125), eps=(10.0, 30.0, 50.0, 70.0, 90.0)) -> DataFrame:
+    """How far the formulas' block size and retention are from the best of a grid over both, at each bound."""
+
+    def runs(n: str, f: float) -> list[Run]:
+        searched = [("search", f"r_ret={r}", b, e * f, _run(n, "spectral", e * f, 2, b_s=b, r_ret=r)) for b in grid for r in retained for e in eps]
+        return searched + [("formula", "", 0, e * f, _run(n, "spectral", e * f, 2)) for e in eps]
+
+    s = summary(_sweep(spark, sf_dir, PLANAR, runs))
+    r = F.regexp_extract("param", "r_ret=(.*)", 1).try_cast("double")
+    found = M.best(s.filter("method = 'search'").withColumn("best", F.struct(F.col("value").alias("b_s"), r.alias("r_ret"))), ["fixture", "eps"], "best", "ratio")
+    formula = s.filter("method = 'formula'").select("fixture", "eps", F.col("ratio").alias("formula_ratio"))
+    both = found.join(formula, ["fixture", "eps"]).select("fixture", "eps", F.col("best_best.b_s").alias("best_b_s"), F.col("best_best.r_ret").alias("best_r_ret"), "best_ratio", "formula_ratio")
+    return both.withColumn("gap", F.col("formula_ratio") / F.col("best_ratio") - 1)
 
 
 def w12_polygon_sides(spark: SparkSession, sf_dir: str, grid=(4, 8, 16, 32), eps: float = 50.0) -> DataFrame:
-    runs = lambda f: [(c, "m", m, eps * f, _run(c, eps * f, 2, True, m)) for c in ("cone_strong", "cone_weak") for m in grid]
+    runs = lambda n, f: [(c, "m", m, eps * f, _run(n, c, eps * f, 2, True, m)) for c in ("cone_strong", "cone_weak") for m in grid]
     return summary(_sweep(spark, sf_dir, PLANAR, runs))
 
 
@@ -150,16 +192,30 @@ def w13_trapezoid(spark: SparkSession, sf_dir: str, n: int = 257, b_s: int = 64)
     profile = M.energy(blocks.coefficients(blocks.velocities(made, b_s), b_s)).withColumn("fixture", F.lit("trapezoid"))
     cum = blocks.axes(blocks.from_clock(D.emb_cum(spark, sf_dir), 100_000))
     smooth = M.energy(blocks.coefficients(blocks.velocities(cum, 32), 32)).withColumn("fixture", F.lit("emb_cum"))
-    return profile.unionByName(smooth)
+    return profile.unionByName(smooth).withColumn("low_share", F.round("low_share", 6))
 
 
 def w14_interval(spark: SparkSession, sf_dir: str, grid=(0.5, 0.75, 1.0, 1.5, 2.0), eps: float = 50.0) -> DataFrame:
     """The resampling interval as a multiple of the rule's."""
     some = {k: v for k, v in PLANAR.items() if k != "emb_cum"}
-    runs = lambda f: [("spectral", "dt", s, eps * f, _run("spectral", eps * f, 2, dt_scale=s)) for s in grid]
+    runs = lambda n, f: [("spectral", "dt", s, eps * f, _run(n, "spectral", eps * f, 2, dt_scale=s)) for s in grid]
     return summary(_sweep(spark, sf_dir, some, runs))
 
 
+#: what each variant changes; truncation against none, since the rule's own retention may keep everything
+ABLATIONS = {
+    "rule": {}, "no_truncation": {"r_ret": 1.0}, "truncated_to_a_quarter": {"r_ret": 0.25}, "one_block": {"blocks": False}, "classic_zigzag": {"zero_free": False},
+    "open_ends": {"ends": "open"}, "not_validated": {"validate": False}, "positions": {"positions": True},
+}
+
+
+def w15_ablations(spark: SparkSession, sf_dir: str, eps: float = 50.0) -> DataFrame:
+    """The codec without one of its parts at a time: sizes and errors. Only the variant that is not validated may
+    pass the bound."""
+    runs = lambda n, f: [("spectral", name, 0, eps * f, _run(n, "spectral", eps * f, 2, **change)) for name, change in ABLATIONS.items()]
+    return summary(_sweep(spark, sf_dir, PLANAR, runs))
+
+
 def bit_table(codes: DataFrame, code: str) -> DataFrame:
     """Bits of all codes at every chunk length, from one pass over the codes."""
     spark = codes.sparkSession
@@ -174,6 +230,6 @@ ALL = {
     f.__name__: f
     for f in (
         w0_dataset_summary, w1_encode_ablation, w2_zigzag_ablation, w3_block_size, w4_retention, w5_ratio_vs_eps, w6_chunk_length, w7_freq_precision,
-        w8_point_precision, w9_mean_error, w10_three_d, w11_formula_vs_search, w12_polygon_sides, w13_trapezoid, w14_interval,
+        w8_point_precision, w9_mean_error, w10_three_d, w11_formula_vs_search, w12_polygon_sides, w13_trapezoid, w14_interval, w15_ablations,
     )
 }

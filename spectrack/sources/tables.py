@@ -27,17 +27,19 @@ def whole(x: Column) -> Column:
 
 
 def read_gps_csv(spark: SparkSession, path: str, header: bool = True) -> DataFrame:
-    """Logs of track, time in microseconds, and two or three coordinates."""
-    schema = "track_id string, t long, x double, y double, z double"
-    return _logs(spark.read.schema(schema).csv(path, header=header, mode="DROPMALFORMED"))
+    """Logs of track, time in microseconds, and two or three coordinates, as many as the header (or the first row)
+    has. A row with a field missing or unreadable keeps a null there, so `usable` refuses it and `refused` counts it."""
+    df = spark.read.csv(path, header=header)
+    names = ["track_id", "t", "x", "y", "z"]
+    if not header:
+        df = df.toDF(*names[: len(df.columns)])
+    return df.select("track_id", F.col("t").try_cast("long").alias("t"), F.array(*[F.col(c).try_cast("double") for c in names[2:] if c in df.columns]).alias("pos"))
 
 
 def read_gps_json(spark: SparkSession, path: str) -> DataFrame:
-    return _logs(spark.read.schema("track_id string, t long, x double, y double, z double").json(path))
-
-
-def _logs(df: DataFrame) -> DataFrame:
-    return df.select("track_id", "t", F.filter(F.array("x", "y", "z"), lambda v: v.isNotNull()).alias("pos"))
+    """The same as JSON lines; a row without z is planar."""
+    df = spark.read.schema("track_id string, t long, x double, y double, z double").json(path)
+    return df.select("track_id", "t", F.when(F.col("z").isNull(), F.array("x", "y")).otherwise(F.array("x", "y", "z")).alias("pos"))
 
 
 def write_container(container: DataFrame, path: str, buckets: int = 64) -> None:
@@ -137,6 +139,7 @@ def li_supp_smooth(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def _vectors(spark: SparkSession, sf_dir: str, dim: int) -> DataFrame:
+    """Vectors as axes, `dim` neighbours a track; neighbours that aren't that many, at the table's end, are no track."""
     e = table(spark, sf_dir, "embeddings").select("vec_id", F.posexplode("embedding").alias("j", "e"))
     return e.select(
         F.floor(F.col("vec_id") / dim).cast("string").alias("track_id"), (F.col("vec_id") % dim).cast("int").alias("axis"), "j", whole(F.col("e").cast("double") * 1e9).alias("s0")

@@ -1,21 +1,24 @@
 """The interval search against brute force."""
 
-import pyarrow as pa
+import collections
+
+import numpy as np
 
 from spectrack import queries
 from spectrack.functions import track as K
 from spectrack.functions.params import derive
 from spectrack.operators import points as P
-from spectrack.plans import codec
 from spectrack.sources import tables as D
 
 
 def test_interval_search_equals_brute_force(spark, sf_dir):
     p = derive(50.0, v_max=queries.V_MAX)
     want = {}
-    table = D.ev_user(spark, sf_dir).select("track_id", "t", "pos").toArrow()
-    for track in table["track_id"].unique().to_pylist():
-        t, pos = codec.columns_of(table.filter(pa.compute.equal(table["track_id"], track)))
+    rows = collections.defaultdict(list)
+    for r in D.ev_user(spark, sf_dir).collect():
+        rows[r.track_id].append((r.t, *r.pos))
+    for track, points in rows.items():
+        t, pos = np.array([x[0] for x in sorted(points)]), np.array([x[1:] for x in sorted(points)])
         common = K.common_interval(t, K.fragment_starts(t, pos, p), p.eps_t)
         sizes = []
         for dt in (10, 20, 30):

@@ -74,7 +74,7 @@ def made(n, dim, seed, regular=False, jump=False):
     return t, pos
 
 
-CHANGES = [{}, {"v_max": 100.0}, {"ends": "open"}, {"positions": True}, {"blocks": False}, {"l_freq": 2, "l": 5}, {"zero_free": False}, {"eps_f": 1000.0, "r_ret": 2**-7}, {"gap_mean": "exclusive", "b_s": 4}, {"dt_scale": 2.0}]
+CHANGES = [{}, {"v_max": 100.0}, {"ends": "open"}, {"positions": True}, {"blocks": False}, {"l_freq": 2, "l": 5}, {"zero_free": False}, {"eps_f": 1000.0, "r_ret": 2**-7}, {"gap_mean": "exclusive", "b_s": 4}, {"dt_scale": 2.0}, {"eps_t": 1000}, {"b_s": 64}, {"eps_p": 10.0}, {"eps_f": 10.0}]
 
 
 @pytest.mark.parametrize("dim", [1, 2, 3, 5])
@@ -88,8 +88,40 @@ def test_bound_holds_through_bytes(dim, n):
         assert len(data) == -(-sum(K.bits_of(e, p).values()) // 8)
         back = K.decode(K.unpack(data, p)[0], t, p)
         assert np.linalg.norm(back - pos, axis=1).max() <= 50.0
-        if not change:  # the header alone is enough
-            assert (K.decode(*reversed([t, K.unpack(data)[0]]), K.unpack(data)[1]) == back).all()
+        own, found = K.unpack(data)  # the bytes alone are enough
+        assert (K.decode(own, t, found) == back).all() and K.head(own, found) == K.head(e, p)
+        some = np.arange(n)[n // 3 :: 2][::-1]  # and each time's position doesn't depend on the others asked for
+        assert (K.decode(own, t[some], found) == back[some]).all()
+
+
+def test_times_off_the_precision():
+    """Uniform gaps that the time precision doesn't divide, and starts off it, still keep the bound from the bytes."""
+    for first, gap, eps_t in ((0, 1500, 1000), (333, 2000, 1000), (7, 100_003, 100)):
+        t = first + np.arange(300) * gap
+        pos = np.cumsum(np.random.default_rng(gap).normal(0, 5, (300, 2)), axis=0)
+        p = derive(10.0, eps_t=eps_t)
+        e, found = K.unpack(K.pack(K.encode(t, pos, p), p))
+        assert np.linalg.norm(K.decode(e, t, found) - pos, axis=1).max() <= 10.0
+
+
+def test_whole_numbers_come_back_exactly():
+    r = np.random.default_rng(4)
+    t, pos = np.cumsum(r.integers(1, 9, 500)), np.cumsum(r.integers(-9, 10, (500, 3)), axis=0).astype(float) * 12345
+    p = derive(3.0, 3, integer_input=True)
+    e, found = K.unpack(K.pack(K.encode(t, pos, p), p))
+    assert (K.decode(e, t, found) == pos).all()
+    with pytest.raises(ValueError):
+        K.encode(t, pos + 0.5, p)
+
+
+def test_cone_by_samples_is_the_batch_cone():
+    for seed in range(4):
+        t, pos = made(300, 2, seed)
+        for method in ("cone_strong", "cone_weak"):
+            c = S.Cone(50.0, method == "cone_weak")
+            steps = [x for a, b in zip(t.tolist(), pos.tolist(), strict=True) for x in c.add(a, b)] + c.finish()
+            times, path = S.kept(method, t, pos, 50.0)
+            assert [a for a, _ in steps] == times.tolist() and np.allclose([b for _, b in steps], path, atol=1e-6)
 
 
 def test_straight_line_stores_nothing():

@@ -65,14 +65,41 @@ def test_engines_agree(spark, sf_dir):
                 at += n
 
 
+def beyond(pts, back, eps):
+    """Points lost, invented or further off than eps."""
+    both = pts.join(back.withColumnRenamed("pos", "q"), ["track_id", "t"], "full_outer")
+    return both.filter(F.col("q").isNull() | F.col("pos").isNull() | (F.sqrt(F.pow(F.col("pos")[0] - F.col("q")[0], 2) + F.pow(F.col("pos")[1] - F.col("q")[1], 2)) > eps)).count()
+
+
 def test_chunks_bound_a_task_and_keep_the_bound(spark, sf_dir):
     pts = D.ev_all(spark, sf_dir)
     p = derive(50.0)
     c = codec.compress(pts, p, 300).cache()
-    assert c.count() >= 3 and max(r.n for r in c.collect()) < 600
-    back = codec.decompress(c, pts, p, 300)
-    off = pts.join(back.withColumnRenamed("pos", "q"), ["track_id", "t"], "full_outer").filter(F.col("q").isNull() | F.col("pos").isNull() | (F.sqrt(F.pow(F.col("pos")[0] - F.col("q")[0], 2) + F.pow(F.col("pos")[1] - F.col("q")[1], 2)) > 50.0))
-    assert off.count() == 0
+    assert c.count() >= 4 and max(r.n for r in c.collect()) <= 300 and all(r.cut for r in c.collect())
+    assert beyond(pts, codec.decompress(c, pts, p), 50.0) == 0
+
+
+def test_chunks_hold_points_and_not_spans(spark):
+    """Nearly all points in a hundredth of the time; then only the last of them asked for, and some of them twice."""
+    r = np.random.default_rng(2)
+    t = np.sort(np.concatenate((r.choice(10_000, 990, replace=False), 10**6 + np.arange(10) * 10**5))) * 1000
+    rows = [(name, int(x), [float(x % 977), float(x % 13)]) for name in "ab" for x in t]
+    pts = spark.createDataFrame(rows + [("short", int(x), [1.0, float(i)]) for i, x in enumerate(t[:50])], "track_id string, t long, pos array<double>")
+    c = codec.compress(pts, derive(1.0), 300).cache()
+    n = {k: [x.n for x in c.collect() if x.track_id == k] for k in ("a", "b", "short")}
+    assert all(max(n[k]) <= 300 and sum(n[k]) == 1000 for k in "ab") and n["short"] == [50]
+    late = pts.filter(F.col("t") >= int(t[700]))
+    assert beyond(late, codec.decompress(c, late.unionByName(late)), 1.0) == 0
+    outside = spark.createDataFrame([("a", -5), ("a", int(t[-1]) + 1), ("unknown", 5)], "track_id string, t long")
+    assert codec.decompress(c, outside).count() == 0
+
+
+def test_containers_made_otherwise_are_refused(spark):
+    pts = spark.createDataFrame([("a", i * 10, [float(i * i % 31)]) for i in range(50)], "track_id string, t long, pos array<double>")
+    c = codec.compress(pts, derive(2.0, 1, b_s=8)).cache()
+    with pytest.raises(Exception, match="other parameters"):
+        codec.decompress(c, pts, derive(2.0, 1)).collect()
+    assert codec.decompress(c, pts, derive(2.0, 1, b_s=8)).count() == 50
 
 
 def test_plans(spark, sf_dir):
@@ -112,20 +139,21 @@ def test_workload_shapes(spark, sf_dir):
 
 
 def test_stream_equals_batch(spark, sf_dir):
-    """Fragments put out by the stream are those of one pass in order, each with the batch kernel's error."""
+    """Fragments put out by the stream, and those open at its end, are those of one pass in order, each with the
+    batch kernel's error."""
     got = collections.defaultdict(list)
     for r in streams.replay(spark, sf_dir, "fragments").collect():
         got[r.track_id].append((r.frag, r.n, r.t0))
         assert r.max_sed <= 10.0
     p = CodecParams(eps=10.0, eps_f=10 / 0.6, b_s=4, r_ret=1.0, eps_p=5.0, default_dt=3_600_000_000)
-    rows = collections.defaultdict(list)
+    rows = collections.defaultdict(set)
     for r in D.table(spark, sf_dir, "events").select(F.col("user_id").cast("string").alias("u"), D.micros("ts").alias("t")).collect():
-        rows[r.u].append(r.t)
+        rows[r.u].add(r.t)
+    assert set(got) == set(rows)
     for track, times in rows.items():
-        t = np.sort(times)
-        start = np.concatenate(([0], np.flatnonzero(np.diff(t) > p.b_s * p.default_dt) + 1))
-        want = [(i, int(n), int(t[a])) for i, (a, n) in enumerate(zip(start, np.diff(np.append(start, len(t))), strict=True))]
-        assert sorted(got[track]) == want[:-1]  # the last one is still open
+        t = np.array(sorted(times))
+        start = K.fragment_starts(t, np.zeros((len(t), 1)), p)
+        assert sorted(got[track]) == [(i, int(n), int(t[a])) for i, (a, n) in enumerate(zip(start, np.diff(np.append(start, len(t))), strict=True))]
 
 
 def test_sinks_and_logs(spark, sf_dir, tmp_path):
@@ -141,3 +169,6 @@ def test_sinks_and_logs(spark, sf_dir, tmp_path):
     want = [("a", 1, [2.0, 3.0]), ("a", 2, [4.0, 5.0])]
     assert sorted(map(tuple, D.read_gps_json(spark, str(tmp_path / "json")).collect())) == want
     assert sorted(map(tuple, D.read_gps_csv(spark, str(tmp_path / "csv")).collect())) == want
+    (tmp_path / "solid.csv").write_text("b,1,1.5,2.5,3.5\nb,2,1.5,oops,3.5\nb,3,1.5\nb,x,1,2,3\nb,4,1,2,3\n")
+    solid = D.read_gps_csv(spark, str(tmp_path / "solid.csv"), header=False)
+    assert sorted(map(tuple, D.usable(solid).collect())) == [("b", 1, [1.5, 2.5, 3.5]), ("b", 4, [1.0, 2.0, 3.0])] and D.refused(solid) == 3

@@ -41,3 +41,31 @@ def test_stream_fragments_equal_the_batch_rule(spark, tmp_path):
 def test_registered_stream_loses_nothing(spark, sf_dir):
     n = queries.op_stream_fragments(spark, sf_dir).agg(F.sum("n")).first()[0]
     assert n == D.table(spark, sf_dir, "events").select("user_id", "ts").distinct().count()
+
+
+def _files(spark, tmp_path, parts, schema):
+    for i, rows in enumerate(parts):
+        spark.createDataFrame(rows, schema).coalesce(1).write.parquet(str(tmp_path / f"in{i}"))
+    stream = spark.readStream.schema(schema).option("maxFilesPerTrigger", 1).parquet(str(tmp_path / "in*"))
+    return stream.withColumn("ts", F.timestamp_micros("t"))
+
+
+def test_late_rows_are_dropped_and_counted(spark, tmp_path):
+    """A batch moves the watermark; what comes behind it in later batches is dropped, and the query says how much."""
+    schema = "track_id string, t long, pos array<double>"
+    hour = 60 * MINUTE
+    on_time = [("a", 10**12 + i * MINUTE, [float(i)]) for i in range(300)]
+    parts = [on_time[:200], on_time[200:250], on_time[250:] + [("a", 10**12 - 9 * hour, [0.0]), ("a", 10**12 - 8 * hour, [0.0])]]
+    p = CodecParams(eps=10.0, eps_f=10 / 0.6, b_s=4, r_ret=1.0, eps_p=5.0, default_dt=MINUTE)
+    made, checkpoint, query = streams._ended(streams.compress_stream(_files(spark, tmp_path, parts, schema), p))
+    assert streams.late_dropped(query) == 2
+    rows = made.unionByName(streams.leftover(spark, checkpoint, p)).collect()
+    assert sum(x.n for x in rows) == 300
+
+
+def test_open_fragments_are_bounded(spark, tmp_path):
+    schema = "track_id string, t long, pos array<double>"
+    rows = [("a", 10**12 + i * MINUTE, [float(i)]) for i in range(250)]
+    p = CodecParams(eps=10.0, eps_f=10 / 0.6, b_s=4, r_ret=1.0, eps_p=5.0, default_dt=MINUTE)
+    made, checkpoint, _ = streams._ended(streams.compress_stream(_files(spark, tmp_path, [rows[:120], rows[120:]], schema), p, most=50))
+    assert sorted(x.n for x in made.unionByName(streams.leftover(spark, checkpoint, p, 50)).collect()) == [50] * 5
