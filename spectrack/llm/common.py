@@ -2,54 +2,19 @@
 
 from __future__ import annotations
 
-import tempfile
-import uuid
 from collections.abc import Iterator
 
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql import types as T
 from pyspark.sql.window import Window as W
 
-# the six ASCII white space characters that separate words
-SPACES = " \t\n\x0b\x0c\r"
-
-_own_dir: str | None = None
-
-
-def stage_dir(spark: SparkSession) -> str:
-    """The shared folder named by the session, or one of our own where none is set (tests)."""
-    global _own_dir
-    named = spark.conf.get("spark.checkpoint.dir", None)
-    if named:
-        return named
-    if _own_dir is None:
-        _own_dir = "file://" + tempfile.mkdtemp(prefix="spectrack-stage-")
-    return _own_dir
-
+from spectrack.sources.stage import discard, stage_dir, staged
 
-def staged(df: DataFrame, name: str) -> DataFrame:
-    """Write df as Parquet into the shared folder and read it back: lineage ends here, so a lost
-    executor costs a re-read and no work is done twice."""
-    spark = df.sparkSession
-    path = f"{stage_dir(spark)}/spectrack/{uuid.uuid4().hex}/{name}"
-    df.write.parquet(path)
-    schema = T.StructType([T.StructField(f.name, f.dataType, True) for f in df.schema.fields])
-    out = spark.read.schema(schema).parquet(path)
-    out._staged_path = path
-    return out
-
-
-def discard(df: DataFrame | None) -> None:
-    """Delete a table made by staged() that nothing reads any more."""
-    path = getattr(df, "_staged_path", None)
-    if path is None:
-        return
-    jvm, sc = df.sparkSession._jvm, df.sparkSession.sparkContext
-    target = jvm.org.apache.hadoop.fs.Path(path)
-    target.getFileSystem(sc._jsc.hadoopConfiguration()).delete(target, True)
+__all__ = ["SPACES", "discard", "keep_rows", "lean", "numbered", "ranked", "row_key", "stage_dir", "staged", "text_or_empty"]
 
+# the six ASCII white space characters that separate words
+SPACES = " \t\n\x0b\x0c\r"
 
 def lean(batches: Iterator[pa.RecordBatch], rows: int = 1000) -> Iterator[pa.RecordBatch]:
     """The batches in smaller slices; what Arrow's pool keeps of the ones before goes back to the system."""
@@ -77,23 +42,36 @@ def row_key(id_col: str = "doc_id", text_col: str = "text") -> Column:
 def keep_rows(docs: DataFrame, kept: DataFrame, key: Column) -> DataFrame:
     """Rows of docs whose key is in kept (column `row_key`, unique); of rows sharing a key one stays.
 
-    The window runs on the join's own partitioning and sort, so texts cross the network once."""
-    keyed = docs.withColumn("__row_key", key)
-    both = keyed.join(kept.select(F.col("row_key").alias("__row_key")), "__row_key")
-    first = F.row_number().over(W.partitionBy("__row_key").orderBy("__row_key"))
-    return both.withColumn("__nth", first).filter("__nth = 1").select(*docs.columns)
+    Rows of one key are brought down to one a task before the shuffle, so any share of the rows may have the same one;
+    the join runs on that shuffle's partitioning and sort, so texts cross the network once."""
+    once = docs.withColumn("__row_key", key).dropDuplicates(["__row_key"])
+    return once.join(kept.select(F.col("row_key").alias("__row_key")), "__row_key").select(*docs.columns)
 
 
-def ranked(df: DataFrame, keys: list[str], order: list[Column], total: int, to: str, rows_per_bucket: int = 100_000) -> DataFrame:
+def ranked(df: DataFrame, keys: list[str], order: list[Column], total: int, to: str, rows_per_bucket: int = 100_000, spread: Column | None = None) -> DataFrame:
     """Add `to`: the gapless rank from 0 of each row within its key, with no key in a single task.
 
     Rows of a key are dealt by hash to buckets; bucket counts give each bucket its first rank, and the
     rank inside a bucket comes from a window on (key, bucket). The rank is an order by bucket, then by
-    `order`, so it needs no global sort and a key may hold any share of the rows."""
+    `order`, so it needs no global sort and a key may hold any share of the rows. `spread`, a number that equal rows don't
+    share, deals those too; df is read twice, so it must be a stored column."""
     buckets = max(64, -(-total // rows_per_bucket))
-    dealt = df.withColumn("__bucket", F.pmod(F.xxhash64(*order), F.lit(buckets)).cast("int"))
+    dealt = df.withColumn("__bucket", F.pmod(F.xxhash64(*order, *([] if spread is None else [spread])), F.lit(buckets)).cast("int"))
     cell = [*keys, "__bucket"]
     before = W.partitionBy(*keys).orderBy("__bucket").rowsBetween(W.unboundedPreceding, -1)
     first = dealt.groupBy(*cell).agg(F.count(F.lit(1)).alias("__n")).select(*cell, F.coalesce(F.sum("__n").over(before), F.lit(0)).alias("__first"))
     within = dealt.withColumn("__at", F.row_number().over(W.partitionBy(*cell).orderBy(*order)) - 1)
     return within.join(first, cell).withColumn(to, (F.col("__first") + F.col("__at")).cast("long")).drop("__bucket", "__first", "__at")
+
+
+def numbered(df: DataFrame, order: list[Column], to: str) -> DataFrame:
+    """Add `to`: each row's place from 0 in the order, which has no ties. A sort by ranges, and the ranges' counts, which
+    are as many as the session has shuffle partitions; the rows stay where the sort put them."""
+    parts = max(1, int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")))
+    placed = staged(df.repartitionByRange(parts, *order).sortWithinPartitions(*order).withColumn("__id", F.monotonically_increasing_id()), "sorted")
+    part, at = F.shiftright("__id", 33), F.col("__id").bitwiseAND(F.lit((1 << 33) - 1))
+    n = {r["p"]: r["n"] for r in placed.groupBy(part.alias("p")).agg(F.count(F.lit(1)).alias("n")).collect()}
+    first = [0]
+    for i in range(max([*n, parts])):
+        first.append(first[-1] + n.get(i, 0))
+    return placed.withColumn(to, F.array(*[F.lit(x).cast("long") for x in first])[part.cast("int")] + at).drop("__id")
