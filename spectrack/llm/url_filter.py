@@ -15,7 +15,7 @@ import xxhash
 from pyspark import SparkFiles
 from pyspark.sql import DataFrame
 
-_MAGIC = b"URLRULE1"
+_MAGIC = b"URLRULE2"
 _PATH_END = re.compile(r"[?#]")
 _HOST_END = re.compile(r"[/?#]")
 _LOWER = {i: i + 32 for i in range(65, 91)}
@@ -26,14 +26,14 @@ def _digest(text: str) -> int:
 
 
 def build(rules: Iterable[tuple[str, str, str]]) -> bytes:
-    """The file's bytes: header, sorted digests, offsets of the strings, verdicts, distinct path lengths,
-    then the full rule strings in the digests' order. rules: (verdict, host, path)."""
+    """The file's bytes: header (with the length of the longest host), sorted digests, offsets of the strings, distinct
+    path lengths, verdicts, then the full rule strings in the digests' order. rules: (verdict, host, path)."""
     made = {(host.translate(_LOWER), path): verdict == "allow" for verdict, host, path in rules}
     items = sorted((_digest(f"{h}\0{p}"), h, p, ok) for (h, p), ok in made.items())
     texts = [f"{h}\0{p}".encode() for _, h, p, _ in items]
     lengths = sorted({len(p) for _, _, p, _ in items})
     ends = np.cumsum([0, *map(len, texts)], dtype=np.uint64)
-    head = np.array([len(items), len(lengths)], dtype=np.uint64)
+    head = np.array([len(items), len(lengths), max((len(h) for _, h, _, _ in items), default=0)], dtype=np.uint64)
     return b"".join(
         [_MAGIC, head.tobytes(), np.array([d for d, *_ in items], np.uint64).tobytes(), ends.tobytes(), np.array(lengths, np.uint64).tobytes(), np.array([ok for *_, ok in items], np.uint8).tobytes(), *texts]
     )
@@ -47,8 +47,8 @@ class Rules:
             self.map = mmap.mmap(f.fileno(), 0, access=mmap.ACCESS_READ)
         if self.map[:8] != _MAGIC:
             raise ValueError("not a rule file")
-        n, k = (int(x) for x in np.frombuffer(self.map, np.uint64, 2, 8))
-        at = 24
+        n, k, self.longest = (int(x) for x in np.frombuffer(self.map, np.uint64, 3, 8))
+        at = 32
         self.keys = np.frombuffer(self.map, np.uint64, n, at)
         self.ends = np.frombuffer(self.map, np.uint64, n + 1, at + 8 * n)
         self.lengths = [int(x) for x in np.frombuffer(self.map, np.uint64, k, at + 16 * n + 8)]
@@ -60,11 +60,12 @@ class Rules:
 
     def probe(self, pages: list[tuple[str, str]]) -> list[tuple[str | None, bool | None]]:
         """For each (host, path) the longest rule that fits and whether it allows; on equal length the
-        one with the longer host."""
+        one with the longer host. Of a host's suffixes only those no longer than a rule's host are probed, so a long
+        one costs no more than a short one."""
         owner, wanted = [], []
         for at, (host, path) in enumerate(pages):
-            hosts = [host]
-            dot = host.find(".")
+            hosts = [host] if len(host) <= self.longest else []
+            dot = host.find(".", max(0, len(host) - self.longest - 1))
             while dot >= 0:
                 hosts.append(host[dot + 1 :])
                 dot = host.find(".", dot + 1)
