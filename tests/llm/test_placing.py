@@ -1,16 +1,19 @@
 """Sharding, URL rules and packing."""
 
 import collections
+import json
 import math
 import zlib
 
 import numpy as np
 import public_tokenizers
 import xxhash
+from pyspark.sql import functions as F
 from tokenizers import Tokenizer
 
 from spectrack.llm import queries
-from spectrack.llm.packing import Ids, pack, plan
+from spectrack.llm.common import numbered, ranked
+from spectrack.llm.packing import MADE, Ids, matched, merged, pack, planned, sweep
 from spectrack.llm.sharding import even_tree, grown, shard, shard_count
 from spectrack.llm.url_filter import Rules, build, split_url, url_filter
 
@@ -85,6 +88,8 @@ def test_urls(spark):
     assert got[8, ".org", "/"] == ("org/", "allow") and got[9, "example.org", "/en/12"] == ("example.org/en/1", "block")
     assert got[10, "example.org", ""] == (None, "allow") and got[11, "com", "/de/xxxxx"] == ("com/de/", "block")
     assert url_filter(df.limit(0), queries.URL_RULES).count() == 0
+    hostile = spark.createDataFrame([(1, "h://" + "a." * 500_000 + "example.org/es/"), (2, "h://" + "." * 1_000_000), (3, "h://" + "x" * 1_000_000 + "org/")], "page_id long, url string")
+    assert {r.page_id: r.verdict for r in url_filter(hostile, queries.URL_RULES).select("page_id", "verdict").collect()} == {1: "block", 2: "allow", 3: "allow"}
     assert split_url("HTTP://ÄB.C/D?e") == ("Äb.c", "/D")
 
 
@@ -103,10 +108,22 @@ def test_ids_are_the_librarys(spark, sf_dir):
     plain, fast = Tokenizer.from_file(BPE), Ids(BPE, 1000)
     odd = ["", " ", "  a", "a  b", "a \n b", "a\n b", "a \nb", "x ", "\u00a0 a \u2003b", "it's we'LL 'tis", "1 22 三 𝒳 ñ e\u0301", "a<|endoftext|> b", "\x1c \x1d", "\t a", "a" * 500, "a b" * 3000]
     texts = [r.text for r in queries.table(spark, sf_dir, "documents").select("text").collect()]
-    for t in odd + texts:
+    long = [" " * 1_000_000, "\n" * 1_000_000, "a " + "\t" * 700_000 + "b", "a" * 1_000_000, "x" + " " * 6000 + "y  z"]
+    for t in odd + texts + long:
         assert fast(t) == np.array(plain.encode(t, add_special_tokens=False).ids, "<u4").tobytes(), t[:80]
 
 
+def test_other_tokenizer_files_go_to_the_library(tmp_path):
+    spec = json.loads(open(BPE, encoding="utf-8").read())
+    for change in ({"normalizer": {"type": "Lowercase"}}, {"pre_tokenizer": {"type": "ByteLevel", "add_prefix_space": True, "trim_offsets": True, "use_regex": True}}, {"pre_tokenizer": None}):
+        path = tmp_path / "other.json"
+        path.write_text(json.dumps(spec | change))
+        plain, own = Tokenizer.from_file(str(path)), Ids(str(path))
+        assert not own.fast
+        for t in ("Some Text, it's", "a  b\n"):
+            assert own(t) == np.array(plain.encode(t, add_special_tokens=False).ids, "<u4").tobytes()
+
+
 def check_packing(rows, capacity):
     by = collections.defaultdict(list)
     for r in rows:
@@ -132,18 +149,101 @@ def best_fit(lengths, capacity):
     return len(gaps)
 
 
-def test_plan_needs_no_more_than_plain_best_fit():
+def row_sweeps(lengths, capacity):
+    """The sweeps a piece at a time: number of sequences and what each holds."""
+    pieces, open_gaps, held, whole = sorted(lengths, reverse=True), [], [], sum(lengths)
+    while pieces:
+        tokens = sum(pieces)
+        if not open_gaps or max(g for g, _ in open_gaps) < pieces[-1]:
+            need = -(-tokens // capacity)
+            for _ in range(max(need if 50 * tokens < whole else -(-9 * need // 10), sum(x > capacity // 2 for x in pieces))):
+                open_gaps.append((capacity, len(held)))
+                held.append([])
+        waiting, touched, left = sorted(open_gaps, key=lambda g: (g[0], -g[1])), {}, []
+        for x in pieces:
+            # its equals stay beside it as long as they fit; else the smallest untouched gap
+            mine = next((i for i, (gap, length) in touched.items() if length == x and gap >= x), None)
+            if mine is None:
+                fit = next((g for g in waiting if g[0] >= x), None)
+                if fit is None:
+                    left.append(x)
+                    continue
+                waiting.remove(fit)
+                mine = fit[1]
+                touched[mine] = (fit[0], x)
+            held[mine].append(x)
+            touched[mine] = (touched[mine][0] - x, x)
+        open_gaps = waiting + [(gap, i) for i, (gap, _) in touched.items() if gap]
+        pieces = left
+    return held
+
+
+def run_sweeps(lengths, capacity):
+    """matched() until no piece is left: the pieces of each sequence, with their offsets."""
+    items = [(1, x, 0, n, 0, 0, 0) for x, n in collections.Counter(lengths).items()]
+    held, whole, opened = collections.defaultdict(list), sum(lengths), 0
+    while any(x[0] == 1 for x in items):
+        pieces = [x for x in items if x[0] == 1]
+        tokens, least = sum(x[1] * x[3] for x in pieces), min(x[1] for x in pieces)
+        if max((x[1] for x in items if x[0] == 0), default=0) < least:
+            need = -(-tokens // capacity)
+            more = max(need if 50 * tokens < whole else -(-9 * need // 10), sum(x[3] for x in pieces if x[1] > capacity // 2))
+            items.append((0, capacity, opened, more, 0, 0, 0))
+            opened += more
+        made = merged(matched(items))
+        for kind, size, _, n, each, sequence, gap in made:
+            if kind == 2:
+                for i in range(n):
+                    held[sequence + i // each].append((capacity - gap + i % each * size, size))
+        items = [x for x in made if x[0] < 2]
+    return held
+
+
+def test_sweeps_are_the_plain_ones_and_nearly_best_fit():
     r = np.random.default_rng(3)
     for _ in range(30):
         lengths = r.integers(1, r.choice([12, 60, 101]), r.integers(1, 300)).tolist()
-        runs = plan(dict(collections.Counter(lengths)), 100)
-        used = collections.defaultdict(int)
-        for length, _, count, first, offset in runs:
-            for s in range(first, first + count):
-                assert used[s] == offset
-                used[s] += length
-        assert sum(c for _, _, c, _, _ in runs) == len(lengths) and max(used.values()) <= 100
-        assert len(used) <= best_fit(lengths, 100)
+        held = run_sweeps(lengths, 100)
+        assert sorted(x for spans in held.values() for _, x in spans) == sorted(lengths)
+        for spans in held.values():
+            at = 0
+            for offset, x in sorted(spans):
+                assert offset == at
+                at += x
+            assert at <= 100
+        # equal gaps may change places, so what is left of each is compared
+        assert sorted(sum(x) for x in row_sweeps(lengths, 100) if x) == sorted(sum(x for _, x in spans) for spans in held.values())
+        assert len(held) <= best_fit(lengths, 100) * 1.01 + 1
+
+
+def test_ranges_and_their_boundary_match_as_one_list_does(spark):
+    r = np.random.default_rng(5)
+    items = [(0, int(x), i * 100, int(r.integers(1, 9)), 0, 0, 0) for i, x in enumerate(r.integers(1, 1025, 60))]
+    items += [(1, int(x), 0, int(r.integers(1, 9)), 0, 0, 0) for x in np.unique(r.integers(1, 1025, 90))]
+    want = sorted(merged(matched(items)))
+    for ranges in (1, 3, 8):
+        got = sweep(spark.createDataFrame(items, MADE), ranges).collect()
+        assert sorted(map(tuple, got)) == want
+
+
+def test_planned_runs_cover_every_rank(spark):
+    lengths = np.minimum(64, np.random.default_rng(8).geometric(0.1, 500))
+    count = collections.Counter(lengths.tolist())
+    rows = planned(spark.createDataFrame(list(count.items()), "length long, n long"), 64).collect()
+    for x, n in count.items():
+        spans = sorted((r["first"], r["n"]) for r in rows if r["length"] == x)
+        assert [a for a, _ in spans] == [sum(m for _, m in spans[:i]) for i in range(len(spans))] and sum(m for _, m in spans) == n
+    used = {r["sequence"] + i // r["each"] for r in rows for i in range(r["n"])}
+    assert len(used) <= best_fit(lengths.tolist(), 64) * 1.01 + 1
+
+
+def test_equal_rows_are_ranked_apart(spark):
+    df = spark.range(5000).select((F.col("id") * 0).alias("k"), F.lit("same").alias("v"), F.col("id").alias("rid")).cache()
+    got = ranked(df, ["k"], [F.col("v")], 5000, "at", rows_per_bucket=50, spread=F.col("rid")).collect()
+    assert sorted(r["at"] for r in got) == list(range(5000))
+    one = numbered(spark.range(1000).select((F.col("id") * 7919 % 1000).alias("x")), [F.col("x").desc()], "at")
+    assert all(r["at"] == 999 - r["x"] for r in one.collect())
+    assert numbered(spark.range(0), [F.col("id")], "at").count() == 0
 
 
 def test_packing_query(spark, sf_dir):
@@ -166,7 +266,7 @@ def test_packing_query(spark, sf_dir):
 
 
 def test_packing_odd_rows(spark):
-    rows = [(1, None, 0), (None, "", 0), (2, "a b c", 0), (2, "a b c", 0), (3, "word " * 50000, 0)] + [(i, "same text", 0) for i in range(10, 600)]
+    rows = [(1, None, 0), (None, "", 0), (2, "a b c", 0), (2, "a b c", 0), (3, "word " * 50000, 0), (4, " " * 1_000_000, 0), (5, "a" * 300_000, 0)] + [(i, "same text", 0) for i in range(10, 600)]
     got = pack(spark.createDataFrame(rows, "doc_id long, text string, length int"), BPE).collect()
     assert sum(r.piece == 0 for r in got) == len(rows) and check_packing(got, 1024)
     assert pack(spark.createDataFrame([], "doc_id long, text string"), BPE).count() == 0
