@@ -25,13 +25,13 @@ def digests(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") ->
     )
 
 
-def exact_dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", heavy: int = 256, tracked: int = 4096, least: int = 64) -> DataFrame:
+def exact_dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", heavy: int = 1024, tracked: int = 16384, least: int = 64) -> DataFrame:
     """Decide for every row whether it stays.
 
     Misra-Gries summaries (`tracked` counters a task, merged) name up to `heavy` digests that look frequent
     (at least `least` rows). Exact counts and winners of those are found with map-side aggregation,
     and broadcast: at most `heavy` rows, whatever the input. All other digests are shuffled once. Every
-    digest passes through exactly one of both ways, so a digest missed or wrongly named by the summary
+    digest passes through exactly one of both ways (one that isn't named has under a `heavy`th of the rows), so a digest missed or wrongly named by the summary
     changes the cost and not the result.
 
     Result: doc_id, keep_id, group_size, kept, text_sha256, row_key. Null text counts as empty. The

@@ -122,13 +122,13 @@ def _cluster(v: np.ndarray, k: int, rounds: int = 12) -> tuple[np.ndarray, np.nd
 
 
 def fit(
-    docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", dims: int = 4096, centroids: int = 4, sample: int = 400, most_langs: int = 256, slack: float = 0.5
+    docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", dims: int = 4096, centroids: int = 4, sample: int = 400, slack: float = 0.5
 ) -> Model:
     """Learn from the rows of docs with a language.
 
     Document frequencies cover all rows. Centroids are clustered, a language a task, from about `sample`
-    rows of each of the `most_langs` commonest languages (bounds of the classifier's sample), chosen by a
-    hash of id and text. A centroid rejects what is less similar than `slack` times the first percentile of its own sample
+    rows of each language (the bound of the classifier's sample), chosen by a hash of id and text; of rows equal in both
+    one counts. Every language that occurs is learned: the model takes 16 kB a centroid. A centroid rejects what is less similar than `slack` times the first percentile of its own sample
     (texts under 400 letters have a lower bar)."""
     rows = docs.filter(F.col(lang_col).isNotNull() & F.col(text_col).isNotNull()).select(
         F.col(lang_col).alias("lang"), F.col(text_col).alias("text"), F.xxhash64(F.col(id_col), F.col(text_col)).alias("h")
@@ -146,12 +146,10 @@ def fit(
     idf = np.log((1 + n) / (1 + np.array([df.get(i, 0) for i in range(dims)]))).astype(np.float32) + 0.1
     model = Model(dims, idf)
 
-    sizes = rows.groupBy("lang").count().orderBy(F.desc("count"), "lang").limit(most_langs).collect()
-    if not sizes:
-        return model
-    rates = F.create_map(*[x for r in sizes for x in (F.lit(r["lang"]), F.lit(sample / r["count"]))])
+    sizes = rows.groupBy("lang").agg(F.count(F.lit(1)).alias("n"))
     u = F.shiftrightunsigned("h", 11) / F.lit(float(1 << 53))
-    some = rows.filter(F.col("lang").isin([r["lang"] for r in sizes])).filter(u < rates[F.col("lang")])
+    # a row a language, of which the model itself holds far more; rows of equal id and text, which share h, go once
+    some = rows.join(F.broadcast(sizes), "lang").filter(u < F.lit(float(sample)) / F.col("n")).select("lang", "h", "text").dropDuplicates(["lang", "h"])
 
     def centre(pdf: pd.DataFrame) -> pd.DataFrame:
         pdf = pdf.sort_values("h")

@@ -72,9 +72,13 @@ def train(x: np.ndarray, lists: int, parts: int, wanted: float, k: int, seed: in
     return index
 
 
-def _matrix(column: pa.ChunkedArray | pa.Array, dims: int, kind=np.float32) -> np.ndarray:
+def _matrix(column: pa.ChunkedArray | pa.Array, dims: int) -> np.ndarray:
     column = column.combine_chunks() if isinstance(column, pa.ChunkedArray) else column
-    return np.asarray(column.flatten()).astype(kind, copy=False).reshape(-1, dims)
+    return np.asarray(column.flatten()).astype(np.float64, copy=False).reshape(-1, dims)
+
+
+def _single(x: np.ndarray, scale: float) -> np.ndarray:
+    return (x * scale if scale != 1.0 else x).astype(np.float32)
 
 
 def _top(score: np.ndarray, k: int) -> np.ndarray:
@@ -90,14 +94,15 @@ def _top(score: np.ndarray, k: int) -> np.ndarray:
     return out
 
 
-def search(index: Index, ids, x, own, codes, query_ids, q, visits, k: int, short: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+def search(index: Index, ids, x, own, codes, query_ids, q, scale: float, visits, k: int, short: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(query row, vector row, exact score) of each query's k best in one block of vectors, which come
-    sorted by id. visits: the lists of each query, as the bytes of 16-bit numbers."""
+    sorted by id. x and q are the original vectors in double precision; scaled, in single precision, they are looked up in
+    the index. visits: the lists of each query, as the bytes of 16-bit numbers."""
     present, where = np.unique(own, return_inverse=True)
     columns = [np.flatnonzero(where == j) for j in range(len(present))]
     rows_out, cols_out, score_out = [], [], []
     for at in range(0, len(q), 256):
-        part = q[at : at + 256]
+        part = _single(q[at : at + 256], scale)
         score = np.full((len(part), len(x)), -np.inf, np.float32)
         wants = np.zeros((len(part), len(index.coarse)), bool)
         for r, held in enumerate(visits[at : at + 256]):
@@ -115,7 +120,7 @@ def search(index: Index, ids, x, own, codes, query_ids, q, visits, k: int, short
         few = _top(score, min(short, len(x)))
         few.sort(axis=1)  # by id again, so that equal exact scores stay in id order
         ok = np.take_along_axis(score, few, axis=1) > -np.inf
-        exact = np.einsum("rcd,rd->rc", x[few].astype(np.float64), part.astype(np.float64))
+        exact = np.einsum("rcd,rd->rc", x[few], q[at : at + 256])
         exact[~ok] = -np.inf
         best = np.argsort(-exact, axis=1, kind="stable")[:, :k]
         value = np.take_along_axis(exact, best, axis=1)
@@ -132,74 +137,113 @@ def nearest(
 ) -> DataFrame:
     """query_id, rank, vec_id, score: the k nearest by inner product of the vectors whose id is divisible by `every`.
 
-    The index is fitted on about `sample` vectors (a bound of the fit; every vector is indexed). Vectors are
+    The index is fitted on about `sample` vectors, or 16 a list (a bound of the fit; every vector is indexed). Vectors are
     dealt to blocks of about `block`: small lists share one, a large list gets several. A query goes once
     to each block that holds a list it visits, is scored there by asymmetric tables, and its `short` best are scored
-    exactly from the original vectors in the same place; k a block move on to the last ranking. It visits further
-    lists until they hold k candidates. Equal scores go to the smaller id.
+    exactly, in double precision, from the original vectors in the same place; k a block move on to the last ranking. It visits
+    further lists until they hold k candidates. Equal scores go to the smaller id. A block that more than `query_block`
+    queries visit is searched in as many parts as that takes, by the exact number of its visits.
 
-    Vectors that are null, zero, or hold null or non-finite components take no part, nor do null ids and vectors whose
-    length is not the commonest one. A repeated id is a candidate once a row, but never of its own query."""
+    Vectors that are null, zero, or hold null or non-finite components take no part, nor do null ids. Vectors of different
+    lengths have no inner product: each length has an index of its own. A repeated id is a candidate once a row, but never
+    of its own query. An empty table gives an empty result; further columns are ignored."""
     v = F.col(vector_col)
     fine = F.coalesce(F.forall(v, lambda e: e.isNotNull() & ~F.isnan(e) & (F.abs(e) < float("inf"))) & F.exists(v, lambda e: e != 0), F.lit(False))
-    rows = vectors.filter(F.col(id_col).isNotNull() & fine).select(F.col(id_col).cast("long").alias("vec_id"), v.cast("array<float>").alias("v"))
+    # single-precision vectors stay so on their way; any other numbers go as doubles
+    kind = "array<float>" if vectors.schema[vector_col].dataType.simpleString() == "array<float>" else "array<double>"
+    rows = vectors.filter(F.col(id_col).isNotNull() & fine).select(F.col(id_col).cast("long").alias("vec_id"), v.cast(kind).alias("v"))
     spark, out = vectors.sparkSession, "query_id long, rank int, vec_id long, score double"
-    sizes = rows.groupBy(F.size("v").alias("d")).count().orderBy(F.desc("count"), "d").limit(1).collect()
-    if not sizes:
-        return spark.createDataFrame([], out)
-    dims, n = sizes[0]
-    rows = rows.filter(F.size("v") == dims)
+    size = F.size("v")
+    sizes = rows.groupBy(size.alias("d")).agg(F.count(F.lit(1)).alias("n"), F.max(F.array_max(F.transform("v", F.abs))).cast("double").alias("most")).collect()
+    made = spark.createDataFrame([], out)
+    for d, n, most in sorted(sizes):
+        # exponents that single precision lacks are moved to where it has them; exact scores don't see the scale
+        scale = 1.0 if 1e-15 < most < 1e15 else 2.0 ** -math.frexp(most)[1]
+        found = _of_length(rows if len(sizes) == 1 else rows.filter(size == d), d, n, scale, kind, every, k, short, wanted, sample, most_lists, block, query_block)
+        made = found if len(sizes) == 1 else made.unionByName(found)
+    return made
+
+
+def _of_length(
+    rows: DataFrame, dims: int, n: int, scale: float, kind: str, every: int, k: int, short: int, wanted: float, sample: int, most_lists: int, block: int, query_block: int
+) -> DataFrame:
+    """nearest() for n vectors of one length."""
+    spark = rows.sparkSession
+    lists = max(1, min(most_lists, round(math.sqrt(n))))
+    sample = max(sample, 16 * lists)
     u = F.shiftrightunsigned(F.xxhash64("vec_id", F.lit(9)), 11) / F.lit(float(1 << 53))
     some = rows.filter(u < sample / n).orderBy(F.xxhash64("vec_id"), "vec_id").limit(2 * sample).toArrow()
     if some.num_rows == 0:
         some = rows.orderBy("vec_id").limit(sample).toArrow()
-    index = train(_matrix(some["v"], dims), max(1, min(most_lists, round(math.sqrt(n)))), max(1, dims // 4), wanted, k)
+    index = train(_single(_matrix(some["v"], dims), scale), lists, max(1, dims // 4), wanted, k)
 
     def encode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            x = _matrix(b.column("v"), dims)
+            x = _single(_matrix(b.column("v"), dims), scale)
             own = index.lists(x) if len(x) else np.zeros(0, int)
             codes = index.codes(x, own) if len(x) else np.zeros((0, 1), np.uint8)
             yield pa.RecordBatch.from_arrays([b.column("vec_id"), pa.array(own.astype(np.int32)), pa.array([c.tobytes() for c in codes], pa.binary()), b.column("v")], ["vec_id", "list", "codes", "v"])
 
-    indexed = staged(rows.mapInArrow(encode, "vec_id long, list int, codes binary, v array<float>"), "index")
+    indexed = staged(rows.mapInArrow(encode, f"vec_id long, list int, codes binary, v {kind}"), "index")
     held = np.zeros(len(index.coarse), np.int64)
     for r in indexed.groupBy("list").count().collect():  # as many rows as lists
         held[r["list"]] = r["count"]
-    blocks, first, last, room = [], np.zeros(len(held), np.int64), np.zeros(len(held), np.int64), 0
+    first, last, blocks, room = np.zeros(len(held), np.int64), np.zeros(len(held), np.int64), 0, 0
     for i, c in enumerate(held.tolist()):
         if c > room or not blocks:
-            first[i], need = len(blocks), max(1, -(-c // block))
-            blocks += [i] * need
+            first[i], need = blocks, max(1, -(-c // block))
+            blocks += need
             room = block - c if need == 1 else 0
         else:
-            first[i], room = len(blocks) - 1, room - c
-        last[i] = len(blocks)
+            first[i], room = blocks - 1, room - c
+        last[i] = blocks
+
+    def visits(x: np.ndarray) -> Iterator[dict[int, list[int]]]:
+        """For each query the blocks it goes to, with its lists there."""
+        order = np.argsort(-(x @ index.coarse.T), axis=1, kind="stable")
+        enough = (np.cumsum(held[order], axis=1) <= k).sum(axis=1) + 1
+        for i in range(len(x)):
+            goes: dict[int, list[int]] = {}
+            for y in order[i, : max(index.probes, enough[i])].tolist():
+                for z in range(first[y], last[y]):
+                    goes.setdefault(z, []).append(y)
+            yield goes
+
+    queries = indexed.filter(F.col("vec_id") % every == 0).select("vec_id", "v")
+
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total = np.zeros(blocks, np.int64)
+        for b in batches:
+            for goes in visits(_single(_matrix(b.column("v"), dims), scale)):
+                total[list(goes)] += 1
+        at = np.flatnonzero(total)
+        yield pa.RecordBatch.from_arrays([pa.array(at, pa.int64()), pa.array(total[at])], ["block", "n"])
+
+    # one number for each block of vectors
+    asking = np.ones(blocks, np.int64)
+    for r in queries.mapInArrow(count, "block long, n long").groupBy("block").agg(F.sum("n").alias("n")).collect():
+        asking[r["block"]] = -(-r["n"] // query_block)
     span = spark.createDataFrame([(i, int(first[i]), int(last[i] - first[i])) for i in range(len(held))], "list int, first int, many int")
-    probed = held[np.argsort(-held)][: index.probes].sum() / max(1, n)
-    query_blocks = max(1, math.ceil(n / every * min(1.0, probed) / query_block))
+    crowded = {i: int(c) for i, c in enumerate(asking.tolist()) if c > 1}
+    parts = F.lit(1)
+    if crowded:
+        parts = F.coalesce(F.create_map(*[F.lit(x) for pair in crowded.items() for x in pair])[F.col("block")], F.lit(1))
     part = (F.col("first") + F.pmod(F.xxhash64("vec_id", F.lit(1)), F.col("many"))).cast("int")
-    dealt = indexed.join(F.broadcast(span), "list").select(part.alias("block"), F.explode(F.sequence(F.lit(0), F.lit(query_blocks - 1))).alias("query_block"), "vec_id", "list", "codes", "v")
+    dealt = indexed.join(F.broadcast(span), "list").select(part.alias("block"), "vec_id", "list", "codes", "v")
+    dealt = dealt.withColumn("query_block", F.explode(F.sequence(F.lit(0), parts - 1)))
 
     def route(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            q = _matrix(b.column("v"), dims)
             row, to, lists = [], [], []
-            order = np.argsort(-(q @ index.coarse.T), axis=1, kind="stable")
-            enough = (np.cumsum(held[order], axis=1) <= k).sum(axis=1) + 1
-            for i in range(len(q)):
-                goes: dict[int, list[int]] = {}
-                for x in order[i, : max(index.probes, enough[i])].tolist():
-                    for z in range(first[x], last[x]):
-                        goes.setdefault(z, []).append(x)
+            for i, goes in enumerate(visits(_single(_matrix(b.column("v"), dims), scale))):
                 row += [i] * len(goes)
                 to += goes.keys()
                 lists += [np.array(x, np.int16).tobytes() for x in goes.values()]
             at = pa.array(row, pa.int64())
             yield pa.RecordBatch.from_arrays([pa.array(to, pa.int32()), b.column("vec_id").take(at), pa.array(lists, pa.binary()), b.column("v").take(at)], ["block", "query_id", "visits", "v"])
 
-    asked = indexed.filter(F.col("vec_id") % every == 0).select("vec_id", "v").mapInArrow(route, "block int, query_id long, visits binary, v array<float>")
-    asked = asked.withColumn("query_block", F.pmod(F.xxhash64("query_id"), F.lit(query_blocks)).cast("int"))
+    asked = queries.mapInArrow(route, f"block int, query_id long, visits binary, v {kind}")
+    asked = asked.withColumn("query_block", F.pmod(F.xxhash64("query_id"), parts).cast("int"))
 
     def find(left: pa.Table, right: pa.Table) -> pa.Table:
         left = left.sort_by("vec_id")
@@ -207,9 +251,9 @@ def nearest(
         empty = np.zeros(0, np.int64)
         i, j, score = empty, empty, np.zeros(0)
         if len(ids) and len(query_ids):
-            visits = right["visits"].to_pylist()
+            wanted_lists = right["visits"].to_pylist()
             codes = np.frombuffer(b"".join(left["codes"].to_pylist()), np.uint8).reshape(len(ids), -1)
-            i, j, score = search(index, ids, _matrix(left["v"], dims), np.asarray(left["list"]), codes, query_ids, _matrix(right["v"], dims), visits, k, short)
+            i, j, score = search(index, ids, _matrix(left["v"], dims), np.asarray(left["list"]), codes, query_ids, _matrix(right["v"], dims), scale, wanted_lists, k, short)
         return pa.table({"query_id": query_ids[i].astype(np.int64), "vec_id": ids[j].astype(np.int64), "score": score})
 
     by = ["block", "query_block"]

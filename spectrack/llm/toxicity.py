@@ -15,32 +15,62 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from spectrack.llm.common import lean
+
 TOKEN = re.compile(r"\w+(?:[@$*!'’.-]\w+)*")
 
-# fixed word lists: what reports or names a word instead of using it
+# fixed word list: English words that report or name a word instead of using it; labelled texts add those of any language
 REPORTING = frozenset("said says called calling word words term terms quote quoted quotes wrote writes slur insult insults named spelled means meaning definition".split())
 # what a misspelled and a quoted hit count for, against one used plainly
 FUZZY, QUOTED = 0.8, 0.2
 OPENING, CLOSING = "\"“„«‘'", "\"”“»’'"
 
 
+FAR = 3  # one edit more than any term allows
+ALLOWED = "\0"  # no character of a word: a key of its own among a node's
+
+
 def allowed(length: int) -> int:
     """Edits allowed for a term of this length."""
     return 0 if length < 5 else 1 if length < 9 else 2
 
 
+class Automaton:
+    """Levenshtein automata of words. A state is the row of distances to the word's prefixes, cut off beyond what any term
+    allows; where it leads depends on it and on the places at which the word has the character, so words share their steps,
+    which are remembered up to a bound."""
+
+    def __init__(self, most: int = 200_000):
+        self.steps: dict[tuple[tuple[int, ...], int], tuple[tuple[int, ...], int]] = {}
+        self.most = most
+
+    def step(self, state: tuple[int, ...], places: int) -> tuple[tuple[int, ...], int]:
+        """The next state, and the least distance in it."""
+        got = self.steps.get((state, places))
+        if got is None:
+            now = [min(state[0] + 1, FAR)]
+            for j in range(len(state) - 1):
+                now.append(min(now[j] + 1, state[j + 1] + 1, state[j] + (not places >> j & 1), FAR))
+            got = tuple(now), min(now)
+            if len(self.steps) < self.most:
+                self.steps[state, places] = got
+        return got
+
+
 class Trie:
-    """Terms as nested dicts; '' marks an end and holds the term."""
+    """Terms as nested dicts; '' marks an end and holds the term, ALLOWED the most edits of a term below."""
 
     def __init__(self, terms):
         self.root: dict = {}
+        self.automaton = Automaton()
         self.parts: dict[int, set[str]] = {}
         self.ends: dict[int, set[str]] = {}
         self.middles: set[str] = set()
         for t in terms:
             node = self.root
             for c in t:
-                node = node.setdefault(c, {})
+                node = node.setdefault(c, {ALLOWED: 0})
+                node[ALLOWED] = max(node[ALLOWED], allowed(len(t)))
             node[""] = t
             # k edits leave one of k+1 parts of the term untouched: only words that have one are worth a walk
             k = allowed(len(t)) + 1
@@ -60,23 +90,25 @@ class Trie:
         return self.walk(word)
 
     def walk(self, word: str) -> tuple[str, int] | None:
-        """Depth-first over the product of the trie and the word's Levenshtein automaton. A state is the
-        row of distances to the word's prefixes; a branch ends when the row has nothing within two."""
+        """Depth-first over the product of the trie and the word's Levenshtein automaton. A branch ends where no term
+        below allows the least distance in the state."""
         best: tuple[int, str] | None = None
-        stack = [(self.root, tuple(range(len(word) + 1)))]
+        places: dict[str, int] = {}
+        for j, c in enumerate(word):
+            places[c] = places.get(c, 0) | 1 << j
+        step = self.automaton.step
+        stack = [(self.root, tuple(min(j, FAR) for j in range(len(word) + 1)))]
         while stack:
-            node, row = stack.pop()
+            node, state = stack.pop()
             for c, child in node.items():
                 if c == "":
-                    d = row[-1]
+                    d = state[-1]
                     if d <= allowed(len(child)) and (best is None or (d, child) < best):
                         best = (d, child)
-                    continue
-                now = [row[0] + 1]
-                for j, x in enumerate(word):
-                    now.append(min(now[j] + 1, row[j + 1] + 1, row[j] + (x != c)))
-                if min(now) <= 2:
-                    stack.append((child, tuple(now)))
+                elif c != ALLOWED:
+                    now, least = step(state, places.get(c, 0))
+                    if least <= child[ALLOWED]:
+                        stack.append((child, now))
         return (best[1], best[0]) if best else None
 
 
@@ -86,12 +118,13 @@ class Model:
 
     terms: dict[str, float] = field(default_factory=dict)
     clean: frozenset[str] = frozenset()
+    reporting: frozenset[str] = REPORTING
     coef: tuple[float, float] = (-4.0, 6.0)
     seen: dict = field(default_factory=dict, repr=False)
     trie: Trie | None = field(default=None, repr=False)
 
     def __getstate__(self):
-        return {"terms": self.terms, "clean": self.clean, "coef": self.coef}
+        return {"terms": self.terms, "clean": self.clean, "reporting": self.reporting, "coef": self.coef}
 
     def __setstate__(self, state):
         self.__dict__.update(state, seen={}, trie=None)
@@ -140,10 +173,9 @@ class Model:
                 del before[0]
         return plain, fuzzy, quoted
 
-    @staticmethod
-    def _quoted(text: str, start: int, end: int, before: list[str]) -> bool:
+    def _quoted(self, text: str, start: int, end: int, before: list[str]) -> bool:
         """Quotation marks around it within 40 characters on one line, or a reporting word among the six before."""
-        if any(w in REPORTING for w in before):
+        if any(w in self.reporting for w in before):
             return True
         left, right = text[max(0, start - 40) : start], text[end : end + 40]
         left, right = left[left.rfind("\n") + 1 :], right.partition("\n")[0]
@@ -170,7 +202,8 @@ def fit(docs: DataFrame, labels: DataFrame, sample: int = 30_000, most_terms: in
 
     A term is a word whose texts are toxic far more often than chance allows given the number of words
     tried, and which stands beside at least eight kinds of neighbours (63 hashed kinds) in toxic texts: words of a
-    passage that was copied a lot do not."""
+    passage that was copied a lot do not. Of those the `most_terms` that tell most are kept (the bound of the lexicon; equal
+    ones by the word). What the driver gets is bounded by the sample and its vocabulary."""
     marked = labels.filter(F.col(label_col).isNotNull() & F.col(id_col).isNotNull()).groupBy(id_col).agg(F.max(label_col).alias("toxic"))
     rate = sample / max(1, marked.count())
     marked = marked.filter(F.shiftrightunsigned(F.xxhash64(id_col, F.lit(3)), 11) / F.lit(float(1 << 53)) < rate)
@@ -217,8 +250,23 @@ def fit(docs: DataFrame, labels: DataFrame, sample: int = 30_000, most_terms: in
             near = [w for w in b.column("word").to_pylist() if w not in model.terms and model.find(w)]
             yield pa.RecordBatch.from_pydict({"word": pa.array(near, pa.string())})
 
-    benign = table.filter("clean > 0").select("word").mapInArrow(neighbours, "word string").limit(20 * most_terms).collect()
-    model = Model(model.terms, frozenset(r["word"] for r in benign), model.coef)
+    # words of the sample that are near a term: fewer than its vocabulary
+    def cues(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        seen = [Counter(), Counter()]
+        for b in batches:
+            for text, toxic in zip(b.column("text").to_pylist(), b.column("toxic").to_pylist(), strict=True):
+                tokens = TOKEN.findall(text.lower())
+                near = {w for i, t in enumerate(tokens) if t in model.terms for w in tokens[max(0, i - 6) : i]}
+                if near:
+                    seen[toxic > 0].update(near | {""})
+        both = list(seen[0] | seen[1])
+        yield pa.RecordBatch.from_pydict({"word": pa.array(both, pa.string()), "clean": pa.array([seen[0][w] for w in both], pa.int64()), "toxic": pa.array([seen[1][w] for w in both], pa.int64())})
+
+    # words among the six before a term; the empty one stands for each text that has any
+    before = once.mapInArrow(cues, "word string, clean long, toxic long").groupBy("word").agg(F.sum("clean").alias("clean"), F.sum("toxic").alias("toxic"))
+    reporting = REPORTING | _learned_cues({r["word"]: (r["clean"], r["toxic"]) for r in before.filter("clean >= 8 OR word = ''").collect()}, model.terms)
+    benign = table.filter("clean > 0").select("word").mapInArrow(neighbours, "word string").collect()
+    model = Model(model.terms, frozenset(r["word"] for r in benign), reporting)
 
     def describe(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -229,7 +277,23 @@ def fit(docs: DataFrame, labels: DataFrame, sample: int = 30_000, most_terms: in
     once.unpersist()
     table.unpersist()
     x = np.log1p(seen[["a", "b", "c"]].to_numpy() @ np.array([1.0, FUZZY, QUOTED]))[:, None]
-    return Model(model.terms, model.clean, _logistic(x, (seen["toxic"] > 0).to_numpy(float), np.array(Model.coef)))
+    return Model(model.terms, model.clean, reporting, _logistic(x, (seen["toxic"] > 0).to_numpy(float), np.array(Model.coef)))
+
+
+def _learned_cues(before: dict[str, tuple[int, int]], terms) -> frozenset[str]:
+    """Words that stand before a term in clean texts far more often than in toxic ones, beyond chance given their number: what
+    marks a report in the language of those texts. Needs clean texts that have terms at all."""
+    good, bad = before.pop("", (0, 0))
+    if good < 8 or not bad:
+        return frozenset()
+    share, least, out = good / (good + bad), math.log(max(1, len(before)) / 0.01), set()
+    for word, (clean, toxic) in before.items():
+        total = clean + toxic
+        gain = clean * math.log((clean + 0.01) / (total * share)) + toxic * math.log((toxic + 0.01) / (total * (1 - share)))
+        odds = math.log((clean + 0.5) / good) - math.log((toxic + 0.5) / bad)
+        if gain > least and odds > 2.0 and word not in terms:
+            out.add(word)
+    return frozenset(out)
 
 
 def _logistic(x: np.ndarray, y: np.ndarray, prior: np.ndarray, pull: float = 2.0) -> tuple[float, ...]:
@@ -252,7 +316,7 @@ def toxicity(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: st
     Null and empty texts get the score of a text without hits. Further columns are ignored."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in lean(batches):
             score = np.array([model.score(t.as_py()) for t in b.column("text")], float)
             yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array(score), pa.array((score >= 0.5).astype(np.int32))], ["doc_id", "score", "predicted"])
 

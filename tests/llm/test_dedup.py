@@ -4,10 +4,12 @@ import hashlib
 import random
 import re
 
+import pytest
 import xxhash
 from pyspark.sql import types as T
 
 from spectrack.llm import queries
+from spectrack.llm.common import keep_rows, row_key, stage_dir
 from spectrack.llm.components import components
 from spectrack.llm.exact_dedup import exact_dedup
 from spectrack.llm.simhash import covering_masks, fingerprint, links, near_duplicates
@@ -129,3 +131,26 @@ def test_exact_dedup_both_ways(spark):
         got = exact_dedup(docs(spark, rows), least=least).drop("row_key").collect()
         assert order(map(tuple, got)) == order(brute_exact(rows))
     assert exact_dedup(docs(spark, [])).count() == 0
+
+
+def test_one_of_equal_rows_stays(spark):
+    rows = docs(spark, [(1, "same")] * 2000 + [(2, "other"), (3, "gone"), (None, None), (None, None)])
+    kept = rows.filter("text IS NULL OR text <> 'gone'").select(row_key().alias("row_key")).distinct()
+    got = keep_rows(rows, kept, row_key())
+    assert got.columns == rows.columns and sorted(map(repr, got.select("doc_id", "text").collect())) == sorted(map(repr, spark.createDataFrame([(1, "same"), (2, "other"), (None, None)], "doc_id long, text string").collect()))
+    assert keep_rows(rows.limit(0), kept, row_key()).count() == 0
+
+
+def test_staging_needs_a_shared_folder():
+    class Conf(dict):
+        def get(self, key, default=None):
+            return dict.get(self, key, default)
+
+    class Session:
+        conf = Conf()
+        sparkContext = type("C", (), {"master": "spark://host:7077"})
+
+    with pytest.raises(RuntimeError, match="checkpoint"):
+        stage_dir(Session())
+    Session.conf["spark.checkpoint.dir"] = "hdfs:///shared"
+    assert stage_dir(Session()) == "hdfs:///shared"

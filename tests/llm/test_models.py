@@ -1,6 +1,7 @@
 """Language, toxicity, neighbours, language model and mixing: brute force and held-out rows."""
 
 import collections
+import functools
 import math
 import re
 import zlib
@@ -9,7 +10,7 @@ import numpy as np
 import pytest
 
 from spectrack.llm import language, queries, scoring, toxicity
-from spectrack.llm.mixing import apportion, mix
+from spectrack.llm.mixing import apportion, mix, mixed_texts
 from spectrack.llm.neighbours import nearest
 
 
@@ -39,6 +40,56 @@ def test_language_odd_texts(spark):
     assert {r.lang_pred for r in language.identify(ask, language.fit(df.limit(0))).collect()} == {"und"}
 
 
+def plain_grams(text, dims):
+    """Hashed grams of one, two and three characters, one at a time."""
+    mask, out = (1 << 64) - 1, collections.Counter()
+    squeezed = re.sub(r" +", " ", "".join(c if c.isalpha() else " " for c in f" {text.lower()} "))
+    for n in (1, 2, 3):
+        for i in range(len(squeezed) - n + 1):
+            gram = squeezed[i : i + n]
+            if n == 1 and not gram.isalpha():
+                continue
+            h = 0
+            for c in gram:
+                h = (h * 0x1F123BB5 + ord(c)) & mask
+            out[(((h + n - 1) * 0x9E3779B97F4A7C15 & mask) >> 40) % dims] += 1
+    return out
+
+
+def test_language_is_the_plain_nearest_centroid(spark, sf_dir):
+    """Document frequencies, weights, similarities and the best centroid, text by text."""
+    docs = queries.table(spark, sf_dir, "documents").select("doc_id", "text", "lang").collect()
+    grams = {r.doc_id: plain_grams(r.text, 4096) for r in docs}
+    train = [r for r in docs if not out(r.doc_id, 5, 0) and r.lang is not None]
+    df = collections.Counter(g for r in train for g in grams[r.doc_id])
+    idf = {g: math.log((1 + len(train)) / (1 + df[g])) + 0.1 for g in range(4096)}
+    table = queries.table(spark, sf_dir, "documents")
+    model = language.fit(table.filter(~language.held_out("doc_id", 5, 0)))
+    assert all(abs(model.idf[g] - idf[g]) < 1e-5 for g in range(4096))
+    got = {r.doc_id: r for r in queries.op6_language(spark, sf_dir).collect()}
+    for r in docs:
+        v = {g: math.sqrt(n) * idf[g] for g, n in grams[r.doc_id].items()}
+        norm = math.sqrt(sum(x * x for x in v.values())) or 1.0
+        sims = [sum(x * c[g] for g, x in v.items()) / norm for c in model.centroids.astype(float)]
+        if not any(c.isalpha() for c in r.text):
+            assert (got[r.doc_id].lang_pred, got[r.doc_id].score) == ("und", 0.0)
+            continue
+        best = max(sims)
+        assert got[r.doc_id].score == pytest.approx(min(1.0, best), abs=1e-4)
+        assert got[r.doc_id].lang_pred in {lang for lang, s in zip(model.langs, sims, strict=True) if s > best - 1e-4}
+
+
+def test_language_learns_from_repeated_rows_once(spark):
+    """Any number of equal rows is one in the sample, and rare languages count as much as common ones."""
+    rows = [(1, "the cat and the dog are here", "en")] * 5000 + [(i, f"der Hund und die Katze {'abc'[i % 3]}", "de") for i in range(100, 104)]
+    letters = [chr(i) for i in range(0x400, 0x1000) if chr(i).isalpha()]
+    rows += [(1000 + i, " ".join(letters[(i * 7 + j) % len(letters)] * 4 for j in range(6)), f"l{i}") for i in range(300)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    model = language.fit(df, sample=5000)
+    assert len(set(model.langs)) == 302 and model.langs.count("en") == 1
+    assert language.identify(df.filter("doc_id = 1"), model).filter("lang_pred = 'en'").count() == 5000
+
+
 def test_gram_counts_do_not_depend_on_the_block():
     texts = ["Ein Haus, ein Hund! " * 50, "x", "", "1 2", "añb çd 𝒳"]
     together = language.counts(texts, 512)
@@ -100,6 +151,78 @@ def test_misspelling_and_quotation(spark):
     assert toxicity.fit(d.limit(0), spark.createDataFrame(labels, "doc_id long, toxic int, quality int")).terms == {}
 
 
+@functools.cache
+def nearest_term(word, terms):
+    near = [(distance(word, t), t) for t in terms if abs(len(t) - len(word)) <= 2]
+    return min(((d, t) for d, t in near if d <= toxicity.allowed(len(t))), default=None)
+
+
+def plain_toxicity(model, text):
+    """The score by full distances to every term, word by word."""
+    lower = (text or "").lower()
+    weight = {"plain": 0.0, "fuzzy": 0.0, "quoted": 0.0}
+    words = [(m[0], m.start(), m.end()) for m in toxicity.TOKEN.finditer(lower)]
+    for i, (w, a, z) in enumerate(words):
+        if w in model.terms:
+            best = (0, w)
+        elif w in model.clean:
+            continue
+        else:
+            best = nearest_term(w, tuple(model.terms))
+        if best:
+            said = any(x in model.reporting for x, _, _ in words[max(0, i - 6) : i])
+            line = lower[max(0, a - 40) : a].rpartition("\n")[2], lower[z : z + 40].partition("\n")[0]
+            opened = [j for j, c in enumerate(line[0]) if c in toxicity.OPENING and (j == 0 or not line[0][j - 1].isalnum())]
+            closed = [j for j, c in enumerate(line[1]) if c in toxicity.CLOSING and (j + 1 == len(line[1]) or not line[1][j + 1].isalnum())]
+            marked = opened and closed and line[0].count('"') % 2 == ('"' in line[0])
+            weight["quoted" if said or marked else "fuzzy" if best[0] else "plain"] += model.terms[best[1]]
+    hits = weight["plain"] + toxicity.FUZZY * weight["fuzzy"] + toxicity.QUOTED * weight["quoted"]
+    return 1 / (1 + math.exp(-(model.coef[0] + model.coef[1] * math.log1p(hits))))
+
+
+def test_toxicity_is_the_plain_one(spark, sf_dir):
+    """Every document's score by terms that occur in them, plain, misspelled and after a cue."""
+    docs = queries.table(spark, sf_dir, "documents")
+    texts = dict(docs.select("doc_id", "text").collect())
+    common = [w for w, _ in collections.Counter(w for t in texts.values() for w in set(toxicity.TOKEN.findall(t.lower())) if len(w) >= 5).most_common(60)]
+    model = toxicity.Model({w: 0.5 + i / 10 for i, w in enumerate(common[20:60:6])}, frozenset(common[:20]), toxicity.REPORTING | {common[21]}, (-3.0, 1.0))
+    got = {r.doc_id: r.score for r in toxicity.toxicity(docs, model).collect()}
+    assert got.keys() == texts.keys() and len({round(s, 6) for s in got.values()}) > 20
+    for i, t in texts.items():
+        assert got[i] == pytest.approx(plain_toxicity(model, t), abs=1e-9), i
+
+
+def test_toxicity_odd_texts(spark):
+    """Repeated rows, very long texts, ties of terms: each row its own score, the same one for the same text."""
+    model = toxicity.Model({"idiot": 1.0, "idiom": 0.5, "pathetic": 1.5})
+    texts = ["idiox"] * 300 + ["x " * 500_000 + "idiot", "a" * 1_000_000, "", None, "\0", "IDIOT!"]
+    df = spark.createDataFrame([(i // 2, t) for i, t in enumerate(texts)], "doc_id long, text string")
+    rows = toxicity.toxicity(df, model).collect()
+    assert len(rows) == len(texts) and len({r.score for r in rows if r.doc_id < 150}) == 1
+    for t in texts:
+        if t is None or len(t) < 100:
+            assert model.score(t) == pytest.approx(plain_toxicity(model, t))
+    assert model.find("idiox") == (0.5, 1)  # of equal distances the first term
+    assert model.score(texts[300]) == model.score("idiot") and model.score("a" * 1_000_000) == model.score("")
+
+
+def test_cues_of_a_report_are_learned_in_any_language(spark):
+    words = "alfa bravo charlie delta eco foxtrot golf hotel india julieta kilo lima mike oscar papa quebec romeo sierra tango uniforme".split()
+    r = np.random.default_rng(9)
+    docs, labels = [], []
+    for i in range(900):
+        w = r.choice(words, 24).tolist()
+        if i % 3 == 0:
+            w[10:10] = ["cretino"]
+        elif i % 30 == 1:  # a clean text names the word
+            w[10:10] = ["dijo", "cretino"]
+        docs.append((i, " ".join(w)))
+        labels.append((i, int(i % 3 == 0)))
+    model = toxicity.fit(spark.createDataFrame(docs, "doc_id long, text string"), spark.createDataFrame(labels, "doc_id long, toxic int"))
+    assert set(model.terms) == {"cretino"} and "dijo" in model.reporting and not set(words) & model.reporting
+    assert model.score("alfa dijo cretino bravo") < model.score("alfa bravo cretino")
+
+
 def brute_nearest(rows, every, k):
     good = [(i, np.array(v, float)) for i, v in rows if i is not None and v and all(x is not None and math.isfinite(x) for x in v) and any(v)]
     for i, q in good:
@@ -138,6 +261,58 @@ def test_neighbours_odd_vectors_and_ties(spark):
     assert nearest(df.limit(0)).count() == 0 and nearest(df.filter("vec_id = 0")).count() == 0
 
 
+def test_neighbours_in_double_precision_and_of_any_length(spark):
+    """Scores are those of the original doubles, beyond single precision's range too; lengths don't mix."""
+    r = np.random.default_rng(11)
+    for size in (1.0, 1e100, 1e-60):
+        rows = [(i, (r.normal(size=6) * size).tolist()) for i in range(120)] + [(1000 + i, (r.normal(size=3) * size).tolist()) for i in range(0, 60, 5)]
+        got = collections.defaultdict(list)
+        df = spark.createDataFrame(rows, "vec_id long, embedding array<double>")
+        for x in nearest(df, k=5, wanted=1.0).collect():
+            got[x.query_id].append((-x.score, x.vec_id))
+        vectors = dict(rows)
+        for q, v in rows:
+            if q % 20 == 0:
+                own = [(i, np.array(x)) for i, x in rows if i != q and len(x) == len(v)]
+                want = sorted((-float(np.dot(v, x)), i) for i, x in own)[:5]
+                assert sorted(i for _, i in got[q]) == sorted(i for _, i in want)
+                assert all(-s == pytest.approx(float(np.dot(vectors[q], vectors[i])), rel=1e-13) for s, i in got[q])
+
+
+def test_neighbours_recall_over_full_blocks(spark):
+    """Several blocks of clustered vectors, groups of over 200 equal ones among them, and crowded blocks split by queries."""
+    r = np.random.default_rng(12)
+    centres = r.normal(size=(40, 16)) * 3
+    x = centres[r.integers(0, 40, 12_000)] + r.normal(size=(12_000, 16))
+    x[5000:5300] = x[5000]
+    x[7000:7250] = x[7001]
+    x = x.astype(np.float32)
+    df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<float>")
+    hit = total = 0
+    got = collections.defaultdict(set)
+    for y in nearest(df, every=100, k=20, sample=3000, block=2500, query_block=40).collect():
+        got[y.query_id].add((y.vec_id, y.score))
+    for q in range(0, 12_000, 100):
+        s = x.astype(float) @ x[q].astype(float)
+        s[q] = -np.inf
+        edge = np.sort(s)[-20]
+        assert len(got[q]) == 20
+        hit += sum(v >= edge - 1e-9 for _, v in got[q])  # any of equal ones counts
+        total += 20
+    assert hit >= 0.9 * total
+
+
+def test_language_model_odd_texts(spark):
+    """Very long texts, one unbroken run, repeated rows: each row its own score."""
+    docs = [(i, f"some words of text {i % 5}") for i in range(40)]
+    model, vocab = scoring.fit(spark.createDataFrame(docs, "doc_id long, text string"), rounds=2)
+    odd = [(1, "of text " * 200_000), (2, "x" * 1_000_000), (3, " " * 1_000_000)] + [(4, "unseen word")] * 200
+    rows = scoring.score(spark.createDataFrame(odd, "doc_id long, text string"), model, vocab).collect()
+    assert len(rows) == len(odd) and {r.n_tokens for r in rows if r.doc_id == 1} == {400_001}
+    assert {(r.n_tokens, r.n_known) for r in rows if r.doc_id == 4} == {(3, 1)} and len({r.score for r in rows if r.doc_id == 4}) == 1
+    assert {(r.n_tokens, r.n_known) for r in rows if r.doc_id == 2} == {(2, 1)} and {r.n_tokens for r in rows if r.doc_id == 3} == {1}
+
+
 def test_language_model(spark, sf_dir):
     texts = dict(queries.table(spark, sf_dir, "documents").select("doc_id", "text").collect())
     split = {i: [*re.findall(r"[^\x20\x09-\x0D]+", re.sub("[A-Z]", lambda m: m[0].lower(), t)), ""] for i, t in texts.items()}
@@ -240,3 +415,15 @@ def test_mix_odd_rows_and_reruns(spark):
     again = mix(df.repartition(3), block=4, rows_per_shard=40).collect()
     assert sorted(map(repr, got)) == sorted(map(repr, again))
     assert mix(df.limit(0)).count() == 0
+
+
+def test_mix_of_one_repeated_row(spark):
+    """All rows equal: their copies are told apart, so that they share shards and tasks, and the texts come out as counted."""
+    text = " ".join(f"w{i}" for i in range(40))
+    df = spark.createDataFrame([(5, text, "s")] * 3000, "doc_id long, text string, source string")
+    got = mix(df, rows_per_shard=100).collect()
+    assert len(got) == 3000 and all(0 <= r.taken <= 80 for r in got)
+    assert sum(r.taken for r in got) == pytest.approx(1.5 * 40 * 3000, rel=0.01)
+    words = [r.text.split(" ") for r in mixed_texts(df, rows_per_shard=100).collect()]
+    assert sum(map(len, words)) == sum(r.taken for r in got) and all(f" {' '.join(w)} " in f" {text} " for w in words)
+    assert mixed_texts(df.limit(0)).count() == 0

@@ -79,12 +79,14 @@ def test_run(spark, sf_dir, tables):
     assert sorted(map(tuple, P.run(spark, sf_dir).select("doc_id", "piece", "length").collect())) == sorted(map(tuple, tables[5].select("doc_id", "piece", "length").collect()))
 
 
-@pytest.mark.parametrize("rows", [[], [(1, None, None, None), (1, None, None, None), (2, "Un autre texte, de tout", "fr", "s"), (None, "Un texte de rien", "fr", "s"), (None, "Un texte de rien", "fr", "s"), (4, "12 34", "en", None), (5, "", "en", "t")]])
+@pytest.mark.parametrize("rows", [[], [(1, None, None, None), (1, None, None, None), (2, "Un autre texte, de tout", "fr", "s"), (None, "Un texte de rien", "fr", "s"), (None, "Un texte de rien", "fr", "s"), (4, "12 34", "en", None), (5, "", "en", "t"), (6, "Un texte" + " " * 1_000_000 + "de rien", "fr", "s"), (7, "\n" * 1_000_000 + "Un texte de rien du tout", "fr", "t"), (8, "a" * 300_000, "fr", None)]])
 def test_odd_rows_pass_every_stage(spark, rows):
     kind = T.StructType([T.StructField("doc_id", T.LongType()), *[T.StructField(n, T.StringType()) for n in ("text", "lang", "source")]])
     docs = spark.createDataFrame(rows, kind)
     for name, stage in P.STAGES:
         docs = staged(stage(spark, docs, ""), name.replace(" ", "-"))
         if name in ("exact duplicates", "near duplicates") and rows:
-            assert docs.count() == 2
+            # white space aside, 6 is the longest of equal texts; whether 8 is a language is the model's to say
+            ids = [r.doc_id for r in docs.select("doc_id").collect()]
+            assert sorted(i for i in ids if i != 8) == [2, 6, 7] and len(ids) <= 4
     assert (docs.count() > 0) == bool(rows)
