@@ -129,7 +129,8 @@ def decode_uniform(e: Encoded, p: CodecParams) -> np.ndarray:
         most = int(e.lengths[rows].max(initial=0))
         codes = np.zeros((len(rows), dim, most + 1))
         place, has = _stored(at[rows], e.lengths[rows], most)
-        codes[:, :, 1:][has] = e.coefficients[place[has]]
+        # the 0th is stored for positions only
+        (codes[:, :, :most] if p.positions else codes[:, :, 1:])[has] = e.coefficients[place[has]]
         v = idct((codes * (2 * p.eps_f)).reshape(-1, most + 1), size).reshape(len(rows), dim, size)
         if p.positions:
             s = start[rows][:, :, None] + (end - start)[rows][:, :, None] * (np.arange(size) / size) + v

@@ -4,7 +4,8 @@ from __future__ import annotations
 
 import math
 
-from spectrack.functions.params import CONSTANTS
+from spectrack.functions.params import CONSTANTS, OF_FIXTURE, CodecParams, derive
+from spectrack.oracle_codec import bits, codec, zz, zz1
 
 HOUR = 3_600_000_000
 EPS, B, EPS_P = 0.5, 32, 0.25
@@ -114,16 +115,51 @@ LI_SUPP = """ls0 AS (
 )"""
 
 
-def bits(u: str, l: str) -> str:  # noqa: E741
-    return f"CAST(ceil(length(bin({u})) / CAST({l} AS DOUBLE)) * ({l} + 1) AS BIGINT)"
+EV_SMOOTH = """es0 AS (SELECT event_type, t, event_id, sum(dx) OVER w AS x, sum(dy) OVER w AS y FROM ev0 WINDOW w AS (PARTITION BY event_type ORDER BY t, event_id ROWS UNBOUNDED PRECEDING)
+), es AS (SELECT event_type, t, CAST(sum(x) OVER w AS DOUBLE) / count(*) OVER w / 1000000 AS x, CAST(sum(y) OVER w AS DOUBLE) / count(*) OVER w / 1000000 AS y
+    FROM es0 WINDOW w AS (PARTITION BY event_type ORDER BY t, event_id ROWS BETWEEN 8 PRECEDING AND 8 FOLLOWING))"""
+LI_SMOOTH = """lm0 AS (
+    SELECT l_suppkey, t, sum(CAST(floor((l_quantity - 25.5) * 1000000 + 0.5) AS BIGINT)) OVER w AS x, sum(CAST(floor((l_discount - CAST(0.05 AS DOUBLE)) * 400 * 1000000 + 0.5) AS BIGINT)) OVER w AS y,
+           sum(CAST(floor((l_tax - CAST(0.04 AS DOUBLE)) * 400 * 1000000 + 0.5) AS BIGINT)) OVER w AS z FROM ls0 WHERE nth = 1 WINDOW w AS (PARTITION BY l_suppkey ORDER BY t ROWS UNBOUNDED PRECEDING)
+), lm AS (SELECT l_suppkey, t, CAST(sum(x) OVER w AS DOUBLE) / count(*) OVER w / 1000000 AS x, CAST(sum(y) OVER w AS DOUBLE) / count(*) OVER w / 1000000 AS y, CAST(sum(z) OVER w AS DOUBLE) / count(*) OVER w / 1000000 AS z
+    FROM lm0 WINDOW w AS (PARTITION BY l_suppkey ORDER BY t ROWS BETWEEN 8 PRECEDING AND 8 FOLLOWING))"""
+#: rows (fixture, track_id, t, x0, ...) of the planar sets, and of each other set
+PLANAR = f"""{EV_USER}, {EV_SMOOTH}, {signal(True)}, pts AS (
+    SELECT 'ev_user' AS fixture, 'ev_user:' || track_id AS track_id, t, x AS x0, y AS x1 FROM ev UNION ALL SELECT 'ev_type_smooth', 'ev_type_smooth:' || event_type, t, x, y FROM es
+    UNION ALL SELECT 'emb_cum', 'emb_cum:' || track_id, j * 100000, max(s) FILTER (axis = 0), max(s) FILTER (axis = 1) FROM sig GROUP BY track_id, j)"""
+SOLID = f"{LI_SUPP}, {LI_SMOOTH}, s_pts AS (SELECT 'li_supp_smooth' AS fixture, 'li_supp_smooth:' || CAST(l_suppkey AS VARCHAR) AS track_id, t, x AS x0, y AS x1, z AS x2 FROM lm)"
+LINE = f"{ORD_CUST}, l_pts AS (SELECT 'ord_cust' AS fixture, 'ord_cust:' || track_id AS track_id, t, x AS x0 FROM oc)"
+FACTOR = {"ev_user": 1.0, "ev_type_smooth": 1.0, "emb_cum": 0.01}
+SUMMARY = """raw_bytes, bytes, round(bytes / raw_bytes, 9) AS ratio, max_sed, mean_sed, error_pct, CAST(0 AS DOUBLE) AS kept_ratio, n"""
 
 
-def zz(n: str) -> str:
-    return f"(CASE WHEN {n} >= 0 THEN 2 * {n} ELSE -2 * {n} - 1 END)"
+def _rule(fixture: str, dim: int, eps: float, **changes) -> CodecParams:
+    return derive(eps, dim, OF_FIXTURE.get(f"{fixture}:{dim}", 0), **changes)
 
 
-def zz1(n: str) -> str:
-    return f"(CASE WHEN {n} >= 0 THEN 2 * {n} + 1 ELSE -2 * {n} END)"
+def _table(name: str, columns: str, rows: list[tuple]) -> str:
+    cell = lambda x: "'" + x + "'" if isinstance(x, str) else f"CAST('{x!r}' AS DOUBLE)" if isinstance(x, float) else str(x)
+    return f"{name}({columns}) AS (VALUES {', '.join('(' + ', '.join(map(cell, r)) + ')' for r in rows)})"
+
+
+def _summed(p: str = "") -> str:
+    return f"""{p}sums AS (SELECT g, CAST(sum(raw) AS BIGINT) AS raw_bytes, CAST(sum(size) AS BIGINT) AS bytes, round(max(max_sed), 6) AS max_sed, round(sum(sum_sed) / sum(n), 6) AS mean_sed, round(100 * sum(off) / sum(n), 6) AS error_pct, CAST(sum(n) AS BIGINT) AS n
+    FROM {p}res GROUP BY g)"""
+
+
+def planar(rows: list[tuple], label: str = "param VARCHAR, value, eps") -> str:
+    """CTEs with tag(g, fixture, param, value, eps) and sums for rows of (fixture, param, value, eps, parameters)."""
+    tags = _table("tag", "g, fixture, param, value, eps", [(g, f, a, float(v), e) for g, (f, a, v, e, _) in enumerate(rows)])
+    return f"{PLANAR}, {codec([(f, p) for f, _, _, _, p in rows], 2)}, {_summed()}, {tags}"
+
+
+def _swept(rows: list[tuple], where: str = "") -> str:
+    return f"WITH {planar(rows)} SELECT fixture, 'spectral' AS method, param, value, eps, {SUMMARY} FROM tag JOIN sums USING (g) {where}"
+
+
+def _grid(values, eps_list, param: str, change) -> list[tuple]:
+    """Each value at each bound on each planar set; change(value, bound) says what differs from the rule."""
+    return [(f, param, v, e * k, _rule(f, 2, e * k, **change(v, e * k))) for f, k in FACTOR.items() for v in values for e in eps_list]
 
 
 def _walk(mean: str) -> str:
@@ -165,6 +201,63 @@ def _kept_whole(table: str, ctes: str, track: str) -> str:
     return f"WITH {ctes} SELECT {track} AS track_id, count(*) AS n, true AS whole, CAST(0 AS BIGINT) AS invented, CAST(0 AS BIGINT) AS off FROM {table} GROUP BY ALL"
 
 
+ABLATIONS = {
+    "rule": {}, "no_truncation": {"r_ret": 1.0}, "truncated_to_a_quarter": {"r_ret": 0.25}, "one_block": {"blocks": False}, "classic_zigzag": {"zero_free": False},
+    "open_ends": {"ends": "open"}, "not_validated": {"validate": False}, "positions": {"positions": True},
+}
+
+
+def _w2() -> str:
+    coders = {f"{'zero_free' if z else 'classic'}_l{k}": {"zero_free": z, "l_freq": k} for z in (False, True) for k in (1, 2)}
+    rows = [(f, name, c["l_freq"], 10.0 * i * k, _rule(f, 2, 10.0 * i * k, **c)) for f, k in FACTOR.items() for i in range(1, 11) for name, c in coders.items()]
+    wide = ", ".join(f"max(bytes / raw_bytes) FILTER (param = '{name}') AS {name}" for name in coders)
+    return f"""WITH {planar(rows)}, wide AS (SELECT fixture, eps, {wide} FROM tag JOIN sums USING (g) GROUP BY ALL)
+        SELECT fixture, eps, {", ".join(f"round({x}, 9) AS {x}" for x in coders)}, round(classic_l1 / zero_free_l1 - 1, 9) AS improvement_l1, round(classic_l2 / zero_free_l2 - 1, 9) AS improvement_l2 FROM wide"""
+
+
+def _w7() -> str:
+    grid = (0.2, 0.3, 0.4, 0.5, 0.6, 0.8, 1.0, 1.2)
+    solid = [("li_supp_smooth", a, _rule("li_supp_smooth", 3, 50.0, eps_f=50.0 / a)) for a in grid]
+    tags = _table("stag", "g, fixture, param, value, eps", [(g, f, "a", a, 50.0) for g, (f, a, _) in enumerate(solid)])
+    flat = planar(_grid(grid, [50.0], "a", lambda v, e: {"eps_f": e / v}))
+    return f"""WITH {flat}, {SOLID}, {codec([(f, p) for f, _, p in solid], 3, "s_")}, {_summed("s_")}, {tags}
+        SELECT fixture, 'spectral' AS method, param, value, eps, {SUMMARY} FROM tag JOIN sums USING (g) UNION ALL SELECT fixture, 'spectral', param, value, eps, {SUMMARY} FROM stag JOIN s_sums USING (g)"""
+
+
+def _w11() -> str:
+    grid, retained, eps = (4, 8, 16, 32, 64, 128), (1.0, 0.5, 0.25), (10.0, 50.0, 90.0)
+    rows = [(f, str(r), b, e * k, _rule(f, 2, e * k, b_s=b, r_ret=r)) for f, k in FACTOR.items() for b in grid for r in retained for e in eps]
+    rows += [(f, "formula", 0, e * k, _rule(f, 2, e * k)) for f, k in FACTOR.items() for e in eps]
+    return f"""WITH {planar(rows)}, a AS (SELECT fixture, param, value, eps, bytes / raw_bytes AS ratio FROM tag JOIN sums USING (g)),
+        b AS (SELECT *, CAST(param AS DOUBLE) AS r, row_number() OVER (PARTITION BY fixture, eps ORDER BY ratio, value, CAST(param AS DOUBLE)) AS place FROM a WHERE param <> 'formula')
+        SELECT b.fixture, b.eps, b.value AS best_b_s, b.r AS best_r_ret, round(b.ratio, 9) AS best_ratio, round(a.ratio, 9) AS formula_ratio, round(a.ratio / b.ratio - 1, 9) AS gap
+        FROM b JOIN a ON a.fixture = b.fixture AND a.eps = b.eps AND a.param = 'formula' WHERE place = 1"""
+
+
+def _compressed() -> str:
+    """Four sets: two in the plane, one solid, one on a line."""
+    flat = [("ev_user", derive(50.0, 2)), ("emb_cum", derive(0.5, 2))]
+    parts = [f"WITH {PLANAR}, {codec(flat, 2)}, {SOLID}, {codec([('li_supp_smooth', derive(50.0, 3))], 3, 's_')}, {LINE}, {codec([('ord_cust', derive(50.0, 1))], 1, 'l_')}"]
+    parts.append("res4 AS (SELECT * FROM res UNION ALL SELECT * FROM s_res UNION ALL SELECT * FROM l_res), tr4 AS (SELECT * FROM tr UNION ALL SELECT * FROM s_tr UNION ALL SELECT * FROM l_tr)")
+    parts.append("t4 AS (SELECT fixture, track_id, t FROM pts WHERE fixture <> 'ev_type_smooth' UNION ALL SELECT fixture, track_id, t FROM s_pts UNION ALL SELECT fixture, track_id, t FROM l_pts)")
+    parts.append(f"ck AS (SELECT fixture, track_id, CAST(ceil(sum({bits(zz('d'), '2')}) / 8.0) AS BIGINT) AS clock FROM (SELECT *, t - coalesce(lag(t) OVER (PARTITION BY fixture, track_id ORDER BY t), 0) AS d FROM t4) GROUP BY ALL)")
+    return (
+        ", ".join(parts)
+        + """ SELECT fixture, CAST(sum(res4.n) AS BIGINT) AS n, CAST(sum(raw) AS BIGINT) AS raw_bytes, CAST(sum(size) AS BIGINT) AS bytes, CAST(sum(size + CASE WHEN uniform THEN 0 ELSE clock END) AS BIGINT) AS with_clock, round(sum(size) / sum(raw), 9) AS ratio,
+        round(max(max_sed), 6) AS max_sed, round(sum(sum_sed) / sum(res4.n), 6) AS mean_sed, round(100 * sum(off) / sum(res4.n), 6) AS error_pct FROM res4 JOIN tr4 USING (fixture, track_id) JOIN ck USING (fixture, track_id) GROUP BY fixture"""
+    )
+
+
+def _interval_search() -> str:
+    """Each offered interval as a shape of its own: the interval itself in place of the rule's, so the scale is set to it."""
+    offered = [h * HOUR for h in (10, 20, 30)]
+    ctes = codec([("ev_user", derive(50.0, 2, v_max=0.05, dt_scale=float(dt))) for dt in offered], 2)
+    ctes = ctes.replace("greatest(1, floor(any_value(dt) * any_value(dt_scale) + 0.5))", "any_value(dt_scale)")
+    pts = f"{EV_USER}, pts AS (SELECT 'ev_user' AS fixture, track_id, t, x AS x0, y AS x1 FROM ev)"
+    tags = _table("tag", "g, dt", list(enumerate(offered)))
+    return f"WITH {pts}, {ctes}, {tags} SELECT track_id, arg_min(dt, {{'b': size, 'd': dt}}) AS dt, min(size) AS bytes FROM res JOIN tag USING (g) GROUP BY track_id"
+
+
 ORACLES: dict[str, str] = {
     "q_describe_tracks": f"WITH {STEPS} SELECT count(DISTINCT track_id) AS tracks, count(*) AS points, round(avg(gap / 1e6), 3) AS gap_mean, round(var_pop(gap / 1e6), 0) AS gap_var FROM st",
     "q_dedupe": """WITH r AS (SELECT CAST(l_suppkey AS VARCHAR) AS track_id, epoch_us(l_shipdate) AS t, l_quantity, row_number() OVER (PARTITION BY l_suppkey, l_shipdate ORDER BY l_orderkey, l_linenumber, l_quantity) AS nth FROM lineitem)
@@ -260,6 +353,17 @@ ORACLES: dict[str, str] = {
             UNION ALL SELECT 'ord_cust', track_id, t FROM oc
         ), g AS (SELECT fixture, track_id, (t - lag(t) OVER (PARTITION BY fixture, track_id ORDER BY t)) / 1e6 AS gap FROM every)
         SELECT fixture, count(DISTINCT track_id) AS tracks, count(*) AS points, round(avg(gap), 3) AS gap_mean, round(var_pop(gap), 0) AS gap_var FROM g GROUP BY fixture""",
+    "w2_zigzag_ablation": _w2(),
+    "w3_block_size": _swept(_grid((4, 8, 16, 32, 64, 128, 256, 512), (20.0, 50.0, 80.0), "b_s", lambda v, e: {"b_s": v})),
+    "w4_retention": _swept(_grid([2.0**-i for i in range(8)], [50.0], "r_ret", lambda v, e: {"r_ret": v, "b_s": 128})),
+    "w7_freq_precision": _w7(),
+    "w11_formula_vs_search": _w11(),
+    "w14_interval": _swept([r for r in _grid((0.5, 0.75, 1.0, 1.5, 2.0), [50.0], "dt", lambda v, e: {"dt_scale": v}) if r[0] != "emb_cum"]),
+    "w15_ablations": _swept([(f, name, 0, 50.0 * k, _rule(f, 2, 50.0 * k, **change)) for f, k in FACTOR.items() for name, change in ABLATIONS.items()]),
+    "q_compress": _compressed(),
+    "q_section_rollup": f"""WITH {SOLID}, {codec([("li_supp_smooth", derive(50.0, 3))], 3, "s_")}
+        SELECT fixture, section, CAST(sum(b) AS BIGINT) AS bits FROM (SELECT 'li_supp_smooth' AS fixture, section, b + CASE WHEN section = 'header' THEN 144 ELSE 0 END AS b FROM s_sec) GROUP BY ROLLUP (fixture, section)""",
+    "q_interval_search": _interval_search(),
     "w13_trapezoid": f"""WITH {velocity(32)}, sp AS (SELECT j, CASE WHEN j < 32 THEN 0 WHEN j < 96 THEN (j - 32) / 4.0 WHEN j < 176 THEN 16 WHEN j < 240 THEN (240 - j) / 4.0 ELSE 0 END AS speed FROM range(257) r(j)
         ), tv AS (SELECT 'trapezoid' AS fixture, 0 AS axis, 'profile' AS track_id, (j - 1) // 64 AS block_id, (j - 1) % 64 AS i, 64 AS len, CAST(speed AS DOUBLE) - avg(CAST(speed AS DOUBLE)) OVER (PARTITION BY (j - 1) // 64) AS centred FROM sp WHERE j > 0
         ), every AS (SELECT * FROM tv UNION ALL SELECT 'emb_cum', axis, track_id, block_id, i, len, centred FROM vel

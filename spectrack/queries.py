@@ -276,8 +276,8 @@ def q_compress(spark, d):
     rows = [codec.compress(D.FIXTURES[n](spark, d), derive(e, dim)).withColumn("fixture", F.lit(n)) for n, e, dim in (("ev_user", 50.0, 2), ("emb_cum", 0.5, 2), ("li_supp_smooth", 50.0, 3), ("ord_cust", 50.0, 1))]
     c = reduce(DataFrame.unionByName, rows)
     return c.groupBy("fixture").agg(
-        F.sum("n").alias("n"), F.sum("raw_bytes").alias("raw_bytes"), F.sum("bytes_paper").alias("bytes"), F.sum("bytes_with_clock").alias("with_clock"),
-        (F.sum("bytes_paper") / F.sum("raw_bytes")).alias("ratio"), F.max("max_sed").alias("max_sed"), (F.sum("sum_sed") / F.sum("n")).alias("mean_sed"), (100 * F.sum("n_corr") / F.sum("n")).alias("error_pct"),
+        F.sum("n").alias("n"), F.sum("raw_bytes").alias("raw_bytes"), F.sum("bytes_paper").alias("bytes"), F.sum("bytes_with_clock").alias("with_clock"), r(F.sum("bytes_paper") / F.sum("raw_bytes"), 9).alias("ratio"),
+        r(F.max("max_sed"), 6).alias("max_sed"), r(F.sum("sum_sed") / F.sum("n"), 6).alias("mean_sed"), r(100 * F.sum("n_corr") / F.sum("n"), 6).alias("error_pct"),
     )
 
 
