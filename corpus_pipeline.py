@@ -10,7 +10,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
 from spectrack.llm import language
-from spectrack.llm.common import keep_rows, row_key, staged
+from spectrack.llm.common import discard, keep_rows, row_key, staged
 from spectrack.llm.exact_dedup import exact_dedup
 from spectrack.llm.mixing import mixed_texts
 from spectrack.llm.packing import pack
@@ -57,5 +57,7 @@ ORACLE_SQL = None
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     for name, stage in STAGES[:-1]:
-        docs = staged(stage(spark, docs, sf_dir), name.replace(" ", "-"))
+        made = staged(stage(spark, docs, sf_dir), name.replace(" ", "-"))
+        discard(docs)  # nothing, where docs is the input
+        docs = made
     return STAGES[-1][1](spark, docs, sf_dir)

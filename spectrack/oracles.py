@@ -236,8 +236,8 @@ def _w11() -> str:
 
 def _compressed() -> str:
     """Four sets: two in the plane, one solid, one on a line."""
-    flat = [("ev_user", derive(50.0, 2)), ("emb_cum", derive(0.5, 2))]
-    parts = [f"WITH {PLANAR}, {codec(flat, 2)}, {SOLID}, {codec([('li_supp_smooth', derive(50.0, 3))], 3, 's_')}, {LINE}, {codec([('ord_cust', derive(50.0, 1))], 1, 'l_')}"]
+    flat = [("ev_user", _rule("ev_user", 2, 50.0)), ("emb_cum", _rule("emb_cum", 2, 0.5))]
+    parts = [f"WITH {PLANAR}, {codec(flat, 2)}, {SOLID}, {codec([('li_supp_smooth', _rule('li_supp_smooth', 3, 50.0))], 3, 's_')}, {LINE}, {codec([('ord_cust', derive(50.0, 1))], 1, 'l_')}"]
     parts.append("res4 AS (SELECT * FROM res UNION ALL SELECT * FROM s_res UNION ALL SELECT * FROM l_res), tr4 AS (SELECT * FROM tr UNION ALL SELECT * FROM s_tr UNION ALL SELECT * FROM l_tr)")
     parts.append("t4 AS (SELECT fixture, track_id, t FROM pts WHERE fixture <> 'ev_type_smooth' UNION ALL SELECT fixture, track_id, t FROM s_pts UNION ALL SELECT fixture, track_id, t FROM l_pts)")
     parts.append(f"ck AS (SELECT fixture, track_id, CAST(ceil(sum({bits(zz('d'), '2')}) / 8.0) AS BIGINT) AS clock FROM (SELECT *, t - coalesce(lag(t) OVER (PARTITION BY fixture, track_id ORDER BY t), 0) AS d FROM t4) GROUP BY ALL)")
@@ -361,9 +361,10 @@ ORACLES: dict[str, str] = {
     "w14_interval": _swept([r for r in _grid((0.5, 0.75, 1.0, 1.5, 2.0), [50.0], "dt", lambda v, e: {"dt_scale": v}) if r[0] != "emb_cum"]),
     "w15_ablations": _swept([(f, name, 0, 50.0 * k, _rule(f, 2, 50.0 * k, **change)) for f, k in FACTOR.items() for name, change in ABLATIONS.items()]),
     "q_compress": _compressed(),
-    "q_section_rollup": f"""WITH {SOLID}, {codec([("li_supp_smooth", derive(50.0, 3))], 3, "s_")}
+    "q_section_rollup": f"""WITH {SOLID}, {codec([("li_supp_smooth", _rule("li_supp_smooth", 3, 50.0))], 3, "s_")}
         SELECT fixture, section, CAST(sum(b) AS BIGINT) AS bits FROM (SELECT 'li_supp_smooth' AS fixture, section, b + CASE WHEN section = 'header' THEN 144 ELSE 0 END AS b FROM s_sec) GROUP BY ROLLUP (fixture, section)""",
     "q_interval_search": _interval_search(),
+    "q_engines": f"WITH {signal(True)} SELECT count(DISTINCT track_id) AS tracks, CAST(0 AS BIGINT) AS differ FROM sig",
     "w13_trapezoid": f"""WITH {velocity(32)}, sp AS (SELECT j, CASE WHEN j < 32 THEN 0 WHEN j < 96 THEN (j - 32) / 4.0 WHEN j < 176 THEN 16 WHEN j < 240 THEN (240 - j) / 4.0 ELSE 0 END AS speed FROM range(257) r(j)
         ), tv AS (SELECT 'trapezoid' AS fixture, 0 AS axis, 'profile' AS track_id, (j - 1) // 64 AS block_id, (j - 1) % 64 AS i, 64 AS len, CAST(speed AS DOUBLE) - avg(CAST(speed AS DOUBLE)) OVER (PARTITION BY (j - 1) // 64) AS centred FROM sp WHERE j > 0
         ), every AS (SELECT * FROM tv UNION ALL SELECT 'emb_cum', axis, track_id, block_id, i, len, centred FROM vel

@@ -16,11 +16,11 @@ from spectrack.functions import numbers as N
 from spectrack.functions import simplify as S
 from spectrack.functions import sqlfuncs, theory
 from spectrack.functions import track as K
-from spectrack.functions.params import CONSTANTS, OF_FIXTURE, derive
+from spectrack.functions.params import CONSTANTS, OF_FIXTURE, CodecParams, derive
 from spectrack.functions.spectral import dct
 from spectrack.operators import blocks as B
 from spectrack.operators import points as P
-from spectrack.plans import codec, workloads
+from spectrack.plans import codec, expr, workloads
 from spectrack.plans import measures as M
 from spectrack.sources import tables as D
 from spectrack.sources.stage import staged
@@ -272,8 +272,13 @@ def q_strong_subset(spark, d):
     return kept.exceptAll(pts).agg(F.count(F.lit(1)).alias("invented"))
 
 
+def _rule(name: str, e: float, dim: int, **changes) -> CodecParams:
+    """Parameters by the constants found for the set, if any were."""
+    return derive(e, dim, OF_FIXTURE.get(f"{name}:{dim}", 0), **changes)
+
+
 def q_compress(spark, d):
-    rows = [codec.compress(D.FIXTURES[n](spark, d), derive(e, dim)).withColumn("fixture", F.lit(n)) for n, e, dim in (("ev_user", 50.0, 2), ("emb_cum", 0.5, 2), ("li_supp_smooth", 50.0, 3), ("ord_cust", 50.0, 1))]
+    rows = [codec.compress(D.FIXTURES[n](spark, d), _rule(n, e, dim)).withColumn("fixture", F.lit(n)) for n, e, dim in TRIPS]
     c = reduce(DataFrame.unionByName, rows)
     return c.groupBy("fixture").agg(
         F.sum("n").alias("n"), F.sum("raw_bytes").alias("raw_bytes"), F.sum("bytes_paper").alias("bytes"), F.sum("bytes_with_clock").alias("with_clock"), r(F.sum("bytes_paper") / F.sum("raw_bytes"), 9).alias("ratio"),
@@ -288,7 +293,7 @@ TRIPS = (("ev_user", 50.0, 2), ("emb_cum", 0.5, 2), ("li_supp_smooth", 50.0, 3),
 def _stored(spark, d, name: str, e: float, dim: int, chunk_points: int | None = codec.CHUNK) -> tuple[DataFrame, DataFrame]:
     """Points, and their containers as a stored table."""
     pts = D.FIXTURES[name](spark, d)
-    return pts, staged(codec.compress(pts, derive(e, dim, OF_FIXTURE.get(f"{name}:{dim}", 0)), chunk_points), "container")
+    return pts, staged(codec.compress(pts, _rule(name, e, dim), chunk_points), "container")
 
 
 def _off(pts: DataFrame, back: DataFrame, e: float) -> DataFrame:
@@ -335,7 +340,7 @@ def q_decode_headers(spark, d):
 
     out = []
     for name, e, dim in TRIPS:
-        runs = [({"fixture": name, "change": "".join(sorted(x))}, trip(derive(e, dim, **{k: v * e / 50 if k in ("eps_p", "eps_f") else v for k, v in x.items()}))) for x in ODD]
+        runs = [({"fixture": name, "change": "".join(sorted(x))}, trip(_rule(name, e, dim, **{k: v * e / 50 if k in ("eps_p", "eps_f") else v for k, v in x.items()}))) for x in ODD]
         out.append(codec.sweep(D.FIXTURES[name](spark, d), runs, "track_id string, n long, fixture string, change string, off long"))
     return reduce(DataFrame.unionByName, out).groupBy("fixture", "change").agg(F.sum("n").alias("n"), F.sum("off").alias("off"))
 
@@ -413,8 +418,18 @@ def q_measures(spark, d):
     return made.select("fixture", "method", "best_method", *[r(c, 9).alias(c) for c in ("ratio", "kept_ratio", "relative", "improvement", "reduction", "best_ratio")])
 
 
+def q_engines(spark, d):
+    """Containers by DataFrame functions alone and by the Arrow kernel: tracks whose bytes differ, or that only one of
+    them has, none."""
+    pts, p = staged(D.emb_cum(spark, d), "points"), _rule("emb_cum", EPS, 2)
+    mine = expr.compress(pts, p, STEP, 2).select("track_id", "payload")
+    both = mine.join(codec.compress(pts, p).select("track_id", F.col("payload").alias("other")), "track_id", "full_outer")
+    differ = F.coalesce(F.col("payload") != F.col("other"), F.lit(True)).cast("int")
+    return both.agg(F.count(F.lit(1)).alias("tracks"), F.sum(differ).alias("differ"))
+
+
 def q_section_rollup(spark, d):
-    return M.size_breakdown(codec.compress(D.li_supp_smooth(spark, d), derive(50.0, 3)).withColumn("fixture", F.lit("li_supp_smooth")), "fixture")
+    return M.size_breakdown(codec.compress(D.li_supp_smooth(spark, d), _rule("li_supp_smooth", 50.0, 3)).withColumn("fixture", F.lit("li_supp_smooth")), "fixture")
 
 
 def q_interval_search(spark, d):
