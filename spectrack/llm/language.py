@@ -36,7 +36,7 @@ def counts(texts: list[str], dims: int) -> tuple[np.ndarray, np.ndarray]:
     table, at = _is_letter(), 0
     while at < len(texts):
         upto, size = at, 0
-        while upto < len(texts) and (size == 0 or size + len(texts[upto]) < _BLOCK):
+        while upto < len(texts) and (upto == at or size + len(texts[upto]) < _BLOCK):
             size += len(texts[upto])
             upto += 1
         if size > 2 * _BLOCK:  # one very long text, block by block

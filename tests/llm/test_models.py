@@ -91,7 +91,7 @@ def test_language_learns_from_repeated_rows_once(spark):
 
 
 def test_gram_counts_do_not_depend_on_the_block():
-    texts = ["Ein Haus, ein Hund! " * 50, "x", "", "1 2", "añb çd 𝒳"]
+    texts = ["Ein Haus, ein Hund! " * 50, "x", "", "1 2", "añb çd 𝒳", "", "", "sehr lang " * 120_000, "", "y"]
     together = language.counts(texts, 512)
     for i, t in enumerate(texts):
         alone = language.counts([t], 512)
