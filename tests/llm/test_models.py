@@ -302,6 +302,23 @@ def test_neighbours_recall_over_full_blocks(spark):
     assert hit >= 0.9 * total
 
 
+def test_neighbours_recall_of_queries_unlike_the_other_vectors(spark):
+    """The queries lie elsewhere than the clusters of the other vectors: opposite them, or anywhere."""
+    r = np.random.default_rng(13)
+    n = 6000
+    x = (r.normal(size=(50, 32))[r.integers(0, 50, n)] + r.normal(size=(n, 32)) * 0.3).astype(np.float32)
+    x[::40] = -x[::40]
+    x[20::40] = r.normal(size=(n // 40, 32))
+    df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<float>")
+    got = collections.defaultdict(set)
+    for y in nearest(df, every=20, k=20, short=40).collect():
+        got[y.query_id].add(y.vec_id)
+    s = x[::20].astype(float) @ x.T.astype(float)
+    s[np.arange(len(s)), np.arange(0, n, 20)] = -np.inf
+    best = np.argsort(-s, axis=1, kind="stable")[:, :20]
+    assert sum(len(got[20 * i] & set(b.tolist())) for i, b in enumerate(best)) >= 0.95 * best.size
+
+
 def test_language_model_odd_texts(spark):
     """Very long texts, one unbroken run, repeated rows: each row its own score."""
     docs = [(i, f"some words of text {i % 5}") for i in range(40)]
