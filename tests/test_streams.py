@@ -69,3 +69,13 @@ def test_open_fragments_are_bounded(spark, tmp_path):
     p = CodecParams(eps=10.0, eps_f=10 / 0.6, b_s=4, r_ret=1.0, eps_p=5.0, default_dt=MINUTE)
     made, checkpoint, _ = streams._ended(streams.compress_stream(_files(spark, tmp_path, [rows[:120], rows[120:]], schema), p, most=50))
     assert sorted(x.n for x in made.unionByName(streams.leftover(spark, checkpoint, p, 50)).collect()) == [50] * 5
+
+
+def test_appended_rows_and_state_stay_off_the_heap(spark, sf_dir):
+    """Rows of a stream are files that Spark reads, not a table on the driver; its state is in RocksDB, for the stream alone."""
+    key = "spark.sql.streaming.stateStore.providerClass"
+    usual = spark.conf.get(key)
+    out = streams.replay(spark, sf_dir, "dedupe")
+    assert out.inputFiles() and out.count() == spark.read.parquet(f"{sf_dir}/events.parquet").select("user_id", "event_type", "ts").distinct().count()
+    made, checkpoint, query = streams._ended(streams.simplify_stream(streams.events_stream(spark, sf_dir).selectExpr("string(user_id) AS track_id", "ts", "unix_micros(ts) AS t", "array(value, value) AS pos"), 30.0))
+    assert any("rocksdb" in k for p in query.recentProgress for o in p["stateOperators"] for k in o["customMetrics"]) and spark.conf.get(key) == usual
