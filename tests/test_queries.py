@@ -172,3 +172,14 @@ def test_sinks_and_logs(spark, sf_dir, tmp_path):
     (tmp_path / "solid.csv").write_text("b,1,1.5,2.5,3.5\nb,2,1.5,oops,3.5\nb,3,1.5\nb,x,1,2,3\nb,4,1,2,3\n")
     solid = D.read_gps_csv(spark, str(tmp_path / "solid.csv"), header=False)
     assert sorted(map(tuple, D.usable(solid).collect())) == [("b", 1, [1.5, 2.5, 3.5]), ("b", 4, [1.0, 2.0, 3.0])] and D.refused(solid) == 3
+
+
+def test_whole_numbers_of_a_long_signal_are_one_row(spark, sf_dir):
+    pts = D.int_signal(spark, sf_dir).filter("signal = 'n_chars'").select(F.col("signal").alias("track_id"), F.col("i").alias("t"), F.array(F.col("n").cast("double")).alias("pos"))
+    whole, cut = queries._lossless(pts, None).collect(), queries._lossless(pts, 30).collect()
+    assert len(cut) == 1 and cut == whole and cut[0]["off"] == 0
+
+
+def test_theory_and_parameters_read_a_table(spark, sf_dir):
+    for name, table in (("q_theory", "lineitem"), ("q_derive", "lineitem"), ("q_pick_a", "events")):
+        assert any(f.endswith(f"{table}.parquet") for f in queries.QUERIES[name](spark, sf_dir).inputFiles())
