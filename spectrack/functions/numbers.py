@@ -50,6 +50,8 @@ def unzigzag1(u) -> np.ndarray:
 def bit_length(u) -> np.ndarray:
     """Binary digits, 1 for zero."""
     u = np.asarray(u, np.int64)
+    if u.size and u.max() < 1 << 53:  # exact as doubles, whose exponent says it
+        return np.maximum(np.frexp(u.astype(float))[1], 1).astype(np.int64)
     out = np.ones(u.shape, np.int64)
     for s in (32, 16, 8, 4, 2, 1):
         more = u >> s > 0
@@ -63,23 +65,48 @@ def bit_cost(u, l: int, elide: bool = False) -> np.ndarray:  # noqa: E741
     return -(-bit_length(u) // l) * (l + 1) - int(elide)
 
 
+SLICE = 2_000_000  # bits
+
+
+def spread(u: np.ndarray, l, n: np.ndarray) -> np.ndarray:  # noqa: E741
+    """The first n bits of each code, one byte each: low chunk first, its flag (more follow) before its l bits."""
+    ends = np.cumsum(n)
+    if len(n) and ends[-1] > SLICE and len(n) > 1:  # a few arrays of eight bytes a bit are held at a time
+        cuts = [0, *np.searchsorted(ends, np.arange(SLICE, int(ends[-1]), SLICE)).tolist(), len(n)]
+        cuts = sorted(set(cuts))
+        pairs = zip(cuts, cuts[1:], strict=False)
+        return np.concatenate([_spread(u[a:b], l[a:b] if isinstance(l, np.ndarray) else l, n[a:b]) for a, b in pairs])
+    return _spread(u, l, n)
+
+
+def _spread(u: np.ndarray, l, n: np.ndarray) -> np.ndarray:  # noqa: E741
+    code = np.repeat(np.arange(len(u)), n)
+    l = l[code] if isinstance(l, np.ndarray) else l  # noqa: E741
+    place = np.arange(len(code)) - np.repeat(np.cumsum(n) - n, n)
+    chunk = place // (l + 1)
+    inside = place - chunk * (l + 1)
+    held = u[code]
+    # beyond the highest digit there are zeros
+    bit = held >> np.minimum(chunk * l + l - inside, 63) & 1
+    more = held >> np.minimum(chunk * l + l, 63) > 0
+    return np.where(inside == 0, more, bit).astype(np.uint8)
+
+
 def to_bits(u, l: int, elide: bool = False) -> np.ndarray:  # noqa: E741
     """The codes' bits, one byte each: low chunk first, its flag (more follow) before its l bits."""
     u = np.asarray(u, np.int64).ravel()
-    if not len(u):
-        return np.zeros(0, np.uint8)
-    chunks = -(-bit_length(u) // l)
-    most = int(chunks.max())
-    out = np.zeros((len(u), most, l + 1), np.uint8)
-    for c in range(most):
-        out[:, c, 0] = c + 1 < chunks
-        for b in range(l):
-            shift = c * l + l - 1 - b
-            out[:, c, b + 1] = u >> shift & 1 if shift < 63 else 0
-    keep = np.repeat((np.arange(most) < chunks[:, None])[:, :, None], l + 1, axis=2)
-    if elide:
-        keep[np.arange(len(u)), chunks - 1, l] = False
-    return out[keep]
+    return spread(u, l, bit_cost(u, l, elide))
+
+
+def codes_of(bits: np.ndarray, l: int) -> tuple[np.ndarray, np.ndarray]:  # noqa: E741
+    """All codes from the first bit on that end, and the position behind each."""
+    whole = bits[: len(bits) // (l + 1) * (l + 1)].reshape(-1, l + 1)
+    last = np.flatnonzero(whole[:, 0] == 0)
+    whole = whole[: last[-1] + 1]
+    value = whole[:, 1:].astype(np.int64) @ (1 << np.arange(l - 1, -1, -1, dtype=np.int64))
+    first = np.concatenate(([0], last[:-1] + 1))
+    place = np.arange(len(whole)) - np.repeat(first, last - first + 1)
+    return np.add.reduceat(value << np.minimum(place * l, 62), first), (last + 1) * (l + 1)
 
 
 def from_bits(bits: np.ndarray, at: int, n: int, l: int, elide: bool = False) -> tuple[np.ndarray, int]:  # noqa: E741

@@ -129,11 +129,10 @@ def pq(t, pos, eps: float | None = None, ratio: float | None = None) -> np.ndarr
     the neighbours, plus the largest cost carried over from removed neighbours. Stops above eps, or when ratio of
     the samples is left."""
     n = len(t)
-    left, right = np.arange(n) - 1, np.arange(n) + 1
-    carried = np.zeros(n)
-    alive = np.ones(n, bool)
-    version = np.zeros(n, np.int64)
-    x = [tuple(map(float, row)) for row in pos]
+    # plain lists: single items of arrays cost several times as much
+    left, right = list(range(-1, n - 1)), list(range(1, n + 1))
+    carried, alive, version = [0.0] * n, [True] * n, [0] * n
+    x, t = list(map(tuple, np.asarray(pos, float).tolist())), np.asarray(t).tolist()
 
     def cost(i: int) -> float:
         a, b = left[i], right[i]
@@ -151,13 +150,13 @@ def pq(t, pos, eps: float | None = None, ratio: float | None = None) -> np.ndarr
             break
         alive[i] = False
         rest -= 1
-        a, b = int(left[i]), int(right[i])
+        a, b = left[i], right[i]
         right[a], left[b] = b, a
         for k in (a, b):
             carried[k] = max(carried[k], c)
             if 0 < k < n - 1:
                 version[k] += 1
-                heapq.heappush(heap, (cost(k), k, int(version[k])))
+                heapq.heappush(heap, (cost(k), k, version[k]))
     return np.flatnonzero(alive)
 
 

@@ -13,6 +13,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window as W
 
+from spectrack.functions import many as M
 from spectrack.functions import simplify as S
 from spectrack.functions import track as K
 from spectrack.functions.params import CodecParams
@@ -126,16 +127,33 @@ def over_tracks(points: DataFrame, kernel: Callable[[Iterator[Piece]], Iterator[
     return dealt(points.join(long, "track_id", "left_anti")).unionByName(ranges.select("track_id", "t", "pos").mapInArrow(run(chunk_points), ddl))
 
 
-def _container(piece: Piece, p: CodecParams) -> dict:
+def together(made: Iterator[Piece], points: int = 20_000) -> Iterator[list[Piece]]:
+    """Pieces in groups of about so many points, each group of one dimension."""
+    held, n = [], 0
+    for piece in made:
+        if held and (n + len(piece[2]) > points or piece[3].shape[1] != held[0][3].shape[1]):
+            yield held
+            held, n = [], 0
+        held.append(piece)
+        n += len(piece[2])
+    if held:
+        yield held
+
+
+def _containers(group: list[Piece], p: CodecParams) -> Iterator[dict]:
+    tracks = [piece[2:] for piece in group]
+    for piece, clock, made in zip(group, M.clock_bits(tracks, p.eps_t, p.l), M.packed(tracks, p), strict=True):
+        yield _container(piece, clock, *made)
+
+
+def _container(piece: Piece, clock: int, payload: bytes, bits: dict, uniform: bool, stats: dict) -> dict:
     track, chunk, t, pos = piece
-    e = K.encode(t, pos, p)
-    payload, bits = K.pack(e, p), K.bits_of(e, p)
     n, dim = pos.shape
     size = len(payload)
     return {
         "track_id": track, "chunk": chunk or 0, "cut": chunk is not None, "payload": payload, "n": n, "dim": dim, "t_min": int(t[0]), "t_max": int(t[-1]), "raw_bytes": K.raw_bytes(n, dim),
-        "bytes_paper": size, "bytes_with_clock": size if e.uniform else size + -(-K.clock_bits(t, p.eps_t, p.l) // 8), "regular": e.uniform,
-        "n_corr": e.stats["error_points"], "n_out": e.stats["outliers"], "n_frag": e.stats["fragments"], "max_sed": e.stats["max_sed"], "sum_sed": e.stats["sum_sed"],
+        "bytes_paper": size, "bytes_with_clock": size if uniform else size + -(-clock // 8), "regular": uniform,
+        "n_corr": stats["error_points"], "n_out": stats["outliers"], "n_frag": stats["fragments"], "max_sed": stats["max_sed"], "sum_sed": stats["sum_sed"],
         **{f"bits_{s}": bits[s] for s in K.SECTIONS},
     }
 
@@ -145,7 +163,7 @@ def compress(points: DataFrame, p: CodecParams, chunk_points: int | None = CHUNK
 
     Chunks are containers of their own (`cut`), and the cut costs a fragment's start each."""
     schema = arrow_schema(CONTAINER)
-    return over_tracks(points, lambda made: rows_of((_container(x, p) for x in made), schema), CONTAINER, p.eps_t, chunk_points)
+    return over_tracks(points, lambda made: rows_of((row for group in together(made) for row in _containers(group, p)), schema), CONTAINER, p.eps_t, chunk_points)
 
 
 def _chunk_of(starts: Column, t: Column) -> Column:
@@ -177,7 +195,7 @@ def decompress(container: DataFrame, clock: DataFrame, p: CodecParams | None = N
         key = box = last = None
         for batch in batches:
             ids, chunk, kind, t = (batch.column(i) for i in range(4))
-            names, made, at = [], [], []
+            names, asked, at = [], [], []
             codes, chunk, kind, t = np.asarray(ids.dictionary_encode().indices), np.asarray(chunk), np.asarray(kind), np.asarray(t)
             edges = np.flatnonzero((np.diff(codes) != 0) | (np.diff(chunk) != 0) | (np.diff(kind) != 0)) + 1
             edges = [0, *edges.tolist(), len(codes)]
@@ -189,18 +207,20 @@ def decompress(container: DataFrame, clock: DataFrame, p: CodecParams | None = N
                     key, box, last = own, None, None
                 if kind[a] == 0:
                     e, found = K.unpack(batch.column(5)[a].as_py(), p)
-                    box = e, found, K.decode_uniform(e, found), int(t[a]), batch.column(4)[a].as_py()
+                    # a long container's times may come in many batches
+                    samples = K.decode_uniform(e, found) if e.counts.sum() > 2000 else None
+                    box = e, found, samples, int(t[a]), batch.column(4)[a].as_py()
                 elif box is not None:
-                    e, found, samples, first, end = box
+                    *made, first, end = box
                     when = t[a:b]
                     when = when[(when >= first) & (when <= end) & np.concatenate(([when[0] != last], when[1:] != when[:-1]))]
                     last = t[b - 1]
                     if len(when):
                         names += [own[0]] * len(when)
                         at.append(when)
-                        made.append(K.decode(e, when, found, samples))
+                        asked.append(made)
             if at:
-                yield points_batch(names, np.concatenate(at), made, schema)
+                yield points_batch(names, np.concatenate(at), M.decode(asked, at), schema)
 
     return both.mapInArrow(run, POINTS)
 
@@ -270,15 +290,17 @@ def sweep(points: DataFrame, runs: Sequence[tuple[dict | list[dict], Callable]],
 
     The grid goes to the data: points are shuffled once, and a task does all runs of its tracks. A run is (labels, function
     of (t, pos) giving the rest of the row), or (list of labels, function giving as many), where one encoding
-    serves several rows."""
+    serves several rows. A function with an attribute `many` is given a list of tracks there, for as many results."""
     schema = arrow_schema(ddl)
 
     def rows(made: Iterator[Piece]) -> Iterator[dict]:
-        for track, _, t, pos in made:
-            same = {"track_id": track, "n": len(t), "raw_bytes": K.raw_bytes(*pos.shape)}
+        for group in together(made):
+            tracks = [piece[2:] for piece in group]
+            same = [{"track_id": track, "n": len(t), "raw_bytes": K.raw_bytes(*pos.shape)} for track, _, t, pos in group]
             for labels, f in runs:
-                got = f(t, pos)
-                for tag, x in [(labels, got)] if isinstance(labels, dict) else zip(labels, got, strict=True):
-                    yield {**same, **tag, **x}
+                many = f.many(tracks) if hasattr(f, "many") else (f(t, pos) for t, pos in tracks)
+                for own, got in zip(same, many, strict=True):
+                    for tag, x in [(labels, got)] if isinstance(labels, dict) else zip(labels, got, strict=True):
+                        yield {**own, **tag, **x}
 
     return over_tracks(points, lambda made: rows_of(rows(made), schema), ddl, eps_t, chunk_points)

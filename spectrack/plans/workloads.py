@@ -9,10 +9,10 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from spectrack.functions import many
 from spectrack.functions import numbers as N
 from spectrack.functions import simplify as S
 from spectrack.functions import theory
-from spectrack.functions import track as K
 from spectrack.functions.params import CONSTANTS, OF_FIXTURE, CodecParams, derive
 from spectrack.operators import blocks
 from spectrack.plans import codec
@@ -34,18 +34,18 @@ def params(fixture: str, dim: int, eps: float, method: str = "spectral", **chang
     return derive(eps, dim, OF_FIXTURE.get(f"{fixture}:{dim}", 0), **{"eps_p": (0.5 if method == "spectral" else 0.2) * eps, **changes})
 
 
-def _sized(e: K.Encoded, p: CodecParams) -> dict:
-    return {"bytes": K.size_of(e, p), "kept": 0, "n_corr": e.stats["error_points"], "max_sed": e.stats["max_sed"], "sum_sed": e.stats["sum_sed"]}
+class Spectral:
+    """Sizes and errors of tracks by the codec; with coders, a list of one encoding's, its integers written with each."""
 
+    def __init__(self, p: CodecParams, coders: list[dict] | None = None):
+        self.variants, self.one = [p.with_(**c) for c in coders or [{}]], coders is None
 
-def _spectral(p: CodecParams, t: np.ndarray, pos: np.ndarray) -> dict:
-    return _sized(K.encode(t, pos, p), p)
+    def many(self, tracks: list[tuple[np.ndarray, np.ndarray]]) -> list:
+        made = many.sized(tracks, self.variants)
+        return [x[0] for x in made] if self.one else made
 
-
-def _recoded(p: CodecParams, coders: list[dict], t: np.ndarray, pos: np.ndarray) -> list[dict]:
-    """One encoding, its integers written with each coder."""
-    e = K.encode(t, pos, p)
-    return [_sized(e, p.with_(**c)) for c in coders]
+    def __call__(self, t: np.ndarray, pos: np.ndarray) -> dict | list[dict]:
+        return self.many([(t, pos)])[0]
 
 
 def _other(method: str, p: CodecParams, encoded: bool, m: int, t: np.ndarray, pos: np.ndarray) -> dict:
@@ -53,15 +53,13 @@ def _other(method: str, p: CodecParams, encoded: bool, m: int, t: np.ndarray, po
 
 
 def _lengths(method: str, p: CodecParams, lengths: list[int], t: np.ndarray, pos: np.ndarray) -> list[dict]:
-    """One path or encoding, its integers written with each chunk length."""
-    if method == "spectral":
-        return _recoded(p, [{"l": k, "l_freq": k} for k in lengths], t, pos)
+    """One path, its integers written with each chunk length."""
     return [{"n_corr": 0, **x} for x in S.coded(method, t, pos, p, lengths)]
 
 
 def _run(fixture: str, method: str, eps: float, dim: int, encoded: bool = True, m: int = 16, **changes) -> Callable:
     p = params(fixture, dim, eps, method, **changes)
-    return partial(_spectral, p) if method == "spectral" else partial(_other, method, p, encoded, m)
+    return Spectral(p) if method == "spectral" else partial(_other, method, p, encoded, m)
 
 
 def _sweep(spark: SparkSession, sf_dir: str, fixtures: dict[str, float], runs: Callable[[str, float], list[Run]], dim: int = 2) -> DataFrame:
@@ -105,7 +103,7 @@ def w2_zigzag_ablation(spark: SparkSession, sf_dir: str, grid=EPS) -> DataFrame:
     """Classic against zero-free codes of the coefficients, at chunk lengths 1 and 2: the same integers, coded four times."""
     coders = [{"zero_free": z, "l_freq": k} for z in (False, True) for k in (1, 2)]
     names = [f"{'zero_free' if c['zero_free'] else 'classic'}_l{c['l_freq']}" for c in coders]
-    runs = lambda n, f: [("spectral", names, [c["l_freq"] for c in coders], e * f, partial(_recoded, params(n, 2, e * f), coders)) for e in grid]
+    runs = lambda n, f: [("spectral", names, [c["l_freq"] for c in coders], e * f, Spectral(params(n, 2, e * f), coders)) for e in grid]
     s = summary(_sweep(spark, sf_dir, PLANAR, runs))
     both = s.groupBy("fixture", "eps").pivot("param", sorted(names)).agg(F.first(F.col("bytes") / F.col("raw_bytes")))
     both = both.withColumn("improvement_l1", M.improvement(F.col("zero_free_l1") / F.col("classic_l1"))).withColumn("improvement_l2", M.improvement(F.col("zero_free_l2") / F.col("classic_l2")))
@@ -132,7 +130,7 @@ def w5_ratio_vs_eps(spark: SparkSession, sf_dir: str, grid=EPS) -> DataFrame:
 def w6_chunk_length(spark: SparkSession, sf_dir: str, grid=tuple(range(1, 8)), eps: float = 50.0) -> DataFrame:
     """Chunk lengths of all methods; a track is encoded, or simplified, once a method."""
     k = list(grid)
-    runs = lambda n, f: [(m, ["l"] * len(k), k, eps * f, partial(_lengths, m, params(n, 2, eps * f, m), k)) for m in METHODS]
+    runs = lambda n, f: [(m, ["l"] * len(k), k, eps * f, Spectral(params(n, 2, eps * f, m), [{"l": x, "l_freq": x} for x in k]) if m == "spectral" else partial(_lengths, m, params(n, 2, eps * f, m), k)) for m in METHODS]
     return summary(_sweep(spark, sf_dir, PLANAR, runs))
 
 

@@ -7,6 +7,7 @@ import pytest
 from hypothesis import given, settings
 from hypothesis import strategies as st
 
+from spectrack.functions import many
 from spectrack.functions import numbers as N
 from spectrack.functions import simplify as S
 from spectrack.functions import spectral, theory
@@ -168,3 +169,41 @@ def test_derived_parameters():
     p = derive(100.0)
     assert (p.eps_f, p.b_s, p.r_ret, p.eps_p) == (100 / CONSTANTS[0].a, 16, 1.0, 50.0) and derive(400.0).r_ret == 0.5
     assert p.kept(31) == 31 and derive(100.0, r_ret=2**-7).kept(32) == 1
+
+
+def test_many_tracks_at_once_give_the_same_containers():
+    """Byte for byte what each track gives alone, and so do their sizes, statistics and decoded positions."""
+    r = np.random.default_rng(21)
+    tracks = [(np.array([5]), np.zeros((1, 2))), (np.array([5, 9]), np.ones((2, 2))), (np.arange(3, 30), r.normal(size=(27, 2)).cumsum(axis=0) * 40)]
+    for n in (1, 3, 8, 40, 700):
+        t = np.cumsum(r.integers(1, 9, n) ** 4) * 1000 - 500_000
+        tracks.append((t, (r.normal(size=(n, 2)) * 30).cumsum(axis=0)))
+    changes = ({}, {"v_max": 5000.0}, {"blocks": False}, {"positions": True}, {"eps_t": 1000}, {"zero_free": False, "l": 5, "l_freq": 3}, {"ends": "open", "r_ret": 0.125}, {"validate": False, "gap_mean": "exclusive", "dt_scale": 0.5})
+    for change in changes:
+        p = derive(20.0, 2, 3, **change)
+        made = many.packed(tracks, p)
+        sized = many.sized(tracks, [p, p.with_(zero_free=False)])
+        boxes = [(*K.unpack(x[0]), None) for x in made]
+        backs = many.decode(boxes, [t for t, _ in tracks])
+        for (t, pos), (data, bits, uniform, stats), (s, z), box, back in zip(tracks, made, sized, boxes, backs, strict=True):
+            e = K.encode(t, pos, p)
+            assert data == K.pack(e, p) and bits == K.bits_of(e, p) and uniform == e.uniform
+            assert stats["error_points"] == e.stats["error_points"] == s["n_corr"] and stats["max_sed"] == pytest.approx(e.stats["max_sed"], abs=1e-9)
+            assert stats["outliers"] == e.stats["outliers"] and stats["fragments"] == e.stats["fragments"]
+            assert s["bytes"] == K.size_of(e, p) and z["bytes"] == K.size_of(e, p.with_(zero_free=False))
+            assert np.allclose(back, K.decode(box[0], t, box[1]), rtol=0, atol=1e-9)
+    assert many.clock_bits(tracks, 1, 2) == [K.clock_bits(t, 1, 2) for t, _ in tracks]
+
+
+def test_one_block_of_a_long_track_needs_no_basis():
+    """A block of 30,000: the basis of its product would take 7 GB, or 200 MB of a hundredth of it."""
+    import tracemalloc
+
+    c = np.random.default_rng(22).normal(size=(1, 30_000))
+    tracemalloc.start()
+    back = spectral.dct(spectral.idct(c, 30_000))
+    few = spectral.dct(spectral.idct(c[:, :300], 30_000), 300)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert np.allclose(back, c, atol=1e-6) and np.allclose(few, c[:, :300], atol=1e-6) and peak < 50_000_000
+    assert np.allclose(spectral.idct(c[:, :90], 600), (c[:, :90] * np.where(np.arange(90) == 0, 0.5, 1.0)) @ spectral.basis(600, 90).T / 600, atol=1e-9)
