@@ -207,3 +207,30 @@ def test_one_block_of_a_long_track_needs_no_basis():
     tracemalloc.stop()
     assert np.allclose(back, c, atol=1e-6) and np.allclose(few, c[:, :300], atol=1e-6) and peak < 50_000_000
     assert np.allclose(spectral.idct(c[:, :90], 600), (c[:, :90] * np.where(np.arange(90) == 0, 0.5, 1.0)) @ spectral.basis(600, 90).T / 600, atol=1e-9)
+
+
+def test_many_containers_opened_at_once():
+    """The same integers as one by one: of several kinds of header, tracks of one point, no coefficients, and a part of the clock."""
+    r = np.random.default_rng(23)
+    tracks = []
+    for n in (1, 2, 3, 3, 40, 170, 61, 5):
+        t = np.cumsum(r.integers(1, 4, n) * np.where(r.random(n) < 0.05, 90_000_000, 1_000_000))
+        tracks.append((t, (r.normal(size=(n, 2)) * 30).cumsum(axis=0)))
+    tracks.append((np.arange(50) * 1_000_000, np.zeros((50, 2))))
+    data, ps = [], []
+    for change in ({}, {"blocks": False}, {"positions": True}, {"zero_free": False, "l": 5, "l_freq": 3}, {"eps_t": 1000}, {"r_ret": 0.01}):
+        p = derive(20.0, 2, 3, **change)
+        data += [x[0] for x in many.packed(tracks, p)]
+        ps += [p] * len(tracks)
+    made = many.unpack(data)
+    for x, (e, p) in zip(data, made, strict=True):
+        one, own = K.unpack(x)
+        assert own == p and (e.dim, e.dt, e.uniform) == (one.dim, one.dt, one.uniform)
+        for name in ("starts", "counts", "anchors", "ends", "lengths", "coefficients", "corr_t", "corr", "out_t", "out"):
+            assert np.array_equal(getattr(e, name), getattr(one, name)), name
+    clocks = [t[::-2] for t, _ in tracks] * 6
+    for (e, p), t, back in zip(made, clocks, many.decode([(*x, None) for x in made], clocks), strict=True):
+        assert np.allclose(back, K.decode(e, t, p), rtol=0, atol=1e-9)
+    with pytest.raises(ValueError):
+        many.unpack(data[:2], ps[-1].with_(eps=7.0))
+    assert many.unpack([]) == []
