@@ -9,7 +9,7 @@ from collections.abc import Callable, Iterator, Sequence
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window as W
 
@@ -121,7 +121,8 @@ def over_tracks(points: DataFrame, kernel: Callable[[Iterator[Piece]], Iterator[
     if not tracks:
         return dealt(points)
     long = long.select("track_id")
-    parts = max(int(points.sparkSession.conf.get("spark.sql.shuffle.partitions")), -(-rows // (16 * chunk_points)))
+    # a task streams, so small chunks need no more tasks than large ones
+    parts = max(int(points.sparkSession.conf.get("spark.sql.shuffle.partitions")), -(-rows // (16 * max(chunk_points, CHUNK))))
     code = F.floor((F.col("t") * 2 + eps_t) / (2 * eps_t))
     ranges = points.join(long, "track_id", "left_semi").withColumn("__c", code).repartitionByRange(parts, "track_id", "__c").sortWithinPartitions("track_id", "t", "pos")
     return dealt(points.join(long, "track_id", "left_anti")).unionByName(ranges.select("track_id", "t", "pos").mapInArrow(run(chunk_points), ddl))
@@ -166,14 +167,14 @@ def compress(points: DataFrame, p: CodecParams, chunk_points: int | None = CHUNK
     return over_tracks(points, lambda made: rows_of((row for group in together(made) for row in _containers(group, p)), schema), CONTAINER, p.eps_t, chunk_points)
 
 
-def _chunk_of(starts: Column, t: Column) -> Column:
-    """The last of the ordered starts at or before t, looked for among every w-th and then among the w after it."""
-    n = F.size(starts)
-    w = F.ceil(F.sqrt(n)).cast("int")
-    heads = F.transform(F.sequence(F.lit(1), n, w), lambda i: F.element_at(starts, i))
-    before = F.size(F.filter(heads, lambda x: x <= t)) - 1
-    inside = F.slice(starts, before * w + 1, w)
-    return F.when(before >= 0, F.element_at(inside, F.size(F.filter(inside, lambda x: x <= t))))
+#: this many of a track's containers, one after the other, and their times meet in a task
+BESIDE = 16
+
+
+def _groups(container: DataFrame) -> DataFrame:
+    """Of tracks cut in more than BESIDE chunks: where each further group of them starts."""
+    starts = container.filter("cut").groupBy("track_id").agg(F.array_sort(F.collect_list("t_min")).alias("__starts")).filter(F.size("__starts") > BESIDE)
+    return starts.select("track_id", F.filter("__starts", lambda _, i: (i > 0) & (i % BESIDE == 0)).alias("__heads"))
 
 
 def decompress(container: DataFrame, clock: DataFrame, p: CodecParams | None = None) -> DataFrame:
@@ -181,42 +182,45 @@ def decompress(container: DataFrame, clock: DataFrame, p: CodecParams | None = N
 
     Each time goes to the container whose own time span holds it, and parameters come from the headers (with p, a container
     made with others is refused). Times outside all of a track's containers, and tracks without one, give no row; times that
-    were not in the track give interpolated positions without a bound. The container table is read twice: once
-    for the starts of tracks that are cut, so it should be stored and not computed here."""
-    times = clock.select("track_id", "t")
-    cut = container.filter("cut").groupBy("track_id").agg(F.array_sort(F.collect_list("t_min")).alias("__starts"))
-    times = times.join(cut, "track_id", "left").select("track_id", F.coalesce(_chunk_of(F.col("__starts"), F.col("t")), F.lit(0)).alias("chunk"), F.lit(1).alias("kind"), "t")
-    times = times.withColumns({"t_max": F.lit(None).cast("long"), "payload": F.lit(None).cast("binary")})
-    boxes = container.select("track_id", "chunk", F.lit(0).alias("kind"), F.col("t_min").alias("t"), "t_max", "payload")
-    both = boxes.unionByName(times).repartition("track_id", "chunk").sortWithinPartitions("track_id", "chunk", "kind", "t")
+    were not in the track give interpolated positions without a bound. Containers and times are sorted together, so that the last
+    container before a time is its own; a track of many is dealt in groups of neighbours. The container table is read three times:
+    twice for the starts of tracks that are cut, so it should be stored and not computed here."""
+    times = clock.select("track_id", "t", F.lit(1).alias("kind")).withColumns({"t_max": F.lit(None).cast("long"), "payload": F.lit(None).cast("binary")})
+    boxes = container.select("track_id", F.col("t_min").alias("t"), F.lit(0).alias("kind"), "t_max", "payload")
+    group = F.coalesce(F.size(F.filter("__heads", lambda x: x <= F.col("t"))), F.lit(0))
+    heads = _groups(container)
+    both = [df.join(heads, "track_id", "left").select("track_id", F.when(F.col("__heads").isNull(), 0).otherwise(group).alias("group"), "t", "kind", "t_max", "payload") for df in (boxes, times)]
+    both = both[0].unionByName(both[1]).repartition("track_id", "group").sortWithinPartitions("track_id", "group", "t", "kind")
     schema = arrow_schema(POINTS)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        key = box = last = None
+        track = box = last = None
         for batch in batches:
-            ids, chunk, kind, t = (batch.column(i) for i in range(4))
+            if not batch.num_rows:
+                continue
+            ids, t, kind, end = batch.column(0), np.asarray(batch.column(2)), np.asarray(batch.column(3)), batch.column(4)
             names, asked, at = [], [], []
-            codes, chunk, kind, t = np.asarray(ids.dictionary_encode().indices), np.asarray(chunk), np.asarray(kind), np.asarray(t)
-            edges = np.flatnonzero((np.diff(codes) != 0) | (np.diff(chunk) != 0) | (np.diff(kind) != 0)) + 1
+            codes, first = np.asarray(ids.dictionary_encode().indices), kind == 0
+            opened = iter(M.unpack(batch.column(5).filter(pa.array(first)).to_pylist(), p))
+            # a container is a piece of its own, and so are the times up to the next one
+            edges = np.flatnonzero((np.diff(codes) != 0) | first[1:] | first[:-1]) + 1
             edges = [0, *edges.tolist(), len(codes)]
             for a, b in zip(edges, edges[1:], strict=False):
-                if a == b:
-                    continue
-                own = (ids[a].as_py(), int(chunk[a]))
-                if own != key:
-                    key, box, last = own, None, None
-                if kind[a] == 0:
-                    e, found = K.unpack(batch.column(5)[a].as_py(), p)
+                own = ids[a].as_py()
+                if own != track:
+                    track, box, last = own, None, None
+                if first[a]:
+                    e, found = next(opened)
                     # a long container's times may come in many batches
                     samples = K.decode_uniform(e, found) if e.counts.sum() > 2000 else None
-                    box = e, found, samples, int(t[a]), batch.column(4)[a].as_py()
+                    box, last = (e, found, samples, end[a].as_py()), None
                 elif box is not None:
-                    *made, first, end = box
+                    *made, upto = box
                     when = t[a:b]
-                    when = when[(when >= first) & (when <= end) & np.concatenate(([when[0] != last], when[1:] != when[:-1]))]
+                    when = when[(when <= upto) & np.concatenate(([when[0] != last], when[1:] != when[:-1]))]
                     last = t[b - 1]
                     if len(when):
-                        names += [own[0]] * len(when)
+                        names += [own] * len(when)
                         at.append(when)
                         asked.append(made)
             if at:

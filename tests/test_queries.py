@@ -183,3 +183,17 @@ def test_whole_numbers_of_a_long_signal_are_one_row(spark, sf_dir):
 def test_theory_and_parameters_read_a_table(spark, sf_dir):
     for name, table in (("q_theory", "lineitem"), ("q_derive", "lineitem"), ("q_pick_a", "events")):
         assert any(f.endswith(f"{table}.parquet") for f in queries.QUERIES[name](spark, sf_dir).inputFiles())
+
+
+def test_small_chunks_need_few_tasks(spark):
+    """A task streams its chunks, so their number follows from the points and not from the size of a chunk; times past many chunks are found."""
+    n = 3_000
+    pts = spark.range(n).select(F.lit("a").alias("track_id"), (F.col("id") * 1_000_000 + F.col("id") % 7).alias("t"), F.array(F.col("id") % 90 * 1.0, F.col("id") * 1.0).alias("pos"))
+    made = codec.compress(pts, derive(5.0), 20)
+    assert made.rdd.getNumPartitions() <= 16
+    c = queries.staged(made, "container")
+    assert c.count() >= n // 20
+    late = pts.filter(F.col("t") > 400_000_000)
+    assert queries._off(late, codec.decompress(c, late.unionByName(late.limit(5))), 5.0).first()["violations"] == 0
+    gone = pts.limit(5).select(F.lit("b").alias("track_id"), "t")
+    assert codec.decompress(c, gone).count() == 0
