@@ -294,15 +294,17 @@ def sweep(points: DataFrame, runs: Sequence[tuple[dict | list[dict], Callable]],
 
     The grid goes to the data: points are shuffled once, and a task does all runs of its tracks. A run is (labels, function
     of (t, pos) giving the rest of the row), or (list of labels, function giving as many), where one encoding
-    serves several rows. A function with an attribute `many` is given a list of tracks there, for as many results."""
+    serves several rows. A function with an attribute `many` is given a list of tracks there, for as many results, and a dict
+    that keeps what runs over the same tracks share."""
     schema = arrow_schema(ddl)
 
     def rows(made: Iterator[Piece]) -> Iterator[dict]:
         for group in together(made):
             tracks = [piece[2:] for piece in group]
+            shared: dict = {}
             same = [{"track_id": track, "n": len(t), "raw_bytes": K.raw_bytes(*pos.shape)} for track, _, t, pos in group]
             for labels, f in runs:
-                many = f.many(tracks) if hasattr(f, "many") else (f(t, pos) for t, pos in tracks)
+                many = f.many(tracks, shared) if hasattr(f, "many") else (f(t, pos) for t, pos in tracks)
                 for own, got in zip(same, many, strict=True):
                     for tag, x in [(labels, got)] if isinstance(labels, dict) else zip(labels, got, strict=True):
                         yield {**own, **tag, **x}

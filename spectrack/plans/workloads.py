@@ -40,8 +40,8 @@ class Spectral:
     def __init__(self, p: CodecParams, coders: list[dict] | None = None):
         self.variants, self.one = [p.with_(**c) for c in coders or [{}]], coders is None
 
-    def many(self, tracks: list[tuple[np.ndarray, np.ndarray]]) -> list:
-        made = many.sized(tracks, self.variants)
+    def many(self, tracks: list[tuple[np.ndarray, np.ndarray]], shared: dict | None = None) -> list:
+        made = many.sized(tracks, self.variants, shared)
         return [x[0] for x in made] if self.one else made
 
     def __call__(self, t: np.ndarray, pos: np.ndarray) -> dict | list[dict]:

@@ -234,3 +234,18 @@ def test_many_containers_opened_at_once():
     with pytest.raises(ValueError):
         many.unpack(data[:2], ps[-1].with_(eps=7.0))
     assert many.unpack([]) == []
+
+
+def test_encoders_share_samples_of_the_same_tracks():
+    """Cells of a sweep that differ in bound, retention or precision cut fragments and resample once; sizes are those of encoders alone."""
+    r = np.random.default_rng(24)
+    tracks = [(np.cumsum(r.integers(1, 4, n) * 1_000_000), (r.normal(size=(n, 2)) * 30).cumsum(axis=0)) for n in (1, 30, 200)]
+    for some in (tracks, tracks[2:]):
+        shared = {}
+        for b in (8, 16):
+            for change in ({}, {"r_ret": 0.25}, {"eps": 5.0}, {"positions": True}):
+                p = derive(20.0, 2, 3, b_s=b).with_(**change)
+                got = [x[0] for x in many.sized(some, [p], shared)]
+                one = [K.encode(t, pos, p) for t, pos in some]
+                assert [x["bytes"] for x in got] == [K.size_of(e, p) for e in one] and [x["n_corr"] for x in got] == [e.stats["error_points"] for e in one]
+        assert len(shared) == 2
