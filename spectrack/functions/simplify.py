@@ -128,6 +128,12 @@ def pq(t, pos, eps: float | None = None, ratio: float | None = None) -> np.ndarr
     """Indices left after removing samples in order of least cost: the distance to the segment between
     the neighbours, plus the largest cost carried over from removed neighbours. Stops above eps, or when ratio of
     the samples is left."""
+    return np.flatnonzero(pq_costs(t, pos, eps, ratio) == np.inf)
+
+
+def pq_costs(t, pos, eps: float | None = None, ratio: float | None = None) -> np.ndarray:
+    """What each removed sample cost, infinity for those left. Costs never fall from one removal to the next, since a
+    neighbour carries them on, so the samples left by a smaller bound are those that cost more than it."""
     n = len(t)
     # plain lists: single items of arrays cost several times as much
     left, right = list(range(-1, n - 1)), list(range(1, n + 1))
@@ -139,6 +145,7 @@ def pq(t, pos, eps: float | None = None, ratio: float | None = None) -> np.ndarr
         s = (t[i] - t[a]) / (t[b] - t[a])
         return sum((p - (q + (r - q) * s)) ** 2 for p, q, r in zip(x[i], x[a], x[b], strict=True)) ** 0.5 + carried[i]
 
+    gone = [math.inf] * n
     heap = [(cost(i), i, 0) for i in range(1, n - 1)]
     heapq.heapify(heap)
     rest, least = n, max(2, int(np.ceil(n * ratio))) if ratio is not None else 2
@@ -148,7 +155,7 @@ def pq(t, pos, eps: float | None = None, ratio: float | None = None) -> np.ndarr
             continue
         if eps is not None and c > eps:
             break
-        alive[i] = False
+        alive[i], gone[i] = False, c
         rest -= 1
         a, b = left[i], right[i]
         right[a], left[b] = b, a
@@ -157,7 +164,7 @@ def pq(t, pos, eps: float | None = None, ratio: float | None = None) -> np.ndarr
             if 0 < k < n - 1:
                 version[k] += 1
                 heapq.heappush(heap, (cost(k), k, version[k]))
-    return np.flatnonzero(alive)
+    return np.array(gone)
 
 
 def opening_window(t, pos, eps: float) -> np.ndarray:
@@ -197,15 +204,15 @@ def kept(method: str, t_us: np.ndarray, pos: np.ndarray, eps: float | None, m: i
     return np.rint(times * 1e6).astype(np.int64) + t_us[0], path
 
 
-def coded(method: str, t_us: np.ndarray, pos: np.ndarray, p: CodecParams, lengths: list[int], m: int = 16) -> list[dict]:
+def coded(method: str, t_us: np.ndarray, pos: np.ndarray, p: CodecParams, lengths: list[int], m: int = 16, path: tuple[np.ndarray, np.ndarray] | None = None) -> list[dict]:
     """Run a baseline on a track with the integer coder: kept points, errors at the samples, and bytes with each chunk
     length, which changes nothing else.
 
-    The path is sought within eps - eps_p and its points are rounded within eps_p, so eps holds; times
+    The path is sought within eps - eps_p, unless it is given, and its points are rounded within eps_p, so eps holds; times
     and points go through the same integer coder as the spectral codec's ends."""
     step = p.eps_p / pos.shape[1] ** 0.5
     t = (t_us - t_us[0]) / 1e6
-    times, path = path_of(method, t, pos, p.eps - p.eps_p, m)
+    times, path = path or path_of(method, t, pos, p.eps - p.eps_p, m)
     codes = N.quantize(path, step)
     clock = N.zigzag(N.delta((np.rint(times * 1e6).astype(np.int64) + t_us[0] + p.eps_t // 2) // p.eps_t))
     moves = N.zigzag(N.delta(codes))
@@ -213,6 +220,15 @@ def coded(method: str, t_us: np.ndarray, pos: np.ndarray, p: CodecParams, length
     return [{**same, "bytes": -(-(int(N.bit_cost(clock, k).sum()) + int(N.bit_cost(moves, k).sum())) // 8)} for k in lengths]
 
 
+def queued(t_us: np.ndarray, pos: np.ndarray, ps: list[CodecParams]) -> list[dict]:
+    """coded() by the priority queue with each of the parameters, from one run down to the widest bound."""
+    t = (t_us - t_us[0]) / 1e6
+    if len(t) < 3:
+        return [coded("pq", t_us, pos, p, [p.l])[0] for p in ps]
+    costs = pq_costs(t, pos, max(p.eps - p.eps_p for p in ps))
+    return [coded("pq", t_us, pos, p, [p.l], path=(t[left], pos[left]))[0] for p in ps for left in [costs > p.eps - p.eps_p]]
+
+
 def _measured(times, path, t, pos) -> dict:
     error = np.linalg.norm(reconstruct(times, path, t) - pos, axis=1)
     return {"kept": len(times), "max_sed": float(error.max(initial=0)), "sum_sed": float(error.sum())}

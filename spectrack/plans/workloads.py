@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from collections.abc import Callable
+from collections.abc import Callable, Sequence
 from functools import partial, reduce
 
 import numpy as np
@@ -25,8 +25,8 @@ PLANAR = {"ev_user": 1.0, "ev_type_smooth": 1.0, "emb_cum": 0.01}
 EPS = [10.0 * i for i in range(1, 11)]
 ROW = "track_id string, n long, raw_bytes long, fixture string, method string, param string, value double, eps double, bytes long, kept long, n_corr long, max_sed double, sum_sed double"
 
-# (method, param, value, eps, what to run), or with lists of params and values where one encoding serves several rows
-Run = tuple[str, str | list[str], float | list[float], float, Callable]
+# (method, param, value, eps, what to run), or with lists of params, values and bounds where one encoding serves several rows
+Run = tuple[str, str | list[str], float | list[float], float | list[float], Callable]
 
 
 def params(fixture: str, dim: int, eps: float, method: str = "spectral", **changes) -> CodecParams:
@@ -62,13 +62,27 @@ def _run(fixture: str, method: str, eps: float, dim: int, encoded: bool = True,
     return Spectral(p) if method == "spectral" else partial(_other, method, p, encoded, m)
 
 
+def _queued(ps: list[CodecParams], t: np.ndarray, pos: np.ndarray) -> list[dict]:
+    return [{"n_corr": 0, **x} for x in S.queued(t, pos, ps)]
+
+
+def _over(fixture: str, methods: Sequence[str], param: str, values: Sequence[float], eps: list[float], dim: int, change: Callable[[float, float], dict] = lambda v, e: {}) -> list[Run]:
+    """Runs of the methods over values of a parameter, at a bound each; the priority queue goes through a track once for all."""
+    each = [(v, e, change(v, e)) for v, e in zip(values, eps, strict=True)]
+    runs: list[Run] = [(m, param, v, e, _run(fixture, m, e, dim, **c)) for m in methods if m != "pq" for v, e, c in each]
+    if "pq" in methods:
+        runs.append(("pq", [param] * len(each), list(values), eps, partial(_queued, [params(fixture, dim, e, "pq", **c) for _, e, c in each])))
+    return runs
+
+
 def _sweep(spark: SparkSession, sf_dir: str, fixtures: dict[str, float], runs: Callable[[str, float], list[Run]], dim: int = 2) -> DataFrame:
     """runs(fixture, factor) for each fixture, one job a fixture."""
     made = []
     for name, factor in fixtures.items():
         grid = []
         for m, param, value, e, f in runs(name, factor):
-            tags = [{"fixture": name, "method": m, "param": x, "value": float(v), "eps": e} for x, v in zip(param, value, strict=True)] if isinstance(param, list) else {"fixture": name, "method": m, "param": param, "value": float(value), "eps": e}
+            bounds = e if isinstance(e, list) else [e] * len(param)
+            tags = [{"fixture": name, "method": m, "param": x, "value": float(v), "eps": y} for x, v, y in zip(param, value, bounds, strict=True)] if isinstance(param, list) else {"fixture": name, "method": m, "param": param, "value": float(value), "eps": e}
             grid.append((tags, f))
         points = D.FIXTURES[name](spark, sf_dir)
         if dim == 2 and name.startswith("li_"):
@@ -122,7 +136,7 @@ def w4_retention(spark: SparkSession, sf_dir: str, grid=tuple(2.0**-i for i in r
 
 def w5_ratio_vs_eps(spark: SparkSession, sf_dir: str, grid=EPS) -> DataFrame:
     """All methods over the bounds; `relative` is the spectral codec's ratio over the method's."""
-    runs = lambda n, f: [(m, "eps", e, e * f, _run(n, m, e * f, 2)) for m in METHODS for e in grid]
+    runs = lambda n, f: _over(n, METHODS, "eps", grid, [e * f for e in grid], 2)
     s = summary(_sweep(spark, sf_dir, PLANAR, runs))
     return M.relative(s, "ratio", "spectral", ["fixture", "eps"]).withColumn("relative", 1 / F.col("relative")).withColumn("improvement", M.improvement(F.col("relative")))
 
@@ -141,13 +155,13 @@ def w7_freq_precision(spark: SparkSession, sf_dir: str, grid=(0.2, 0.3, 0.4, 0.5
 
 
 def w8_point_precision(spark: SparkSession, sf_dir: str, grid=(0.05, 0.1, 0.2, 0.3, 0.4, 0.5, 0.6), eps: float = 50.0) -> DataFrame:
-    runs = lambda n, f: [(m, "eps_p", x, eps * f, _run(n, m, eps * f, 2, eps_p=x * eps * f)) for m in METHODS for x in grid]
+    runs = lambda n, f: _over(n, METHODS, "eps_p", grid, [eps * f] * len(grid), 2, lambda x, e: {"eps_p": x * e})
     return summary(_sweep(spark, sf_dir, PLANAR, runs))
 
 
 def w9_mean_error(spark: SparkSession, sf_dir: str, grid=EPS) -> DataFrame:
     """Mean errors over the bounds, and what the theory expects of the spectral codec at its frequency precision."""
-    runs = lambda n, f: [(m, "eps", e, e * f, _run(n, m, e * f, 2)) for m in METHODS for e in grid]
+    runs = lambda n, f: _over(n, METHODS, "eps", grid, [e * f for e in grid], 2)
     s = summary(_sweep(spark, sf_dir, PLANAR, runs))
     wide = s.groupBy("fixture", "eps").pivot("method", list(METHODS)).agg(F.first("mean_sed"))
     share = F.create_map(*[F.lit(x) for n in PLANAR for x in (n, theory.mean_track_error(CONSTANTS[OF_FIXTURE.get(f"{n}:2", 0)].a, 2))])
@@ -156,7 +170,7 @@ def w9_mean_error(spark: SparkSession, sf_dir: str, grid=EPS) -> DataFrame:
 
 
 def w10_three_d(spark: SparkSession, sf_dir: str, grid=EPS) -> DataFrame:
-    runs = lambda n, f: [(m, "eps", e, e * f, _run(n, m, e * f, 3)) for m in ("spectral", "pq") for e in grid]
+    runs = lambda n, f: _over(n, ("spectral", "pq"), "eps", grid, [e * f for e in grid], 3)
     s = summary(_sweep(spark, sf_dir, {"li_supp_smooth": 1.0, "li_supp": 1.0}, runs, 3))
     return M.relative(s, "ratio", "pq", ["fixture", "eps"])
 

@@ -249,3 +249,13 @@ def test_encoders_share_samples_of_the_same_tracks():
                 one = [K.encode(t, pos, p) for t, pos in some]
                 assert [x["bytes"] for x in got] == [K.size_of(e, p) for e in one] and [x["n_corr"] for x in got] == [e.stats["error_points"] for e in one]
         assert len(shared) == 2
+
+
+def test_one_run_of_the_queue_serves_all_bounds():
+    r = np.random.default_rng(25)
+    for n, dim in ((1, 2), (2, 3), (3, 2), (90, 3), (300, 1)):
+        t = np.cumsum(r.integers(1, 4, n) * 1_000_000)
+        # repeated steps make ties
+        pos = r.integers(-2, 3, (n, dim)).cumsum(axis=0) * 10.0
+        ps = [derive(e, dim, eps_p=0.2 * e) for e in (40.0, 5.0, 12.5, 90.0)] + [derive(40.0, dim, eps_p=3.0)]
+        assert S.queued(t, pos, ps) == [S.simplified("pq", t, pos, p) for p in ps]
