@@ -7,7 +7,10 @@ the pair of buckets. The second one reweights a class's unigram by a feature of
 before. Words outside the lexicon belong to classes of word shapes, in which they have an add-one
 unigram over the whole vocabulary; their features of the second factor are a distributed table that grows
 with the types. All sums over the corpus are exact counts of all training texts; the gradient rounds run over
-those counts, spread over the executors."""
+those counts, spread over the executors.
+
+Texts are split twice: for the vocabulary, and to be stored as numbers, which all later passes read. Counts of
+a bounded number of keys travel as packed arrays, a row for a task and part of the keys."""
 
 from __future__ import annotations
 
@@ -15,14 +18,14 @@ import zlib
 from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass, field
-from itertools import chain, compress
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from spectrack.llm.common import lean, staged
+from spectrack.llm.common import discard, lean, staged
 
 END = b""  # no word is empty
 SHAPES = 8
@@ -31,12 +34,14 @@ CLASSES = 64
 PAIRS = BUCKETS * BUCKETS  # features of both words before
 PULL = 0.5  # weight of the prior
 TASKS = 8  # of a gradient round of the first factor, whose counts have a fixed size
+PARTS = 64  # of the keys of a packed count; contexts and classes before are dealt by them
+BLOCK = 300_000  # words held at a time, beside those of one text
 _LOG10 = float(np.log(10.0))
 
 
-def words(text: str | None) -> list[bytes]:
+def words(text: str | bytes | None) -> list[bytes]:
     """Lower-cased (A-Z only) words between ASCII white space, then the end."""
-    out = (text or "").encode("utf-8").lower().split()
+    out = (text.encode("utf-8") if isinstance(text, str) else text or b"").lower().split()
     out.append(END)
     return out
 
@@ -88,20 +93,10 @@ class Model:
 
     def encode(self, texts: list[list[bytes]]) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
         """Ids, the ids before, and the buckets of the one and the two before. Every text starts after ends."""
-        n = sum(map(len, texts))
-        get = self.codes.__getitem__
-        code = np.fromiter(map(get, chain.from_iterable(texts)), np.int64, n)
-        ids, bucket = code >> 8, code & 255
-        first = np.zeros(n, bool)
-        at = np.cumsum([0, *map(len, texts[:-1])]) if texts else np.zeros(0, int)
-        first[at] = True
-        before, one = np.zeros(n, np.int64), np.zeros(n, np.int64)
-        before[1:], one[1:] = ids[:-1], bucket[:-1]
-        before[first], one[first] = 0, 0
-        two = np.zeros(n, np.int64)
-        two[1:] = one[:-1]
-        two[first] = 0
-        return ids, before, one, two
+        return _contexts(self.code(texts), np.array([len(t) for t in texts], np.int64))
+
+    def code(self, texts: list[list[bytes]]) -> np.ndarray:
+        return np.fromiter(map(self.codes.__getitem__, chain.from_iterable(texts)), np.int64, sum(map(len, texts)))
 
     def class_logits(self, one: np.ndarray, two: np.ndarray) -> np.ndarray:
         return self.bias + self.one[one] + self.two[two] + self.both[_pair(one, two)]
@@ -125,6 +120,18 @@ class Model:
         return self.made["tables"]
 
 
+def _contexts(code: np.ndarray, length: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Ids, the ids before, and the buckets of the one and the two before, of texts of these lengths (1 at least)."""
+    ids, bucket = code >> 8, code & 255
+    at = np.cumsum(length) - length
+    before, one, two = np.zeros_like(ids), np.zeros_like(ids), np.zeros_like(ids)
+    before[1:], one[1:] = ids[:-1], bucket[:-1]
+    before[at], one[at] = 0, 0
+    two[1:] = one[:-1]
+    two[at] = 0
+    return ids, before, one, two
+
+
 def _pair(one: np.ndarray, two: np.ndarray) -> np.ndarray:
     return one * BUCKETS + two
 
@@ -143,7 +150,7 @@ def vocabulary(docs: DataFrame, id_col: str, text_col: str, flush: int = 300_000
 
         seen: Counter[bytes] = Counter()
         for b in batches:
-            for t in b.column("text"):
+            for t in b.column("text").cast(pa.binary()):
                 seen.update(words(t.as_py()))
                 if len(seen) > flush:
                     yield out()
@@ -153,57 +160,133 @@ def vocabulary(docs: DataFrame, id_col: str, text_col: str, flush: int = 300_000
     return staged(docs.select(F.col(text_col).alias("text")).mapInArrow(run, "word binary, n long").groupBy("word").agg(F.sum("n").alias("c")), "vocabulary")
 
 
-def _tallied(docs: DataFrame, text_col: str, sizes: list[int], keys, flush: int = 100_000) -> DataFrame:
-    """(kind, key, word, n): how often each key occurs; keys(list of word lists) gives an array of keys a kind,
-    each below its bound in sizes, and (word, key) pairs of a last kind. Dense counters of those sizes and partial
-    counts of the pairs in each worker, summed by one shuffle."""
+def _coded(docs: DataFrame, model: Model, id_col: str, text_col: str, learn: Column | None = None) -> DataFrame:
+    """(rid, doc_id, learn, codes, rare) of every row: the words of its text as codes of four bytes, and those outside the
+    lexicon as they are, between spaces. Rows are told apart by a row number. `learn` marks the rows to learn from."""
+    edge = len(model.lexicon) * BUCKETS
+    shared = docs.sparkSession.sparkContext.broadcast(model)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        m = shared.value
+        for b in lean(batches):
+            at, text = 0, b.column("text").cast(pa.binary())
+            while at < b.num_rows:
+                part, n = [], 0
+                while at + len(part) < b.num_rows and n < BLOCK:
+                    part.append(words(text[at + len(part)].as_py()))
+                    n += len(part[-1])
+                code = m.code(part)
+                edges = np.concatenate(([0], np.cumsum([len(t) for t in part])))
+                out = np.flatnonzero(code >= edge)
+                cuts = np.searchsorted(out, edges).tolist()
+                flat = list(chain.from_iterable(part))
+                unlisted = [flat[i] for i in out.tolist()]
+                rare = [b" ".join(unlisted[i:j]) if j > i else None for i, j in zip(cuts, cuts[1:], strict=False)]
+                # the codes of a part are one buffer, cut at the texts' edges
+                codes = pa.BinaryArray.from_buffers(pa.binary(), len(part), [None, pa.py_buffer((edges * 4).astype(np.int32)), pa.py_buffer(code.astype("<i4"))])
+                kept = b.slice(at, len(part))
+                yield pa.RecordBatch.from_arrays([kept.column("rid"), kept.column("doc_id"), kept.column("learn"), codes, pa.array(rare, pa.binary())], ["rid", "doc_id", "learn", "codes", "rare"])
+                at += len(part)
+
+    # a mark that is null is no mark
+    rows = docs.select(
+        F.monotonically_increasing_id().alias("rid"),
+        F.col(id_col).alias("doc_id"),
+        F.lit(True).alias("learn") if learn is None else F.coalesce(learn, F.lit(False)).alias("learn"),
+        F.col(text_col).alias("text"),
+    )
+    kind = rows.schema["doc_id"].dataType.simpleString()
+    return staged(rows.mapInArrow(run, f"rid long, doc_id {kind}, learn boolean, codes binary, rare binary"), "coded", "zstd")
+
+
+def _read(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[pa.RecordBatch, np.ndarray, np.ndarray]]:
+    """Rows of a coded table, a bounded number of words at a time, their codes and the texts' lengths."""
+    for b in lean(batches):
+        at, codes = 0, b.column("codes").cast(pa.binary())
+        edges = np.frombuffer(codes.buffers()[1], np.int32, len(codes) + 1, codes.offset * 4).astype(np.int64) // 4 if len(codes) else ()
+        while at < b.num_rows:
+            upto = min(b.num_rows, int(np.searchsorted(edges, edges[at] + BLOCK)))
+            yield b.slice(at, upto - at), np.frombuffer(codes.buffers()[2], "<i4", edges[upto] - edges[at], edges[at] * 4).astype(np.int64), np.diff(edges[at : upto + 1])
+            at = upto
+
+
+def _unlisted(rare: pa.Array) -> list[bytes]:
+    """The words of a column `rare`, in order."""
+    return b" ".join(rare.drop_null().to_pylist()).split()
+
+
+def _packed(part: int, key: np.ndarray, n: np.ndarray) -> tuple[int, int, bytes]:
+    """(part, how many, bytes) of ascending keys and their counts: gaps and counts by planes of bytes, compressed."""
+    both = np.stack((np.diff(key, prepend=0), n)).astype("<i8")
+    return part, len(key), pa.compress(both.view(np.uint8).reshape(2, len(key), 8).transpose(0, 2, 1).tobytes(), codec="zstd", asbytes=True)
+
+
+def _unpacked(n: int, v: pa.Scalar) -> tuple[np.ndarray, np.ndarray]:
+    raw = pa.decompress(v.as_buffer(), n * 16, codec="zstd")
+    gap, count = np.frombuffer(raw, np.uint8).reshape(2, 8, n).transpose(0, 2, 1).copy().view("<i8").reshape(2, n)
+    return np.cumsum(gap), count
+
+
+def _packed_rows(total: np.ndarray) -> Iterator[tuple[int, int, bytes]]:
+    """Counts by key, packed: the parts that have any."""
+    for part, t in enumerate(total.reshape(PARTS, -1)):
+        key = np.flatnonzero(t)
+        if len(key):
+            yield _packed(part, key, t[key])
+
+
+def _summed_parts(batches: Iterator[pa.RecordBatch], width: int) -> dict[int, np.ndarray]:
+    """Rows (part, n, v) of packed counts, added up by part."""
+    total: dict[int, np.ndarray] = {}
+    for b in batches:
+        for part, n, v in zip(b.column("part").to_pylist(), b.column("n").to_pylist(), b.column("v"), strict=True):
+            key, count = _unpacked(n, v)
+            if part not in total:
+                total[part] = np.zeros(width, np.int64)
+            total[part][key] += count
+    return total
+
+
+def _tallied(coded: DataFrame, sizes: list[int], keys, flush: int = 100_000) -> DataFrame:
+    """(kind, part, word, n, v): how often each key occurs. keys(codes, lengths, rare words) gives an array of keys
+    a kind, each below its bound in sizes, and (word, key) pairs of a last kind. The first are dense counters of a task, packed:
+    v holds n keys of the part. The pairs are partial counts: n times the word with the key `part`."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total = [np.zeros(n, np.int64) for n in sizes]
         pairs: Counter[tuple[bytes, int]] = Counter()
 
-        def add(texts: list[list[bytes]]) -> None:
-            *dense, more = keys(texts)
-            for t, k in zip(total, dense, strict=True):
-                np.add.at(t, k, 1)
-            pairs.update(more)
-
-        def row(kind: int, key: np.ndarray | list, word: pa.Array, n: np.ndarray | list) -> pa.RecordBatch:
-            return pa.RecordBatch.from_arrays([pa.array(np.full(len(key), kind, np.int32)), pa.array(key, pa.int64()), word, pa.array(n, pa.int64())], ["kind", "key", "word", "n"])
+        def row(kind: int, part: list, word: pa.Array, n: list, v: pa.Array) -> pa.RecordBatch:
+            return pa.RecordBatch.from_arrays([pa.array(np.full(len(part), kind, np.int32)), pa.array(part, pa.int64()), word, pa.array(n, pa.int64()), v], ["kind", "part", "word", "n", "v"])
 
         def spill() -> pa.RecordBatch:
-            out = row(len(sizes), [k for _, k in pairs], pa.array([w for w, _ in pairs], pa.binary()), list(pairs.values()))
+            out = row(len(sizes), [k for _, k in pairs], pa.array([w for w, _ in pairs], pa.binary()), list(pairs.values()), pa.nulls(len(pairs), pa.binary()))
             pairs.clear()
             return out
 
-        held, size = [], 0
-        for b in lean(batches):
-            for t in b.column("text"):
-                held.append(words(t.as_py()))
-                size += len(held[-1])
-                if size > 300_000:
-                    add(held)
-                    held, size = [], 0
-                    if len(pairs) > flush:
-                        yield spill()
-        if held:
-            add(held)
+        for b, code, length in _read(batches):
+            *dense, more = keys(code, length, b.column("rare"))
+            for t, k in zip(total, dense, strict=True):
+                np.add.at(t, k, 1)
+            pairs.update(more)
+            if len(pairs) > flush:
+                yield spill()
         yield spill()
         for kind, t in enumerate(total):
-            key = np.flatnonzero(t)
-            for at in range(0, len(key), 500_000):
-                part = key[at : at + 500_000]
-                yield row(kind, part, pa.nulls(len(part), pa.binary()), t[part])
+            for part, n, v in _packed_rows(t):
+                yield row(kind, [part], pa.nulls(1, pa.binary()), [n], pa.array([v], pa.binary()))
 
-    return docs.select(F.col(text_col).alias("text")).mapInArrow(run, "kind int, key long, word binary, n long").groupBy("kind", "key", "word").agg(F.sum("n").alias("n"))
+    return coded.select("codes", "rare").mapInArrow(run, "kind int, part long, word binary, n long, v binary")
 
 
 def _induce(model: Model, cells: pa.Table, contexts: int) -> np.ndarray:
     """Classes of the lexicon's words by what stands before them: spherical k-means on square roots of shares."""
     size = len(model.lexicon)
     x = np.zeros((size, contexts), np.float32)
-    for b in cells.to_batches(max_chunksize=100_000):
-        x.ravel()[np.asarray(b.column("key"))] = np.asarray(b.column("n"))
+    by_part = x.reshape(PARTS, -1)
+    for part, n, v in zip(cells["part"].to_pylist(), cells["n"].to_pylist(), cells["v"], strict=True):
+        key, count = _unpacked(n, v)
+        by_part[part, key] = count
     total = x.sum(axis=1, keepdims=True) + np.float32(0.02)
     x += (0.02 * x.sum(axis=0) / max(1, x.sum())).astype(np.float32)
     x /= total
@@ -243,42 +326,63 @@ def _summed(parts: DataFrame, n: int) -> np.ndarray:
 
 def fit(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lexicon: int = 131_072, rounds: int = 12) -> tuple[Model, DataFrame]:
     """Learn from all rows of docs: (model, vocabulary). `lexicon` bounds what the driver and each worker hold."""
-    spark = docs.sparkSession
+    model, vocab = _listed(docs, id_col, text_col, lexicon)
+    coded = _coded(docs, model, id_col, text_col)
+    _learn(model, vocab, coded, rounds)
+    discard(coded)
+    return model, vocab
+
+
+def fit_and_score(docs: DataFrame, learn: Column, id_col: str = "doc_id", text_col: str = "text", lexicon: int = 131_072, rounds: int = 12) -> DataFrame:
+    """score() of all rows by fit() of those that `learn` marks; each text is turned into numbers once."""
+    model, vocab = _listed(docs.filter(learn), id_col, text_col, lexicon)
+    coded = _coded(docs, model, id_col, text_col, learn)
+    _learn(model, vocab, coded.filter("learn"), rounds)
+    discard(vocab)
+    return _scored(coded, model)
+
+
+def _listed(docs: DataFrame, id_col: str, text_col: str, lexicon: int) -> tuple[Model, DataFrame]:
+    """A model that knows the words of docs, and nothing of their order; (word, c) of all of them."""
     vocab = vocabulary(docs, id_col, text_col)
     tokens, types = vocab.agg(F.coalesce(F.sum("c"), F.lit(0)), F.count(F.lit(1))).first()
     top = vocab.filter(F.octet_length("word") > 0).orderBy(F.desc("c"), "word").limit(lexicon).toArrow()
     ends = vocab.filter(F.octet_length("word") == 0).collect()
     model = Model([END, *top["word"].to_pylist()], np.array([ends[0]["c"] if ends else 1, *top["c"].to_pylist()], float), tokens, types)
-    size, contexts = len(model.lexicon), 64
-    model.featured = size
+    model.featured = len(model.lexicon)
+    return model, vocab
 
-    shared = spark.sparkContext.broadcast(model)
 
-    def beside(texts: list[list[bytes]]) -> list[np.ndarray]:
-        ids, before, _, _ = shared.value.encode(texts)
+def _learn(model: Model, vocab: DataFrame, coded: DataFrame, rounds: int) -> None:
+    spark, size, contexts, tokens = vocab.sparkSession, len(model.lexicon), 64, model.tokens
+
+    def beside(code: np.ndarray, length: np.ndarray, rare: pa.Array) -> list[np.ndarray]:
+        ids, before, _, _ = _contexts(code, length)
         known = ids < size
         return [ids[known] * contexts + np.minimum(before[known], contexts - 1), ()]
 
-    cells = _tallied(docs, text_col, [size * contexts], beside).select("key", F.col("n").cast("double").alias("n")).toArrow()
+    def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for part, t in _summed_parts(batches, size * contexts // PARTS).items():
+            key = np.flatnonzero(t)
+            yield pa.RecordBatch.from_arrays([pa.array([x]) for x in _packed(part, key, t[key])], ["part", "n", "v"])
+
+    cells = _tallied(coded, [size * contexts], beside).filter("kind = 0").select("part", "n", "v").repartition(PARTS, "part").mapInArrow(add, "part long, n long, v binary").toArrow()
     model.classes = _induce(model, cells, contexts)
     del cells
     pa.default_memory_pool().release_unused()
-    shared.destroy()
 
-    grown = spark.sparkContext.broadcast(model)
+    grown = spark.sparkContext.broadcast(model.classes)
 
-    def contexts_of(texts: list[list[bytes]]) -> list[np.ndarray]:
-        m = grown.value
-        ids, before, one, two = m.encode(texts)
-        known = ids < size
-        behind = m.classes[before]
-        rare = zip(compress(chain.from_iterable(texts), (~known).tolist()), behind[~known].tolist(), strict=True)
-        return [(one * BUCKETS + two) * CLASSES + m.classes[ids], behind[known] * size + ids[known], rare]
+    def contexts_of(code: np.ndarray, length: np.ndarray, rare: pa.Array) -> list[np.ndarray]:
+        classes = grown.value
+        ids, before, one, two = _contexts(code, length)
+        known, behind = ids < size, classes[before]
+        return [(one * BUCKETS + two) * CLASSES + classes[ids], behind[known] * size + ids[known], zip(_unlisted(rare), behind[~known].tolist(), strict=True)]
 
-    tallies = staged(_tallied(docs, text_col, [BUCKETS * BUCKETS * CLASSES, CLASSES * size], contexts_of), "tallies")
+    # the parts of the first kind are ranges of contexts, those of the second are the classes before
+    tallies = staged(_tallied(coded, [BUCKETS * BUCKETS * CLASSES, CLASSES * size], contexts_of), "tallies")
     grown.destroy()
-    first = tallies.filter("kind = 0").select(F.floor(F.col("key") / CLASSES).alias("at"), (F.col("key") % CLASSES).alias("c"), "n")
-    second = tallies.filter("kind = 1").select(F.floor(F.col("key") / size).alias("at"), (F.col("key") % size).alias("w"), "n")
+    first, second = (tallies.filter(F.col("kind") == k).select("part", "n", "v").repartition(PARTS, "part") for k in (0, 1))
 
     mass = np.bincount(model.classes[:size], model.counts, CLASSES)
     mass[-SHAPES:] = max(1.0, (tokens - mass.sum()) / SHAPES)
@@ -287,8 +391,8 @@ def fit(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lexicon
     model.one, model.two, model.both = np.zeros((BUCKETS, CLASSES)), np.zeros((BUCKETS, CLASSES)), np.zeros((PAIRS, CLASSES), np.float32)
     _rounds_of_classes(model, first, rounds)
     _rounds_of_words(model, second, rounds)
-    _rounds_of_rest(model, vocab, tallies.filter("kind = 2").select("word", F.col("key").alias("before"), "n"), rounds)
-    return model, vocab
+    _rounds_of_rest(model, vocab, tallies.filter("kind = 2").select("word", F.col("part").alias("before"), "n"), rounds)
+    discard(tallies)
 
 
 def _columns(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[np.ndarray, ...]]:
@@ -320,21 +424,19 @@ def _pull(now: np.ndarray, seen: np.ndarray, expected: np.ndarray) -> np.ndarray
 
 
 def _rounds_of_classes(model: Model, first: DataFrame, rounds: int) -> None:
-    """Gradient rounds of the first factor over first(at, c, n). A task returns what it expects of the bias and of both
+    """Gradient rounds of the first factor over first(part, n, v), counts of (context, class). A task returns what it expects of the bias and of both
     words alone; the pair features follow from those of the rounds before and are gathered once, at the end."""
     spark, rows, small = first.sparkSession, BUCKETS * CLASSES, (1 + 2 * BUCKETS) * CLASSES
 
     def gather(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        parts = list(_columns(batches))
-        if parts:
-            at, c, n = (np.concatenate(x) for x in zip(*parts, strict=True))
-            own, to = np.unique(at, return_inverse=True)
-            seen = np.zeros((len(own), CLASSES))
-            np.add.at(seen, (to, c), n)
-            for i in range(0, len(own), 5_000):
-                yield pa.RecordBatch.from_arrays([pa.array(own[i : i + 5_000]), pa.array([v.tobytes() for v in seen[i : i + 5_000]], pa.binary())], ["at", "v"])
+        width = PAIRS // PARTS
+        for part, t in sorted(_summed_parts(batches, width * CLASSES).items()):
+            seen = t.reshape(width, CLASSES).astype(float)
+            own = np.flatnonzero(seen.any(axis=1))
+            yield pa.RecordBatch.from_arrays([pa.array(part * width + own), pa.array([v.tobytes() for v in seen[own]], pa.binary())], ["at", "v"])
 
-    contexts = staged(first.repartition(TASKS, "at").mapInArrow(gather, "at long, v binary"), "contexts").coalesce(TASKS)
+    gathered = staged(first.mapInArrow(gather, "at long, v binary"), "contexts")
+    contexts = gathered.coalesce(TASKS)
 
     def read(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[np.ndarray, np.ndarray]]:
         for b in batches:
@@ -376,6 +478,7 @@ def _rounds_of_classes(model: Model, first: DataFrame, rounds: int) -> None:
     for b in got.to_batches():
         if b.num_rows:
             model.both[np.asarray(b.column("at"))] = np.frombuffer(b"".join(b.column("v").to_pylist()), np.float32).reshape(-1, CLASSES)
+    discard(gathered)
 
 
 def _step(slots: np.ndarray, seen: np.ndarray, expected: np.ndarray) -> np.ndarray:
@@ -384,24 +487,24 @@ def _step(slots: np.ndarray, seen: np.ndarray, expected: np.ndarray) -> np.ndarr
 
 
 def _rounds_of_words(model: Model, second: DataFrame, rounds: int) -> None:
-    """Gradient rounds of the second factor for the lexicon over second(at, w, n). No two classes before share a slot,
-    so each goes through all its rounds in one task."""
+    """Gradient rounds of the second factor for the lexicon over second(part, n, v), counts of the words behind the class
+    `part`. No two classes before share a slot, so each goes through all its rounds in one task."""
     size = len(model.lexicon)
     shared = second.sparkSession.sparkContext.broadcast((model.unigram(), model.classes[:size]))
 
-    def solve(key: tuple[pa.Scalar, ...], rows: pa.Table) -> pa.Table:
+    def solve(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         u, own = shared.value
-        seen, slots = np.zeros(size), np.zeros(size)
-        seen[np.asarray(rows["w"])] = np.asarray(rows["n"])
-        total = np.bincount(own, seen, CLASSES)
-        for _ in range(rounds):
-            e = u * np.exp(slots)
-            e *= (total / np.maximum(np.bincount(own, e, CLASSES), 1e-300))[own]
-            slots = _step(slots, seen, e)
-        return pa.table({"at": pa.array([key[0].as_py()], pa.int64()), "v": pa.array([slots.astype(np.float32).tobytes()], pa.binary())})
+        for at, seen in _summed_parts(batches, size).items():
+            slots = np.zeros(size)
+            total = np.bincount(own, seen, CLASSES)
+            for _ in range(rounds):
+                e = u * np.exp(slots)
+                e *= (total / np.maximum(np.bincount(own, e, CLASSES), 1e-300))[own]
+                slots = _step(slots, seen, e)
+            yield pa.RecordBatch.from_arrays([pa.array([at]), pa.array([slots.astype(np.float32).tobytes()])], ["at", "v"])
 
     model.slots = np.zeros(CLASSES * size, np.float32)
-    got = second.groupBy("at").applyInArrow(solve, "at long, v binary").toArrow()
+    got = second.mapInArrow(solve, "at long, v binary").toArrow()
     for at, v in zip(got["at"].to_pylist(), got["v"], strict=True):
         model.slots[at * size : (at + 1) * size] = np.frombuffer(v.as_buffer(), np.float32)
     shared.destroy()
@@ -416,16 +519,22 @@ def _rest_slots(before: np.ndarray, shapes: np.ndarray, u: np.ndarray, n: np.nda
 
 
 def _rounds_of_rest(model: Model, vocab: DataFrame, tail: DataFrame, rounds: int) -> None:
-    """Gradient rounds of the second factor for the words outside the lexicon over tail(word, before, n). Each pair
-    that was seen is a feature; the table stays distributed. A slot follows from its own counts and the sums of the rounds
-    before, which are all that the driver holds: one number a class before and shape."""
+    """Gradient rounds of the second factor for the words outside the lexicon over tail(word, before, n), partial counts.
+    Each pair that was seen is a feature; the table stays distributed, a row a word. A slot follows from its own counts and
+    the sums of the rounds before, which are all that the driver holds: one number a class before and shape. So pairs of
+    equal counts have equal slots, and the rounds go over `kinds` of pairs, m of each."""
     in_lexicon = vocab.sparkSession.createDataFrame(pa.table({"word": pa.array(model.lexicon, pa.binary())}))
-    rest = staged(vocab.join(F.broadcast(in_lexicon), "word", "left_anti").withColumn("shape", _shape(F.col("word"))), "rest")
+    dealt = tail.repartition("word").groupBy("word", "before").agg(F.sum("n").cast("double").alias("n")).groupBy("word").agg(F.collect_list(F.struct("before", "n")).alias("seen"))
+    out = vocab.join(F.broadcast(in_lexicon), "word", "left_anti").withColumn("shape", _shape(F.col("word")).cast("long"))
+    listed = [F.coalesce(F.col(f"seen.{x}"), F.array().cast(f"array<{t}>")).alias(x) for x, t in (("before", "bigint"), ("n", "double"))]
+    rest = staged(out.join(dealt, "word", "left").select("word", "c", "shape", *listed), "rest")
     whole = np.ones(SHAPES)  # of each shape: tokens, types and one for all unseen words
     for r in rest.groupBy("shape").agg(F.sum("c").alias("n"), F.count(F.lit(1)).alias("v")).collect():
         whole[r["shape"]] += r["n"] + r["v"]
-    u = (F.col("c") + 1) / F.array(*[F.lit(float(x)) for x in whole])[F.col("shape")]
-    pairs = staged(tail.join(rest, "word").select("word", "before", F.col("shape").cast("long").alias("shape"), u.alias("u"), F.col("n").cast("double").alias("n")), "pairs")
+    pair = F.explode(F.arrays_zip("before", "n")).alias("pair")
+    each = rest.select("c", "shape", pair).groupBy(F.col("pair.before").alias("before"), "shape", "c", F.col("pair.n").alias("n")).agg(F.count(F.lit(1)).alias("m"))
+    u = (F.col("c") + 1) / F.array(*[F.lit(float(x)) for x in whole])[F.col("shape").cast("int")]
+    kinds = staged(each.select("before", "shape", u.alias("u"), "n", "m"), "kinds")
 
     def cells(df: DataFrame) -> np.ndarray:
         out = np.zeros((CLASSES, SHAPES))
@@ -433,27 +542,33 @@ def _rounds_of_rest(model: Model, vocab: DataFrame, tail: DataFrame, rounds: int
             out[r["before"], r["shape"]] = r["n"]
         return out
 
-    follows, past = cells(pairs), [np.ones((CLASSES, SHAPES))]
+    follows, past = cells(kinds.select("before", "shape", (F.col("n") * F.col("m")).alias("n"))), [np.ones((CLASSES, SHAPES))]
     for _ in range(rounds):
 
         def grown(batches: Iterator[pa.RecordBatch], past=tuple(past)) -> Iterator[pa.RecordBatch]:
             more = np.zeros(CLASSES * SHAPES)
-            for before, shapes, u, n in _columns(batches):
-                more += np.bincount(before * SHAPES + shapes, u * np.expm1(_rest_slots(before, shapes, u, n, follows, past)), len(more))
+            for before, shapes, u, n, m in _columns(batches):
+                more += np.bincount(before * SHAPES + shapes, m * u * np.expm1(_rest_slots(before, shapes, u, n, follows, past)), len(more))
             at = np.flatnonzero(more)
             yield pa.RecordBatch.from_arrays([pa.array(at // SHAPES), pa.array(at % SHAPES), pa.array(more[at])], ["before", "shape", "n"])
 
-        past.append(1 + cells(pairs.drop("word").mapInArrow(grown, "before long, shape long, n double")))
+        past.append(1 + cells(kinds.mapInArrow(grown, "before long, shape long, n double")))
+    discard(kinds)
     done, last = past[:-1], past[-1]
     model.tails = np.log10(whole * last)
 
     def slots(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            v = _rest_slots(*(np.asarray(b.column(i)) for i in range(1, 5)), follows, done)
-            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(v / _LOG10)], ["word", "before", "slot"])
+            before, n = b.column("before"), b.column("n")
+            length = np.asarray(before.value_lengths())
+            shapes = np.asarray(b.column("shape"))
+            u = (np.asarray(b.column("c")) + 1) / whole[shapes]
+            at = before.flatten()
+            v = _rest_slots(np.asarray(at), np.repeat(shapes, length), np.repeat(u, length), np.asarray(n.flatten()), follows, done)
+            edges = pa.array(np.concatenate(([0], np.cumsum(length))).astype(np.int32))
+            yield pa.RecordBatch.from_arrays([b.column("word"), b.column("c"), pa.MapArray.from_arrays(edges, at, pa.array(v / _LOG10))], ["word", "c", "slots"])
 
-    of_word = pairs.mapInArrow(slots, "word binary, before long, slot double").groupBy("word").agg(F.map_from_entries(F.collect_list(F.struct("before", "slot"))).alias("slots"))
-    model.rest = staged(rest.drop("shape").join(of_word, "word", "left"), "features")
+    model.rest = rest.mapInArrow(slots, "word binary, c long, slots map<bigint, double>")
 
 
 def score(docs: DataFrame, model: Model, vocab: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -463,8 +578,12 @@ def score(docs: DataFrame, model: Model, vocab: DataFrame, id_col: str = "doc_id
     below a thousandth of the tokens, are joined with the table of their counts and features, one row a text, word and
     class before, and their logarithms summed by text; an unseen word has count 0. Rows are told apart by a row number, so repeated ids
     and rows are kept. Further columns are ignored."""
+    return _scored(_coded(docs, model, id_col, text_col), model)
+
+
+def _scored(coded: DataFrame, model: Model) -> DataFrame:
     size = len(model.lexicon)
-    shared = docs.sparkSession.sparkContext.broadcast(model)
+    shared = coded.sparkSession.sparkContext.broadcast(model)
     floor = float(np.log10(model.tokens + model.types + 1))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -474,48 +593,43 @@ def score(docs: DataFrame, model: Model, vocab: DataFrame, id_col: str = "doc_id
         if not m.tokens:
             base[0] = -floor
         inside = np.concatenate((unigram, np.zeros(SHAPES)))
-        for b in lean(batches):
-            at = 0
-            while at < b.num_rows:
-                # words of a bounded part at a time: this many and one text
-                part, n = [], 0
-                while at + len(part) < b.num_rows and n < 300_000:
-                    part.append(words(b.column("text")[at + len(part)].as_py()))
-                    n += len(part[-1])
-                ids, before, one, two = m.encode(part)
-                own = m.classes[ids]
-                known = ids < size
-                value = first[one * BUCKETS + two, own] + inside[ids]
-                behind = m.classes[before]
-                value[known] += m.slots[_slot(behind[known], ids[known], m.featured)] / _LOG10 - sums[behind[known], own[known]]
-                value[~known] -= m.tails[behind[~known], ids[~known] - size]
-                length = np.array([len(t) for t in part])
-                row = np.repeat(np.arange(len(part)), length)
-                rare, edges = np.flatnonzero(~known), np.concatenate(([0], np.cumsum(length)))
-                cut, behind = np.searchsorted(rare, edges), behind[rare].tolist()
-                tails = []
-                for i, t in enumerate(part):
-                    met = zip(rare[cut[i] : cut[i + 1]].tolist(), behind[cut[i] : cut[i + 1]], strict=True)
-                    tails.append([{"word": w, "before": c, "n": k} for (w, c), k in Counter((t[j - edges[i]], c) for j, c in met).items()])
-                yield pa.RecordBatch.from_arrays(
-                    [
-                        b.column("rid").slice(at, len(part)),
-                        b.column("doc_id").slice(at, len(part)),
-                        pa.array(length.astype(np.int64)),
-                        pa.array(np.bincount(row[known], minlength=len(part)) - (0 if m.tokens else 1)),
-                        pa.array(np.bincount(row, base[ids], len(part))),
-                        pa.array(np.bincount(row, value, len(part))),
-                        pa.array(tails, pa.list_(pa.struct([("word", pa.binary()), ("before", pa.int64()), ("n", pa.int64())]))),
-                    ],
-                    ["rid", "doc_id", "n_tokens", "known", "base", "model", "tails"],
-                )
-                at += len(part)
-
-    rows = docs.select(F.monotonically_increasing_id().alias("rid"), F.col(id_col).alias("doc_id"), F.col(text_col).alias("text"))
-    kind = rows.schema["doc_id"].dataType.simpleString()
-    scored = staged(rows.mapInArrow(run, f"rid long, doc_id {kind}, n_tokens long, known long, base double, model double, tails array<struct<word: binary, before: bigint, n: bigint>>"), "scored")
-
-    each = scored.select("rid", F.explode("tails").alias("t")).select("rid", "t.word", "t.before", "t.n")
+        for b, code, length in _read(batches):
+            ids, before, one, two = _contexts(code, length)
+            own = m.classes[ids]
+            known = ids < size
+            value = first[one * BUCKETS + two, own] + inside[ids]
+            behind = m.classes[before]
+            value[known] += m.slots[_slot(behind[known], ids[known], m.featured)] / _LOG10 - sums[behind[known], own[known]]
+            value[~known] -= m.tails[behind[~known], ids[~known] - size]
+            row = np.repeat(np.arange(len(length)), length)
+            yield pa.RecordBatch.from_arrays(
+                [
+                    b.column("rid"),
+                    b.column("doc_id"),
+                    pa.array(length),
+                    pa.array(np.bincount(row[known], minlength=len(length)) - (0 if m.tokens else 1)),
+                    pa.array(np.bincount(row, base[ids], len(length))),
+                    pa.array(np.bincount(row, value, len(length))),
+                ],
+                ["rid", "doc_id", "n_tokens", "known", "base", "model"],
+            )
+
+    kind = coded.schema["doc_id"].dataType.simpleString()
+    scored = coded.select("rid", "doc_id", "codes").mapInArrow(run, f"rid long, doc_id {kind}, n_tokens long, known long, base double, model double")
+
+    # classes are all that the words outside the lexicon need of the model
+    classes = coded.sparkSession.sparkContext.broadcast(model.classes)
+
+    def occurring(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b, code, length in _read(batches):
+            ids, before, _, _ = _contexts(code, length)
+            out = np.flatnonzero(ids >= size)
+            rid = np.repeat(np.asarray(b.column("rid")), length)[out].tolist()
+            met = Counter(zip(rid, _unlisted(b.column("rare")), classes.value[before[out]].tolist(), strict=True))
+            rid, word, behind = zip(*met, strict=True) if met else ((), (), ())
+            yield pa.RecordBatch.from_arrays([pa.array(rid, pa.int64()), pa.array(word, pa.binary()), pa.array(behind, pa.int64()), pa.array(list(met.values()), pa.int64())], ["rid", "word", "before", "n"])
+
+    each = coded.filter("rare IS NOT NULL").select("rid", "codes", "rare").mapInArrow(occurring, "rid long, word binary, before long, n long")
     met = each.join(model.rest, "word", "left")
     log = F.log10(F.coalesce("c", F.lit(0)) + 1)
     tails = met.groupBy("rid").agg(
@@ -523,7 +637,7 @@ def score(docs: DataFrame, model: Model, vocab: DataFrame, id_col: str = "doc_id
         F.sum(F.col("n") * (log + F.coalesce(F.try_element_at("slots", F.col("before")), F.lit(0.0)))).alias("tail_model"),
         F.sum(F.when(F.col("c") > 0, F.col("n")).otherwise(0)).alias("tail_known"),
     )
-    both = scored.drop("tails").join(tails, "rid", "left")
+    both = scored.join(tails, "rid", "left")
     nought = lambda c: F.coalesce(F.col(c), F.lit(0.0))
     return both.select(
         "doc_id",

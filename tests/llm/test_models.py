@@ -7,6 +7,7 @@ import re
 import zlib
 
 import numpy as np
+import pyarrow as pa
 import pytest
 
 from spectrack.llm import language, queries, scoring, toxicity
@@ -444,3 +445,83 @@ def test_mix_of_one_repeated_row(spark):
     words = [r.text.split(" ") for r in mixed_texts(df, rows_per_shard=100).collect()]
     assert sum(map(len, words)) == sum(r.taken for r in got) and all(f" {' '.join(w)} " in f" {text} " for w in words)
     assert mixed_texts(df.limit(0)).count() == 0
+
+
+def test_language_model_reads_texts_twice(spark, sf_dir, monkeypatch):
+    """Once for the vocabulary and once to store them as numbers; later passes read those."""
+    docs = queries.table(spark, sf_dir, "documents")
+    rows, read = docs.count(), spark.sparkContext.accumulator(0)
+
+    def counted(batches):
+        for b in batches:
+            read.add(b.num_rows)
+            yield b
+
+    monkeypatch.setattr(queries, "table", lambda *_: docs.mapInArrow(counted, docs.schema))
+    assert len(queries.op4_lm_score(spark, sf_dir).collect()) == rows
+    assert rows < read.value <= 2 * rows
+
+
+def test_fit_and_score_is_fit_then_score(spark):
+    """The same rows, where marks are null too, and repeated ones."""
+    r = np.random.default_rng(5)
+    names = [f"w{i}" for i in range(60)] + ["É!", "averylongword", "x."]
+    docs = [(i % 70, " ".join(r.choice(names, r.integers(0, 30))), [True, True, False, None][i % 4]) for i in range(120)] + [(None, None, True), (7, None, None), (8, "never seen", False)]
+    df = spark.createDataFrame(docs, "doc_id long, text string, learn boolean")
+    model, vocab = scoring.fit(df.filter("learn"), lexicon=20, rounds=4)
+    plain = lambda d: sorted((str(x.doc_id), x.n_tokens, x.n_known, x.train_tokens, round(x.base_score, 8), round(x.score, 8)) for x in d.collect())
+    got = plain(scoring.fit_and_score(df, df.learn, lexicon=20, rounds=4))
+    assert got == plain(scoring.score(df, model, vocab)) and len(got) == len(docs)
+
+
+def test_slots_of_rare_words_pair_by_pair(spark):
+    """The rounds over kinds of pairs give each (class before, word) what rounds over all pairs give."""
+    r = np.random.default_rng(6)
+    names = [f"w{i}" for i in range(200)] + ["É!", "averylongword", "x."]
+    texts = [" ".join(names[int(i)] for i in np.minimum(r.pareto(0.6, 40) * 3, len(names) - 1)) for _ in range(80)]
+    model, vocab = scoring.fit(spark.createDataFrame([(i, t) for i, t in enumerate(texts)], "doc_id long, text string"), lexicon=15, rounds=3)
+    inside, counts = {w: i for i, w in enumerate(model.lexicon)}, {bytes(w): c for w, c in vocab.collect()}
+    pairs, whole = collections.Counter(), np.ones(scoring.SHAPES)
+    for t in texts:
+        ws = scoring.words(t)
+        for before, w in zip([scoring.END, *ws], ws, strict=False):
+            if w not in inside:
+                pairs[int(model.classes[inside.get(before, len(inside) + scoring.shape(before) if before else 0)]), w] += 1
+    for w, c in counts.items():
+        whole[scoring.shape(w) if w else 0] += c + 1 if w not in inside else 0
+    u = {w: (c + 1) / whole[scoring.shape(w)] for w, c in counts.items() if w not in inside}
+    slots, follows = dict.fromkeys(pairs, 0.0), collections.Counter()
+    for (b, w), n in pairs.items():
+        follows[b, scoring.shape(w)] += n
+    for _ in range(3):
+        z = collections.defaultdict(lambda: 1.0)
+        for (b, w), s in slots.items():
+            z[b, scoring.shape(w)] += u[w] * math.expm1(s)
+        for (b, w), n in pairs.items():
+            key = b, scoring.shape(w)
+            slots[b, w] = scoring._step(slots[b, w], n, follows[key] * u[w] * math.exp(slots[b, w]) / z[key])
+    rest = {(b, bytes(x.word)): s * math.log(10) for x in model.rest.collect() for b, s in x.slots.items()}
+    assert len(pairs) > 100 and rest.keys() == slots.keys() and all(rest[k] == pytest.approx(slots[k], abs=1e-9) for k in slots)
+
+
+def test_packed_counts_add_up():
+    r = np.random.default_rng(7)
+    a, b = np.zeros((2, scoring.PARTS * 300), np.int64)
+    a[r.integers(0, len(a), 900)] = r.integers(1, 1 << 40, 900)
+    b[:700] = 3
+    rows = [x for t in (a, b, a * 0) for x in scoring._packed_rows(t)]
+    got = scoring._summed_parts([pa.RecordBatch.from_arrays([pa.array(x) for x in zip(*rows, strict=True)], ["part", "n", "v"])], 300)
+    assert {p for p, _, _ in rows} == set(got) and len(got) < scoring.PARTS + 1
+    assert (np.concatenate([got.get(p, np.zeros(300, np.int64)) for p in range(scoring.PARTS)]) == a + b).all()
+
+
+def test_codes_are_read_in_bounded_parts(monkeypatch):
+    """Parts end with the text that reaches the bound, also where a batch is a slice of another."""
+    monkeypatch.setattr(scoring, "BLOCK", 10)
+    texts = [np.arange(n, dtype="<i4") + 100 * n for n in (1, 3, 25, 1, 9, 4, 2, 10, 1)]
+    b = pa.RecordBatch.from_pydict({"codes": pa.array([t.tobytes() for t in texts], pa.binary())})
+    for at in (0, 2, len(texts)):
+        parts = list(scoring._read([b.slice(at)]))
+        assert [x.as_py() for p, _, _ in parts for x in p.column("codes")] == [t.tobytes() for t in texts[at:]]
+        assert all(len(c) == n.sum() and n[:-1].sum() < 10 for _, c, n in parts)
+        assert [c.tolist() for _, c, _ in parts] == [np.concatenate([np.frombuffer(x.as_py(), "<i4") for x in p.column("codes")]).tolist() for p, _, _ in parts]
