@@ -9,7 +9,7 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from spectrack.functions import many
+from spectrack.functions import lanes, many
 from spectrack.functions import numbers as N
 from spectrack.functions import simplify as S
 from spectrack.functions import theory
@@ -48,8 +48,19 @@ class Spectral:
         return self.many([(t, pos)])[0]
 
 
-def _other(method: str, p: CodecParams, encoded: bool, m: int, t: np.ndarray, pos: np.ndarray) -> dict:
-    return {"n_corr": 0, **S.simplified(method, t, pos, p, encoded, m)}
+class Baseline:
+    """The same of tracks by a simplifier; of several (parameters, whether by the integer coder), each a row, one run of the
+    priority queue serves all."""
+
+    def __init__(self, method: str, variants: list[tuple[CodecParams, bool]], m: int = 16, one: bool = False):
+        self.method, self.variants, self.m, self.one = method, variants, m, one
+
+    def many(self, tracks: list[tuple[np.ndarray, np.ndarray]], shared: dict | None = None) -> list:
+        made = lanes.simplified(self.method, tracks, self.variants, self.m)
+        return [x[0] for x in made] if self.one else made
+
+    def __call__(self, t: np.ndarray, pos: np.ndarray) -> dict | list[dict]:
+        return self.many([(t, pos)])[0]
 
 
 def _lengths(method: str, p: CodecParams, lengths: list[int], t: np.ndarray, pos: np.ndarray) -> list[dict]:
@@ -59,19 +70,16 @@ def _lengths(method: str, p: CodecParams, lengths: list[int], t: np.ndarray, pos
 
 def _run(fixture: str, method: str, eps: float, dim: int, encoded: bool = True, m: int = 16, **changes) -> Callable:
     p = params(fixture, dim, eps, method, **changes)
-    return Spectral(p) if method == "spectral" else partial(_other, method, p, encoded, m)
-
-
-def _queued(ps: list[CodecParams], t: np.ndarray, pos: np.ndarray) -> list[dict]:
-    return [{"n_corr": 0, **x} for x in S.queued(t, pos, ps)]
+    return Spectral(p) if method == "spectral" else Baseline(method, [(p, encoded)], m, True)
 
 
 def _over(fixture: str, methods: Sequence[str], param: str, values: Sequence[float], eps: list[float], dim: int, change: Callable[[float, float], dict] = lambda v, e: {}) -> list[Run]:
-    """Runs of the methods over values of a parameter, at a bound each; the priority queue goes through a track once for all."""
+    """Runs of the methods over values of a parameter, at a bound each; a simplifier goes through its tracks once for all."""
     each = [(v, e, change(v, e)) for v, e in zip(values, eps, strict=True)]
-    runs: list[Run] = [(m, param, v, e, _run(fixture, m, e, dim, **c)) for m in methods if m != "pq" for v, e, c in each]
-    if "pq" in methods:
-        runs.append(("pq", [param] * len(each), list(values), eps, partial(_queued, [params(fixture, dim, e, "pq", **c) for _, e, c in each])))
+    runs: list[Run] = [("spectral", param, v, e, _run(fixture, "spectral", e, dim, **c)) for v, e, c in each if "spectral" in methods]
+    for m in methods:
+        if m != "spectral":
+            runs.append((m, [param] * len(each), list(values), eps, Baseline(m, [(params(fixture, dim, e, m, **c), True) for _, e, c in each])))
     return runs
 
 
