@@ -114,7 +114,8 @@ def w0_dataset_summary(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def w1_encode_ablation(spark: SparkSession, sf_dir: str, grid=EPS) -> DataFrame:
     """Baselines with and without the integer coder."""
-    runs = lambda n, f: [(m, "encoded", on, e * f, _run(n, m, e * f, 2, bool(on))) for m in METHODS[1:] for on in (0, 1) for e in grid]
+    each = [(on, e) for on in (0, 1) for e in grid]
+    runs = lambda n, f: [(m, ["encoded"] * len(each), [on for on, _ in each], [e * f for _, e in each], Baseline(m, [(params(n, 2, e * f, m), bool(on)) for on, e in each])) for m in METHODS[1:]]
     s = summary(_sweep(spark, sf_dir, PLANAR, runs))
     both = s.groupBy("fixture", "method", "eps").pivot("value", [0.0, 1.0]).agg(F.first("ratio"))
     both = both.withColumnRenamed("0.0", "plain_ratio").withColumnRenamed("1.0", "encoded_ratio")
