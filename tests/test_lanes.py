@@ -68,3 +68,16 @@ def test_simplifiers_take_all_bounds_and_tracks_of_a_group_at_once():
                 for e in eps:
                     S.simplified(method, *track, derive(e, 2, eps_p=0.2 * e))
             assert at_once < 5 * (time.perf_counter() - begin) / 3
+
+
+def test_ranges_of_a_long_track_are_walked_at_once():
+    """A strong cone's path is found from many places of a track; more lanes than tracks and bounds, the same path."""
+    tracks = made([9_000, 3, 2_500], 9, True)
+    f = lanes.Flat(tracks)
+    start, limit, end = lanes._cut(f, 3)
+    assert len(start) > 20 and (limit[:-1][end[1:] == end[:-1]] == start[1:][end[1:] == end[:-1]]).all() and limit[-1] == end[-1] == len(f.t)
+    for bounds in ([1.0, 20.0, 300.0], [3000.0, 30000.0]):
+        kept, _ = lanes.cones(f, bounds, False)
+        for a, (t, pos) in zip(f.begin.tolist(), tracks, strict=True):
+            for eps, own in zip(bounds, kept, strict=True):
+                assert np.flatnonzero(own[a : a + len(t)]).tolist() == S.cone_strong((t - t[0]) / 1e6, pos, eps).tolist()
